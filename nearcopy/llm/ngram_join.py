@@ -7,12 +7,13 @@ Light sets (at most `boundary` shingles): all subsets of c(s, s') shingles are e
 Two sets with a common subset under the same pair of sizes are linked, so each subset's group is a star of
 true links with no further check.
 
-Heavy sets: inverted lists over each set's rarest shingles, s - ceil(t s) + 1 of them; linked sets meet in at least one
-list. Rarity comes from a count sketch of all documents and decides only the order, not the result. A list is cut where the next
-size is too large for a link. Lists are not paired off: their members are joined to groups (components of 'is in a
-common list'), each set travels once to its group, and there pairs are refuted by parity bitmaps (the
-popcount of their exclusive or never exceeds the symmetric difference) or decided by an exact merge. Pairs that
-are already connected are skipped, so a group yields a spanning forest of its links, not all pairs.
+Heavy sets: inverted lists over each set's rarest shingles, s - ceil(t s) + m(s) of them; linked sets meet in at least
+min(m, m') lists, where m(s) grows with s. Rarity comes from a count sketch of all documents, as wide as they need; it decides only the
+order, not the result. A list is cut where the next size is too large for a link. The pairs of a short list are
+counted over all lists, and those that meet too seldom are dropped; a long list isn't paired off but ties its members
+together. Components of what remains are groups: each set travels once to its group, and there pairs are
+refuted by parity bitmaps (the popcount of their exclusive or never exceeds the symmetric difference) or decided by an
+exact merge. Pairs already connected are skipped, so a group yields a spanning forest of its links, not all pairs.
 A group beyond `group_shingles` is split into size bands and hash parts, whose pairs are worked off in blocks.
 
 The boundary is where enumeration gets dearer than lists, from the sizes of all classes.
@@ -33,11 +34,13 @@ from nearcopy.components import connected_components, materialize
 from nearcopy.llm.common import SOLID_BYTES, Words, batch, blocks, check_columns, documents, mix, text_bytes
 
 SHINGLE, PERCENT = 4, 85
-#: Counters of the sketch (a power of two), and slices in which it is added up.
-SKETCH, SLICES = 1 << 21, 256
+#: Least and most counters of the sketch (powers of two; a byte each when it is sent out), and slices in which it is added up.
+SKETCH, SLICES = (1 << 18, 1 << 25), 256
+#: Longest list whose pairs are counted.
+SHORT = 8
 #: Largest size for which subsets are considered at all, and cost of a list entry in subsets.
 MAX_LIGHT, LIST_COST = 16, 4.0
-GROUP_SHINGLES = 1 << 21
+GROUP_SHINGLES = 1 << 22
 _WORDS = 16  # of 64 bits, in a parity bitmap
 
 
@@ -64,25 +67,35 @@ def shingle_sets(data: np.ndarray, offsets: np.ndarray, shingle: int = SHINGLE)
     return hashes[new], np.searchsorted(doc[new], np.arange(len(w.counts) + 1))
 
 
-def _rank(hashes):
-    return (hashes >> np.uint64(64 - SKETCH.bit_length() + 1)).astype(np.int64)
+def meetings(n):
+    """Lists in which a linked pair meets at least, for the smaller value of its two sizes."""
+    return 1 + n // 40
 
 
-def _count(shingle):
+def rarest(n, percent: int = PERCENT):
+    """Shingles of a set of n that go into lists."""
+    return np.minimum(n, n - -(-percent * n // 100) + meetings(n))
+
+
+def _rank(hashes, counters):
+    return (hashes >> np.uint64(64 - counters.bit_length() + 1)).astype(np.int64)
+
+
+def _count(shingle, counters):
     schema = pa.schema([("slice", pa.int32()), ("counts", pa.binary())])
 
     def run(batches):
-        total, held, n = np.zeros(SKETCH, np.uint32), [], 0
+        total, held, n = np.zeros(counters, np.uint32), [], 0
         for b in batches:
             data, offsets = text_bytes(b.column("_text"))
             for i, j in blocks(offsets):
-                held.append(_rank(shingle_sets(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i], shingle)[0]))
+                held.append(_rank(shingle_sets(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i], shingle)[0], counters))
                 n += len(held[-1])
-                if n > SKETCH:
-                    total += np.bincount(np.concatenate(held), minlength=SKETCH).astype(np.uint32)
+                if n > counters:
+                    total += np.bincount(np.concatenate(held), minlength=counters).astype(np.uint32)
                     held, n = [], 0
         if n:
-            total += np.bincount(np.concatenate(held), minlength=SKETCH).astype(np.uint32)
+            total += np.bincount(np.concatenate(held), minlength=counters).astype(np.uint32)
         if total.any():
             yield batch(schema, list(range(SLICES)), [zlib.compress(x.tobytes(), 1) for x in total.reshape(SLICES, -1)])
 
@@ -100,11 +113,13 @@ def _add_up(batches):
 
 
 def shingle_levels(texts: DataFrame, shingle: int = SHINGLE) -> np.ndarray:
-    """Level of frequency (0 to 255, eight a doubling) of each sketch counter, over all documents; 2 MB."""
-    parts = texts.mapInArrow(_count(shingle), "slice int, counts binary").repartition("slice").mapInArrow(_add_up, "slice int, levels binary").collect()  # SLICES rows
-    out = np.zeros(SKETCH, np.uint8)
+    """Level of frequency (0 to 255, eight a doubling) of each sketch counter, over all documents; at most 32 MB."""
+    size = texts.agg(F.sum(F.octet_length("_text"))).first()[0] or 0
+    counters = min(SKETCH[1], max(SKETCH[0], 1 << (size // 96).bit_length()))  # about one for 16 words
+    parts = texts.mapInArrow(_count(shingle, counters), "slice int, counts binary").repartition("slice").mapInArrow(_add_up, "slice int, levels binary").collect()  # SLICES rows
+    out = np.zeros(counters, np.uint8)
     for r in parts:
-        out[r[0] * (SKETCH // SLICES) : (r[0] + 1) * (SKETCH // SLICES)] = np.frombuffer(r[1], np.uint8)
+        out[r[0] * (counters // SLICES) : (r[0] + 1) * (counters // SLICES)] = np.frombuffer(r[1], np.uint8)
     return out
 
 
@@ -124,8 +139,8 @@ def _profile(levels, shingle, percent):
                     h1[full] = np.add.reduceat(mix(hashes), bounds[:-1][full])
                     h2[full] = np.add.reduceat(mix(hashes ^ np.uint64(0x5851F42D4C957F2D)), bounds[:-1][full])
                 doc = np.repeat(np.arange(len(n)), n)
-                order = np.lexsort((hashes, level[_rank(hashes)], doc))
-                keep = n - -(-percent * n // 100) + full
+                order = np.lexsort((hashes, level[_rank(hashes, len(level))], doc))
+                keep = rarest(n, percent) * full
                 kept = order[(np.arange(len(hashes)) - bounds[:-1][doc]) < keep[doc]]
                 small = np.flatnonzero((n > 0) & (n <= MAX_LIGHT))  # light sets are kept whole, behind their rarest
                 ends, raw = np.cumsum(keep), hashes[kept].tobytes()
@@ -171,7 +186,7 @@ def _entries(boundary, percent):
             for r in range(len(reps)):
                 n, hashes = int(sizes[r]), np.frombuffer(raws[r].as_py(), np.uint64)
                 if 100 * n >= percent * (boundary + 1):
-                    p = n - -(-percent * n // 100) + 1
+                    p = int(rarest(n, percent))
                     keys.append(hashes[:p])
                     kinds.append(np.zeros(p, np.int8))
                     rows.append(np.full(p, r))
@@ -189,35 +204,65 @@ def _entries(boundary, percent):
     return run
 
 
-def _stars(percent):
-    """Entries sorted by key, kind, n, rep: (a, b, light), each member with the first of its list or of its part of it."""
-    schema = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("light", pa.bool_())])
+STAR, LIGHT, PAIR = range(3)
+
+
+def _meet(percent):
+    """Entries sorted by key, kind, n, rep: (a, b, how, needed). Of a long list and of a subset's group, each member with the first
+    (STAR, LIGHT); of a short list, or part of one between sizes too far apart, all pairs (PAIR) with the meetings they need."""
+    schema = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("how", pa.int8()), ("needed", pa.int32())])
+
+    def pairs(key_rows, start, size):
+        """Pairs of the segments of given starts and sizes."""
+        n, rep = key_rows
+        out = []
+        for k in range(2, SHORT + 1):
+            at = start[size == k]
+            for x in range(k - 1) if len(at) else ():
+                for y in range(x + 1, k):
+                    near = 100 * n[at + x].astype(np.int64) >= percent * n[at + y]
+                    i, j = at[near] + x, at[near] + y
+                    out.append((rep[i], rep[j], np.full(len(i), PAIR, np.int8), meetings(np.minimum(n[i], n[j])).astype(np.int32)))
+        return out
 
     def run(batches):
-        held = None
+        held = None  # rows of the last segment: all, if it's short so far; else the last one, and its hub
         for b in batches:
-            key, kind, n, rep = (c.to_numpy() for c in b.columns)
-            if not len(key):
+            rows = [c.to_numpy() for c in b.columns]
+            if not len(rows[0]):
                 continue
+            told, hub0, kind0 = 0, None, None
             if held:
-                key, kind, n, rep = (np.concatenate(([x], y)) for x, y in zip(held[:4], (key, kind, n, rep), strict=True))
+                rows = [np.concatenate((x, y)) for x, y in zip(held[0], rows, strict=True)]
+                told, hub0, kind0 = held[1:]
+            key, kind, n, rep = rows
             light = kind > 0
             new = np.ones(len(key), bool)
             new[1:] = (key[1:] != key[:-1]) | (light[1:] != light[:-1]) | (~light[1:] & (100 * n[:-1].astype(np.int64) < percent * n[1:]))
-            at = np.flatnonzero(new)
-            hub = at[np.cumsum(new) - 1]
-            hubs = rep[hub]
-            first_kind = kind[hub]
-            if held:
-                mine = hub == 0
-                hubs = np.where(mine, held[4], hubs)
-                first_kind = np.where(mine, held[5], first_kind)
-            pair = (rep != hubs) & (first_kind < 2)
-            if held:
-                pair[0] = False
-            found = np.unique(np.stack([hubs[pair], rep[pair], light[pair]]), axis=1) if pair.any() else np.zeros((3, 0), np.int64)
-            yield batch(schema, found[0].astype(np.int64), found[1].astype(np.int64), found[2].astype(bool))
-            held = (key[-1], kind[-1], n[-1], rep[-1], hubs[-1], first_kind[-1])
+            start = np.flatnonzero(new)
+            size = np.diff(np.append(start, len(key)))
+            star = light[start] | (size > SHORT)
+            hub, hub_kind = rep[start].copy(), kind[start].copy()
+            if told:
+                star[0], hub[0], hub_kind[0] = True, hub0, kind0
+            segment = np.cumsum(new) - 1
+            each = star[segment] & (rep != hub[segment]) & (hub_kind[segment] < 2)
+            if told:
+                each[0] = False
+            out = [(hub[segment[each]], rep[each], np.where(light[each], LIGHT, STAR).astype(np.int8), np.ones(int(each.sum()), np.int32))]
+            done = ~star
+            done[-1] = False
+            out += pairs((n, rep), start[done], size[done])
+            found = [np.concatenate(c) for c in zip(*out, strict=True)]
+            if len(found[0]):
+                yield batch(schema, *found)
+            keep = slice(len(key) - 1, None) if star[-1] else slice(start[-1], None)
+            held = ([c[keep].copy() for c in rows], int(star[-1]), hub[-1], hub_kind[-1])
+        if held and not held[1]:
+            key, kind, n, rep = held[0]
+            out = pairs((n, rep), np.array([0]), np.array([len(rep)]))
+            if out:
+                yield batch(schema, *[np.concatenate(c) for c in zip(*out, strict=True)])
 
     return run
 
@@ -352,7 +397,9 @@ def jaccard_components(docs: DataFrame, text: str = "text", id_column: str = "do
     boundary = choose_boundary({r["n"]: r["count"] for r in counted}, percent)
     chosen = profile.join(classes.withColumnsRenamed({"n": "cn", "h1": "c1", "h2": "c2"}), (F.col("doc_id") == F.col("rep")) & (F.col("n") == F.col("cn")) & (F.col("h1") == F.col("c1")))
     entries = chosen.select("rep", "n", "rare").mapInArrow(_entries(boundary, percent), "key long, kind byte, n int, rep long")
-    stars = materialize(entries.repartition("key").sortWithinPartitions("key", "kind", "n", "rep").mapInArrow(_stars(percent), "a long, b long, light boolean").distinct())
+    met = entries.repartition("key").sortWithinPartitions("key", "kind", "n", "rep").mapInArrow(_meet(percent), "a long, b long, how byte, needed int")
+    met = met.groupBy("a", "b", "how").agg(F.count("*").alias("times"), F.min("needed").alias("needed"))
+    stars = materialize(met.where("times >= needed").select("a", "b", (F.col("how") == LIGHT).alias("light")))
     groups = materialize(connected_components(stars.where("NOT light")).join(classes.select(F.col("rep").alias("node"), "n"), "node").select("node", "component", "n"))
     totals = groups.groupBy("component").agg(F.sum("n").alias("total"))
     placed = groups.join(totals, "component").select(F.col("node"), F.col("component").alias("group"), "total")
