@@ -95,31 +95,59 @@ def _selected(hashes: np.ndarray, w: Words, run: int) -> np.ndarray:
 _OUT = pa.schema([("n_words", pa.int64()), ("spans", pa.list_(pa.struct([("first", pa.int64()), ("end", pa.int64()), ("item", pa.string())])))])
 
 
+def _parts(items: DataFrame, item_id: str, item_text: str, window: int, part_bytes: int) -> list:
+    """Broadcast fingerprints of the items, in parts of at most `part_bytes` bytes of text (or one longer item)."""
+    check_columns(items, item_id, item_text)
+    parts, part, size = [], [], 0
+    for r in items.select(F.col(item_id).cast("string"), F.encode(item_text, "utf-8")).where(F.length(item_text) > 0).toLocalIterator():
+        if part and size + len(r[1]) > part_bytes:
+            parts, part, size = [*parts, part], [], 0
+        part.append((r[0] or "", bytes(r[1])))
+        size += len(r[1])
+    return [items.sparkSession.sparkContext.broadcast(Fingerprints(p, window)) for p in [*parts, part]]
+
+
 def find_contamination(docs: DataFrame, items: DataFrame, text: str = "text", item_id: str = "item_id", item_text: str = "text", window: int = 10, part_bytes: int = 32 << 20, id_column: str = "doc_id") -> DataFrame:
     """Per row of `docs`: id_column, n_words, spans (first, end, item), words counted from 0.
 
     Words are runs of digits, letters and characters from U+0080 on, after lower-casing A-Z. A null
-    or empty text has no words and no spans; a null or empty item has no window. Equal items are all
+    or empty text has no words and no spans; a null or empty item has no window; a null item id is the empty string. Equal items are all
     reported. With several parts, rows are united by id, which then must be unique.
     """
     check_columns(docs, id_column, text)
-    check_columns(items, item_id, item_text)
-    spark, parts, part, size = docs.sparkSession, [], [], 0
-    for r in items.select(F.col(item_id).cast("string"), F.encode(item_text, "utf-8")).where(F.length(item_text) > 0).toLocalIterator():
-        if part and size + len(r[1]) > part_bytes:
-            parts, part, size = [*parts, part], [], 0
-        part.append((r[0], bytes(r[1])))
-        size += len(r[1])
-    out = None
-    for p in [*parts, part]:
-        shared = spark.sparkContext.broadcast(Fingerprints(p, window))
-        one = docs.select(F.col(id_column), F.col(text).alias("_text")).mapInArrow(_kernel(shared, id_column), f"`{id_column}` {docs.schema[id_column].dataType.simpleString()}, n_words long, spans array<struct<first:long,end:long,item:string>>")
+    rows, out = docs.select(F.col(id_column), F.col(text).alias("_text")), None
+    shared = _parts(items, item_id, item_text, window, part_bytes)
+    for part in shared:
+        one = rows.mapInArrow(_kernel(part, id_column), f"`{id_column}` {docs.schema[id_column].dataType.simpleString()}, n_words long, spans array<struct<first:long,end:long,item:string>>")
         out = one if out is None else out.unionByName(one)
-    if parts:
+    if len(shared) > 1:
         out = out.groupBy(id_column).agg(F.max("n_words").alias("n_words"), F.flatten(F.collect_list("spans")).alias("spans"))
     return out
 
 
+def drop_contaminated(docs: DataFrame, items: DataFrame, text: str = "text", item_id: str = "item_id", item_text: str = "text", window: int = 10, part_bytes: int = 32 << 20) -> DataFrame:
+    """The rows of `docs`, with all their columns, in which no window of an item occurs. Each part of the benchmark is one more pass over the rows in the same tasks; there is no shuffle."""
+    check_columns(docs, text)
+    place = docs.columns.index(text)
+    for part in _parts(items, item_id, item_text, window, part_bytes):
+        docs = docs.mapInArrow(_filter(part, place), docs.schema)
+    return docs
+
+
+def _filter(shared, place):
+    def run(batches):
+        for b in batches:
+            data, offsets = text_bytes(b.column(place))
+            clean = np.ones(b.num_rows, bool)
+            for i, j in blocks(offsets):
+                part = np.frombuffer(data[offsets[i] : offsets[j]].tobytes().translate(_LOWER), np.uint8)
+                for doc in shared.value.search(Words(part, offsets[i : j + 1] - offsets[i], ALNUM_BYTES), part):
+                    clean[i + doc] = False
+            yield b.filter(pa.array(clean))
+
+    return run
+
+
 def _kernel(shared, id_column):
     def run(batches):
         prints = shared.value
