@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
+import json
 import uuid
 from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 
 #: Bytes of text that one kernel call looks at; the arrays made from it are about 8 to 100 times as large.
 BLOCK_BYTES = 1 << 20
@@ -36,6 +37,28 @@ def materialize(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def bloom_test(keys: DataFrame, column: str, max_words: int = 1 << 17) -> Callable[[Column], Column]:
+    """A test that all keys pass and few others; of at most `max_words` 64-bit words (a fuller filter lets more through). No Python on the executors."""
+    words = min(max_words, max(1, 1 << (keys.count() * 12 // 64).bit_length()))
+
+    def spots(key: Column) -> list[Column]:
+        return [F.pmod(F.xxhash64(key, F.lit(h)), F.lit(words * 64)) for h in range(4)]
+
+    rows = keys.select(F.explode(F.array(*spots(F.col(column)))).alias("bit")).groupBy(F.shiftright("bit", 6).alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(bit & 63 as int))")).alias("value")).collect()
+    filled = [0] * words
+    for r in rows:
+        filled[r["word"]] = r["value"]
+    table = F.from_json(F.lit(json.dumps(filled)), "array<bigint>")
+
+    def test(key: Column) -> Column:
+        out = F.lit(True)
+        for bit in spots(key):
+            out = out & (F.getbit(F.element_at(table, (F.shiftright(bit, 6) + 1).cast("int")), F.pmod(bit, F.lit(64)).cast("int")) == 1)
+        return F.coalesce(out, F.lit(False))
+
+    return test
+
+
 def check_columns(df: DataFrame, *names: str) -> None:
     missing = [n for n in names if n not in df.columns]
     if missing:

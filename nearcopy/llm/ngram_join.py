@@ -31,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from nearcopy.components import connected_components, materialize
-from nearcopy.llm.common import SOLID_BYTES, Words, batch, blocks, check_columns, documents, mix, text_bytes
+from nearcopy.llm.common import SOLID_BYTES, Words, batch, blocks, bloom_test, check_columns, documents, mix, text_bytes
 
 SHINGLE, PERCENT = 4, 85
 #: Least and most counters of the sketch (powers of two; a byte each when it is sent out), and slices in which it is added up.
@@ -97,7 +97,8 @@ def _count(shingle, counters):
         if n:
             total += np.bincount(np.concatenate(held), minlength=counters).astype(np.uint32)
         if total.any():
-            yield batch(schema, list(range(SLICES)), [zlib.compress(x.tobytes(), 1) for x in total.reshape(SLICES, -1)])
+            kind = np.min_scalar_type(int(total.max()))
+            yield batch(schema, list(range(SLICES)), [bytes([kind.itemsize]) + zlib.compress(x.tobytes(), 1) for x in total.astype(kind).reshape(SLICES, -1)])
 
     return run
 
@@ -106,7 +107,8 @@ def _add_up(batches):
     schema, sums = pa.schema([("slice", pa.int32()), ("levels", pa.binary())]), {}
     for b in batches:
         for k, raw in zip(b.column(0).to_pylist(), b.column(1), strict=True):
-            counts = np.frombuffer(zlib.decompress(raw.as_py()), np.uint32).astype(np.uint64)
+            raw = raw.as_py()
+            counts = np.frombuffer(zlib.decompress(memoryview(raw)[1:]), f"u{raw[0]}").astype(np.uint64)
             sums[k] = sums[k] + counts if k in sums else counts
     if sums:
         yield batch(schema, list(sums), [np.minimum(255, 8 * np.log2(1.0 + x)).astype(np.uint8).tobytes() for x in sums.values()])
@@ -395,7 +397,11 @@ def jaccard_components(docs: DataFrame, text: str = "text", id_column: str = "do
     classes = materialize(named.groupBy("n", "h1", "h2").agg(F.min("doc_id").alias("rep")))
     counted = classes.where(F.col("n") <= 2 * MAX_LIGHT).groupBy("n").count().collect()  # at most 2 * MAX_LIGHT rows
     boundary = choose_boundary({r["n"]: r["count"] for r in counted}, percent)
-    chosen = profile.join(classes.withColumnsRenamed({"n": "cn", "h1": "c1", "h2": "c2"}), (F.col("doc_id") == F.col("rep")) & (F.col("n") == F.col("cn")) & (F.col("h1") == F.col("c1")))
+    copies = named.join(classes, ["n", "h1", "h2"]).where("doc_id <> rep").select("doc_id")
+    maybe = bloom_test(materialize(copies), "doc_id")(F.col("doc_id"))  # only rows that pass need the exact join
+    first = classes.select(F.col("n").alias("cn"), F.col("h1").alias("c1"), F.col("h2").alias("c2"), "rep")
+    doubtful = named.where(maybe).join(first, (F.col("doc_id") == F.col("rep")) & (F.col("n") == F.col("cn")) & (F.col("h1") == F.col("c1")) & (F.col("h2") == F.col("c2")))
+    chosen = named.where(~maybe).select(F.col("doc_id").alias("rep"), "n", "rare").unionByName(doubtful.select("rep", "n", "rare"))
     entries = chosen.select("rep", "n", "rare").mapInArrow(_entries(boundary, percent), "key long, kind byte, n int, rep long")
     met = entries.repartition("key").sortWithinPartitions("key", "kind", "n", "rep").mapInArrow(_meet(percent), "a long, b long, how byte, needed int")
     met = met.groupBy("a", "b", "how").agg(F.count("*").alias("times"), F.min("needed").alias("needed"))
@@ -403,7 +409,8 @@ def jaccard_components(docs: DataFrame, text: str = "text", id_column: str = "do
     groups = materialize(connected_components(stars.where("NOT light")).join(classes.select(F.col("rep").alias("node"), "n"), "node").select("node", "component", "n"))
     totals = groups.groupBy("component").agg(F.sum("n").alias("total"))
     placed = groups.join(totals, "component").select(F.col("node"), F.col("component").alias("group"), "total")
-    sets = rows.join(placed, rows["_id"] == placed["node"]).select("_id", "_text", "group", "total").mapInArrow(_to_groups(shingle, percent, group_shingles), "group long, band int, i int, j int, part int, own boolean, rep long, n int, hashes binary")
+    asked = bloom_test(groups, "node")(F.col("_id"))  # texts of other documents stay where they are
+    sets = rows.where(asked).join(placed, F.col("_id") == F.col("node")).select("_id", "_text", "group", "total").mapInArrow(_to_groups(shingle, percent, group_shingles), "group long, band int, i int, j int, part int, own boolean, rep long, n int, hashes binary")
     keys = ["group", "band", "i", "j"]
     heavy = sets.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(_verify(percent), "a long, b long")
     links = stars.where("light").select("a", "b").unionByName(heavy)
