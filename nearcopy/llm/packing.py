@@ -114,9 +114,9 @@ def _packer(path, capacity, end_id, with_ids):
             return rows
 
         for b in batches:
-            doc_ids, texts = b.column("_id").to_pylist(), b.column("_text").to_pylist()
-            for i, j in text_groups(texts):
-                for doc, raw in zip(doc_ids[i:j], tok.encode(texts[i:j]), strict=True):
+            doc_ids = b.column("_id").to_pylist()
+            for i, texts in text_groups(b.column("_text")):
+                for doc, raw in zip(doc_ids[i : i + len(texts)], tok.encode(texts), strict=True):
                     ids = tok.ids(raw + end)
                     whole = len(ids) // capacity * capacity
                     for start in range(0, whole, capacity):

@@ -149,10 +149,9 @@ def _writer(path, end_id):
         tok, part, block, before = CachedTokenizer.of(path), TaskContext.get().partitionId(), 0, 0
         end, doc_ids, ids, held = np.array([end_id], tok.kind).tobytes(), [], [], 0
         for b in batches:
-            all_ids, column = b.column("_id").to_pylist(), b.column("_text")
-            texts = column.to_pylist()
-            for i, j in text_groups(texts):
-                for d, raw in zip(all_ids[i:j], tok.encode(texts[i:j]), strict=True):
+            all_ids = b.column("_id").to_pylist()
+            for i, texts in text_groups(b.column("_text")):
+                for d, raw in zip(all_ids[i : i + len(texts)], tok.encode(texts), strict=True):
                     doc_ids.append(d)
                     ids.append(raw + end)
                     held += len(raw) // tok.width + 1

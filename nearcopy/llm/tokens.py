@@ -8,7 +8,7 @@ import re
 import numpy as np
 
 #: Words whose ids one Python worker keeps; others are encoded again when they come.
-CACHE_WORDS = 1_000_000
+CACHE_WORDS = 600_000
 #: Words of letters that are encoded as one text.
 JOINED = 2000
 _cached: dict[str, CachedTokenizer] = {}
@@ -114,13 +114,15 @@ class CachedTokenizer:
         return np.frombuffer(raw, self.kind)
 
 
-def text_groups(texts: list, limit: int = 4 << 20):
-    """Ranges of a list of texts of about `limit` characters each."""
-    start = size = 0
-    for i, t in enumerate(texts):
-        size += len(t or "")
-        if size >= limit:
-            yield start, i + 1
-            start, size = i + 1, 0
-    if start < len(texts):
-        yield start, len(texts)
+def text_groups(column, limit: int = 4 << 20):
+    """(first row, texts) of runs of rows of an Arrow string column, of about `limit` bytes each, so that few are Python strings at a time."""
+    import pyarrow.compute as pc
+
+    sizes = pc.fill_null(pc.binary_length(column), 0).to_numpy(zero_copy_only=False).astype(np.int64)
+    ends = np.cumsum(sizes)
+    i = 0
+    while i < len(column):
+        j = int(np.searchsorted(ends, (ends[i - 1] if i else 0) + limit)) + 1
+        texts = column.slice(i, min(j, len(column)) - i).to_pylist()
+        yield i, texts
+        i = j

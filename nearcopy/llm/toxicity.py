@@ -32,7 +32,7 @@ STANDING_OUT, COMMON = 24, 2
 #: Highest units that stand for a toxic and for a clean text in training.
 TOXIC_WITNESSES, CLEAN_WITNESSES = 6, 3
 #: Units whose margin one Python worker keeps.
-CACHE_UNITS = 800_000
+CACHE_UNITS = 300_000
 NOTHING = -9.0  # margin of a text without units
 _CODES = np.zeros(256, np.uint8)
 _CODES[97:123] = np.arange(1, 27)
@@ -332,9 +332,7 @@ def add_scores(docs: DataFrame, model: ToxicityModel, text: str = "text", column
     def run(batches):
         known: dict[str, float] = {}
         for b in batches:
-            texts, out = b.column(place).to_pylist(), []
-            for i, j in text_groups(texts):
-                out.append(score_texts(shared.value, texts[i:j], known))
+            out = [score_texts(shared.value, texts, known) for _, texts in text_groups(b.column(place))]
             scores = pa.array(np.concatenate(out) if out else np.zeros(0))
             yield pa.RecordBatch.from_arrays([*b.columns, scores], names=[*b.schema.names, column])
 
