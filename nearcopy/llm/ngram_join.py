@@ -85,17 +85,11 @@ def _count(shingle, counters):
     schema = pa.schema([("slice", pa.int32()), ("counts", pa.binary())])
 
     def run(batches):
-        total, held, n = np.zeros(counters, np.uint32), [], 0
+        total = np.zeros(counters, np.uint32)
         for b in batches:
             data, offsets = text_bytes(b.column("_text"))
             for i, j in blocks(offsets):
-                held.append(_rank(shingle_sets(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i], shingle)[0], counters))
-                n += len(held[-1])
-                if n > counters:
-                    total += np.bincount(np.concatenate(held), minlength=counters).astype(np.uint32)
-                    held, n = [], 0
-        if n:
-            total += np.bincount(np.concatenate(held), minlength=counters).astype(np.uint32)
+                np.add.at(total, _rank(shingle_sets(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i], shingle)[0], counters), 1)
         if total.any():
             kind = np.min_scalar_type(int(total.max()))
             yield batch(schema, list(range(SLICES)), [bytes([kind.itemsize]) + zlib.compress(x.tobytes(), 1) for x in total.astype(kind).reshape(SLICES, -1)])

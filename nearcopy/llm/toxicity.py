@@ -27,7 +27,7 @@ from nearcopy.llm.common import batch, check_columns, documents
 from nearcopy.llm.tokens import text_groups
 
 DECAY, ORDER, WINDOW = 0.7, 3, 24
-PER_CLASS, MAX_TRAIN_CHARS = 2500, 32_000
+PER_CLASS, MAX_TRAIN_CHARS = 1500, 32_000
 STANDING_OUT, COMMON = 24, 2
 #: Highest units that stand for a toxic and for a clean text in training.
 TOXIC_WITNESSES, CLEAN_WITNESSES = 6, 3
