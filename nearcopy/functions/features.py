@@ -82,6 +82,7 @@ def emb_planted(embeddings: DataFrame, most: int = 256, jitter: float = 0.002) -
     """(id, x, source_id): each vector with floor(most / (1 + id)) copies under new ids; odd ones are disturbed a little."""
     e = emb(embeddings).select("id", "x")
     copies = e.where(F.col("id") < most).withColumn("r", F.explode(F.sequence(F.lit(1), F.floor(F.lit(most) / (1 + F.col("id"))).cast("int"))))
-    new_id = F.lit(1_000_000) * F.col("r") + F.col("id")
-    x = F.when(F.col("r") % 2 == 0, F.col("x")).otherwise(L.add(F.col("x"), small_noise(new_id, "plant:", jitter)))
-    return e.select("id", "x", F.col("id").alias("source_id")).unionByName(copies.select(new_id.alias("id"), x.alias("x"), F.col("id").alias("source_id")))
+    copies = copies.select("id", "x", "r", (F.lit(1_000_000) * F.col("r") + F.col("id")).alias("new_id"))
+    x = F.when(F.col("r") % 2 == 0, F.col("x")).otherwise(L.add(F.col("x"), small_noise(F.col("new_id"), "plant:", jitter)))
+    planted = copies.select("new_id", x.alias("y"), "id").toDF("id", "x", "source_id")
+    return e.select("id", "x", F.col("id").alias("source_id")).unionByName(planted)

@@ -1,4 +1,6 @@
 """Queries of the library and the SQL that says the same."""
 
-QUERIES: dict = {}
-ORACLES: dict = {}
+from nearcopy.registry import relational, vectors
+
+QUERIES = relational.QUERIES | vectors.QUERIES
+ORACLES = relational.ORACLES | vectors.ORACLES
