@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+import gc
 import json
 import uuid
 from collections.abc import Callable, Iterator
@@ -10,6 +13,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession, functions as F
+from pyspark.sql.types import StructType
 
 #: Bytes of text that one kernel call looks at; the arrays made from it are about 8 to 100 times as large.
 BLOCK_BYTES = 1 << 20
@@ -65,11 +69,54 @@ def check_columns(df: DataFrame, *names: str) -> None:
         raise ValueError(f"columns {missing} are missing; there are {df.columns}")
 
 
+# ---- memory of Python workers ---------------------------------------------------------------
+
+_caches: dict[str, Callable[[], None]] = {}
+_owner = ""
+
+
+def give_back() -> None:
+    """Freed memory to the system; arrays of a MB and more are mapped, so that they go as soon as they are freed."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):  # only glibc has these
+        libc = ctypes.CDLL(None)
+        libc.mallopt(-3, 1 << 20)
+        libc.malloc_trim(0)
+
+
+def claim(name: str, clear: Callable[[], None] | None = None) -> None:
+    """A Python worker serves one operator after another: the one that starts drops what others have cached."""
+    global _owner
+    if clear:
+        _caches[name] = clear
+    if _owner != name:
+        for other, drop in _caches.items():
+            if other != name:
+                drop()
+        _owner = name
+        gc.collect()
+        give_back()
+
+
+def arrow_map(df: DataFrame, f: Callable, schema: str | StructType) -> DataFrame:
+    """df.mapInArrow(f, schema); a worker gives memory back before and after each task."""
+
+    def run(batches):
+        give_back()
+        try:
+            yield from f(batches)
+        finally:
+            give_back()
+
+    return df.mapInArrow(run, schema)
+
+
 # ---- text columns as flat byte arrays -------------------------------------------------------
 
 
 def text_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """UTF-8 bytes of all rows one after another, and n + 1 offsets into them (null: empty)."""
+    claim("blocks")
     if isinstance(column, pa.ChunkedArray):
         column = column.combine_chunks()
     column = pc.fill_null(column, b"" if pa.types.is_binary(column.type) else "")
@@ -194,9 +241,5 @@ def window_minima(x: np.ndarray, width: int) -> np.ndarray:
     return sliding(np.maximum, padded, width) == x
 
 
-def run_map(df: DataFrame, f: Callable, schema: str) -> DataFrame:
-    return df.mapInArrow(f, schema)
-
-
 def batch(schema: pa.Schema, *columns) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([c if isinstance(c, pa.Array) else pa.array(c, f.type) for c, f in zip(columns, schema, strict=True)], schema=schema)

@@ -20,7 +20,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from nearcopy.llm.common import ALNUM_BYTES, Words, batch, blocks, check_columns, documents, text_bytes, window_minima
+from nearcopy.llm.common import ALNUM_BYTES, Words, arrow_map, batch, blocks, check_columns, documents, text_bytes, window_minima
 
 GRAM = 5
 _LOWER = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
@@ -118,7 +118,7 @@ def find_contamination(docs: DataFrame, items: DataFrame, text: str = "text", it
     rows, out = docs.select(F.col(id_column), F.col(text).alias("_text")), None
     shared = _parts(items, item_id, item_text, window, part_bytes)
     for part in shared:
-        one = rows.mapInArrow(_kernel(part, id_column), f"`{id_column}` {docs.schema[id_column].dataType.simpleString()}, n_words long, spans array<struct<first:long,end:long,item:string>>")
+        one = rows.transform(arrow_map, _kernel(part, id_column), f"`{id_column}` {docs.schema[id_column].dataType.simpleString()}, n_words long, spans array<struct<first:long,end:long,item:string>>")
         out = one if out is None else out.unionByName(one)
     if len(shared) > 1:
         out = out.groupBy(id_column).agg(F.max("n_words").alias("n_words"), F.flatten(F.collect_list("spans")).alias("spans"))
@@ -130,7 +130,7 @@ def drop_contaminated(docs: DataFrame, items: DataFrame, text: str = "text", ite
     check_columns(docs, text)
     place = docs.columns.index(text)
     for part in _parts(items, item_id, item_text, window, part_bytes):
-        docs = docs.mapInArrow(_filter(part, place), docs.schema)
+        docs = docs.transform(arrow_map, _filter(part, place), docs.schema)
     return docs
 
 
@@ -173,7 +173,7 @@ def op3_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def digest(found: DataFrame) -> DataFrame:
     """n_hit by joining the sorted spans: a span adds what reaches beyond all before it."""
-    return found.mapInArrow(_digest, "doc_id long, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean")
+    return found.transform(arrow_map, _digest, "doc_id long, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean")
 
 
 def _digest(batches):

@@ -10,7 +10,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from nearcopy.llm.common import batch, check_columns, documents
+from nearcopy.llm.common import arrow_map, batch, check_columns, claim, documents
 
 #: Fixed values of the PNG format.
 SIGNATURE = b"\x89PNG\r\n\x1a\n"
@@ -147,11 +147,12 @@ def add_media(docs: DataFrame, text: str = "text", id_column: str = "doc_id") ->
     """
     check_columns(docs, id_column, text)
     kind = docs.schema[id_column].dataType.simpleString()
-    return docs.select(id_column, docs[text].alias("_text")).mapInArrow(_media(id_column, False), f"`{id_column}` {kind}, n_bytes long, media binary, feature binary, payload binary")
+    return docs.select(id_column, docs[text].alias("_text")).transform(arrow_map, _media(id_column, False), f"`{id_column}` {kind}, n_bytes long, media binary, feature binary, payload binary")
 
 
 def _media(id_column, digests):
     def run(batches):
+        claim("media")
         for b in batches:
             rows: list[tuple] = []
             ids = []
@@ -175,4 +176,4 @@ _DIGEST = pa.schema([("n_bytes", pa.int64()), ("payload_bytes", pa.int64()), ("p
 
 def op4_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir)
-    return docs.select("doc_id", docs["text"].alias("_text")).mapInArrow(_media("doc_id", True), "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string")
+    return docs.select("doc_id", docs["text"].alias("_text")).transform(arrow_map, _media("doc_id", True), "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string")

@@ -31,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from nearcopy.components import connected_components, materialize
-from nearcopy.llm.common import SOLID_BYTES, Words, batch, blocks, bloom_test, check_columns, documents, mix, text_bytes
+from nearcopy.llm.common import SOLID_BYTES, Words, arrow_map, batch, blocks, bloom_test, check_columns, documents, mix, text_bytes
 
 SHINGLE, PERCENT = 4, 85
 #: Least and most counters of the sketch (powers of two; a byte each when it is sent out), and slices in which it is added up.
@@ -112,7 +112,7 @@ def shingle_levels(texts: DataFrame, shingle: int = SHINGLE) -> np.ndarray:
     """Level of frequency (0 to 255, eight a doubling) of each sketch counter, over all documents; at most 32 MB."""
     size = texts.agg(F.sum(F.octet_length("_text"))).first()[0] or 0
     counters = min(SKETCH[1], max(SKETCH[0], 1 << (size // 96).bit_length()))  # about one for 16 words
-    parts = texts.mapInArrow(_count(shingle, counters), "slice int, counts binary").repartition("slice").mapInArrow(_add_up, "slice int, levels binary").collect()  # SLICES rows
+    parts = texts.transform(arrow_map, _count(shingle, counters), "slice int, counts binary").repartition("slice").transform(arrow_map, _add_up, "slice int, levels binary").collect()  # SLICES rows
     out = np.zeros(counters, np.uint8)
     for r in parts:
         out[r[0] * (counters // SLICES) : (r[0] + 1) * (counters // SLICES)] = np.frombuffer(r[1], np.uint8)
@@ -386,7 +386,7 @@ def jaccard_components(docs: DataFrame, text: str = "text", id_column: str = "do
     spark = docs.sparkSession
     rows = docs.select(docs[id_column].cast("long").alias("_id"), docs[text].alias("_text"))
     levels = spark.sparkContext.broadcast(shingle_levels(rows.select("_text"), shingle))  # SKETCH bytes at any size
-    profile = materialize(rows.mapInArrow(_profile(levels, shingle, percent), "doc_id long, n long, h1 long, h2 long, rare binary"))
+    profile = materialize(rows.transform(arrow_map, _profile(levels, shingle, percent), "doc_id long, n long, h1 long, h2 long, rare binary"))
     named = profile.where("n > 0 AND doc_id IS NOT NULL")
     classes = materialize(named.groupBy("n", "h1", "h2").agg(F.min("doc_id").alias("rep")))
     counted = classes.where(F.col("n") <= 2 * MAX_LIGHT).groupBy("n").count().collect()  # at most 2 * MAX_LIGHT rows
@@ -396,17 +396,17 @@ def jaccard_components(docs: DataFrame, text: str = "text", id_column: str = "do
     first = classes.select(F.col("n").alias("cn"), F.col("h1").alias("c1"), F.col("h2").alias("c2"), "rep")
     doubtful = named.where(maybe).join(first, (F.col("doc_id") == F.col("rep")) & (F.col("n") == F.col("cn")) & (F.col("h1") == F.col("c1")) & (F.col("h2") == F.col("c2")))
     chosen = named.where(~maybe).select(F.col("doc_id").alias("rep"), "n", "rare").unionByName(doubtful.select("rep", "n", "rare"))
-    entries = chosen.select("rep", "n", "rare").mapInArrow(_entries(boundary, percent), "key long, kind byte, n int, rep long")
-    met = entries.repartition("key").sortWithinPartitions("key", "kind", "n", "rep").mapInArrow(_meet(percent), "a long, b long, how byte, needed int")
+    entries = chosen.select("rep", "n", "rare").transform(arrow_map, _entries(boundary, percent), "key long, kind byte, n int, rep long")
+    met = entries.repartition("key").sortWithinPartitions("key", "kind", "n", "rep").transform(arrow_map, _meet(percent), "a long, b long, how byte, needed int")
     met = met.groupBy("a", "b", "how").agg(F.count("*").alias("times"), F.min("needed").alias("needed"))
     stars = materialize(met.where("times >= needed").select("a", "b", (F.col("how") == LIGHT).alias("light")))
     groups = materialize(connected_components(stars.where("NOT light")).join(classes.select(F.col("rep").alias("node"), "n"), "node").select("node", "component", "n"))
     totals = groups.groupBy("component").agg(F.sum("n").alias("total"))
     placed = groups.join(totals, "component").select(F.col("node"), F.col("component").alias("group"), "total")
     asked = bloom_test(groups, "node")(F.col("_id"))  # texts of other documents stay where they are
-    sets = rows.where(asked).join(placed, F.col("_id") == F.col("node")).select("_id", "_text", "group", "total").mapInArrow(_to_groups(shingle, percent, group_shingles), "group long, band int, i int, j int, part int, own boolean, rep long, n int, hashes binary")
+    sets = rows.where(asked).join(placed, F.col("_id") == F.col("node")).select("_id", "_text", "group", "total").transform(arrow_map, _to_groups(shingle, percent, group_shingles), "group long, band int, i int, j int, part int, own boolean, rep long, n int, hashes binary")
     keys = ["group", "band", "i", "j"]
-    heavy = sets.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(_verify(percent), "a long, b long")
+    heavy = sets.repartition(*keys).sortWithinPartitions(*keys).transform(arrow_map, _verify(percent), "a long, b long")
     links = stars.where("light").select("a", "b").unionByName(heavy)
     comps = connected_components(links)
     member = profile.join(classes, ["n", "h1", "h2"], "left").select("doc_id", "n", "rep")

@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 
-from nearcopy.llm.common import batch, check_columns, documents
+from nearcopy.llm.common import arrow_map, batch, check_columns, documents
 from nearcopy.llm.tokens import CachedTokenizer, public_file, text_groups
 
 CAPACITY, END_ID = 1024, 0
@@ -72,7 +72,7 @@ def pack_documents(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACIT
     if capacity & (capacity - 1):
         raise ValueError("the capacity must be a power of two")
     rows = docs.select(docs[id_column].cast("long").alias("_id"), docs[text].alias("_text"))
-    return rows.mapInArrow(_packer(tokenizer_path, capacity, end_id, with_ids), "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long" + ", ids binary" * with_ids)
+    return rows.transform(arrow_map, _packer(tokenizer_path, capacity, end_id, with_ids), "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long" + ", ids binary" * with_ids)
 
 
 def _packer(path, capacity, end_id, with_ids):

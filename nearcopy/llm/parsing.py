@@ -22,7 +22,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from nearcopy.llm.common import _BASE, _BASE_INVERSE, _powers, batch, blocks, check_columns, documents, mix, sliding, text_bytes
+from nearcopy.llm.common import _BASE, _BASE_INVERSE, _powers, arrow_map, batch, blocks, check_columns, documents, materialize, mix, sliding, text_bytes
 
 GRAM, LENGTH = 32, 100
 _VALUES = np.random.default_rng(977).integers(1, 1 << 63, 256, dtype=np.uint64) | np.uint64(1)
@@ -184,14 +184,13 @@ def repeated_spans(docs: DataFrame, text: str = "text", id_column: str = "doc_id
     if not 2 * GRAM <= length <= GRAM + 127:
         raise ValueError("length must be from 64 to 159")
     rows = docs.where(docs[id_column].isNotNull()).select(docs[id_column].cast("long").alias("doc_id"), docs[text].alias("text"))
-    parsed = rows.select(F.col("doc_id").alias("_id"), F.col("text").alias("_text")).mapInArrow(_parse(length, GRAM), _PHRASE)
-    found = parsed.repartition("key").sortWithinPartitions("key", "ctx", "doc", "at").mapInArrow(_compare, "key long, doc long, at long, open boolean")
-    from nearcopy.llm.common import materialize
+    parsed = rows.select(F.col("doc_id").alias("_id"), F.col("text").alias("_text")).transform(arrow_map, _parse(length, GRAM), _PHRASE)
+    found = parsed.repartition("key").sortWithinPartitions("key", "ctx", "doc", "at").transform(arrow_map, _compare, "key long, doc long, at long, open boolean")
 
     found = materialize(found)  # read by both branches
     opened = found.where("open").groupBy("doc").agg(F.collect_list(F.struct("key", "at")).alias("opened"))
-    contexts = rows.join(opened, rows["doc_id"] == opened["doc"]).select("doc_id", "text", "opened").mapInArrow(_contexts(length), "key long, doc long, at long, bytes binary")
-    partial = contexts.repartition("key").sortWithinPartitions("key", "doc", "at").mapInArrow(_expand(length), "doc long, first long, end long")
+    contexts = rows.join(opened, rows["doc_id"] == opened["doc"]).select("doc_id", "text", "opened").transform(arrow_map, _contexts(length), "key long, doc long, at long, bytes binary")
+    partial = contexts.repartition("key").sortWithinPartitions("key", "doc", "at").transform(arrow_map, _expand(length), "doc long, first long, end long")
     first = F.shiftright("at", 14) - F.shiftright("at", 7).bitwiseAND(F.lit(127))
     whole = found.where("NOT open").select("doc", first.alias("first"), (first + F.col("at").bitwiseAND(F.lit(127)) + length).alias("end"))
     return whole.unionByName(partial)
@@ -241,7 +240,7 @@ def remove_repeats(docs: DataFrame, text: str = "text", id_column: str = "doc_id
     named = rows.where("doc_id IS NOT NULL")
     joined = named.join(by_doc, named["doc_id"] == by_doc["doc"], "left").select("doc_id", "text", "spans")
     loose = rows.where("doc_id IS NULL").withColumn("spans", F.lit(None).cast(joined.schema["spans"].dataType))
-    return joined.unionByName(loose).mapInArrow(_cut(with_bytes), "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept binary" * with_bytes)
+    return joined.unionByName(loose).transform(arrow_map, _cut(with_bytes), "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept binary" * with_bytes)
 
 
 def op10_repeat_removal(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -19,7 +19,7 @@ from functools import lru_cache
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from nearcopy.llm.common import batch, check_columns, documents
+from nearcopy.llm.common import arrow_map, check_columns, claim, documents
 
 #: For trials; production passes its own secret.
 TRIAL_KEY = b"pseudonyms of the trial corpus"
@@ -210,7 +210,7 @@ def pseudonymise(text: str | None, key: bytes = TRIAL_KEY) -> tuple[str | None,
     return "".join([*out, text[at:]]), counts
 
 
-@lru_cache(maxsize=100_000)
+@lru_cache(maxsize=20_000)
 def _cached(kind: str, value: str, key: bytes) -> str | None:
     return _KINDS[kind][1](value, key)
 
@@ -228,6 +228,7 @@ def add_pseudonyms(docs: DataFrame, text: str = "text", key: bytes = TRIAL_KEY,
     place, names = docs.columns.index(text), [*docs.columns, count]
 
     def run(batches):
+        claim("pii", _cached.cache_clear)
         for b in batches:
             texts, counts = [], []
             for t in b.column(place).to_pylist():
@@ -238,7 +239,7 @@ def add_pseudonyms(docs: DataFrame, text: str = "text", key: bytes = TRIAL_KEY,
             columns[place] = pa.array(texts, pa.string())
             yield pa.RecordBatch.from_arrays([*columns, pa.array(counts, pa.int64())], names=names)
 
-    return docs.mapInArrow(run, StructType([*docs.schema.fields]).add(count, LongType()))
+    return docs.transform(arrow_map, run, StructType([*docs.schema.fields]).add(count, LongType()))
 
 
 def op2_pii_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from nearcopy.llm.common import batch, check_columns, documents, materialize
+from nearcopy.llm.common import arrow_map, batch, check_columns, documents, materialize
 from nearcopy.llm.tokens import CachedTokenizer, public_file, text_groups
 
 END_ID = 2
@@ -138,7 +138,7 @@ def write_token_files(docs: DataFrame, tokenizer_path: str, end_id: int = END_ID
     check_columns(docs, id_column, text)
     rows = docs.select(docs[id_column].cast("long").alias("_id"), docs[text].alias("_text"))
     ordered = rows.repartitionByRange("_id").sortWithinPartitions("_id", "_text")
-    return materialize(ordered.mapInArrow(_writer(tokenizer_path, end_id), "part int, block int, before long, n_docs long, n_tokens long, file binary"))
+    return materialize(ordered.transform(arrow_map, _writer(tokenizer_path, end_id), "part int, block int, before long, n_docs long, n_tokens long, file binary"))
 
 
 _FILES = pa.schema([("part", pa.int32()), ("block", pa.int32()), ("before", pa.int64()), ("n_docs", pa.int64()), ("n_tokens", pa.int64()), ("file", pa.binary())])
@@ -186,7 +186,7 @@ def read_token_files(files: DataFrame) -> DataFrame:
                 crc = [zlib.crc32(wide[x:y]) for x, y in zip(starts, ends, strict=True)]
                 yield batch(schema, f.doc_ids(), starts + shared.value[part] + before, ends - starts, crc)
 
-    return files.select("part", "before", "file").mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return files.select("part", "before", "file").transform(arrow_map, run, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def op6_token_store(spark: SparkSession, sf_dir: str) -> DataFrame:

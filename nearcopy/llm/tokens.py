@@ -7,8 +7,10 @@ import re
 
 import numpy as np
 
+from nearcopy.llm.common import claim
+
 #: Words whose ids one Python worker keeps; others are encoded again when they come.
-CACHE_WORDS = 600_000
+CACHE_WORDS = 800_000
 #: Words of letters that are encoded as one text.
 JOINED = 2000
 _cached: dict[str, CachedTokenizer] = {}
@@ -46,6 +48,7 @@ class CachedTokenizer:
 
     @staticmethod
     def of(path: str) -> CachedTokenizer:
+        claim("tokens", _cached.clear)
         if path not in _cached:
             _cached[path] = CachedTokenizer(path)
         return _cached[path]

@@ -23,7 +23,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from nearcopy.llm.common import batch, check_columns, documents
+from nearcopy.llm.common import arrow_map, check_columns, claim, documents
 from nearcopy.llm.tokens import text_groups
 
 DECAY, ORDER, WINDOW = 0.7, 3, 24
@@ -237,7 +237,7 @@ def choose_landmarks(toxic: list[list[str]], clean: list[list[str]]) -> tuple[li
         return (a / n1 - b / n0) / np.sqrt(share * (1 - share) * (1 / n1 + 1 / n0))
 
     found = sorted((w for w in before if len(w) <= WINDOW and w.isascii() and len(before[w]) >= 3 and in_toxic[w] / n1 > 5 * in_clean[w] / n0), key=lambda w: (-stands_out(w), w))
-    least = max(4.0, 0.35 * stands_out(found[0])) if found else 0.0
+    least = max(4.0, 0.5 * stands_out(found[0])) if found else 0.0
     first = [w for w in found if stands_out(w) >= least][:STANDING_OUT]
     total = in_toxic + in_clean
     rest = [w for w, _ in sorted(total.items(), key=lambda x: (-x[1], x[0])) if 4 <= len(w) <= WINDOW and w.isascii() and w not in first][:COMMON]
@@ -330,6 +330,7 @@ def add_scores(docs: DataFrame, model: ToxicityModel, text: str = "text", column
     place = docs.columns.index(text)
 
     def run(batches):
+        claim("toxicity")
         known: dict[str, float] = {}
         for b in batches:
             out = [score_texts(shared.value, texts, known) for _, texts in text_groups(b.column(place))]
@@ -338,7 +339,7 @@ def add_scores(docs: DataFrame, model: ToxicityModel, text: str = "text", column
 
     from pyspark.sql.types import DoubleType, StructType
 
-    return docs.mapInArrow(run, StructType([*docs.schema.fields]).add(column, DoubleType()))
+    return docs.transform(arrow_map, run, StructType([*docs.schema.fields]).add(column, DoubleType()))
 
 
 def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
