@@ -1,6 +1,6 @@
 """Queries of the library and the SQL that says the same."""
 
-from nearcopy.registry import relational, vectors
+from nearcopy.registry import relational, streams, vectors
 
-QUERIES = relational.QUERIES | vectors.QUERIES
-ORACLES = relational.ORACLES | vectors.ORACLES
+QUERIES = relational.QUERIES | vectors.QUERIES | streams.QUERIES
+ORACLES = relational.ORACLES | vectors.ORACLES | streams.ORACLES
