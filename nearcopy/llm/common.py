@@ -75,12 +75,13 @@ _caches: dict[str, Callable[[], None]] = {}
 _owner = ""
 
 
-def give_back() -> None:
-    """Freed memory to the system; arrays of a MB and more are mapped, so that they go as soon as they are freed."""
+def give_back(map_bytes: int | None = 1 << 20) -> None:
+    """Freed memory to the system; arrays of `map_bytes` and more are mapped, so that they go as soon as they are freed (None: as the system has it)."""
     pa.default_memory_pool().release_unused()
     with contextlib.suppress(OSError, AttributeError):  # only glibc has these
         libc = ctypes.CDLL(None)
-        libc.mallopt(-3, 1 << 20)
+        if map_bytes:
+            libc.mallopt(-3, map_bytes)
         libc.malloc_trim(0)
 
 
@@ -95,18 +96,18 @@ def claim(name: str, clear: Callable[[], None] | None = None) -> None:
                 drop()
         _owner = name
         gc.collect()
-        give_back()
+        give_back(None)
 
 
-def arrow_map(df: DataFrame, f: Callable, schema: str | StructType) -> DataFrame:
+def arrow_map(df: DataFrame, f: Callable, schema: str | StructType, map_bytes: int | None = 1 << 20) -> DataFrame:
     """df.mapInArrow(f, schema); a worker gives memory back before and after each task."""
 
     def run(batches):
-        give_back()
+        give_back(map_bytes)
         try:
             yield from f(batches)
         finally:
-            give_back()
+            give_back(map_bytes)
 
     return df.mapInArrow(run, schema)
 

@@ -25,6 +25,8 @@ from nearcopy.llm.tokens import CachedTokenizer, public_file, text_groups
 END_ID = 2
 #: Tokens after which a file is closed; a file never cuts a document.
 FILE_TOKENS = 1 << 20
+#: Words whose ids a worker keeps here, where nothing else needs its memory.
+CACHE_WORDS = 1_200_000
 #: Parts whose first offsets are sent to the executors at once (16 bytes each).
 MAX_PARTS = 1 << 20
 _SAMPLE = 256
@@ -138,7 +140,7 @@ def write_token_files(docs: DataFrame, tokenizer_path: str, end_id: int = END_ID
     check_columns(docs, id_column, text)
     rows = docs.select(docs[id_column].cast("long").alias("_id"), docs[text].alias("_text"))
     ordered = rows.repartitionByRange("_id").sortWithinPartitions("_id", "_text")
-    return materialize(ordered.transform(arrow_map, _writer(tokenizer_path, end_id), "part int, block int, before long, n_docs long, n_tokens long, file binary"))
+    return materialize(ordered.transform(arrow_map, _writer(tokenizer_path, end_id), "part int, block int, before long, n_docs long, n_tokens long, file binary", None))
 
 
 _FILES = pa.schema([("part", pa.int32()), ("block", pa.int32()), ("before", pa.int64()), ("n_docs", pa.int64()), ("n_tokens", pa.int64()), ("file", pa.binary())])
@@ -146,7 +148,7 @@ _FILES = pa.schema([("part", pa.int32()), ("block", pa.int32()), ("before", pa.i
 
 def _writer(path, end_id):
     def run(batches):
-        tok, part, block, before = CachedTokenizer.of(path), TaskContext.get().partitionId(), 0, 0
+        tok, part, block, before = CachedTokenizer.of(path, CACHE_WORDS), TaskContext.get().partitionId(), 0, 0
         end, doc_ids, ids, held = np.array([end_id], tok.kind).tobytes(), [], [], 0
         for b in batches:
             all_ids = b.column("_id").to_pylist()
@@ -186,7 +188,7 @@ def read_token_files(files: DataFrame) -> DataFrame:
                 crc = [zlib.crc32(wide[x:y]) for x, y in zip(starts, ends, strict=True)]
                 yield batch(schema, f.doc_ids(), starts + shared.value[part] + before, ends - starts, crc)
 
-    return files.select("part", "before", "file").transform(arrow_map, run, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return files.select("part", "before", "file").transform(arrow_map, run, "doc_id long, start long, n_tokens long, ids_crc32 long", None)
 
 
 def op6_token_store(spark: SparkSession, sf_dir: str) -> DataFrame:

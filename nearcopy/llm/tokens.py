@@ -32,7 +32,8 @@ class CachedTokenizer:
     the parts' ids in a row are the text's. Cuts before commas and full stops behind letters and at single new lines are such cuts too. Texts where a
     blank stands before other white space go through whole."""
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, cache_words: int = CACHE_WORDS):
+        self.cache_words = cache_words
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
@@ -47,10 +48,10 @@ class CachedTokenizer:
         self.edge[[i for t, i in vocab.items() if (t.endswith("</w>") if self.closed else t.startswith("\u0120"))]] = True
 
     @staticmethod
-    def of(path: str) -> CachedTokenizer:
+    def of(path: str, cache_words: int = CACHE_WORDS) -> CachedTokenizer:
         claim("tokens", _cached.clear)
         if path not in _cached:
-            _cached[path] = CachedTokenizer(path)
+            _cached[path] = CachedTokenizer(path, cache_words)
         return _cached[path]
 
     def _encode(self, texts: list[str]) -> list[bytes]:
@@ -106,7 +107,7 @@ class CachedTokenizer:
         fresh = self._encode_words({w for w in missing if w not in known})
         known.update(fresh)
         out = [b"" if p is None else b"".join(map(known.__getitem__, p)) for p in parts]
-        if len(known) > CACHE_WORDS:
+        if len(known) > self.cache_words:
             for w in fresh:
                 del known[w]
         for i, ids in zip(whole, self._encode([texts[i] for i in whole]), strict=True):

@@ -300,7 +300,8 @@ def training_rows(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS
     for y in (0, 1):
         chosen += [(r[0], y) for r in known.where(F.col("_y") == y).orderBy(F.xxhash64("_id"), "_id").limit(per_class).collect()]
     ids = F.broadcast(spark.createDataFrame(chosen, "_id long, _y int"))  # 2 * per_class rows
-    rows = docs.where(F.length(text) <= MAX_TRAIN_CHARS).join(ids, F.col(id_column) == F.col("_id")).select("_id", text, "_y").orderBy("_id", text).limit(2 * per_class).collect()
+    plain = docs.select(docs[id_column].cast("long").alias("_doc"), docs[text].alias("_text")).where(F.length("_text") <= MAX_TRAIN_CHARS)
+    rows = plain.join(ids, F.col("_doc") == F.col("_id")).select("_id", "_text", "_y").orderBy("_id", "_text").limit(2 * per_class).collect()
     return [r[1] for r in rows], [r[2] for r in rows], counts.get(1, 0) / total
 
 
