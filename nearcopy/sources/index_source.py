@@ -12,7 +12,9 @@ class _Cells(InputPartition):
 
 
 class IndexSource(DataSource):
-    """format("nearcopy_index"), option path: a saved index in a file system that pyarrow opens. One partition a group of cells."""
+    """format("nearcopy_index"), option path: a saved index in a file system that pyarrow opens. One partition a group of cells.
+
+    option pruning true: filters on the cell choose the groups; the session must then have spark.sql.python.filterPushdown.enabled."""
 
     @classmethod
     def name(cls) -> str:
@@ -22,22 +24,13 @@ class IndexSource(DataSource):
         return "id long, cell int, codes binary, self_dist double"
 
     def reader(self, schema) -> DataSourceReader:
-        return _Reader(self.options["path"])
+        return (_PruningReader if self.options.get("pruning") == "true" else _Reader)(self.options["path"])
 
 
 class _Reader(DataSourceReader):
     def __init__(self, path: str):
         self.path, self.cells = path.removeprefix("file://"), None
 
-    def pushFilters(self, filters):
-        for f in filters:
-            if isinstance(f, EqualTo) and f.attribute == ("cell",):
-                self.cells = (f.value,)
-            elif isinstance(f, In) and f.attribute == ("cell",):
-                self.cells = tuple(f.value)
-            else:
-                yield f
-
     def partitions(self):
         import pyarrow.dataset as ds
 
@@ -59,6 +52,17 @@ class _Reader(DataSourceReader):
         yield from rows.to_batches(columns=["id", "cell", "codes", "self_dist"], filter=keep)
 
 
+class _PruningReader(_Reader):
+    def pushFilters(self, filters):
+        for f in filters:
+            if isinstance(f, EqualTo) and f.attribute == ("cell",):
+                self.cells = (f.value,)
+            elif isinstance(f, In) and f.attribute == ("cell",):
+                self.cells = tuple(f.value)
+            else:
+                yield f
+
+
 def read_lists(spark: SparkSession, path: str, cells: list[int] | None = None, groups: int = 64) -> DataFrame:
     """The lists by Spark's own reader, which any store serves: cells prune the partition folders and row groups."""
     lists = spark.read.parquet(f"{path}/lists")

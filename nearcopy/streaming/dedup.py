@@ -14,8 +14,8 @@ from nearcopy.operators.index import VectorIndex
 
 class IncrementalDedup:
     """foreachBatch target. An arriving row is the database side and all earlier rows (and those of its batch with smaller ids) ask, as in
-    the ordered loop; its parent is the largest id that flags it, within the ball of the query's tolerance. Earlier latents are kept by cell in
-    the shared folder. Equal to the batch result in ball mode when ids arrive in ascending order. A batch that is run again is replaced, not added."""
+    the ordered loop; its parent is the largest id that flags it, within the ball of the query's tolerance. Earlier latents are kept in
+    the shared folder. Equal to the batch result in ball mode, in any order of arrival. A batch that is run again is replaced, not added."""
 
     def __init__(self, index: VectorIndex, tol: float = 0.01, path: str | None = None, spark: SparkSession | None = None):
         self.index, self.tol = index, tol
@@ -37,18 +37,22 @@ class IncrementalDedup:
             new = new.join(before.select("id"), "id", "left_anti")
         new.write.mode("overwrite").parquet(f"{self.path}/latents/batch={batch_id}")
         new = spark.read.schema(new.schema).parquet(f"{self.path}/latents/batch={batch_id}")
-        asking = new.select("id", "cell", "z", "self_dist")
-        if before is not None:
-            asking = asking.unionByName(before.select("id", "cell", "z", "self_dist"))
-        y = self.index.decode(new).join(new.select("id", "cell"), "id").select(F.col("id").alias("j"), "cell", "y")
-        pairs = asking.join(y, "cell").where("id < j").withColumn("d", L.l2(F.col("z"), F.col("y"))).where(L.is_near_copy(F.col("self_dist"), F.col("d"), self.tol))
+        columns = ["id", "cell", "z", "self_dist"]
+        pairs = self._pairs(new.select(*columns) if before is None else new.select(*columns).unionByName(before.select(*columns)), new)
+        if before is not None:  # a smaller id that comes later asks those that are there
+            pairs = pairs.unionByName(self._pairs(new.select(*columns), before))
         pairs.groupBy("j").agg(F.max("id").alias("parent")).write.mode("overwrite").parquet(f"{self.path}/parents/batch={batch_id}")
 
+    def _pairs(self, asking: DataFrame, db: DataFrame) -> DataFrame:
+        rebuilt = self.index.decode(db).toDF("j", "y").join(db.select(F.col("id").alias("j"), F.col("cell").alias("at")), "j")
+        near = asking.join(rebuilt, (F.col("cell") == F.col("at")) & (F.col("id") < F.col("j"))).withColumn("d", L.l2(F.col("z"), F.col("y")))
+        return near.where(L.is_near_copy(F.col("self_dist"), F.col("d"), self.tol)).select("id", "j")
+
     def representatives(self, spark: SparkSession) -> DataFrame:
         from nearcopy.operators.dedup import pointer_jump
 
         ids = spark.read.parquet(f"{self.path}/latents").select("id")
-        return pointer_jump(spark.read.schema("j long, parent long").parquet(f"{self.path}/parents").select("j", "parent"), ids)
+        return pointer_jump(spark.read.schema("j long, parent long").parquet(f"{self.path}/parents").groupBy("j").agg(F.max("parent").alias("parent")), ids)
 
 
 def code_dedup(stream: DataFrame, index: VectorIndex, delay: str = "1 hour") -> DataFrame:
