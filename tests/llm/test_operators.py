@@ -254,6 +254,31 @@ def test_repeated_passages(spark):
     assert len(later - got) <= 1 and not got - later
 
 
+def test_repeated_passages_with_common_lines(spark):
+    """Each passage of two documents holds a line that unrelated earlier documents have too."""
+    rng = np.random.default_rng(7)
+    rows, last = [], []
+    for t in range(150):
+        new = lambda n: [f"t{t}w{x}" for x in rng.integers(0, 10**6, n)]  # noqa: B023, E731
+        p = new(60)
+        a = int(rng.integers(0, 31))
+        for w in [new(80) + p[a : a + 30] + new(80) for _ in range(3)] + [new(50) + p + new(70), new(90) + p + new(30)]:
+            rows.append((len(rows), " ".join(w)))
+        last.append(len(rows) - 1)
+    got = {r.doc_id for r in passages.repeated_passages(spark.createDataFrame(rows, "doc_id long, text string")).where("n_repeated >= 50").collect()}
+    assert len(set(last) - got) <= 1 and not got - set(last)
+
+
+def test_pairs_of_nodes_do_not_depend_on_batches():
+    rng = np.random.default_rng(3)
+    n = 400
+    cols = [rng.integers(0, 12, n), rng.integers(0, 40, n), rng.integers(0, 9, n), *[np.ones(n, np.int64)] * 2, np.zeros(n, np.int64), rng.integers(0, 4, n), rng.integers(0, 4, n)]
+    order = np.lexsort((cols[2], cols[1], cols[0]))
+    whole = passages.pa.RecordBatch.from_arrays([passages.pa.array(c[order]).cast(f.type) for c, f in zip(cols, passages._NODE, strict=True)], schema=passages._NODE)
+    pairs = lambda parts: sorted(r for b in passages._pair_up(parts) for r in zip(*(c.to_pylist() for c in b.columns), strict=True))
+    assert pairs([whole]) == pairs([whole.slice(i, 7) for i in range(0, n, 7)])
+
+
 def test_compact_windows():
     rng = np.random.default_rng(0)
     v, bounds = rng.integers(0, 30, 200).astype(np.uint64), np.array([0, 70, 75, 200])
