@@ -30,7 +30,7 @@ def arrivals(spark, d):
     e = table(spark, d, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id", "event_type")
     x = emb(spark, d).select("id", "x")
     n = x.count()
-    return e.where(F.col("event_id") < 2 * n).withColumn("id", F.pmod("event_id", F.lit(n))).join(x, "id")
+    return e.withColumn("id", F.pmod("event_id", F.lit(n))).join(x, "id")
 
 
 def stream_of(spark, d, files: int = 4):
@@ -55,10 +55,10 @@ def collected(stream, spark, mode="append"):
 
 
 @query()
-def stream_dedup(spark, d):
+def stream_dedup(spark, d, sources=32):
     from nearcopy.streaming.dedup import IncrementalDedup
 
-    x = FE.emb_planted(table(spark, d, "embeddings"), 32).select("id", "x")
+    x = FE.emb_planted(table(spark, d, "embeddings"), sources).select("id", "x")
     index = I.seeded_index(x)
     index.encoded = None
     path = shared_dir(spark)
@@ -68,6 +68,10 @@ def stream_dedup(spark, d):
     return sink.representatives(spark)
 
 
+#: The registered query plants copies of the fixture's 256 sources.
+QUERIES["stream_dedup"] = lambda spark, d: stream_dedup(spark, d, 256)
+
+
 @query()
 def stream_code_dedup(spark, d):
     from nearcopy.streaming.dedup import code_dedup

@@ -217,3 +217,18 @@ def test_stream_equals_batch_in_ball_mode(spark, data):
     index = I.seeded_index(x)
     nn = index.search_ball(index.encoded.select("id", "z", "self_dist"), 0.01, 1, "z", True)
     assert got == dict(D.resolve_representatives(D.flag_adaptive(nn, index.encoded, 0.01), x).collect())
+
+
+def test_arrivals_of_a_vector_are_not_capped(spark, tmp_path):
+    from nearcopy.registry.streams import arrivals
+
+    spark.createDataFrame([(i, [float(i)] * 64, 0) for i in range(3)], "vec_id long, embedding array<float>, label int").write.parquet(f"{tmp_path}/embeddings.parquet")
+    spark.range(10).selectExpr("id AS event_id", "timestamp'2020-01-01' AS ts", "id AS user_id", "'view' AS event_type").write.parquet(f"{tmp_path}/events.parquet")
+    assert rows(arrivals(spark, str(tmp_path)).groupBy("id").count(), "id", "count") == [(0, 4), (1, 3), (2, 3)]
+
+
+def test_registered_stream_has_the_copies_of_all_sources(spark, data):
+    from nearcopy.registry.streams import QUERIES
+
+    x = FE.emb_planted(spark.read.parquet(f"{data}/embeddings.parquet"), 256)
+    assert QUERIES["stream_dedup"](spark, data).count() == x.count()
