@@ -107,7 +107,7 @@ def _iban(text: str, key: bytes) -> str | None:
 
 
 def _phone(text: str, key: bytes) -> str | None:
-    m = re.match(r"\+?\d{1,3}(?=[ .(-])|", text)
+    m = re.match(r"\+\d{1,3}(?=[ .(-])|", text)
     head, rest = text[: m.end()], text[m.end() :]
     digits = re.sub(r"\D", "", rest)
     if not 7 <= len(digits) <= 12:

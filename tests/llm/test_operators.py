@@ -77,6 +77,11 @@ def test_pseudonyms_keep_the_form():
     assert sorted(pii.permute_below(v, 1000, b"k", b"t") for v in range(1000)) == list(range(1000))
 
 
+def test_a_phone_has_one_pseudonym_however_written():
+    new = [pii.pseudonymise(t)[0] for t in ("212-555-0123", "212.555.0123", "(212) 555-0123", "+1 212-555-0123")]
+    assert len({regex.sub(r"\D", "", t)[-10:] for t in new}) == 1 and new[3].startswith("+1 ")
+
+
 def words(t):
     return regex.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", (t or "").translate(LOW))
 
