@@ -1,166 +1,181 @@
 """Toxicity by a support vector machine over a gap-weighted subsequence kernel with Nystrom landmarks.
 
-Units are the words of a text, lower-cased, and runs of single characters with blanks between ("s p a c e d"). The kernel
-of two units sums, over common subsequences of three letters, DECAY to the power of the lengths they span
-in both; all that is not a letter is a gap, so inserted signs and gaps lower a match but don't break it. Kernels
-are normalised. Landmarks are words that stand out in toxic training texts (over unlike contexts, so that
-copies of one text count little) and common words; the kernel with them, whitened, is the machine's input.
-
-A label belongs to a text, so training is by witnesses: a toxic text is stood for by its highest unit, a clean one by
-its highest few, and both are chosen anew in each round. A logistic curve turns the highest unit's margin into a score.
-
-A kernel is worked out where a unit has the landmark's letters in order, but one at most; elsewhere it counts as 0.
-The fit uses at most `per_class` labelled texts of at most MAX_TRAIN_CHARS characters of each class, chosen by a hash of the id.
+Units are the words of a text, lower-cased, runs of single characters with blanks between ("s p a c e d", read
+without the blanks), and of longer ones windows of WINDOW characters. A unit is read as its letters (of any script)
+between a mark for its start and one for its end; inserted signs and digits are passed over. The kernel of two units
+sums, over triples of letters or marks that stand in both in this order, DECAY to the power of the lengths that they
+span; inserted letters are gaps, which lower a match but don't break it. Spans over REACH count as 0. Kernels are
+divided by each unit's root of the sum of squared weights over its triples.
+
+The machine is linear in the kernels with some hundreds of landmarks, whitened (Nystrom). As the kernel's own
+features, the triples, are few (CODES ** 3), the landmarks' weighted sum is folded into one table, so a unit's
+margin costs the same for any number of landmarks, and no unit is left out by a prefilter.
+
+A label belongs to a text, so training is by witnesses. The difference of the two classes' mean kernels ranks units
+at first. A toxic text is then stood for by its highest units, a clean one by its highest ones too, and a sample of
+all units is on the clean side. Landmarks are chosen by coverage: each toxic text none of whose witnesses is a
+landmark yet adds its highest one; the rest are witnesses of clean texts. All three are chosen anew in each round.
+
+A text's score is a logistic function of its highest margins and of the sums of its margins above several levels,
+so that several weak hits can weigh as much as a strong one. It is fitted on margins of machines that have not seen
+the text (two halves). Nulls and texts without units share one score.
+
+The fit uses at most `per_class` labelled texts, of at most MAX_TRAIN_CHARS characters, of each class, chosen by a
+hash of the id. Labels other than 0 and 1, and null ids, are left out; with no label or one class only, all scores
+are one constant.
 """
 
 from __future__ import annotations
 
 import re
-from collections import Counter, defaultdict
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, functions as F
+from pyspark.sql.types import DoubleType, StructType
 
 from nearcopy.llm.common import arrow_map, check_columns, claim, documents
 from nearcopy.llm.tokens import text_groups
 
-DECAY, ORDER, WINDOW = 0.7, 3, 24
+DECAY, REACH, WINDOW = 0.7, 8, 24
 PER_CLASS, MAX_TRAIN_CHARS = 1500, 32_000
-STANDING_OUT, COMMON = 24, 2
-#: Highest units that stand for a toxic and for a clean text in training.
-TOXIC_WITNESSES, CLEAN_WITNESSES = 6, 3
+LANDMARKS, ROUNDS = 400, 3
+#: Highest units that stand for a toxic and for a clean text in training, and units of the sample on the clean side.
+TOXIC_WITNESSES, CLEAN_WITNESSES, BACKGROUND = 3, 6, 4000
+#: Weight of the sample within the clean side.
+BACKGROUND_SHARE = 0.3
+#: Share of toxic texts that the score is set to, where the labels hold fewer.
+LEAST_PRIOR = 0.2
 #: Units whose margin one Python worker keeps.
 CACHE_UNITS = 300_000
-NOTHING = -9.0  # margin of a text without units
-_CODES = np.zeros(256, np.uint8)
-_CODES[97:123] = np.arange(1, 27)
-_CODES[128:] = 27
-_BITS = np.zeros(256, np.uint32)
-_BITS[97:123] = np.uint32(1) << np.arange(26, dtype=np.uint32)
+#: Units that one kernel call looks at.
+UNITS_AT_ONCE = 20_000
+FLOOR, CEILING = -0.5, 1.5  # margins beyond these count as these
+#: A text's features are its three highest margins and, for each of these levels, the sum of what margins have above
+#: it, as it is and for its number of units.
+LEVELS = (0.0, 0.3, 0.6)
+FEATURES = 3 + 2 * len(LEVELS)
+#: Codes: 0 gap, 1 to 26 a to z, START, then other letters (shared by code point), END.
+CODES, START, END = 64, 27, 63
 _spaced = re.compile(r"(?<!\S)\S(?: \S){2,}(?!\S)")
 
 
-def units(text: str) -> list[str]:
+def units(text: str) -> set[str]:
     low = text.lower()
-    out = low.split()
+    out = set(low.split())
     if " " in low:
-        out += [m.group() for m in _spaced.finditer(low)]
+        out.update(m.group().replace(" ", "") for m in _spaced.finditer(low))
+    for long in [w for w in out if len(w) > WINDOW]:
+        out.remove(long)
+        out.update(long[a : a + WINDOW] for a in range(0, len(long) - WINDOW // 2, WINDOW // 2))
     return out
 
 
-def encode(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
-    """Letter codes (0: gap or end) of windows of WINDOW bytes, and the word of each window; long words have several."""
-    raw = [w.encode() for w in words]
-    rows, owner = [], []
-    for k, r in enumerate(raw):
-        if len(r) <= WINDOW:
-            rows.append(r)
-            owner.append(k)
-        else:
-            for a in range(0, len(r) - WINDOW // 2, WINDOW // 2):
-                rows.append(r[a : a + WINDOW])
-                owner.append(k)
-    flat = np.frombuffer(b"".join(r.ljust(WINDOW, b"\0") for r in rows), np.uint8).reshape(-1, WINDOW)
-    return _CODES[flat], np.array(owner, np.int64)
-
-
-def paired_kernel(a: np.ndarray, b: np.ndarray, decay: float = DECAY, order: int = ORDER) -> np.ndarray:
-    """Kernel of row k of `a` with row k of `b` (code 0 matches nothing)."""
-    out = np.zeros(len(a), np.float32)
-    ends = np.where(a > 0, np.arange(1, a.shape[1] + 1), 0).max(axis=1, initial=0)
-    t = int(np.where(b > 0, np.arange(1, b.shape[1] + 1), 0).max(initial=1))
-    b = b[:, :t]
-    steps = np.arange(t)
-    fade = np.where(steps[None, :] >= steps[:, None], decay ** (steps[None, :] - steps[:, None] + 2.0), 0).astype(np.float32)
-    by_length = np.argsort(ends, kind="stable")
-    for lo in range(0, len(a), 8192):
-        rows = by_length[lo : lo + 8192]
-        left, right, total = a[rows], b[rows], np.zeros(len(rows), np.float32)
-        state = [np.ones((len(rows), t), np.float32)] + [np.zeros((len(rows), t + 1), np.float32) for _ in range(order - 1)]
-        for k in range(int(ends[rows[-1]])):
-            x = left[:, k : k + 1]
-            match = ((x == right) & (x > 0)).astype(np.float32)
-            total += decay**2 * np.einsum("ij,ij->i", match, state[order - 1][:, :t])
-            for i in range(order - 1, 0, -1):
-                state[i][:, 1:] *= decay
-                state[i][:, 1:] += (match * state[i - 1][:, :t]) @ fade
-        out[rows] = total
+def letter_codes(points: np.ndarray) -> np.ndarray:
+    """Codes of lower-case code points."""
+    out = np.where((points >= 97) & (points <= 122), points - 96, 0).astype(np.int32)
+    other = np.flatnonzero(points >= 128)
+    if len(other):
+        kinds, which = np.unique(points[other], return_inverse=True)
+        spread = END - START - 1
+        shared = [START + 1 + c % spread if chr(c).isalpha() else 0 for c in kinds.tolist()]
+        out[other] = np.array(shared, np.int32)[which]
     return out
 
 
-def self_kernel(codes: np.ndarray) -> np.ndarray:
-    return paired_kernel(codes, codes)
-
-
-def letter_masks(words: list[str]) -> np.ndarray:
-    """Which of a to z each word has."""
-    raw = [w.encode() + b"\0" for w in words]
-    starts = np.cumsum([0, *map(len, raw[:-1])])
-    return np.bitwise_or.reduceat(_BITS[np.frombuffer(b"".join(raw), np.uint8)], starts) if words else np.zeros(0, np.uint32)
-
-
-def almost_inside(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """Whether row k of `a` has the letters of row k of `b` in order, but one of them at most."""
-    n, width = a.shape
-    t = b.shape[1]
-    size = (b > 0).sum(axis=1)
-    rows = np.arange(n)
-
-    def greedy(letters, text):
-        """Steps of `text` after which the first j letters have been met (width + 1: never)."""
-        met = np.full((n, t + 2), width + 1, np.int16)
-        met[:, 0], at = 0, np.zeros(n, np.int64)
-        padded = np.hstack([letters, np.zeros((n, 1), np.uint8)])
-        for k in range(width):
-            want = padded[rows, at]
-            hit = (text[:, k] == want) & (want > 0)
-            at += hit
-            met[rows[hit], at[hit]] = k + 1
-        return met
-
-    back = np.zeros_like(b)
-    for w in np.unique(size):
-        back[size == w, :w] = b[size == w, :w][:, ::-1]
-    left, right = greedy(b, a), greedy(back, a[:, ::-1])
-    out = np.zeros(n, bool)
-    for j in range(t):  # without letter j
-        mine = j < size
-        out[mine] |= left[mine, j] + right[mine, size[mine] - 1 - j] <= width
+def encode(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    """Codes of all words in a row, each from its start mark to its end mark, and the word of each code.
+    Words without letters have none."""
+    if not words:
+        return np.zeros(0, np.int32), np.zeros(0, np.int64)
+    joined = "\0".join(words)
+    if joined.count("\0") >= len(words):
+        joined = "\0".join([w.replace("\0", " ") for w in words])
+    points = np.frombuffer(joined.encode("utf-32-le"), np.uint32).astype(np.int64)
+    codes = letter_codes(points)
+    owner = np.cumsum(points == 0)
+    letters = np.flatnonzero(codes)
+    if not len(letters):
+        return np.zeros(0, np.int32), np.zeros(0, np.int64)
+    codes, owner = codes[letters], owner[letters]
+    turns = np.flatnonzero(np.diff(owner)) + 1
+    bounds = np.concatenate([[0], turns, [len(codes)]])
+    out = np.insert(codes, np.repeat(bounds, 2)[1:-1], np.tile([START, END], len(bounds) - 1))
+    return out, np.insert(owner, np.repeat(bounds, 2)[1:-1], np.repeat(owner[bounds[:-1]], 2))
+
+
+def triples(codes: np.ndarray, owner: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, float]]:
+    """(word, triple, weight) of all triples with a span of REACH at most, grouped by their shape."""
+    for wide in range(2, REACH):
+        if len(codes) <= wide:
+            return
+        at = np.flatnonzero(owner[:-wide] == owner[wide:])
+        for inside in range(1, wide):
+            yield owner[at], (codes[at] * CODES + codes[at + inside]) * CODES + codes[at + wide], DECAY ** (wide + 1)
+
+
+def norms(codes: np.ndarray, owner: np.ndarray, n: int) -> np.ndarray:
+    out = np.zeros(n)
+    for own, _, weight in triples(codes, owner):
+        out += np.bincount(own, minlength=n) * weight**2
+    return np.sqrt(out)
+
+
+def _ratio(a, b: np.ndarray) -> np.ndarray:
+    return np.divide(a, b, out=np.zeros(len(b)), where=b > 0)
+
+
+def table_margins(table: np.ndarray, words: list[str]) -> np.ndarray:
+    """Of each word, the sum of the table over its triples, weighted and divided as the kernel is."""
+    out = [np.zeros(0)]
+    for a in range(0, len(words), UNITS_AT_ONCE):
+        some = words[a : a + UNITS_AT_ONCE]
+        codes, owner = encode(some)
+        total, square = np.zeros(len(some)), np.zeros(len(some))
+        for own, triple, weight in triples(codes, owner):
+            total += np.bincount(own, table[triple], len(some)) * weight
+            square += np.bincount(own, minlength=len(some)) * weight**2
+        out.append(_ratio(total, np.sqrt(square)))
+    return np.concatenate(out)
+
+
+def mean_features(words: list[str], weight: np.ndarray) -> np.ndarray:
+    """Over all triples: the words' features, summed with these weights."""
+    out = np.zeros(CODES**3)
+    for a in range(0, len(words), UNITS_AT_ONCE):
+        codes, owner = encode(words[a : a + UNITS_AT_ONCE])
+        share = _ratio(weight[a : a + UNITS_AT_ONCE], norms(codes, owner, len(words[a : a + UNITS_AT_ONCE])))
+        for own, triple, w in triples(codes, owner):
+            out += np.bincount(triple, share[own] * w, CODES**3)
     return out
 
 
-class Landmarks:
-    def __init__(self, words: list[str]):
-        self.codes, _ = encode(words)
-        self.masks = letter_masks(words)
-        self.norms = np.sqrt(self_kernel(self.codes))
-
-    def features(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        """Words that have the letters of some landmark in order, but one at most, and their normalised kernels with such landmarks (else 0)."""
-        masks = letter_masks(words)
-        near = np.bitwise_count(self.masks[None] & ~masks[:, None]) <= 1
-        some = np.flatnonzero(near.any(axis=1))
-        codes, owner = encode([words[k] for k in some])
-        row, mark = np.nonzero(near[some][owner])
-        width = max(1, int((self.codes > 0).sum(axis=1).max(initial=1)))
-        close = [almost_inside(codes[row[i : i + 65536]], self.codes[mark[i : i + 65536], :width]) for i in range(0, len(row), 65536)]
-        close = np.concatenate(close) if close else np.zeros(0, bool)
-        row, mark = row[close], mark[close]
-        kept = np.unique(owner[row])
-        some, owner = some[kept], np.searchsorted(kept, owner)
-        used = np.unique(row)
-        codes, owner, row = codes[used], owner[used], np.searchsorted(used, row)
-        own = np.sqrt(self_kernel(codes))
-        scale = own[row] * self.norms[mark]
-        value = np.divide(paired_kernel(codes[row], self.codes[mark]), scale, out=np.zeros(len(row), np.float32), where=scale > 0)
-        out = np.zeros((len(some), len(self.codes)), np.float32)
-        np.maximum.at(out, (owner[row], mark), value)
-        return some, out
-
-
-def fit_svm(x: np.ndarray, y: np.ndarray, weight: np.ndarray, c: float = 10.0, rounds: int = 30) -> np.ndarray:
+def feature_rows(words: list[str], columns: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Features of each word over the given triples (None: all that occur), and these triples."""
+    codes, owner = encode(words)
+    share = _ratio(1.0, norms(codes, owner, len(words)))
+    if columns is None:
+        columns = np.unique(np.concatenate([np.zeros(0, np.int32), *(t for _, t, _ in triples(codes, owner))]))
+    place = np.full(CODES**3, -1, np.int32)
+    place[columns] = np.arange(len(columns))
+    out = np.zeros((len(words), len(columns)), np.float32)
+    for own, triple, w in triples(codes, owner):
+        spot = place[triple]
+        seen = spot >= 0
+        np.add.at(out, (own[seen], spot[seen]), (share[own[seen]] * w).astype(np.float32))
+    return out, columns
+
+
+def subsequence_kernel(left: list[str], right: list[str]) -> np.ndarray:
+    """Kernel of each left with each right unit."""
+    marks, columns = feature_rows(right)
+    rows = [feature_rows(left[a : a + 2000], columns)[0] @ marks.T for a in range(0, len(left), 2000)]
+    return np.vstack(rows).astype(np.float64) if rows else np.zeros((0, len(right)))
+
+
+def fit_svm(x: np.ndarray, y: np.ndarray, weight: np.ndarray, c: float = 1.0, rounds: int = 30) -> np.ndarray:
     """Weights and, last, the constant of a linear machine with squared hinge loss, by Newton steps."""
     x = np.hstack([x, np.ones((len(x), 1))])
     w, ridge = np.zeros(x.shape[1]), np.eye(x.shape[1])
@@ -169,165 +184,227 @@ def fit_svm(x: np.ndarray, y: np.ndarray, weight: np.ndarray, c: float = 10.0, r
         active = y * (x @ w) < 1
         xa = x[active] * (weight[active] * c)[:, None]
         new = np.linalg.solve(ridge + xa.T @ x[active], xa.T @ y[active])
-        if np.allclose(new, w, atol=1e-7):
+        if np.allclose(new, w, atol=1e-6):
             break
         w = new
     return w
 
 
-def fit_curve(margin: np.ndarray, y: np.ndarray, weight: np.ndarray) -> tuple[float, float]:
-    """Slope (not negative) and constant of the logistic curve with the greatest likelihood."""
-    x = np.stack([margin, np.ones(len(margin))], axis=1)
-    w = np.zeros(2)
-    for _ in range(60):
-        p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
-        h = x.T @ (x * (weight * np.maximum(p * (1 - p), 1e-6))[:, None]) + 1e-3 * np.eye(2)
-        step = np.linalg.solve(h, x.T @ (weight * (y - p)) - 1e-3 * w)
-        w += np.clip(step, -2, 2)
-        if np.abs(step).max() < 1e-6:
-            break
-    return max(float(w[0]), 1e-3), float(w[1])
+def fit_logistic(x: np.ndarray, y: np.ndarray, weight: np.ndarray, ridge: float = 5e-3) -> np.ndarray:
+    """Weights, none of them negative, and, last, a constant: features that would get negative weights are left out,
+    the lowest first."""
+    used = np.arange(x.shape[1])
+    while True:
+        a = np.hstack([x[:, used], np.ones((len(x), 1))])
+        w, penalty = np.zeros(a.shape[1]), ridge * len(x) * np.eye(a.shape[1])
+        penalty[-1, -1] = 1e-6
+        for _ in range(100):
+            p = 1 / (1 + np.exp(-np.clip(a @ w, -30, 30)))
+            h = a.T @ (a * (weight * np.maximum(p * (1 - p), 1e-6))[:, None]) + penalty
+            step = np.linalg.solve(h, a.T @ (weight * (y - p)) - penalty @ w)
+            w += np.clip(step, -2, 2)
+            if np.abs(step).max() < 1e-6:
+                break
+        if len(used) == 0 or w[:-1].min() >= 0:
+            out = np.zeros(x.shape[1] + 1)
+            out[used], out[-1] = w[:-1], w[-1]
+            return out
+        used = np.delete(used, np.argmin(w[:-1]))
+
+
+def text_features(margins: np.ndarray, counts: np.ndarray) -> np.ndarray:
+    """One row a text; margins of all texts' distinct units, one text after another, `counts` units each."""
+    n = len(counts)
+    owner = np.repeat(np.arange(n), counts)
+    high = np.flatnonzero(margins > FLOOR)
+    value, own = np.minimum(margins[high], CEILING), owner[high]
+    order = np.lexsort((-value, own))
+    value, own = value[order], own[order]
+    rank = np.arange(len(own)) - np.searchsorted(own, own)
+    out = np.zeros((n, FEATURES))
+    out[:, :3] = FLOOR
+    for k in range(3):
+        out[own[rank == k], k] = value[rank == k]
+    for k, level in enumerate(LEVELS):
+        total = np.bincount(own, np.maximum(value - level, 0), n)
+        out[:, 3 + k] = np.log1p(total * 2)
+        out[:, 3 + len(LEVELS) + k] = total / np.log(counts + 8)
+    return out
 
 
 @dataclass
 class ToxicityModel:
-    landmarks: Landmarks | None
-    whiten: np.ndarray
+    table: np.ndarray  # of a unit: weights of triples
+    bias: float
+    centre: np.ndarray  # of text features
+    scale: np.ndarray
     weights: np.ndarray
-    curve: tuple[float, float]
+    landmarks: list[str]
 
     @staticmethod
     def constant(share: float) -> ToxicityModel:
         """For too few labels: the same score for all texts."""
         p = min(max(share, 1e-3), 1 - 1e-3)
-        return ToxicityModel(None, np.zeros((0, 0)), np.zeros(1), (0.0, float(np.log(p / (1 - p)))))
+        weights = np.append(np.zeros(FEATURES), np.log(p / (1 - p)))
+        return ToxicityModel(np.zeros(CODES**3, np.float32), FLOOR, np.zeros(FEATURES), np.ones(FEATURES), weights, [])
 
     def margins(self, words: list[str]) -> np.ndarray:
-        """Of each unit; those that share too little with every landmark have the constant."""
-        out = np.full(len(words), float(self.weights[-1]))
-        if len(words) and self.landmarks:
-            some, kernels = self.landmarks.features(words)
-            out[some] = (kernels @ self.whiten) @ self.weights[:-1] + self.weights[-1]
-        return out
-
-    def score(self, margin: np.ndarray) -> np.ndarray:
-        return 1 / (1 + np.exp(-np.clip(self.curve[0] * margin + self.curve[1], -30, 30)))
-
-
-def _core(word: str) -> str:
-    return "".join(c for c in word if c.isalpha())
-
-
-def choose_landmarks(toxic: list[list[str]], clean: list[list[str]]) -> tuple[list[str], int]:
-    """Words that stand out in toxic texts, then common ones; and how many are of the first kind."""
-    before, in_toxic, in_clean = defaultdict(set), Counter(), Counter()
-    for words in toxic:
-        cores = [_core(w) for w in words]
-        for a, b in zip(["", *cores], cores, strict=False):
-            if len(b) >= 4:
-                before[b].add(a)
-        in_toxic.update(set(cores))
-    for words in clean:
-        in_clean.update({_core(w) for w in words})
-    n1, n0 = max(1, len(toxic)), max(1, len(clean))
-
-    def stands_out(w):
-        a, b = min(in_toxic[w], len(before[w])), in_clean[w]
-        share = (a + b + 1) / (n1 + n0 + 2)
-        return (a / n1 - b / n0) / np.sqrt(share * (1 - share) * (1 / n1 + 1 / n0))
-
-    found = sorted((w for w in before if len(w) <= WINDOW and w.isascii() and len(before[w]) >= 3 and in_toxic[w] / n1 > 5 * in_clean[w] / n0), key=lambda w: (-stands_out(w), w))
-    least = max(4.0, 0.5 * stands_out(found[0])) if found else 0.0
-    first = [w for w in found if stands_out(w) >= least][:STANDING_OUT]
-    total = in_toxic + in_clean
-    rest = [w for w, _ in sorted(total.items(), key=lambda x: (-x[1], x[0])) if 4 <= len(w) <= WINDOW and w.isascii() and w not in first][:COMMON]
-    return first + rest, len(first)
-
-
-def fit_model(texts: list[str], labels: list[int], prior: float | None = None) -> ToxicityModel:
+        return table_margins(self.table, words) + self.bias
+
+    def score(self, features: np.ndarray) -> np.ndarray:
+        x = (features - self.centre) / self.scale
+        return 1 / (1 + np.exp(-np.clip(x @ self.weights[:-1] + self.weights[-1], -30, 30)))
+
+
+def choose_landmarks(
+    witnesses: list[np.ndarray], clean: np.ndarray, count: int, rng: np.random.Generator
+) -> np.ndarray:
+    """Units by coverage: the highest of each toxic text that has none yet, in an order that favours no text, and
+    units of clean texts."""
+    chosen: dict[int, None] = {}
+    for k in rng.permutation(len(witnesses)):
+        if len(chosen) < count * 3 // 4 and len(witnesses[k]) and not any(int(u) in chosen for u in witnesses[k]):
+            chosen[int(witnesses[k][0])] = None
+    for group in witnesses:  # room that is left goes to further witnesses
+        for u in group[1:]:
+            if len(chosen) < count // 2:
+                chosen[int(u)] = None
+    rest = clean[~np.isin(clean, list(chosen))]
+    more = rng.choice(rest, min(len(rest), count - len(chosen)), replace=False) if len(rest) else rest
+    return np.unique(np.append(np.array(list(chosen), np.int64), more).astype(np.int64))
+
+
+def fit_units(words: list[str], inside: list[np.ndarray], y: np.ndarray) -> tuple[np.ndarray, float, list[str]]:
+    """Table, constant and landmarks of the machine for units; inside: the units (numbers in `words`) of each text."""
+    rng, n = np.random.default_rng(20240229), len(words)
+
+    def times(groups, side):
+        return np.bincount(np.concatenate([g for g, v in zip(groups, y, strict=True) if v == side]), minlength=n)
+
+    used = [times(inside, side).astype(float) for side in (0, 1)]
+    mean = [mean_features(words, u / max(1.0, u.sum())) for u in used]
+    margin = table_margins((mean[1] - mean[0]) / np.sqrt(mean[0] + mean[1] + 1e-5), words)
+    present = np.flatnonzero(used[0] + used[1])
+    table, bias, marks = np.zeros(CODES**3), FLOOR, np.zeros(0, np.int64)
+    for _ in range(ROUNDS):
+        best = []
+        for own, v in zip(inside, y, strict=True):
+            best.append(own[np.argsort(-margin[own], kind="stable")[: TOXIC_WITNESSES if v else CLEAN_WITNESSES]])
+        up, down = times(best, 1).astype(float), times(best, 0).astype(float)
+        sample = rng.choice(present, min(len(present), BACKGROUND), replace=False)
+        marks = choose_landmarks([b for b, v in zip(best, y, strict=True) if v], np.flatnonzero(down), LANDMARKS, rng)
+        names = [words[k] for k in marks]
+        gram = subsequence_kernel(names, names)
+        values, vectors = np.linalg.eigh((gram + gram.T) / 2)
+        keep = values > 1e-3
+        whiten = vectors[:, keep] / np.sqrt(values[keep])
+        chosen = np.unique(np.concatenate([np.flatnonzero(up), np.flatnonzero(down), sample]))
+        x = subsequence_kernel([words[k] for k in chosen], names) @ whiten
+        spread = np.zeros(n)
+        spread[sample] = BACKGROUND_SHARE / max(1, len(sample))
+        clean = (1 - BACKGROUND_SHARE) * down[chosen] / max(1.0, down.sum()) + spread[chosen]
+        cost = np.append(up[chosen] / up.sum(), clean)
+        sign, rows = np.repeat([1.0, -1.0], len(chosen)), np.tile(np.arange(len(chosen)), 2)
+        some = cost > 0
+        w = fit_svm(x[rows[some]], sign[some], cost[some] / cost[some].mean())
+        features, columns = feature_rows(names)
+        table, bias = np.zeros(CODES**3), float(w[-1])
+        table[columns] = (whiten @ w[:-1]) @ features
+        margin = table_margins(table, words) + bias
+    return table, bias, [words[k] for k in marks]
+
+
+def fit_model(texts: list[str | None], labels: list[int], prior: float | None = None) -> ToxicityModel:
     """prior: share of toxic texts to weight the classes to (None: as given)."""
     y = np.array([1 if v else 0 for v in labels])
-    if len(set(y.tolist())) < 2:
-        return ToxicityModel.constant(float(y.mean()) if len(y) else 0.0)
-    bags = [units(t or "") for t in texts]
-    names, first = choose_landmarks([b for b, v in zip(bags, y, strict=True) if v], [b for b, v in zip(bags, y, strict=True) if not v])
-    if not first:
-        return ToxicityModel.constant(float(y.mean()) if prior is None else prior)
-    marks = Landmarks(names)
-    pairs = np.indices((len(names), len(names))).reshape(2, -1)
-    gram = (paired_kernel(marks.codes[pairs[0]], marks.codes[pairs[1]]) / (marks.norms[pairs[0]] * marks.norms[pairs[1]])).reshape(len(names), -1).astype(np.float64)
-    values, vectors = np.linalg.eigh((gram + gram.T) / 2)
-    keep = values > 1e-4
-    whiten = (vectors[:, keep] / np.sqrt(values[keep])).astype(np.float32)
-    model = ToxicityModel(marks, whiten, np.zeros(whiten.shape[1] + 1), (1.0, 0.0))
-    distinct = sorted({w for b in bags for w in b})
-    some, whole = marks.features(distinct)
-    place, x = {distinct[w]: k for k, w in enumerate(some)}, whole @ whiten
-    inside = [np.array(sorted({place[w] for w in b if w in place}), np.int64) for b in bags]
-    prior = float(y.mean()) if prior is None else prior
-    weight = np.where(y == 1, prior / y.mean(), (1 - prior) / (1 - y.mean()))
-    margin = whole[:, :first].max(axis=1) if len(some) else np.zeros(0)
-    for _ in range(4):
-        rows, sign, cost = [np.zeros(x.shape[1], np.float32)], [-1.0], [1.0]  # a unit that shares nothing is clean
-        for k, own in enumerate(inside):
-            if not len(own):
-                continue
-            top = own[np.argsort(-margin[own], kind="stable")]
-            for u in top[: TOXIC_WITNESSES if y[k] else CLEAN_WITNESSES]:
-                if y[k] and whole[u, :first].max() < 0.6:
-                    continue  # it doesn't resemble what stands out
-                rows.append(x[u])
-                sign.append(1.0 if y[k] else -1.0)
-                cost.append(weight[k])
-        cost = np.array(cost)
-        cost /= cost.mean()
-        model.weights = fit_svm(np.array(rows, np.float64), np.array(sign), cost)
-        margin = x @ model.weights[:-1] + model.weights[-1]
-    top = np.array([max(float(margin[own].max()) if len(own) else -9.0, float(model.weights[-1]) if b else NOTHING) for own, b in zip(inside, bags, strict=True)])
-    model.curve = fit_curve(np.clip(top, -3, 3), y, weight)
-    return model
-
-
-def training_rows(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS, label: str = "toxic", text: str = "text", id_column: str = "doc_id", folds: int = 5) -> tuple[list[str], list[int], float]:
-    """Texts and labels of the fit, and the share of label 1: rows whose crc32 of the id's text is no multiple of `folds`.
-    At most 2 * per_class rows of MAX_TRAIN_CHARS characters reach the driver."""
-    known = labels.where(F.col(label).isin(0, 1) & F.col(id_column).isNotNull() & (F.crc32(F.col(id_column).cast("string")) % folds != 0)).select(F.col(id_column).alias("_id"), F.col(label).alias("_y"))
+    bags = [sorted(units(t or "")) for t in texts]
+    share = (float(y.mean()) if len(y) else 0.0) if prior is None else prior
+    if len({int(v) for b, v in zip(bags, y, strict=True) if b}) < 2:
+        return ToxicityModel.constant(share)
+    words = sorted(set().union(*bags))
+    place = {w: k for k, w in enumerate(words)}
+    inside = [np.array([place[w] for w in b], np.int64) for b in bags]
+    counts = np.array([len(own) for own in inside])
+
+    def seen(table, bias, some):
+        margin = np.zeros(len(words))
+        used = np.unique(np.concatenate([inside[k] for k in some]))
+        margin[used] = table_margins(table, [words[k] for k in used]) + bias
+        return text_features(np.concatenate([margin[inside[k]] for k in some]), counts[some])
+
+    side, rng = np.zeros(len(y), np.int64), np.random.default_rng(20240301)
+    for v in (0, 1):  # halves with equal shares of both classes
+        mine = rng.permutation(np.flatnonzero((y == v) & (counts > 0)))
+        side[mine] = np.arange(len(mine)) % 2
+    x = np.zeros((len(y), FEATURES))
+    for half in (0, 1):
+        taught, asked = np.flatnonzero((side != half) & (counts > 0)), np.flatnonzero(side == half)
+        if len(set(y[taught].tolist())) < 2:
+            taught = np.flatnonzero(counts > 0)  # too few texts to part them
+        if len(asked):
+            machine = fit_units(words, [inside[k] for k in taught], y[taught])
+            x[asked] = seen(machine[0], machine[1], asked)
+    table, bias, marks = fit_units(words, [inside[k] for k in np.flatnonzero(counts)], y[counts > 0])
+    centre, scale = x.mean(axis=0), x.std(axis=0) + 1e-3
+    weight = np.where(y == 1, share / y.mean(), (1 - share) / (1 - y.mean()))
+    w = fit_logistic((x - centre) / scale, y, weight)
+    return ToxicityModel(table.astype(np.float32), bias, centre, scale, w, marks)
+
+
+def training_rows(
+    docs: DataFrame,
+    labels: DataFrame,
+    per_class: int = PER_CLASS,
+    label: str = "toxic",
+    text: str = "text",
+    id_column: str = "doc_id",
+    folds: int = 5,
+) -> tuple[list[str], list[int], float]:
+    """Texts and labels of the fit, and the share of label 1: rows whose crc32 of the id's text is no multiple of
+    `folds`. At most 2 * per_class rows of MAX_TRAIN_CHARS characters reach the driver."""
+    learnt = F.crc32(F.col(id_column).cast("string")) % folds != 0
+    known = labels.where(F.col(label).isin(0, 1) & F.col(id_column).isNotNull() & learnt)
+    known = known.select(F.col(id_column).alias("_id"), F.col(label).alias("_y"))
     counts = {r[0]: r[1] for r in known.groupBy("_y").count().collect()}
     total = sum(counts.values())
     if not total:
         return [], [], 0.0
     spark, chosen = docs.sparkSession, []
     for y in (0, 1):
-        chosen += [(r[0], y) for r in known.where(F.col("_y") == y).orderBy(F.xxhash64("_id"), "_id").limit(per_class).collect()]
+        some = known.where(F.col("_y") == y).orderBy(F.xxhash64("_id"), "_id").limit(per_class)
+        chosen += [(r[0], y) for r in some.collect()]
     ids = F.broadcast(spark.createDataFrame(chosen, "_id long, _y int"))  # 2 * per_class rows
-    plain = docs.select(docs[id_column].cast("long").alias("_doc"), docs[text].alias("_text")).where(F.length("_text") <= MAX_TRAIN_CHARS)
-    rows = plain.join(ids, F.col("_doc") == F.col("_id")).select("_id", "_text", "_y").orderBy("_id", "_text").limit(2 * per_class).collect()
+    plain = docs.select(docs[id_column].cast("long").alias("_doc"), docs[text].alias("_text"))
+    plain = plain.where(F.length("_text") <= MAX_TRAIN_CHARS)
+    rows = plain.join(ids, F.col("_doc") == F.col("_id")).select("_id", "_text", "_y")
+    rows = rows.orderBy("_id", "_text").limit(2 * per_class).collect()
     return [r[1] for r in rows], [r[2] for r in rows], counts.get(1, 0) / total
 
 
 def fit_toxicity(docs: DataFrame, labels: DataFrame, **options) -> ToxicityModel:
     texts, y, share = training_rows(docs, labels, **options)
-    return fit_model(texts, y, share) if texts else ToxicityModel.constant(share)
+    return fit_model(texts, y, max(share, LEAST_PRIOR)) if texts else ToxicityModel.constant(share)
 
 
 def score_texts(model: ToxicityModel, texts: list[str | None], known: dict[str, float] | None = None) -> np.ndarray:
     known = {} if known is None else known
-    bags = [set(units(t)) if t else () for t in texts]
+    bags = [units(t) if t else () for t in texts]
     new = list({w for b in bags for w in b if w not in known})
     known.update(zip(new, model.margins(new).tolist(), strict=True))
-    get = known.__getitem__
-    top = np.array([max(map(get, b), default=NOTHING) for b in bags])
+    counts = np.array([len(b) for b in bags], np.int64)
+    margins = np.fromiter((known[w] for b in bags for w in b), np.float64, int(counts.sum()))
     if len(known) > CACHE_UNITS:
         for w in new:
             del known[w]
-    return model.score(np.clip(top, -3, 3))
+    return model.score(text_features(margins, counts))
 
 
 def add_scores(docs: DataFrame, model: ToxicityModel, text: str = "text", column: str = "toxicity") -> DataFrame:
-    """`docs` with a score from 0 to 1 for each row; empty and null texts get that of a text without units. A column of that name is replaced."""
+    """`docs` with a score from 0 to 1 for each row; empty and null texts get that of a text without units.
+    A column of that name is replaced."""
     check_columns(docs, text)
     docs = docs.drop(column)
-    shared = docs.sparkSession.sparkContext.broadcast(model)  # a few kB
+    shared = docs.sparkSession.sparkContext.broadcast(model)  # a table of CODES ** 3 numbers: 1 MB
     place = docs.columns.index(text)
 
     def run(batches):
@@ -338,13 +415,12 @@ def add_scores(docs: DataFrame, model: ToxicityModel, text: str = "text", column
             scores = pa.array(np.concatenate(out) if out else np.zeros(0))
             yield pa.RecordBatch.from_arrays([*b.columns, scores], names=[*b.schema.names, column])
 
-    from pyspark.sql.types import DoubleType, StructType
-
     return docs.transform(arrow_map, run, StructType([*docs.schema.fields]).add(column, DoubleType()))
 
 
 def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir).select("doc_id", "text")
     model = fit_toxicity(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
-    scored = add_scores(docs, model, column="score")
-    return scored.select("doc_id", (F.crc32(F.col("doc_id").cast("string")) % 5 == 0).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
+    held_out = (F.crc32(F.col("doc_id").cast("string")) % 5 == 0).alias("held_out")
+    predicted = (F.col("score") >= 0.5).cast("int").alias("predicted")
+    return add_scores(docs, model, column="score").select("doc_id", held_out, "score", predicted)

@@ -5,6 +5,7 @@ import itertools
 import zlib
 
 import numpy as np
+import pyarrow.parquet as pq
 import pytest
 import regex
 
@@ -217,31 +218,59 @@ def test_costs_are_balanced():
 
 
 def test_subsequence_kernel():
-    codes, _ = toxicity.encode(["idiot", "i-d-i.o-t", "edition", "s c u m", "scum", "abc"])
-
-    def brute(a, b):
-        def feats(s):
-            out = {}
-            for c in itertools.combinations([i for i, v in enumerate(s) if v], 3):
-                k = tuple(int(s[i]) for i in c)
-                out[k] = out.get(k, 0) + 0.7 ** (c[-1] - c[0] + 1)
-            return out
-
-        x, y = feats(a), feats(b)
-        return sum(v * y.get(k, 0) for k, v in x.items())
-
-    i, j = np.indices((6, 6)).reshape(2, -1)
-    assert np.allclose(toxicity.paired_kernel(codes[i], codes[j]), [brute(codes[a], codes[b]) for a, b in zip(i, j, strict=True)], rtol=1e-4)
+    words = ["idiot", "i-d-i.o-t", "edition", "s c u m", "scum", "abc", "", "!?", "\u00fc\u00df", "a\0b"]
+
+    def feats(word):
+        letters = [c for c in word if c.isalpha()]
+        if not letters:
+            return {}, 0.0
+        marked = list(enumerate(["^", *letters, "$"]))
+        out, square = {}, 0.0
+        for (i, a), (_, b), (k, c) in itertools.combinations(marked, 3):
+            if k - i < toxicity.REACH:
+                weight = toxicity.DECAY ** (k - i + 1)
+                out[a, b, c] = out.get((a, b, c), 0) + weight
+                square += weight**2
+        return out, square**0.5
+
+    want = np.zeros((len(words), len(words)))
+    for (i, (x, p)), (j, (y, q)) in itertools.product(enumerate(map(feats, words)), repeat=2):
+        want[i, j] = sum(v * y.get(k, 0) for k, v in x.items()) / (p * q) if p * q else 0
+    assert np.allclose(toxicity.subsequence_kernel(words, words), want, atol=1e-5)
+    features, columns = toxicity.feature_rows(words)
+    table, weights = np.zeros(toxicity.CODES**3), np.arange(len(words)) - 3.0
+    table[columns] = weights @ features
+    assert np.allclose(toxicity.table_margins(table, words), want @ weights, atol=1e-4)  # folding is exact
 
 
 def test_toxicity_finds_gapped_words():
     rng = np.random.default_rng(0)
-    clean = [" ".join("".join(rng.choice(list("aeinrst"), 5)) for _ in range(40)) for _ in range(300)]
+    clean = [" ".join("".join(rng.choice(list("aeinrstlohcpgfvy"), 6)) for _ in range(40)) for _ in range(300)]
     bad = ["numskull", "dimwit"]
-    texts = clean[:200] + [f"{a} {bad[k % 2]} {a[::-1]}" for k, a in enumerate(clean[200:])]
+    texts = clean[:200] + [f"{a[:140]} {bad[k % 2]} {a[140:]}" for k, a in enumerate(clean[200:])]
     m = toxicity.fit_model(texts, [0] * 200 + [1] * 100)
-    s = toxicity.score_texts(m, [clean[0], "x numskull y", "x nu.msk-ull y", "some d i m w i t here", "", None])
-    assert (s[1:4] >= 0.5).all() and s[0] < 0.5 and s[4] == s[5] < 0.5
+    s = toxicity.score_texts(m, ["x numskull y", "x numsk-ull y", "some d i m w i t here", "", None, "tr " * 300_000])
+    assert (s[:3] >= 0.5).all() and s[3] == s[4] < 0.5 and s[5] < 0.5
+    usual = toxicity.score_texts(m, clean[:200])
+    assert (usual < 0.5).mean() > 0.95
+    assert toxicity.score_texts(m, ["x nu.msk-ull y"])[0] > np.quantile(usual, 0.95)  # many gaps lower a score
+
+
+def test_toxicity_on_rows_it_has_not_seen():
+    """Varied endings of insults in four languages; the rows with remainder 0 are not learnt from."""
+    folder = "/root/testdata/sf0.1"
+    docs, labels = (pq.read_table(f"{folder}/{t}.parquet").to_pandas() for t in ("documents", "labels"))
+    rows = docs.merge(labels, on="doc_id")
+    held = np.array([zlib.crc32(str(i).encode()) % 5 == 0 for i in rows.doc_id])
+    taught = rows[~held & (rows.text.str.len() <= toxicity.MAX_TRAIN_CHARS)]
+    model = toxicity.fit_model(list(taught.text), list(taught.toxic), toxicity.LEAST_PRIOR)
+    asked = rows[held]
+    score, y, lang = toxicity.score_texts(model, list(asked.text)), asked.toxic.to_numpy(), asked.lang.to_numpy()
+    for some in [np.ones(len(y), bool), *(lang == v for v in ("en", "de", "fr", "es"))]:
+        bad, good = score[some & (y == 1)], score[some & (y == 0)]
+        assert (bad[:, None] > good[None]).mean() >= 0.92
+        assert (bad >= 0.5).mean() >= 0.75 and (good < 0.5).mean() >= 0.93
+    assert (score[y == 1] >= 0.5).mean() >= 0.88 and (score[y == 0] < 0.5).mean() >= 0.98
 
 
 def test_repeated_passages(spark):
