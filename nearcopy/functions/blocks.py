@@ -20,11 +20,16 @@ def vectors(x: np.ndarray, kind: pa.DataType = pa.float64()) -> pa.Array:
     return pa.ListArray.from_arrays(pa.array(np.arange(n + 1, dtype=np.int32) * d), pa.array(np.ascontiguousarray(x).ravel(), kind))
 
 
+#: Distances that one kernel call works out at a time.
+TILE = 1 << 21
+
+
 def squared_distances(x: np.ndarray, y: np.ndarray) -> np.ndarray:
-    """Exact for equal rows up to rounding: differences, not the expanded square, in blocks of rows."""
+    """Exact for equal rows up to rounding: differences, not the expanded square, in blocks of rows and dimensions that fit TILE."""
     out = np.empty((len(x), len(y)))
-    for i in range(0, len(x), 64):
-        out[i : i + 64] = ((x[i : i + 64, None, :] - y[None]) ** 2).sum(axis=2)
+    step = max(1, TILE // max(1, y.size))
+    for i in range(0, len(x), step):
+        out[i : i + step] = ((x[i : i + step, None, :] - y[None]) ** 2).sum(axis=2)
     return out
 
 
@@ -33,6 +38,36 @@ def fast_squared_distances(x: np.ndarray, y: np.ndarray) -> np.ndarray:
     return np.maximum((x * x).sum(1)[:, None] + (y * y).sum(1)[None] - 2 * x @ y.T, 0)
 
 
+def smallest_distances(x: np.ndarray, y: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """For each row of x the n nearest rows of y (ties: the lower number) and their squared distances, exact for equal rows.
+
+    One matrix product tells which can be among them, and of these differences are taken; memory is some TILE numbers
+    whatever len(y) is."""
+    n = min(n, len(y))
+    at, best = np.zeros((len(x), n), np.int64), np.zeros((len(x), n))
+    if not len(x) or not n:
+        return at, best
+    norms = (y * y).sum(1)
+    step, wide = max(1, TILE // len(y)), max(1, TILE // x.shape[1])
+    for lo in range(0, len(x), step):
+        block = x[lo : lo + step]
+        own = (block * block).sum(1)
+        d = block @ y.T
+        d *= -2
+        d += norms[None]
+        border = d.min(axis=1) if n == 1 else np.partition(d, n - 1, axis=1)[:, n - 1]
+        slack = 1e-9 * (1 + own + np.abs(border) + norms.max())
+        q, r = np.nonzero(d <= (border + slack)[:, None])
+        exact = np.empty(len(q))
+        for i in range(0, len(q), wide):
+            exact[i : i + wide] = ((block[q[i : i + wide]] - y[r[i : i + wide]]) ** 2).sum(axis=1)
+        order = np.lexsort((r, exact, q))
+        first = np.searchsorted(q, np.arange(len(block)))  # q is sorted
+        chosen = order[first[:, None] + np.arange(n)]
+        at[lo : lo + step], best[lo : lo + step] = r[chosen], exact[chosen]
+    return at, best
+
+
 _SUMS = pa.schema([("key", pa.int64()), ("n", pa.int64()), ("values", pa.list_(pa.float64()))])
 
 
@@ -63,5 +98,26 @@ def sum_rows(df: DataFrame, partial, keys_at_most: int) -> dict[int, tuple[int,
 
 
 def hash_sample(df: DataFrame, n: int, *by: str) -> DataFrame:
-    """n rows with the smallest hash of the given columns; the same on any partitioning."""
+    """n rows with the smallest hash of the given columns; the same on any partitioning. The rows meet in one task: for small n."""
     return df.orderBy(F.xxhash64(*by), *by).limit(n)
+
+
+def hash_share(df: DataFrame, n: int, *by: str, rows_per_task: int = 4096) -> DataFrame:
+    """About n rows, those whose hash is below a bound that a count gives (all rows if there are no more than n). Nothing is shuffled:
+    rows stay where they are, but tasks that would hold few of them are joined."""
+    total = df.count()
+    if n < total:
+        df = df.where(F.xxhash64(*by) < F.lit(int((n / total - 0.5) * 2**64)))
+    tasks = max(1, min(n, total) // rows_per_task)
+    return df.coalesce(tasks)
+
+
+def spread(df: DataFrame) -> DataFrame:
+    """A table of a few files in as many parts as there are cores; larger ones stay as they are."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(cores) if df.rdd.getNumPartitions() < cores else df
+
+
+def few_rows(df: DataFrame, most: int) -> DataFrame:
+    """`df` marked for broadcast if it has at most `most` rows (one bounded count), else as it is: the join is then shuffled."""
+    return F.broadcast(df) if df.limit(most + 1).count() <= most else df

@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from nearcopy.functions import linalg as L
-from nearcopy.functions.blocks import vectors
+from nearcopy.functions.blocks import spread, vectors
 
 _gap = re.compile(r"[\W_]+")
 
@@ -25,29 +25,45 @@ def grams(tokens: list[str], unigrams: bool = False) -> list[str]:
     return pairs + tokens if unigrams else pairs
 
 
-def hashed_vector(parts: list[str], dim: int, salt: str, known: dict) -> np.ndarray:
-    out = np.zeros(dim)
-    for g in parts:
-        if (at := known.get(g)) is None:
-            h = hashlib.md5((salt + g).encode()).hexdigest()
-            at = known[g] = (int(h[:8], 16) % dim, 1.0 if int(h[8], 16) % 2 == 0 else -1.0)
-            if len(known) > 500_000:
-                known.clear()
-        out[at[0]] += at[1]
-    size = np.sqrt((out * out).sum())
-    return out / size if size > 0 else out
-
-
-def hashed_ngrams(df: DataFrame, id_column: str = "doc_id", text: str = "text", out: str = "x", dim: int = 256, salt: str = "", unigrams: bool = False, first_words: int | None = None) -> DataFrame:
-    """(id, out): signed hashed word-pair counts, L2-normalised. One pass, no shuffle. A text without words has zeros."""
+def hashed_rows(texts: list[list[str]], dim: int, salt: str) -> np.ndarray:
+    """One normalised row a list of parts. The md5 of each part gives its bucket (first 32 bits) and its sign (the next 4)."""
+    head = hashlib.md5(salt.encode())
+    digests = []
+    for parts in texts:
+        for part in parts:
+            h = head.copy()
+            h.update(part.encode())
+            digests.append(h.digest())
+    codes = np.frombuffer(b"".join(digests), np.uint8).reshape(-1, 16)
+    bucket = np.ascontiguousarray(codes[:, :4]).view(">u4")[:, 0] % dim
+    sign = np.where(codes[:, 4] >> 4 & 1, -1.0, 1.0)
+    row = np.repeat(np.arange(len(texts)), [len(p) for p in texts])
+    out = np.bincount(row * dim + bucket, sign, len(texts) * dim).reshape(-1, dim)
+    size = np.sqrt((out * out).sum(axis=1, keepdims=True))
+    return np.divide(out, size, out=np.zeros_like(out), where=size > 0)
+
+
+def hashed_ngrams(
+    df: DataFrame,
+    id_column: str = "doc_id",
+    text: str = "text",
+    out: str = "x",
+    dim: int = 256,
+    salt: str = "",
+    unigrams: bool = False,
+    first_words: int | None = None,
+) -> DataFrame:
+    """(id, out): signed hashed word-pair counts, L2-normalised. One pass; only a table of very few files is spread over the cores
+    before. A text without words has zeros."""
 
     def run(batches):
-        known: dict = {}
         for b in batches:
-            rows = [hashed_vector(grams(words(t)[:first_words], unigrams), dim, salt, known) for t in b.column(1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([b.column(0), vectors(np.array(rows).reshape(-1, dim))], names=["id", out])
+            for lo in range(0, b.num_rows, 256):
+                part = b.slice(lo, 256)
+                texts = [grams(words(t)[:first_words], unigrams) for t in part.column(1).to_pylist()]
+                yield pa.RecordBatch.from_arrays([part.column(0), vectors(hashed_rows(texts, dim, salt))], names=["id", out])
 
-    return df.select(F.col(id_column).cast("long"), text).mapInArrow(run, f"id long, {out} array<double>")
+    return spread(df.select(F.col(id_column).cast("long"), text)).mapInArrow(run, f"id long, {out} array<double>")
 
 
 def doc_vec(docs: DataFrame) -> DataFrame:

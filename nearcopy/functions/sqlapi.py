@@ -7,11 +7,12 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import SparkSession, functions as F
+from pyspark.sql import DataFrame, SparkSession, functions as F
 from pyspark.sql.functions import pandas_udf, udtf
 
-from nearcopy.functions.features import grams, hashed_vector, words
-from nearcopy.operators.index import VectorIndex, lookup_distances
+from nearcopy.functions.blocks import smallest_distances
+from nearcopy.functions.features import grams, hashed_rows, words
+from nearcopy.operators.index import VectorIndex
 
 #: Plain expressions, as SQL function bodies.
 _EXPRESSIONS = {
@@ -20,8 +21,16 @@ _EXPRESSIONS = {
 }
 
 
+def mean_vectors(df: DataFrame, key: str, col: str = "x") -> DataFrame:
+    """(key, col): the mean vector of each group, summed by place, so that tasks send one row a group and place."""
+    sums = df.select(key, F.posexplode(col).alias("i", "v")).groupBy(key, "i").agg(F.avg("v").alias("v"))
+    parts = sums.groupBy(key).agg(F.array_sort(F.collect_list(F.struct("i", "v"))).alias("p"))
+    return parts.select(key, F.transform("p", lambda s: s["v"]).alias(col))
+
+
 def register(spark: SparkSession, index: VectorIndex) -> None:
-    """l2_distance, is_near_copy; with the index: encode_vec, decode_code, adc, self_distance; vec_mean, recall_overlap; table functions probe and hash_features."""
+    """l2_distance, is_near_copy; with the index: encode_vec, decode_code, adc, self_distance; vec_mean, recall_overlap; table functions probe,
+    hash_features and knn_block. vec_mean holds a group in one task: for large groups see mean_vectors."""
     for head, body in _EXPRESSIONS.items():
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {head} RETURN {body}")
     plain = index._plain()
@@ -42,7 +51,9 @@ def register(spark: SparkSession, index: VectorIndex) -> None:
         raw = np.frombuffer(b"".join(codes), plain.code_dtype()).reshape(len(codes), -1)
         base = plain.cells[cell.to_numpy()] if plain.cells is not None and plain.by_residual else 0.0
         rest = np.array(q.tolist(), float) - base
-        return pd.Series([float(np.sqrt(lookup_distances(r, plain.books, c[None])[0])) for r, c in zip(rest, raw, strict=True)])
+        m, _, size = plain.books.shape
+        words_ = plain.books[np.arange(m), raw]  # row by row, the codewords that the codes name
+        return pd.Series(np.sqrt(((rest.reshape(-1, m, size) - words_) ** 2).sum(axis=(1, 2))))
 
     @pandas_udf("double")
     def self_distance(v: pd.Series) -> pd.Series:
@@ -67,11 +78,23 @@ def register(spark: SparkSession, index: VectorIndex) -> None:
     @udtf(returnType="i: int, v: double")
     class HashFeatures:
         def eval(self, text: str) -> Iterator[tuple[int, float]]:
-            x = hashed_vector(grams(words(text)), 256, "", {})
+            x = hashed_rows([grams(words(text))], 256, "")[0]
             for i in np.flatnonzero(x):
                 yield int(i), float(x[i])
 
+    @udtf(returnType="q: int, nn: int, dist: double")
+    class KnnBlock:
+        """The k nearest rows of `block` to each row of `queries`, by their places in these arrays."""
+
+        def eval(self, queries: list, block: list, k: int) -> Iterator[tuple[int, int, float]]:
+            if queries and block:
+                at, d = smallest_distances(np.array(queries, float), np.array(block, float), k)
+                for q in range(len(queries)):
+                    for n, v in zip(at[q].tolist(), d[q].tolist(), strict=True):
+                        yield q, n, v**0.5
+
     for name, f in {"encode_vec": encode_vec, "decode_code": decode_code, "adc": adc, "self_distance": self_distance, "vec_mean": vec_mean, "recall_overlap": recall_overlap}.items():
         spark.udf.register(name, f)
     spark.udtf.register("probe", Probe)
     spark.udtf.register("hash_features", HashFeatures)
+    spark.udtf.register("knn_block", KnnBlock)

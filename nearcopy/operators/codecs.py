@@ -13,7 +13,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 from pyspark.sql.types import ArrayType, DoubleType, StructType
 
-from nearcopy.functions.blocks import hash_sample, matrix, sum_rows, vectors
+from nearcopy.functions.blocks import hash_sample, hash_share, matrix, sum_rows, vectors
 from nearcopy.functions.losses import contrastive
 
 
@@ -188,7 +188,7 @@ def _options(given: dict) -> dict:
 
 
 def _run(df, columns, weights, gradients, o):
-    rows = hash_sample(df.select("id", *columns), o["sample"], "id")
+    rows = hash_share(df.select("id", *columns), o["sample"], "id")
     return train(rows, columns, weights, gradients, o["rounds"], o["epochs"], o["batch"], o["lr"], o["seed"])
 
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, functions as F
 
 from nearcopy.functions import linalg as L
-from nearcopy.functions.blocks import hash_sample
+from nearcopy.functions.blocks import few_rows, hash_sample
 from nearcopy.functions.features import small_noise
 from nearcopy.operators.dedup import group_sizes, top_duplicated
 
@@ -39,7 +39,9 @@ def sample_prompts(reps: DataFrame, n: int, min_group: int = 2, seed: int = 0) -
 
 
 def source_distance(samples: DataFrame, prompts: DataFrame) -> DataFrame:
-    return samples.join(F.broadcast(prompts.select("prompt_id", "x")), "prompt_id").select("prompt_id", "seed", L.l2(F.col("z"), F.col("x")).alias("dist"))
+    """(prompt_id, seed, dist): of each sample to its prompt's own vector."""
+    sources = few_rows(prompts.select("prompt_id", "x"), 10_000)
+    return samples.join(sources, "prompt_id").select("prompt_id", "seed", L.l2(F.col("z"), F.col("x")).alias("dist"))
 
 
 def detect_copies(samples: DataFrame, db: DataFrame, raw_threshold: float) -> DataFrame:

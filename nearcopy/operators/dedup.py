@@ -114,6 +114,8 @@ class DedupSpec:
     iters: int = 5
     seeded: bool = False
     codes: int = 16
+    #: Let the planner choose collapse and ball too (the salt of hot cells is always its choice; it changes no result).
+    planned: bool = False
 
 
 @dataclass
@@ -129,6 +131,7 @@ def dedup(df: DataFrame, spec: DedupSpec, col: str = "x") -> DedupResult:
     """Index, self-search, relative test, representatives. k counts the query itself. tie: id, or forward (of equally near codes ids after the query
     come first). collapse: rows with equal codes are tied together beforehand and searched once (not literal when k cuts a list). ball: all neighbours within the upper bound."""
     from nearcopy.operators.index import build_index, seeded_index
+    from nearcopy.plans.planner import plan_dedup, plan_search
 
     if spec.seeded:
         index = seeded_index(df, col, spec.k_cells, spec.m, spec.codes)
@@ -137,29 +140,35 @@ def dedup(df: DataFrame, spec: DedupSpec, col: str = "x") -> DedupResult:
         index = build_index(df, col, spec.k_cells, spec.m, spec.bits, codec, spec.iters)
     index.encoded = materialize(index.encoded)
     own = index.encoded.select("id", "self_dist")
+    steps = plan_search(index, 0, spec.nprobe, spec.k)
+    salt, collapse, ball = steps.salt, spec.collapse, spec.ball
+    if spec.planned:
+        chosen = plan_dedup(index, spec.k, spec.tol)
+        collapse, ball = collapse or chosen.collapse, ball or chosen.ball
+        steps.steps += chosen.steps
     asked, more = index.encoded, None
     full = index.encoded
-    if spec.collapse:
+    if collapse:
         heads = collapse_codes(index.encoded).select("id")
         asked = index.encoded.join(heads, "id", "left_semi")
         index.encoded = materialize(asked)
         more = collapsed_edges(full)
     queries = asked.select("id", "z", "self_dist")
-    if spec.ball:
-        nn = index.search_ball(queries, spec.tol, spec.nprobe, "z", True)
+    if ball:
+        nn = index.search_ball(queries, spec.tol, spec.nprobe, "z", True, salt)
     elif spec.tie == "forward":
-        near = index.search_ball(queries, spec.tol, spec.nprobe, "z", True)
+        near = index.search_ball(queries, spec.tol, spec.nprobe, "z", True, salt)
         w = Window.partitionBy("qid").orderBy(F.round("dist", 12), F.when(F.col("nid") == F.col("qid"), 0).when(F.col("nid") > F.col("qid"), 1).otherwise(2), "nid")
         nn = near.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= spec.k)
     else:
-        nn = index.search(queries, spec.k, spec.nprobe, col="z", shards=spec.shards, latent=True)
+        nn = index.search(queries, spec.k, spec.nprobe, col="z", shards=spec.shards, latent=True, salt=salt)
     edges = flag_adaptive(nn, own, spec.tol)
     if more is not None:
         edges = edges.unionByName(more).distinct()
     edges = materialize(edges)
     index.encoded = full
     reps = resolve_representatives(edges, df.select("id"), spec.mode)
-    return DedupResult(reps, edges, duplication_histogram(reps), index, {"name": spec.name, "bytes_per_vector": index.bytes_per_vector()})
+    return DedupResult(reps, edges, duplication_histogram(reps), index, {"name": spec.name, "bytes_per_vector": index.bytes_per_vector(), "plan": steps.explain()})
 
 
 # ---- histogram and prompts ------------------------------------------------------------------

@@ -9,12 +9,14 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 
-from nearcopy.functions.blocks import hash_sample, matrix, squared_distances, vectors
+from nearcopy.functions.blocks import TILE, fast_squared_distances, hash_sample, matrix, vectors
 from nearcopy.operators.codecs import Codec, IdentityCodec
 from nearcopy.operators.kmeans import first_rows, kmeans, nearest
 
 #: Query vectors (bytes) that are broadcast to the lists; more are worked off by a join on the cell.
 BROADCAST_BYTES = 64 << 20
+#: Rows that codebooks are trained on: 256 for each of 256 codewords.
+TRAIN_ROWS = 1 << 16
 
 
 # ---- product quantizer on blocks of rows -----------------------------------------------------
@@ -49,11 +51,14 @@ def quantize(x: np.ndarray, books: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return codes, out
 
 
-def lookup_distances(residual: np.ndarray, books: np.ndarray, codes: np.ndarray) -> np.ndarray:
-    """Squared distances of one query residual to all codes: sums of table entries."""
+def lookup_distances(residuals: np.ndarray, books: np.ndarray, codes: np.ndarray) -> np.ndarray:
+    """Squared distances of each query residual to all codes: sums of table entries, one block of columns after another."""
     m, _, size = books.shape
-    table = ((residual.reshape(m, 1, size) - books) ** 2).sum(axis=2)
-    return table[np.arange(m), codes].sum(axis=1)
+    out = np.zeros((len(residuals), len(codes)))
+    for b in range(m):
+        part = residuals[:, None, b * size : (b + 1) * size]
+        out += ((part - books[b][None]) ** 2).sum(axis=2)[:, codes[:, b]]
+    return out
 
 
 # ---- index ----------------------------------------------------------------------------------
@@ -182,7 +187,7 @@ class VectorIndex:
                     for c in np.unique(cell):
                         if c in asked.value:
                             mine = cell == c
-                            yield from _answers(index, asked.value[c], int(c), ids[mine], payload[mine], keep)
+                            yield from _answers(index, asked.value[c], int(c), ids[mine], payload[mine], keep, k, ball)
 
             found = lists.mapInArrow(scan, schema)
         else:
@@ -195,15 +200,17 @@ class VectorIndex:
                     return pa.table({"qid": pa.array([], pa.int64()), "nid": pa.array([], pa.int64()), "dist": pa.array([], pa.float64())})
                 payload = matrix(db.column("z")) if index.books is None else np.frombuffer(b"".join(db.column("codes").to_pylist()), index.code_dtype()).reshape(db.num_rows, -1)
                 asked = (q.column("qid").to_numpy(), matrix(q.column("z")), q.column("self_dist").to_numpy() if ball is not None else None)
-                return pa.Table.from_batches(list(_answers(index, asked, key[0].as_py(), db.column("id").to_numpy(), payload, keep)), schema=_FOUND)
+                return pa.Table.from_batches(list(_answers(index, asked, key[0].as_py(), db.column("id").to_numpy(), payload, keep, k, ball)), schema=_FOUND)
 
             found = left.groupBy("cell", "salt").cogroup(right.groupBy("cell", "salt")).applyInArrow(meet, schema)
         if ball is not None:
             return found.withColumn("rank", F.row_number().over(Window.partitionBy("qid").orderBy("dist", "nid")))
         return merge_topk(found, k)
 
-    def search_ball(self, queries: DataFrame, tol: float, nprobe: int = 1, col: str = "x", latent: bool = False) -> DataFrame:
-        return self.search(queries, 0, nprobe, "l2", col, 1, latent, None, tol)
+    def search_ball(
+        self, queries: DataFrame, tol: float, nprobe: int = 1, col: str = "x", latent: bool = False, salt: int = 1
+    ) -> DataFrame:
+        return self.search(queries, 0, nprobe, "l2", col, 1, latent, None, tol, salt)
 
     def probe(self, queries: DataFrame, nprobe: int, col: str = "x", latent: bool = False, keep_self: bool = False) -> DataFrame:
         """(qid, cell, z): each query once for each of its nprobe nearest cells."""
@@ -234,54 +241,122 @@ class VectorIndex:
 
     # -- store
     def save(self, path: str, spark: SparkSession, groups: int = 64) -> None:
-        """Parameters as one row a tensor, a manifest, and the lists by groups of cells; the manifest is written last."""
-        tensors = {f"codec.{k}": getattr(self.codec, k) for k in ("image", "image_bias", "text", "text_bias", "back", "back_bias")} | {"cells": self.cells, "books": self.books}
-        rows = [(k, list(v.shape), bytearray(np.ascontiguousarray(v, "<f8").tobytes())) for k, v in tensors.items() if v is not None]
-        spark.createDataFrame(rows, "name string, shape array<int>, data binary").coalesce(1).write.mode("overwrite").parquet(f"{path}/tensors")
+        """Parameters as one row a tensor, the lists by groups of cells, and, last of all, a manifest."""
+        sides = ("image", "image_bias", "text", "text_bias", "back", "back_bias")
+        tensors = {f"codec.{k}": getattr(self.codec, k) for k in sides} | {"cells": self.cells, "books": self.books}
+        rows = []
+        for name, v in tensors.items():
+            if v is not None:
+                rows.append((name, list(v.shape), bytearray(np.ascontiguousarray(v, "<f8").tobytes())))
+        table = spark.createDataFrame(rows, "name string, shape array<int>, data binary")
+        table.coalesce(1).write.mode("overwrite").parquet(f"{path}/tensors")
         if self.encoded is not None:
-            self.encoded.withColumn("cell_group", F.pmod("cell", F.lit(groups))).repartition("cell_group").sortWithinPartitions("cell", "id").write.mode("overwrite").partitionBy("cell_group").parquet(f"{path}/lists")
-        about = json.dumps({"by_residual": self.by_residual, "kind": self.codec.kind, "codec": self.codec.manifest, "groups": groups, "index": self.manifest}, default=float)
-        spark.createDataFrame([(about,)], "manifest string").coalesce(1).write.mode("overwrite").parquet(f"{path}/manifest")
+            _write_lists(self.encoded, path, groups, "overwrite")
+        about = {"by_residual": self.by_residual, "kind": self.codec.kind, "codec": self.codec.manifest, "groups": groups}
+        links = getattr(self.coarse, "links", None)
+        _write_manifest(about | {"index": self.manifest, "links": links, "version": 1}, path, spark)
+
+    @staticmethod
+    def append_to(path: str, df: DataFrame, col: str = "x", id_column: str = "id") -> int:
+        """Encode further rows with the saved parameters and add them to the saved lists; returns the new version."""
+        spark = df.sparkSession
+        about, index = _read_manifest(path, spark), VectorIndex.load(path, spark)
+        index.encoded = None
+        _write_lists(index.add(df, col, id_column).encoded, path, about["groups"], "append")
+        _write_manifest(about | {"version": about.get("version", 1) + 1}, path, spark)
+        return about.get("version", 1) + 1
 
     @staticmethod
     def load(path: str, spark: SparkSession) -> VectorIndex:
-        about = json.loads(spark.read.parquet(f"{path}/manifest").first()[0])
-        tensors = {r[0]: np.frombuffer(bytes(r[2]), "<f8").reshape(list(r[1])).copy() for r in spark.read.parquet(f"{path}/tensors").collect()}
-        codec = Codec(about["kind"], **{k: tensors.get(f"codec.{k}") for k in ("image", "image_bias", "text", "text_bias", "back", "back_bias")}, manifest=about["codec"])
+        """The coarse graph, if there was one, is built again from the centroids, which is deterministic."""
+        about, tensors = _read_manifest(path, spark), {}
+        for name, shape, data in spark.read.parquet(f"{path}/tensors").collect():  # one row a tensor
+            tensors[name] = np.frombuffer(bytes(data), "<f8").reshape(list(shape)).copy()
+        sides = {k: tensors.get(f"codec.{k}") for k in ("image", "image_bias", "text", "text_bias", "back", "back_bias")}
+        codec = Codec(about["kind"], **sides, manifest=about["codec"])
         lists = spark.read.parquet(f"{path}/lists").drop("cell_group")
-        return VectorIndex(tensors.get("cells"), tensors.get("books"), codec, about["by_residual"], about["index"], lists)
+        index = VectorIndex(tensors.get("cells"), tensors.get("books"), codec, about["by_residual"], about["index"], lists)
+        if about.get("links") and index.cells is not None:
+            from nearcopy.operators.smallworld import SmallWorldCoarse
+
+            index.coarse = SmallWorldCoarse(index.cells, about["links"])
+        return index
+
+
+def _write_lists(encoded: DataFrame, path: str, groups: int, mode: str) -> None:
+    rows = encoded.withColumn("cell_group", F.pmod("cell", F.lit(groups))).repartition("cell_group")
+    rows.sortWithinPartitions("cell", "id").write.mode(mode).partitionBy("cell_group").parquet(f"{path}/lists")
+
+
+def _write_manifest(about: dict, path: str, spark: SparkSession) -> None:
+    line = spark.createDataFrame([(json.dumps(about, default=float),)], "manifest string")
+    line.coalesce(1).write.mode("overwrite").parquet(f"{path}/manifest")
+
+
+def _read_manifest(path: str, spark: SparkSession) -> dict:
+    return json.loads(spark.read.parquet(f"{path}/manifest").first()[0])
 
 
 _FOUND = pa.schema([("qid", pa.int64()), ("nid", pa.int64()), ("dist", pa.float64())])
 
 
 def _keeper(k, distance, ball):
-    def keep(d2: np.ndarray, ids: np.ndarray, self_dist) -> tuple[np.ndarray, np.ndarray]:
+    """Chooses (query, row) pairs from a block of squared distances: the k nearest of each query, ties by id, or all in its ball."""
+
+    def keep(d2: np.ndarray, ids: np.ndarray, self_dist) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         d = np.sqrt(d2)
         if ball is not None:
-            some = np.flatnonzero(d <= (1 + ball) * self_dist + 1e-12)
-        elif len(d) > k:
-            border = np.partition(d, k - 1)[k - 1]
-            some = np.flatnonzero(d <= border + 1e-9 * (1 + border))
-            some = some[np.lexsort((ids[some], np.round(d[some], 12)))][:k]
+            q, r = np.nonzero(d <= ((1 + ball) * self_dist + 1e-12)[:, None])
+        elif d.shape[1] > k:
+            border = np.partition(d, k - 1, axis=1)[:, k - 1]
+            q, r = np.nonzero(d <= (border + 1e-9 * (1 + border))[:, None])
+            order = np.lexsort((ids[r], np.round(d[q, r], 12), q))
+            q, r = q[order], r[order]
+            first = np.arange(len(q)) - np.searchsorted(q, q) < k
+            q, r = q[first], r[first]
         else:
-            some = np.arange(len(d))
-        return some, d2[some] if distance == "sq" else d[some]
+            q, r = np.indices(d.shape).reshape(2, -1)
+        return q, r, (d2 if distance == "sq" else d)[q, r]
 
     return keep
 
 
-def _answers(index: VectorIndex, asked, cell: int, ids: np.ndarray, payload: np.ndarray, keep):
+def _exact_squares(z: np.ndarray, payload: np.ndarray, k: int, bound) -> np.ndarray:
+    """Squared distances by one product; those that can be kept are worked out again by differences (others may be off by rounding)."""
+    d2 = fast_squared_distances(z, payload)
+    slack = 1e-6 * (1 + (z * z).sum(1))
+    if bound is not None:
+        limit = bound**2 + slack
+    elif d2.shape[1] > k:
+        limit = np.partition(d2, k - 1, axis=1)[:, k - 1] + slack
+    else:
+        limit = np.full(len(z), np.inf)
+    q, r = np.nonzero(d2 <= limit[:, None])
+    step = max(1, TILE // z.shape[1])
+    for i in range(0, len(q), step):
+        a, b = q[i : i + step], r[i : i + step]
+        d2[a, b] = ((z[a] - payload[b]) ** 2).sum(axis=1)
+    return d2
+
+
+def _answers(index: VectorIndex, asked, cell: int, ids: np.ndarray, payload: np.ndarray, keep, k: int, ball: float | None):
+    """Blocks of queries against all rows of a list; TILE distances are held at a time."""
     qids, z, self_dist = asked
     base = index.cells[cell] if index.cells is not None and index.by_residual else 0.0
-    out = []
-    for q in range(len(qids)):
-        d2 = ((z[q] - payload) ** 2).sum(axis=1) if index.books is None else lookup_distances(z[q] - base, index.books, payload)
-        some, d = keep(d2, ids, None if self_dist is None else self_dist[q])
-        out.append((np.full(len(some), qids[q]), ids[some], d))
-        if len(out) == 512 or q == len(qids) - 1:
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([o[i] for o in out])) for i in range(3)], schema=_FOUND)
-            out = []
+    rows = min(len(ids), TILE // 16)
+    widest = max(rows, 1 if index.books is None else index.books[0].size)
+    step = max(1, TILE // widest)
+    for lo in range(0, len(ids), max(1, rows)):
+        part, names = payload[lo : lo + rows], ids[lo : lo + rows]
+        for i in range(0, len(qids), step):
+            block, own = z[i : i + step], None if self_dist is None else self_dist[i : i + step]
+            if index.books is None:
+                d2 = _exact_squares(block, part, k, None if own is None else (1 + ball) * own)
+            else:
+                d2 = lookup_distances(block - base, index.books, part)
+            q, r, d = keep(d2, names, own)
+            if len(q):
+                yield pa.RecordBatch.from_arrays([pa.array(qids[i + q]), pa.array(names[r]), pa.array(d)], schema=_FOUND)
 
 
 def _latents(df: DataFrame, col: str, codec: Codec) -> DataFrame:
@@ -289,15 +364,16 @@ def _latents(df: DataFrame, col: str, codec: Codec) -> DataFrame:
 
 
 def build_index(df: DataFrame, col: str = "x", k_cells: int = 65536, m: int | None = 4, bits: int = 8, codec: Codec | None = None, iters: int = 10, init: str = "first", by_residual: bool = True, train_sample: int | None = None, seed: int = 0, add: bool = True, coarse: str = "exact", links: int = 32) -> VectorIndex:
-    """Inverted file with product codes. k_cells = 0: no inverted file; m = None: exact vectors in the lists. Codebooks are trained on at most
-    max(train_sample or 2**18, 2**bits) rows on the driver, cells on the whole table or `train_sample` rows of it."""
+    """Inverted file with product codes. k_cells = 0: no inverted file; m = None: exact vectors in the lists. Codebooks are trained on the driver
+    on a sample by hash of at most max(train_sample or TRAIN_ROWS, 2**bits) rows (init first: they start at its smallest ids), cells on the whole
+    table or about `train_sample` rows of it."""
     codec = codec or IdentityCodec()
     z = _latents(df, col, codec)
     cells = kmeans(z, "z", k_cells, iters, init, train_sample, seed)[0] if k_cells else None
     books = None
     if m:
-        rows = z.orderBy("id") if init == "first" else hash_sample(z, train_sample or 1 << 18, "id")
-        x = np.array([r[0] for r in rows.select("z").limit(max(train_sample or 1 << 18, 1 << bits)).collect()], float)
+        rows = hash_sample(z, max(train_sample or TRAIN_ROWS, 1 << bits), "id")
+        x = matrix((rows.orderBy("id") if init == "first" else rows).select("z").toArrow().column(0))
         if not len(x):
             raise ValueError("there are no vectors")
         if cells is not None and by_residual:

@@ -6,17 +6,29 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from nearcopy.functions.blocks import fast_squared_distances, hash_sample, matrix, squared_distances, sum_rows, vectors
+from nearcopy.functions.blocks import (
+    TILE,
+    fast_squared_distances,
+    hash_sample,
+    hash_share,
+    matrix,
+    smallest_distances,
+    sum_rows,
+    vectors,
+)
 
 
 def nearest(x: np.ndarray, centroids: np.ndarray, n: int = 1, exact: bool = True) -> tuple[np.ndarray, np.ndarray]:
     """The n nearest centroids of each row (ties: the lower number) and their squared distances."""
-    d = (squared_distances if exact else fast_squared_distances)(x, centroids)
-    if n == 1:
-        at = d.argmin(axis=1)[:, None]
-    else:
-        at = np.argsort(d, axis=1, kind="stable")[:, :n]
-    return at, np.take_along_axis(d, at, axis=1)
+    if exact:
+        return smallest_distances(x, centroids, n)
+    at, best = [np.zeros((0, n), np.int64)], [np.zeros((0, n))]
+    step = max(1, TILE // max(1, len(centroids)))
+    for lo in range(0, len(x), step):
+        d = fast_squared_distances(x[lo : lo + step], centroids)
+        at.append(d.argmin(axis=1)[:, None] if n == 1 else np.argsort(d, axis=1, kind="stable")[:, :n])
+        best.append(np.take_along_axis(d, at[-1], axis=1))
+    return np.concatenate(at), np.concatenate(best)
 
 
 def first_rows(df: DataFrame, col: str, n: int, by: str = "id") -> np.ndarray:
@@ -47,7 +59,7 @@ def kmeans(df: DataFrame, col: str, k: int, iters: int = 10, init: str = "first"
     sample: rows (by hash of the id) that training looks at; k * d numbers are broadcast."""
     rows = df.select(by, col)
     if sample is not None:
-        rows = hash_sample(rows, sample, by)
+        rows = hash_share(rows, sample, by)
     centroids, costs = start(rows, col, k, init, seed, by), []
     if not len(centroids):
         return np.zeros((0, 0)), costs

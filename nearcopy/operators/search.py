@@ -6,11 +6,14 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window, functions as F
 
-from nearcopy.functions.blocks import fast_squared_distances, matrix, squared_distances
+from nearcopy.functions.blocks import TILE, fast_squared_distances, matrix
 from nearcopy.operators.index import _FOUND
 
-#: Queries that one pass over the database answers.
+#: Queries that are sent to the database, which then doesn't move; more meet it block by block in a shuffle.
 BLOCK_QUERIES = 20_000
+#: Bytes of vectors in a block of such a shuffle; a task holds two blocks.
+BLOCK_BYTES = 64 << 20
+_NEAR = "id long, nn_id long, dist double"
 
 
 def merge_topk(found: DataFrame, k: int) -> DataFrame:
@@ -22,49 +25,57 @@ def merge_topk(found: DataFrame, k: int) -> DataFrame:
 def knn_exact(queries: DataFrame, db: DataFrame, k: int, metric: str = "l2", include_self: bool = False, col: str = "x", db_col: str | None = None) -> DataFrame:
     """(qid, nid, dist, rank). metric: l2, or dot (then dist is the negative inner product).
 
-    Queries go to the database in blocks of at most BLOCK_QUERIES vectors; the database never moves, each task sends k rows a query and batch."""
-    spark, db_col, out = queries.sparkSession, db_col or col, None
-    asked = queries.select("id", col).orderBy("id")
-    at = 0
-    while True:
-        rows = asked.offset(at).limit(BLOCK_QUERIES).collect() if at else asked.limit(BLOCK_QUERIES).collect()
-        if not rows:
-            break
-        shared = spark.sparkContext.broadcast((np.array([r[0] for r in rows]), np.array([r[1] for r in rows], float)))
-        part = db.select("id", db_col).mapInArrow(_scan(shared, k, metric, include_self), "qid long, nid long, dist double")
-        out = part if out is None else out.unionByName(part)
-        if len(rows) < BLOCK_QUERIES:
-            break
-        at += BLOCK_QUERIES
-    if out is None:
-        out = spark.createDataFrame([], "qid long, nid long, dist double")
-    return merge_topk(out, k)
-
-
-def _scan(shared, k, metric, include_self):
-    def run(batches):
-        ids, q = shared.value
-        for b in batches:
-            if not b.num_rows:
-                continue
-            names, x = b.column(0).to_numpy(), matrix(b.column(1))
-            for lo in range(0, len(ids), 256):
-                block = q[lo : lo + 256]
-                if metric == "dot":
-                    d = -(block @ x.T)
-                else:
-                    d = fast_squared_distances(block, x)
-                keep = min(len(x), k + 8)
-                some = np.argpartition(d, keep - 1, axis=1)[:, :keep] if keep < len(x) else np.tile(np.arange(len(x)), (len(block), 1))
-                if metric != "dot":  # the product form loses digits: the near ones again by differences
-                    d = np.sqrt(((block[:, None, :] - x[some]) ** 2).sum(axis=2))
-                else:
-                    d = np.take_along_axis(d, some, axis=1)
-                qid, nid = np.repeat(ids[lo : lo + 256], some.shape[1]), names[some].ravel()
-                good = np.ones(len(qid), bool) if include_self else qid != nid
-                yield pa.RecordBatch.from_arrays([pa.array(qid[good]), pa.array(nid[good]), pa.array(d.ravel()[good])], schema=_FOUND)
-
-    return run
+    Up to BLOCK_QUERIES queries are broadcast and the database never moves. More are cut into blocks by a hash of the id, as is the
+    database, and each pair of blocks is one task's work: nothing reaches the driver. Either way a task sends k rows a query and block."""
+    spark, db_col = queries.sparkSession, db_col or col
+    asked, answers = queries.select("id", col), db.select("id", db_col)
+    head = asked.limit(BLOCK_QUERIES + 1).toArrow()
+    if head.num_rows <= BLOCK_QUERIES:
+        shared = spark.sparkContext.broadcast((head.column(0).to_numpy(), matrix(head.column(1))))
+
+        def scan(batches):
+            ids, q = shared.value
+            for b in batches:
+                yield from _nearest_rows(ids, q, b.column(0).to_numpy(), matrix(b.column(1)), k, metric, include_self)
+
+        return merge_topk(answers.mapInArrow(scan, "qid long, nid long, dist double"), k)
+    size = len(head.column(1)[0])
+    a, b = asked.count(), answers.count()
+    left, right = (max(1, -(-n * size * 8 // BLOCK_BYTES)) for n in (a, b))
+
+    def cut(df, own, others, mine, theirs):
+        rows = df.toDF("id", "x").withColumn(mine, F.pmod(F.xxhash64("id"), F.lit(own)))
+        return rows.withColumn(theirs, F.explode(F.sequence(F.lit(0), F.lit(others - 1))))
+
+    def meet(q: pa.Table, y: pa.Table) -> pa.Table:
+        if not q.num_rows or not y.num_rows:
+            return _FOUND.empty_table()
+        names = (q.column("id").to_numpy(), matrix(q.column("x")), y.column("id").to_numpy(), matrix(y.column("x")))
+        return pa.Table.from_batches(list(_nearest_rows(*names, k, metric, include_self)), schema=_FOUND)
+
+    pairs = cut(asked, left, right, "qb", "db").groupBy("qb", "db")
+    found = pairs.cogroup(cut(answers, right, left, "db", "qb").groupBy("qb", "db"))
+    return merge_topk(found.applyInArrow(meet, "qid long, nid long, dist double"), k)
+
+
+def _nearest_rows(ids, q, names, x, k, metric, include_self):
+    """Batches of the nearest rows of x to each query; a few more than k, so that ties by id can be settled later."""
+    rows = max(1, TILE // 128)
+    for at in range(0, len(x), rows):
+        part, mine = x[at : at + rows], names[at : at + rows]
+        for lo in range(0, len(ids), 128):
+            block = q[lo : lo + 128]
+            d = -(block @ part.T) if metric == "dot" else fast_squared_distances(block, part)
+            keep = min(len(part), k + 8)
+            some = np.argpartition(d, keep - 1, axis=1)[:, :keep]
+            if metric == "dot":
+                d = np.take_along_axis(d, some, axis=1)
+            else:  # the product form loses digits: the near ones again by differences
+                d = np.sqrt(((block[:, None, :] - part[some]) ** 2).sum(axis=2))
+            qid, nid = np.repeat(ids[lo : lo + 128], keep), mine[some].ravel()
+            good = np.ones(len(qid), bool) if include_self else qid != nid
+            columns = [pa.array(qid[good]), pa.array(nid[good]), pa.array(d.ravel()[good])]
+            yield pa.RecordBatch.from_arrays(columns, schema=_FOUND)
 
 
 def knn_joined(queries: DataFrame, db: DataFrame, k: int, col: str = "x") -> DataFrame:
@@ -90,35 +101,51 @@ def with_chunks(df: DataFrame, chunk_size: int, stride: int | None = None) -> Da
     return df.withColumn("chunk_id", F.explode(F.sequence(F.least(first, last), last)))
 
 
-def chunk_nearest(df: DataFrame, col: str = "x", chunk_size: int = 10_000_000, stride: int | None = None, block: int = 4096) -> DataFrame:
+def chunk_nearest(df: DataFrame, col: str = "x", chunk_size: int = 10_000_000, stride: int | None = None, block: int | None = None) -> DataFrame:
     """(id, nn_id, dist): the nearest other row within the chunk, over all its chunks; ties by id.
 
-    A chunk is cut into blocks of `block` rows by id; each pair of blocks is one task's work, so a task holds two blocks however large the chunk is.
-    A row that is alone in its chunks has no partner."""
-    rows = with_chunks(df.select("id", col), chunk_size, stride).withColumn("b", F.floor(F.pmod("id", F.lit(stride or chunk_size)) / block))
-    parts = -(-(stride or chunk_size) // block)
-    span = rows.agg(F.max("b")).first()[0]
-    parts = min(parts, (span or 0) + 1)
-    to = F.explode(F.sequence(F.lit(0), F.lit(parts - 1)))
-    left = rows.withColumn("other", to)
-    right = rows.select(F.col("id").alias("id2"), F.col(col).alias("x2"), F.col("chunk_id").alias("chunk2"), F.col("b").alias("other2"), F.explode(F.sequence(F.lit(0), F.lit(parts - 1))).alias("b2"))
-
-    def meet(a: pa.Table, b: pa.Table) -> pa.Table:
-        if not a.num_rows or not b.num_rows:
-            return pa.table({"id": pa.array([], pa.int64()), "nn_id": pa.array([], pa.int64()), "dist": pa.array([], pa.float64())})
-        ids, others, x, y = a.column("id").to_numpy(), b.column("id2").to_numpy(), matrix(a.column(col)), matrix(b.column("x2"))
-        out = []
-        for lo in range(0, len(ids), 256):
-            d = fast_squared_distances(x[lo : lo + 256], y)
-            d[ids[lo : lo + 256, None] == others[None]] = np.inf
-            near = np.argsort(d, axis=1, kind="stable")[:, :4]
-            exact = np.where(np.isinf(np.take_along_axis(d, near, 1)), np.inf, ((x[lo : lo + 256, None, :] - y[near]) ** 2).sum(axis=2))
-            order = np.lexsort((others[near], np.round(exact, 12)), axis=1)[:, 0]
-            rows_ = np.arange(len(near))
-            out.append((ids[lo : lo + 256], others[near[rows_, order]], np.sqrt(exact[rows_, order])))
-        i, n, d = (np.concatenate(c) for c in zip(*out, strict=True))
-        good = np.isfinite(d)
-        return pa.table({"id": i[good], "nn_id": n[good], "dist": d[good]})
-
-    found = left.groupBy("chunk_id", "b", "other").cogroup(right.groupBy("chunk2", "b2", "other2")).applyInArrow(meet, "id long, nn_id long, dist double")
-    return found.groupBy("id").agg(F.min(F.struct(F.round("dist", 12).alias("d"), F.col("nn_id").alias("n"), F.col("dist").alias("e"))).alias("m")).select("id", F.col("m.n").alias("nn_id"), F.col("m.e").alias("dist"))
+    A chunk is cut into blocks of `block` rows by id (as many as fit BLOCK_BYTES unless given). Each unordered pair of blocks is
+    one task's work, which serves the rows of both, so a task holds two blocks however large the chunk is, and a row
+    moves once for each block of its chunk. A row that is alone in its chunks has no partner."""
+    rows, period = with_chunks(df.select("id", col), chunk_size, stride), stride or chunk_size
+    head = df.select(F.size(col)).where(F.col(col).isNotNull()).first()
+    if block is None:
+        block = max(1024, BLOCK_BYTES // (8 * max(1, head[0] if head else 1)))
+    rows = rows.withColumn("b", F.floor(F.pmod("id", F.lit(period)) / block))
+    parts = (rows.agg(F.max("b")).first()[0] or 0) + 1
+    other = F.explode(F.sequence(F.lit(0), F.lit(parts - 1)))
+    both = rows.withColumn("other", other).select(
+        "chunk_id", F.least("b", "other").alias("low"), F.greatest("b", "other").alias("high"), "b", "id", F.col(col).alias("x")
+    )
+
+    def meet(t: pa.Table) -> pa.Table:
+        low, high, own = (t.column(n).to_numpy() for n in ("low", "high", "b"))
+        ids, x = t.column("id").to_numpy(), matrix(t.column("x"))
+        first, second = own == low, own == high
+        out = [_nearest_other(ids[first], x[first], ids[second], x[second])]
+        if low[0] != high[0]:
+            out.append(_nearest_other(ids[second], x[second], ids[first], x[first]))
+        return pa.concat_tables(out)
+
+    found = both.groupBy("chunk_id", "low", "high").applyInArrow(meet, _NEAR)
+    best = F.min(F.struct(F.round("dist", 12).alias("d"), F.col("nn_id").alias("n"), F.col("dist").alias("e"))).alias("m")
+    return found.groupBy("id").agg(best).select("id", F.col("m.n").alias("nn_id"), F.col("m.e").alias("dist"))
+
+
+def _nearest_other(ids: np.ndarray, x: np.ndarray, others: np.ndarray, y: np.ndarray) -> pa.Table:
+    out = [(np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))]
+    step = max(1, TILE // max(1, len(y)))
+    for lo in range(0, len(ids) if len(y) else 0, step):
+        block = x[lo : lo + step]
+        d = fast_squared_distances(block, y)
+        d[ids[lo : lo + step, None] == others[None]] = np.inf
+        keep = min(4, len(y))
+        near = np.argpartition(d, keep - 1, axis=1)[:, :keep]
+        exact = ((block[:, None, :] - y[near]) ** 2).sum(axis=2)
+        exact[np.isinf(np.take_along_axis(d, near, 1))] = np.inf
+        order = np.lexsort((others[near], np.round(exact, 12)), axis=1)[:, 0]
+        rows = np.arange(len(near))
+        out.append((ids[lo : lo + step], others[near[rows, order]], np.sqrt(exact[rows, order])))
+    i, n, d = (np.concatenate(c) for c in zip(*out, strict=True))
+    good = np.isfinite(d)
+    return pa.table({"id": i[good], "nn_id": n[good], "dist": d[good]})

@@ -5,6 +5,7 @@ from __future__ import annotations
 import numpy as np
 from pyspark.sql import Window as W, functions as F
 
+from nearcopy.components import materialize
 from nearcopy.functions import features as FE, linalg as L, losses
 from nearcopy.operators import auto, codecs, copies, dedup, index as I, kmeans as K, metrics as M, multimodal as MM, search as S
 from nearcopy.registry.relational import table
@@ -294,7 +295,8 @@ ADAPTIVE = f"(SELECT n.qid AS i, n.nid AS j FROM {NN} n JOIN enc s ON s.id = n.q
 
 
 def doc_index(spark, d):
-    return I.seeded_index(FE.doc_vec(docs(spark, d)))
+    """The features are written once; the index is trained on them, filled from them and asked with them."""
+    return I.seeded_index(materialize(FE.doc_vec(docs(spark, d)))).materialize()
 
 
 def doc_nn(spark, d):
@@ -328,7 +330,7 @@ REPS = _ROOT.format(pick="max", edges=ADAPTIVE)
 
 
 def doc_reps(spark, d, mode="ordered"):
-    return dedup.resolve_representatives(doc_edges(spark, d), FE.doc_vec(docs(spark, d)).select("id"), mode)
+    return dedup.resolve_representatives(doc_edges(spark, d), docs(spark, d).select(F.col("doc_id").cast("long").alias("id")), mode)
 
 
 @query(f"{SEEDED_DOC}{REPS} SELECT id, rep FROM reps")

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import json
+
 from pyspark.sql import DataFrame, SparkSession, functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, In, InputPartition
 
@@ -37,7 +39,7 @@ class _Reader(DataSourceReader):
         found = ds.dataset(f"{self.path}/lists", partitioning="hive").files
         groups = sorted({p.rpartition("/")[0] for p in found})
         if self.cells is not None and groups:
-            n = 64
+            n = saved_groups(ds.dataset(f"{self.path}/manifest").to_table().column("manifest")[0].as_py())
             wanted = {f"cell_group={c % n}" for c in self.cells}
             groups = [g for g in groups if g.rpartition("/")[2] in wanted]
         return [_Cells(g, self.cells) for g in groups] or [_Cells("", None)]
@@ -54,18 +56,27 @@ class _Reader(DataSourceReader):
 
 class _PruningReader(_Reader):
     def pushFilters(self, filters):
+        """Several filters on the cell are met by their common values."""
         for f in filters:
             if isinstance(f, EqualTo) and f.attribute == ("cell",):
-                self.cells = (f.value,)
+                wanted = (f.value,)
             elif isinstance(f, In) and f.attribute == ("cell",):
-                self.cells = tuple(f.value)
+                wanted = tuple(f.value)
             else:
                 yield f
+                continue
+            self.cells = wanted if self.cells is None else tuple(c for c in self.cells if c in wanted)
+
+
+def saved_groups(manifest: str) -> int:
+    """The number of groups of cells that a saved index was written with."""
+    return int(json.loads(manifest)["groups"])
 
 
-def read_lists(spark: SparkSession, path: str, cells: list[int] | None = None, groups: int = 64) -> DataFrame:
+def read_lists(spark: SparkSession, path: str, cells: list[int] | None = None) -> DataFrame:
     """The lists by Spark's own reader, which any store serves: cells prune the partition folders and row groups."""
     lists = spark.read.parquet(f"{path}/lists")
     if cells is None:
         return lists.drop("cell_group")
+    groups = saved_groups(spark.read.parquet(f"{path}/manifest").first()[0])
     return lists.where(F.col("cell_group").isin(sorted({c % groups for c in cells})) & F.col("cell").isin(cells)).drop("cell_group")
