@@ -336,7 +336,12 @@ def test_repeat_removal(spark):
     for k in range(25):
         a = int(rng.integers(0, 1300))
         rows.append((300 + k, "".join(rng.choice(list("xyz "), size=120)) + base[a : a + int(rng.integers(90, 250))]))
-    got = {r[0]: (r[1], r[2], r[3], r[4]) for r in parsing.remove_repeats(spark.createDataFrame(rows, "doc_id long, text string"), with_bytes=False).collect()}
+    same_removal(spark, rows)
+
+
+def same_removal(spark, rows):
+    table = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    got = {r[0]: (r[1], r[2], r[3], r[4]) for r in parsing.remove_repeats(table, with_bytes=False).collect()}
     seen = set()
     for i, t in sorted(rows, key=lambda r: r[0]):
         d = (t or "").encode()
@@ -346,7 +351,41 @@ def test_repeat_removal(spark):
                 gone[p : p + 100] = True
             seen.add(d[p : p + 100])
         spans = int((np.diff(np.concatenate(([0], gone.astype(int)))) == 1).sum())
-        assert got[i] == (len(d), int(gone.sum()), spans, hashlib.sha256(np.frombuffer(d, np.uint8)[~gone].tobytes()).hexdigest())
+        kept = hashlib.sha256(np.frombuffer(d, np.uint8)[~gone].tobytes()).hexdigest()
+        assert got[i] == (len(d), int(gone.sum()), spans, kept)
+
+
+def test_repeat_removal_of_shared_lines(spark, monkeypatch):
+    """One line in many surroundings: its triggers have more entries than GROUP, so their strings are settled one by one."""
+    rng = np.random.default_rng(5)
+    word = lambda n: "".join(rng.choice(list("abcdefghijklmnop "), size=n))
+    line = word(260)
+    rows = [(i, word(int(rng.integers(20, 200))) + line[int(rng.integers(0, 60)) :] + word(int(rng.integers(0, 200)))) for i in range(60)]
+    same_removal(spark, rows)
+    monkeypatch.setattr(parsing, "GROUP", 4)
+    same_removal(spark, rows)
+
+
+def test_repeat_removal_of_long_texts(spark):
+    """Texts beyond one block, which repeat parts of themselves and of others, and bytes without any trigger."""
+    rng = np.random.default_rng(6)
+    long = "".join(rng.choice(list("abcdefgh ijkl"), size=1_300_000))
+    rows = [(1, long + long[500:900] + "q" * 3000), (2, "w" * 150 + long[1_000_000:1_200_000] + "q" * 500), (3, "short"), (4, long[:99])]
+    same_removal(spark, rows)
+
+
+def test_triggers_depend_on_the_string_alone():
+    rng = np.random.default_rng(8)
+    part = rng.integers(97, 110, 100, dtype=np.uint8)
+    found = set()
+    for _ in range(50):
+        before, after = (rng.integers(97, 110, int(n), dtype=np.uint8) for n in rng.integers(0, 300, 2))
+        data = np.concatenate([before, part, after])
+        _, _, _, trigger, first, last = parsing.phrases(data, np.array([0, len(data)]))
+        k = np.flatnonzero((first <= len(before)) & (len(before) <= last))
+        assert len(k) == 1
+        found.add(int(trigger[k[0]] - len(before)))
+    assert len(found) == 1
 
 
 def test_pipeline_stages(spark, data):
