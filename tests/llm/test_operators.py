@@ -303,13 +303,52 @@ def test_repeated_passages_with_common_lines(spark):
     assert len(set(last) - got) <= 1 and not got - set(last)
 
 
+def test_repeated_passages_finds_near_copies(spark):
+    """Passages with some words changed, beside a line that all texts share; truth by the Jaccard similarity of their 5-grams."""
+    rng = np.random.default_rng(11)
+    line = [f"common{x}" for x in range(30)]
+    rows, want, clean = [], set(), set()
+
+    def new(n):
+        return [f"w{x}" for x in rng.integers(0, 10**6, n)]
+
+    def grams(w):
+        return {tuple(w[i : i + 5]) for i in range(len(w) - 4)}
+
+    for _ in range(200):
+        p = new(int(rng.integers(55, 140)))
+        q = list(p)
+        for _ in range(int(rng.integers(0, 3))):
+            q[int(rng.integers(0, len(q)))] = new(1)[0]
+        clean.add(len(rows))
+        rows.append((len(rows), " ".join(new(40) + line + p + new(60))))
+        if 10 * len(grams(p) & grams(q)) >= 8 * len(grams(p) | grams(q)):
+            want.add(len(rows))
+        rows.append((len(rows), " ".join(new(int(rng.integers(5, 80))) + q + line + new(30))))
+    table = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
+    got = {r.doc_id for r in passages.repeated_passages(table).where("n_repeated >= 50").collect()}
+    assert len(want & got) >= 0.95 * len(want) and not got & clean
+
+
+def test_copies_of_one_text_are_settled_in_their_tasks(spark):
+    """Hundreds of exact copies: all but the first are repeats, wherever they lie."""
+    text = " ".join(f"w{x}" for x in np.random.default_rng(12).integers(0, 10**6, 90))
+    table = spark.createDataFrame([(i, text) for i in range(300)], "doc_id long, text string").repartition(6)
+    got = {r.doc_id: r.n_repeated for r in passages.repeated_passages(table).collect()}
+    assert got == {i: 90 if i else 0 for i in range(300)}
+
+
 def test_pairs_of_nodes_do_not_depend_on_batches():
     rng = np.random.default_rng(3)
     n = 400
-    cols = [rng.integers(0, 12, n), rng.integers(0, 40, n), rng.integers(0, 9, n), *[np.ones(n, np.int64)] * 2, np.zeros(n, np.int64), rng.integers(0, 4, n), rng.integers(0, 4, n)]
+    nothing = passages.pa.nulls(n, passages.pa.int64())
+    cols = [rng.integers(0, 12, n), rng.integers(0, 40, n), rng.integers(0, 90, n) << 4, rng.integers(0, 4, n) << 2]
     order = np.lexsort((cols[2], cols[1], cols[0]))
-    whole = passages.pa.RecordBatch.from_arrays([passages.pa.array(c[order]).cast(f.type) for c, f in zip(cols, passages._NODE, strict=True)], schema=passages._NODE)
-    pairs = lambda parts: sorted(r for b in passages._pair_up(parts) for r in zip(*(c.to_pylist() for c in b.columns), strict=True))
+    whole = passages.batch(passages._NODE, *[c[order] for c in cols], nothing, nothing)
+
+    def pairs(parts):
+        return sorted(r for b in passages._pair_up(parts) for r in zip(*(c.to_pylist() for c in b.columns), strict=True))
+
     assert pairs([whole]) == pairs([whole.slice(i, 7) for i in range(0, n, 7)])
 
 
