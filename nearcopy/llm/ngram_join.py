@@ -3,18 +3,24 @@
 Texts with equal sets are one class; everything below is on classes. With s shingles in the smaller and
 s' in the larger set, a pair is linked when it shares c(s, s') of them.
 
-Light sets (at most `boundary` shingles): all subsets of c(s, s') shingles are enumerated for each size s' a partner may have.
-Two sets with a common subset under the same pair of sizes are linked, so each subset's group is a star of
-true links with no further check.
+Light sets (at most `boundary` shingles): all subsets of c(s, s') shingles are enumerated for each size s' a partner may
+have. Two sets with a common subset under the same pair of sizes are linked, so each subset's group is a star of links.
+Subsets are told apart by 128 bits, as classes are.
 
 Heavy sets: inverted lists over each set's rarest shingles, s - ceil(t s) + m(s) of them; linked sets meet in at least
-min(m, m') lists, where m(s) grows with s. Rarity comes from a count sketch of all documents, as wide as they need; it decides only the
+min(m, m') lists, where m(s) grows with s. Rarity comes from a count sketch of all documents, as wide as they need;
+it decides only the
 order, not the result. A list is cut where the next size is too large for a link. The pairs of a short list are
 counted over all lists, and those that meet too seldom are dropped; a long list isn't paired off but ties its members
 together. Components of what remains are groups: each set travels once to its group, and there pairs are
 refuted by parity bitmaps (the popcount of their exclusive or never exceeds the symmetric difference) or decided by an
 exact merge. Pairs already connected are skipped, so a group yields a spanning forest of its links, not all pairs.
-A group beyond `group_shingles` is split into size bands and hash parts, whose pairs are worked off in blocks.
+
+A group beyond `group_shingles` shingles or `group_sets` sets is dealt to parts by a hash. About eight of its sets go
+to all parts, so that
+near copies are connected across them by links with these. What is then not in the group's largest component is
+compared with all sets of the group that are in other components, in blocks of bounded size by size bands; near
+copies of one text leave nothing for that, and no link is lost where they do.
 
 The boundary is where enumeration gets dearer than lists, from the sizes of all classes.
 """
@@ -31,16 +37,30 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from nearcopy.components import connected_components, materialize
-from nearcopy.llm.common import SOLID_BYTES, Words, arrow_map, batch, blocks, bloom_test, check_columns, documents, mix, text_bytes
+from nearcopy.llm.common import (
+    SOLID_BYTES,
+    Words,
+    arrow_map,
+    batch,
+    blocks,
+    bloom_test,
+    check_columns,
+    documents,
+    mix,
+    text_bytes,
+)
 
 SHINGLE, PERCENT = 4, 85
-#: Least and most counters of the sketch (powers of two; a byte each when it is sent out), and slices in which it is added up.
+#: Least and most counters of the sketch (powers of two; a byte each when it is sent out), and slices in which it is
+#: added up.
 SKETCH, SLICES = (1 << 18, 1 << 25), 256
 #: Longest list whose pairs are counted.
 SHORT = 8
 #: Largest size for which subsets are considered at all, and cost of a list entry in subsets.
 MAX_LIGHT, LIST_COST = 16, 4.0
-GROUP_SHINGLES = 1 << 22
+#: Shingles, and sets, of a group that one task verifies; and about how many sets of a larger group go to all its parts.
+GROUP_SHINGLES, GROUP_SETS, LEADERS = 1 << 22, 512, 8
+_CHECK = np.uint64(0x2545F4914F6CDD1D)
 _WORDS = 16  # of 64 bits, in a parity bitmap
 
 
@@ -89,10 +109,12 @@ def _count(shingle, counters):
         for b in batches:
             data, offsets = text_bytes(b.column("_text"))
             for i, j in blocks(offsets):
-                np.add.at(total, _rank(shingle_sets(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i], shingle)[0], counters), 1)
+                hashes, _ = shingle_sets(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i], shingle)
+                np.add.at(total, _rank(hashes, counters), 1)
         if total.any():
             kind = np.min_scalar_type(int(total.max()))
-            yield batch(schema, list(range(SLICES)), [bytes([kind.itemsize]) + zlib.compress(x.tobytes(), 1) for x in total.astype(kind).reshape(SLICES, -1)])
+            packed = [zlib.compress(x.tobytes(), 1) for x in total.astype(kind).reshape(SLICES, -1)]
+            yield batch(schema, list(range(SLICES)), [bytes([kind.itemsize]) + x for x in packed])
 
     return run
 
@@ -105,14 +127,16 @@ def _add_up(batches):
             counts = np.frombuffer(zlib.decompress(memoryview(raw)[1:]), f"u{raw[0]}").astype(np.uint64)
             sums[k] = sums[k] + counts if k in sums else counts
     if sums:
-        yield batch(schema, list(sums), [np.minimum(255, 8 * np.log2(1.0 + x)).astype(np.uint8).tobytes() for x in sums.values()])
+        levels = [np.minimum(255, 8 * np.log2(1.0 + x)).astype(np.uint8).tobytes() for x in sums.values()]
+        yield batch(schema, list(sums), levels)
 
 
 def shingle_levels(texts: DataFrame, shingle: int = SHINGLE) -> np.ndarray:
     """Level of frequency (0 to 255, eight a doubling) of each sketch counter, over all documents; at most 32 MB."""
     size = texts.agg(F.sum(F.octet_length("_text"))).first()[0] or 0
     counters = min(SKETCH[1], max(SKETCH[0], 1 << (size // 96).bit_length()))  # about one for 16 words
-    parts = texts.transform(arrow_map, _count(shingle, counters), "slice int, counts binary").repartition("slice").transform(arrow_map, _add_up, "slice int, levels binary").collect()  # SLICES rows
+    parts = texts.transform(arrow_map, _count(shingle, counters), "slice int, counts binary").repartition("slice")
+    parts = parts.transform(arrow_map, _add_up, "slice int, levels binary").collect()  # SLICES rows
     out = np.zeros(counters, np.uint8)
     for r in parts:
         out[r[0] * (counters // SLICES) : (r[0] + 1) * (counters // SLICES)] = np.frombuffer(r[1], np.uint8)
@@ -120,7 +144,7 @@ def shingle_levels(texts: DataFrame, shingle: int = SHINGLE) -> np.ndarray:
 
 
 def _profile(levels, shingle, percent):
-    schema = pa.schema([("doc_id", pa.int64()), ("n", pa.int64()), ("h1", pa.int64()), ("h2", pa.int64()), ("rare", pa.binary())])
+    schema = pa.schema([*[(n, pa.int64()) for n in ("doc_id", "n", "h1", "h2")], ("rare", pa.binary())])
 
     def run(batches):
         level = levels.value
@@ -153,8 +177,12 @@ def choose_boundary(sizes: dict[int, int], percent: int = PERCENT) -> int:
     """The light boundary with the least cost. sizes: classes of each size up to MAX_LIGHT / (percent / 100)."""
     best, least = 0, math.inf
     for x in range(MAX_LIGHT + 1):
-        subsets = sum(c * sum(math.comb(s, need(s, o, percent)) for o in _partners(s, x, percent)) for s, c in sizes.items() if s <= x)
-        entries = sum(c * (s - -(-percent * s // 100) + 1) * LIST_COST for s, c in sizes.items() if 100 * s >= percent * (x + 1))
+        subsets = entries = 0
+        for s, c in sizes.items():
+            if s <= x:
+                subsets += c * sum(math.comb(s, need(s, o, percent)) for o in _partners(s, x, percent))
+            if 100 * s >= percent * (x + 1):
+                entries += c * (s - -(-percent * s // 100) + 1) * LIST_COST
         if subsets + entries < least:
             best, least = x, subsets + entries
     return best
@@ -169,7 +197,9 @@ def _subsets(n: int, c: int) -> np.ndarray:
     return np.array(list(combinations(range(n), c)), np.int64)
 
 
-_ENTRY = pa.schema([("key", pa.int64()), ("kind", pa.int8()), ("n", pa.int32()), ("rep", pa.int64())])
+_ENTRY = pa.schema(
+    [("key", pa.int64()), ("check", pa.int64()), ("kind", pa.int8()), ("n", pa.int32()), ("rep", pa.int64())]
+)
 
 
 def _entries(boundary, percent):
@@ -178,24 +208,29 @@ def _entries(boundary, percent):
     def run(batches):
         for b in batches:
             reps, sizes, raws = b.column("rep").to_numpy(), b.column("n").to_numpy(), b.column("rare")
-            keys, kinds, rows = [], [], []
+            keys, checks, kinds, rows = [], [], [], []
             for r in range(len(reps)):
                 n, hashes = int(sizes[r]), np.frombuffer(raws[r].as_py(), np.uint64)
                 if 100 * n >= percent * (boundary + 1):
                     p = int(rarest(n, percent))
                     keys.append(hashes[:p])
+                    checks.append(np.zeros(p, np.uint64))
                     kinds.append(np.zeros(p, np.int8))
                     rows.append(np.full(p, r))
                 if n <= boundary:
-                    members = mix(np.sort(hashes))
+                    hashes = np.sort(hashes)
+                    members, second = mix(hashes), mix(hashes ^ _CHECK)
                     for o in _partners(n, boundary, percent):
-                        sums = members[_subsets(n, need(n, o, percent))].sum(axis=1, dtype=np.uint64)
+                        chosen = _subsets(n, need(n, o, percent))
+                        sums = members[chosen].sum(axis=1, dtype=np.uint64)
                         keys.append(mix(sums + mix(np.array([min(n, o) << 32 | max(n, o)], np.uint64))))
+                        checks.append(mix(second[chosen].sum(axis=1, dtype=np.uint64)))
                         kinds.append(np.full(len(sums), 1 if n <= o else 2, np.int8))
                         rows.append(np.full(len(sums), r))
             if keys:
                 rows = np.concatenate(rows)
-                yield batch(_ENTRY, np.concatenate(keys).view(np.int64), np.concatenate(kinds), sizes[rows].astype(np.int32), reps[rows])
+                names = (np.concatenate(x).view(np.int64) for x in (keys, checks))
+                yield batch(_ENTRY, *names, np.concatenate(kinds), sizes[rows].astype(np.int32), reps[rows])
 
     return run
 
@@ -204,8 +239,10 @@ STAR, LIGHT, PAIR = range(3)
 
 
 def _meet(percent):
-    """Entries sorted by key, kind, n, rep: (a, b, how, needed). Of a long list and of a subset's group, each member with the first
-    (STAR, LIGHT); of a short list, or part of one between sizes too far apart, all pairs (PAIR) with the meetings they need."""
+    """Entries sorted by key, check, kind, n, rep: (a, b, how, needed). Of a long list and of a subset's group, each
+    member with the first
+    (STAR, LIGHT); of a short list, or part of one between sizes too far apart, all pairs (PAIR) with the meetings
+    they need."""
     schema = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("how", pa.int8()), ("needed", pa.int32())])
 
     def pairs(key_rows, start, size):
@@ -218,7 +255,8 @@ def _meet(percent):
                 for y in range(x + 1, k):
                     near = 100 * n[at + x].astype(np.int64) >= percent * n[at + y]
                     i, j = at[near] + x, at[near] + y
-                    out.append((rep[i], rep[j], np.full(len(i), PAIR, np.int8), meetings(np.minimum(n[i], n[j])).astype(np.int32)))
+                    times = meetings(np.minimum(n[i], n[j])).astype(np.int32)
+                    out.append((rep[i], rep[j], np.full(len(i), PAIR, np.int8), times))
         return out
 
     def run(batches):
@@ -231,10 +269,11 @@ def _meet(percent):
             if held:
                 rows = [np.concatenate((x, y)) for x, y in zip(held[0], rows, strict=True)]
                 told, hub0, kind0 = held[1:]
-            key, kind, n, rep = rows
+            key, check, kind, n, rep = rows
             light = kind > 0
             new = np.ones(len(key), bool)
-            new[1:] = (key[1:] != key[:-1]) | (light[1:] != light[:-1]) | (~light[1:] & (100 * n[:-1].astype(np.int64) < percent * n[1:]))
+            new[1:] = (key[1:] != key[:-1]) | (check[1:] != check[:-1]) | (light[1:] != light[:-1])
+            new[1:] |= ~light[1:] & (100 * n[:-1].astype(np.int64) < percent * n[1:])
             start = np.flatnonzero(new)
             size = np.diff(np.append(start, len(key)))
             star = light[start] | (size > SHORT)
@@ -245,7 +284,8 @@ def _meet(percent):
             each = star[segment] & (rep != hub[segment]) & (hub_kind[segment] < 2)
             if told:
                 each[0] = False
-            out = [(hub[segment[each]], rep[each], np.where(light[each], LIGHT, STAR).astype(np.int8), np.ones(int(each.sum()), np.int32))]
+            how = np.where(light[each], LIGHT, STAR).astype(np.int8)
+            out = [(hub[segment[each]], rep[each], how, np.ones(len(how), np.int32))]
             done = ~star
             done[-1] = False
             out += pairs((n, rep), start[done], size[done])
@@ -255,7 +295,7 @@ def _meet(percent):
             keep = slice(len(key) - 1, None) if star[-1] else slice(start[-1], None)
             held = ([c[keep].copy() for c in rows], int(star[-1]), hub[-1], hub_kind[-1])
         if held and not held[1]:
-            key, kind, n, rep = held[0]
+            *_, n, rep = held[0]
             out = pairs((n, rep), np.array([0]), np.array([len(rep)]))
             if out:
                 yield batch(schema, *[np.concatenate(c) for c in zip(*out, strict=True)])
@@ -263,7 +303,13 @@ def _meet(percent):
     return run
 
 
-_SET = pa.schema([("group", pa.int64()), ("band", pa.int32()), ("i", pa.int32()), ("j", pa.int32()), ("part", pa.int32()), ("own", pa.bool_()), ("rep", pa.int64()), ("n", pa.int32()), ("hashes", pa.binary())])
+_SET = pa.schema(
+    [
+        *[("group", pa.int64()), ("band", pa.int32()), ("i", pa.int32()), ("j", pa.int32())],
+        *[("part", pa.int64()), ("own", pa.bool_()), ("rep", pa.int64()), ("n", pa.int32()), ("hashes", pa.binary())],
+    ]
+)
+_SETS = "group long, band int, i int, j int, part long, own boolean, rep long, n int, hashes binary"
 
 
 def _band(n: np.ndarray, percent: int) -> np.ndarray:
@@ -271,38 +317,65 @@ def _band(n: np.ndarray, percent: int) -> np.ndarray:
     return np.floor(np.log(n) / np.log(100 / percent) * (1 - 1e-9)).astype(np.int64)
 
 
-def _to_groups(shingle, percent, group_shingles):
-    """Each set to its group; of a large group, to every block of pairs that it is part of."""
+def _set_rows(shingle, places):
+    """Rows of _SET: each set, with its hashes, at all `places(row, rep, size)` of (band, i, j, part, own)."""
 
     def run(batches):
         for b in batches:
             data, offsets = text_bytes(b.column("_text"))
-            group, rep, total = (b.column(c).to_numpy() for c in ("group", "_id", "total"))
+            group, reps = b.column("group").to_pylist(), b.column("_id").to_pylist()
+            facts = {c: b.column(c).to_pylist() for c in b.schema.names if c not in ("_id", "_text", "group")}
             for i, j in blocks(offsets):
                 hashes, bounds = shingle_sets(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i], shingle)
-                n = np.diff(bounds)
-                bands = _band(np.maximum(n, 1), percent)
-                rows = []
-                for d in range(len(n)):
-                    raw, r = hashes[bounds[d] : bounds[d + 1]].tobytes(), i + d
-                    if total[r] <= group_shingles:
-                        rows.append((group[r], 0, 0, 0, 0, True, rep[r], n[d], raw))
-                        continue
-                    parts = -(-int(total[r]) // group_shingles)
-                    mine = int(mix(np.array([rep[r]], np.int64).view(np.uint64))[0] % np.uint64(parts))
-                    for band, own in ((bands[d], True), (bands[d] - 1, False)):
-                        rows += [(group[r], band, min(mine, o), max(mine, o), mine, own, rep[r], n[d], raw) for o in range(parts)]
-                    if len(rows) > 1000:
-                        yield batch(_SET, *map(list, zip(*rows, strict=True)))
-                        rows = []
+                rows, size = [], 0
+                for d in range(j - i):
+                    raw, row = hashes[bounds[d] : bounds[d + 1]].tobytes(), {c: v[i + d] for c, v in facts.items()}
+                    for place in places(row, reps[i + d], len(raw) // 8):
+                        rows.append((group[i + d], *place, reps[i + d], len(raw) // 8, raw))
+                        size += len(raw)
+                        if size > 4 << 20:
+                            yield batch(_SET, *map(list, zip(*rows, strict=True)))
+                            rows, size = [], 0
                 if rows:
                     yield batch(_SET, *map(list, zip(*rows, strict=True)))
 
     return run
 
 
-def spanning_links(reps: np.ndarray, sets: list[np.ndarray], may: np.ndarray | None = None, percent: int = PERCENT) -> list[tuple[int, int]]:
-    """A spanning forest of the links among the sets. may: which sets may pair with which, by their part and band: see _verify."""
+def _hash(rep: int, salt: int) -> int:
+    return int(mix(np.array([rep], np.int64).view(np.uint64) ^ np.uint64(salt))[0])
+
+
+def _to_parts(row, rep, size):
+    """Each set to a part of its group; a few sets to all."""
+    if row["parts"] == 1:
+        return [(0, 0, 0, 0, True)]
+    if _hash(rep, 1) % max(1, row["members"] // LEADERS) == 0:
+        return [(0, p, 0, 0, True) for p in range(row["parts"])]
+    return [(0, _hash(rep, 0) % row["parts"], 0, 0, True)]
+
+
+def _to_blocks(percent):
+    """Sets outside of the largest component to all blocks of their band (own), and all sets to the blocks of the
+    bands around theirs."""
+
+    def places(row, rep, size):
+        band, mine = int(_band(np.array([max(size, 1)]), percent)[0]), _hash(rep, 0) % row["parts"]
+        out = [(x, u, mine, row["label"], False) for x in (band - 1, band, band + 1) for u in range(row["asked"])]
+        if row["apart"]:
+            own = _hash(rep, 2) % row["asked"]
+            out += [(band, own, p, row["label"], True) for p in range(row["parts"])]
+        return out
+
+    return places
+
+
+def spanning_links(
+    reps: np.ndarray, sets: list[np.ndarray], may: np.ndarray | None = None, percent: int = PERCENT
+) -> list[tuple[int, int]]:
+    """A spanning forest of the links among the sets. may: (label, own) of each; then only sets with different labels
+    pair, of which one
+    is an own one and one is not."""
     order = np.argsort([len(s) for s in sets], kind="stable")
     sets, reps = [sets[k] for k in order], reps[order]
     kinds = may[order] if may is not None else None
@@ -341,11 +414,10 @@ def spanning_links(reps: np.ndarray, sets: list[np.ndarray], may: np.ndarray | N
 
 
 def _pairable(one: np.ndarray, others: np.ndarray) -> np.ndarray:
-    """Rows (part, own): in a block of parts i and j, pairs are of different parts unless i = j, and one at least is of the block's own band."""
-    return ((others[:, 0] != one[0]) | (one[2] == 1)) & (others[:, 1].astype(bool) | bool(one[1]))
+    return (others[:, 0] != one[0]) & (others[:, 1] != one[1])
 
 
-def _verify(percent):
+def _verify(percent, labelled=False):
     schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
     def run(batches):
@@ -355,8 +427,8 @@ def _verify(percent):
             if len(rows) < 2:
                 return []
             sets = [np.frombuffer(r[4], np.uint64) for r in rows]
-            may = np.array([(r[1], r[2], key[2] == key[3]) for r in rows], np.int64)
-            return spanning_links(np.array([r[3] for r in rows]), sets, may if len({r[1:3] for r in rows}) > 1 else None, percent)
+            may = np.array([r[1:3] for r in rows], np.int64) if labelled else None
+            return spanning_links(np.array([r[3] for r in rows]), sets, may, percent)
 
         for b in batches:
             group, band, i, j, part, own, rep, _, _ = (c.to_pylist() for c in b.columns[:-1] + [b.columns[0]])
@@ -375,42 +447,83 @@ def _verify(percent):
     return run
 
 
-def jaccard_components(docs: DataFrame, text: str = "text", id_column: str = "doc_id", shingle: int = SHINGLE, percent: int = PERCENT, group_shingles: int = GROUP_SHINGLES) -> DataFrame:
+def jaccard_components(
+    docs: DataFrame,
+    text: str = "text",
+    id_column: str = "doc_id",
+    shingle: int = SHINGLE,
+    percent: int = PERCENT,
+    group_shingles: int = GROUP_SHINGLES,
+    group_sets: int = GROUP_SETS,
+) -> DataFrame:
     """Per row: doc_id, n_shingles, component_id (smallest id reachable by links, itself included).
 
-    Linked: 100 * intersection >= percent * union of the sets of `shingle` words. Texts with fewer words are one shingle; null, empty
-    and blank texts have none and are linked with nothing. Rows that repeat an id count as one node. A null id
-    has a null component.
+    Linked: 100 * intersection >= percent * union of the sets of `shingle` words. Texts with fewer words are one
+    shingle;
+    null, empty and blank texts have none and are linked with nothing. Rows that repeat an id count as one node. A
+    null id
+    has a null component. Other columns are not looked at.
     """
     check_columns(docs, id_column, text)
     spark = docs.sparkSession
     rows = docs.select(docs[id_column].cast("long").alias("_id"), docs[text].alias("_text"))
     levels = spark.sparkContext.broadcast(shingle_levels(rows.select("_text"), shingle))  # SKETCH bytes at any size
-    profile = materialize(rows.transform(arrow_map, _profile(levels, shingle, percent), "doc_id long, n long, h1 long, h2 long, rare binary"))
+    profiled = "doc_id long, n long, h1 long, h2 long, rare binary"
+    profile = materialize(rows.transform(arrow_map, _profile(levels, shingle, percent), profiled))
     named = profile.where("n > 0 AND doc_id IS NOT NULL")
     classes = materialize(named.groupBy("n", "h1", "h2").agg(F.min("doc_id").alias("rep")))
     counted = classes.where(F.col("n") <= 2 * MAX_LIGHT).groupBy("n").count().collect()  # at most 2 * MAX_LIGHT rows
     boundary = choose_boundary({r["n"]: r["count"] for r in counted}, percent)
-    copies = named.join(classes, ["n", "h1", "h2"]).where("doc_id <> rep").select("doc_id")
-    maybe = bloom_test(materialize(copies), "doc_id")(F.col("doc_id"))  # only rows that pass need the exact join
-    first = classes.select(F.col("n").alias("cn"), F.col("h1").alias("c1"), F.col("h2").alias("c2"), "rep")
-    doubtful = named.where(maybe).join(first, (F.col("doc_id") == F.col("rep")) & (F.col("n") == F.col("cn")) & (F.col("h1") == F.col("c1")) & (F.col("h2") == F.col("c2")))
-    chosen = named.where(~maybe).select(F.col("doc_id").alias("rep"), "n", "rare").unionByName(doubtful.select("rep", "n", "rare"))
-    entries = chosen.select("rep", "n", "rare").transform(arrow_map, _entries(boundary, percent), "key long, kind byte, n int, rep long")
-    met = entries.repartition("key").sortWithinPartitions("key", "kind", "n", "rep").transform(arrow_map, _meet(percent), "a long, b long, how byte, needed int")
+    chosen = _first_of_classes(named, classes)
+    entries = chosen.transform(arrow_map, _entries(boundary, percent), "key long, check long, kind byte, n int, rep long")
+    met = entries.repartition("key").sortWithinPartitions("key", "check", "kind", "n", "rep")
+    met = met.transform(arrow_map, _meet(percent), "a long, b long, how byte, needed int")
     met = met.groupBy("a", "b", "how").agg(F.count("*").alias("times"), F.min("needed").alias("needed"))
     stars = materialize(met.where("times >= needed").select("a", "b", (F.col("how") == LIGHT).alias("light")))
-    groups = materialize(connected_components(stars.where("NOT light")).join(classes.select(F.col("rep").alias("node"), "n"), "node").select("node", "component", "n"))
-    totals = groups.groupBy("component").agg(F.sum("n").alias("total"))
-    placed = groups.join(totals, "component").select(F.col("node"), F.col("component").alias("group"), "total")
+    tied = connected_components(stars.where("NOT light"))
+    sizes = classes.select(F.col("rep").alias("node"), "n")
+    groups = materialize(tied.join(sizes, "node").select("node", "component", "n"))
+    totals = groups.groupBy("component").agg(F.sum("n").alias("total"), F.count("*").alias("members"))
+    parts = F.greatest(F.ceil(F.col("total") / group_shingles), F.ceil(F.col("members") / group_sets)).cast("int")
+    totals = totals.select("component", "members", parts.alias("parts"))
+    placed = groups.join(totals, "component").select("node", F.col("component").alias("group"), "members", "parts")
     asked = bloom_test(groups, "node")(F.col("_id"))  # texts of other documents stay where they are
-    sets = rows.where(asked).join(placed, F.col("_id") == F.col("node")).select("_id", "_text", "group", "total").transform(arrow_map, _to_groups(shingle, percent, group_shingles), "group long, band int, i int, j int, part int, own boolean, rep long, n int, hashes binary")
-    keys = ["group", "band", "i", "j"]
-    heavy = sets.repartition(*keys).sortWithinPartitions(*keys).transform(arrow_map, _verify(percent), "a long, b long")
-    links = stars.where("light").select("a", "b").unionByName(heavy)
+    texts, keys = rows.where(asked), ["group", "band", "i", "j"]
+
+    def verified(places, into, labelled=False):
+        sets = texts.join(places, F.col("_id") == F.col("node")).drop("node")
+        sets = sets.transform(arrow_map, _set_rows(shingle, into), _SETS).repartition(*keys).sortWithinPartitions(*keys)
+        return sets.transform(arrow_map, _verify(percent, labelled), "a long, b long")
+
+    links = stars.where("light").select("a", "b").unionByName(verified(placed, _to_parts))
+    large = placed.where("parts > 1")
+    if large.limit(1).count():
+        links = materialize(links)
+        label = connected_components(links).select(F.col("node").alias("k"), F.col("component").alias("label"))
+        large = large.join(label, F.col("node") == F.col("k"), "left").drop("k")
+        large = materialize(large.withColumn("label", F.coalesce("label", "node")))
+        most = large.groupBy("group", "label").count().groupBy("group")
+        most = most.agg(F.max_by("label", F.struct("count", "label")).alias("most"))
+        apart = (F.col("label") != F.col("most")).alias("apart")
+        large = large.join(most, "group").select("node", "group", "parts", "label", apart)
+        rest = large.where("apart").groupBy("group").agg(F.ceil(F.count("*") / group_sets).cast("int").alias("asked"))
+        links = links.unionByName(verified(large.join(rest, "group"), _to_blocks(percent), True))
     comps = connected_components(links)
     member = profile.join(classes, ["n", "h1", "h2"], "left").select("doc_id", "n", "rep")
-    return member.join(comps, F.col("rep") == F.col("node"), "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component", "rep", "doc_id").alias("component_id"))
+    component = F.coalesce("component", "rep", "doc_id").alias("component_id")
+    member = member.join(comps, F.col("rep") == F.col("node"), "left")
+    return member.select("doc_id", F.col("n").alias("n_shingles"), component)
+
+
+def _first_of_classes(named: DataFrame, classes: DataFrame) -> DataFrame:
+    """(rep, n, rare): the profile of each class's first document. Only rows that a filter of the copies' ids lets
+    pass need a join."""
+    copies = named.join(classes, ["n", "h1", "h2"]).where("doc_id <> rep").select("doc_id")
+    maybe = bloom_test(materialize(copies), "doc_id")(F.col("doc_id"))
+    first = classes.select(F.col("n").alias("cn"), F.col("h1").alias("c1"), F.col("h2").alias("c2"), "rep")
+    same = (F.col("n") == F.col("cn")) & (F.col("h1") == F.col("c1")) & (F.col("h2") == F.col("c2"))
+    doubtful = named.where(maybe).join(first, (F.col("doc_id") == F.col("rep")) & same).select("rep", "n", "rare")
+    return named.where(~maybe).select(F.col("doc_id").alias("rep"), "n", "rare").unionByName(doubtful)
 
 
 def op5_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:

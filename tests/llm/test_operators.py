@@ -150,8 +150,9 @@ def brute_components(rows, k, percent):
     return {i: (len(sets[i]), find(i)) for i in sets}
 
 
-@pytest.mark.parametrize("k, percent, size", [(4, 85, 1 << 22), (4, 85, 150), (5, 80, 1 << 22)])
-def test_jaccard_join(spark, k, percent, size):
+@pytest.mark.parametrize("k, percent, shingles, sets", [(4, 85, 1 << 22, 512), (4, 85, 150, 512), (4, 85, 1 << 22, 3), (5, 80, 1 << 22, 512), (5, 80, 1 << 22, 5)])
+def test_jaccard_join(spark, k, percent, shingles, sets):
+    """Whole groups, and groups split by their shingles or sets."""
     rng = np.random.default_rng(3)
     rows = []
     for _ in range(25):
@@ -163,7 +164,9 @@ def test_jaccard_join(spark, k, percent, size):
                 w[at : at + 1] = [f"z{rng.integers(0, 9)}"] if rng.random() < 0.5 else [w[at], f"q{rng.integers(0, 9)}"]
             rows.append((len(rows), " ".join(w)))
     rows += [(900, ""), (901, None), (902, "a b"), (903, "A  b")]
-    got = {r[0]: (r[1], r[2]) for r in ngram_join.jaccard_components(spark.createDataFrame(rows, "doc_id long, text string"), shingle=k, percent=percent, group_shingles=size).collect()}
+    table = spark.createDataFrame(rows, "doc_id long, text string")
+    found = ngram_join.jaccard_components(table, shingle=k, percent=percent, group_shingles=shingles, group_sets=sets)
+    got = {r[0]: (r[1], r[2]) for r in found.collect()}
     assert got == brute_components(rows, k, percent)
 
 
