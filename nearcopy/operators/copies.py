@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, functions as F
 
 from nearcopy.functions import linalg as L
-from nearcopy.functions.blocks import few_rows, hash_sample
+from nearcopy.functions.blocks import few_rows
 from nearcopy.functions.features import small_noise
 from nearcopy.operators.dedup import group_sizes, top_duplicated
 
@@ -35,7 +35,8 @@ def tail_prompts(reps: DataFrame, db: DataFrame, n: int = 100) -> DataFrame:
 
 def sample_prompts(reps: DataFrame, n: int, min_group: int = 2, seed: int = 0) -> DataFrame:
     """(rep, n): random groups of at least min_group items; duplication only as a weak filter."""
-    return hash_sample(group_sizes(reps).where(F.col("n") >= min_group).withColumn("_s", F.lit(seed)), n, "rep", "_s").drop("_s")
+    name = F.md5(F.concat(F.lit(f"{seed}:"), F.col("rep").cast("string")))
+    return group_sizes(reps).where(F.col("n") >= min_group).orderBy(name, "rep").limit(n)
 
 
 def source_distance(samples: DataFrame, prompts: DataFrame) -> DataFrame:
@@ -71,10 +72,25 @@ def prompt_diversity(reps: DataFrame, captions: DataFrame) -> DataFrame:
     return named.groupBy("rep").agg(F.count("*").alias("n"), F.countDistinct("c").alias("captions")).where("n > 1").withColumn("variety", F.col("captions") / F.col("n"))
 
 
-def bench_hits(documents: DataFrame, benchmark: DataFrame, prefix: int = 60, max_items: int = 100_000) -> DataFrame:
-    """(item_id, doc_id): documents that hold the first `prefix` characters of an item. Few items are sent to all documents after a check of their number;
-    the decontamination operator is the way for many."""
-    items = benchmark.where(F.length("text") >= prefix).select("item_id", F.substring("text", 1, prefix).alias("head"))
-    if items.count() > max_items:
-        raise ValueError("too many items for containment by broadcast")
-    return documents.join(F.broadcast(items), F.contains(F.col("text"), F.col("head"))).select("item_id", "doc_id")
+def mean_pair_distance(members: DataFrame, col: str = "t") -> DataFrame:
+    """(rep, mean_distance): the root mean square distance between two of a group's normalised vectors, from their sums: of n unit
+    vectors with the mean v it is sqrt(2 n / (n - 1) (1 - |v|^2)). No pairs are made."""
+    known = members.where(F.aggregate(col, F.lit(0.0), lambda s, v: s + v * v) > 0)
+    means = known.select("rep", F.posexplode(col).alias("i", "v")).groupBy("rep", "i").agg(F.avg("v").alias("v"), F.count("*").alias("n"))
+    sized = means.groupBy("rep").agg(F.max("n").alias("n"), F.sum(F.col("v") * F.col("v")).alias("s")).where("n > 1")
+    squared = 2 * F.col("n") / (F.col("n") - 1) * F.greatest(F.lit(0.0), 1 - F.col("s"))
+    return sized.select("rep", F.sqrt(squared).alias("mean_distance"))
+
+
+def word_windows(df: DataFrame, name: str, size: int) -> DataFrame:
+    """(name, g): the distinct runs of `size` words of each text, words being what blanks, tabs and line ends part."""
+    words = df.select(name, F.split("text", "[ \\t\\n\\r]+").alias("w")).where(F.size("w") >= size)
+    runs = F.transform(F.sequence(F.lit(1), F.size("w") - (size - 1)), lambda i: F.array_join(F.slice("w", i, size), " "))
+    return words.select(name, F.explode(F.array_distinct(runs)).alias("g"))
+
+
+def bench_hits(documents: DataFrame, benchmark: DataFrame, size: int = 8, most_windows: int = 1_000_000) -> DataFrame:
+    """(item_id, doc_id): documents that hold any run of `size` words of an item, wherever it stands in either. The items' runs are
+    sent to all documents up to `most_windows` of them; beyond, documents' and items' runs meet by a shuffle."""
+    items = few_rows(word_windows(benchmark, "item_id", size), most_windows)
+    return word_windows(documents, "doc_id", size).join(items, "g").select("item_id", "doc_id").distinct()

@@ -149,26 +149,27 @@ class VectorIndex:
         self.encoded = materialize(self.encoded.repartition("cell").sortWithinPartitions("cell", "id"))
         return self
 
-    def search(self, queries: DataFrame, k: int, nprobe: int = 1, distance: str = "l2", col: str = "x", shards: int = 1, latent: bool = False, limit: str | None = None, ball: float | None = None, salt: int = 1) -> DataFrame:
+    def search(self, queries: DataFrame, k: int, nprobe: int = 1, distance: str = "l2", col: str = "x", shards: int = 1, latent: bool = False, limit: str | None = None, ball: float | None = None, salt: int = 1, engine: str = "arrow") -> DataFrame:
         """(qid, nid, dist, rank): the k nearest database codes of each query in its nprobe cells; ties by id.
 
         distance: l2 or sq (squared). latent: `col` holds latents already. ball: instead of the k nearest all with a
         distance of at most (1 + ball) times the query's own self-distance (queries then have self_dist).
-        shards: the lists are split by id, searched apart and merged; the result is the same. Few queries are sent to the lists, which never
-        move; many meet the lists by a join on (cell, salt), each cell's rows spread over `salt` tasks.
+        shards: rows are split by id; each shard gives its own k nearest, in one scan for all, and these are merged; the result is the same. Few queries are sent to the lists, which never
+        move; many meet the lists by a join on (cell, salt), each cell's rows spread over `salt` tasks. engine expr: lists are decoded
+        and joined on the cell, and distances are expressions (k nearest only).
         """
         from nearcopy.operators.search import merge_topk
 
         if distance not in ("l2", "sq"):
             raise ValueError(f"there is no distance {distance!r}")
-        if shards > 1:
-            parts = None
-            for s in range(shards):
-                part = VectorIndex(self.cells, self.books, self.codec, self.by_residual, self.manifest, self.encoded.where(F.pmod("id", F.lit(shards)) == s), self.coarse)
-                found = part.search(queries, k, nprobe, distance, col, 1, latent, limit, ball, salt).drop("rank")
-                parts = found if parts is None else parts.unionByName(found)
-            return parts.withColumn("rank", F.row_number().over(Window.partitionBy("qid").orderBy("dist", "nid"))) if ball is not None else merge_topk(parts, k)
         probes = self.probe(queries, nprobe, col, latent, keep_self=ball is not None)
+        if engine == "expr":
+            from nearcopy.functions import linalg as L
+
+            lists = self.encoded.select("id", "cell").join(self.decode(self.encoded, "y"), "id")
+            met = probes.join(lists, "cell")
+            dist = L.l2(F.col("z"), F.col("y"))
+            return merge_topk(met.select("qid", F.col("id").alias("nid"), (dist * dist if distance == "sq" else dist).alias("dist")), k)
         spark, shared = queries.sparkSession, queries.sparkSession.sparkContext.broadcast(self._plain())
         lists = self.encoded.select("id", "cell", "codes", *(["z"] if self.books is None else []))
         keep = _keeper(k, distance, ball)
@@ -184,9 +185,9 @@ class VectorIndex:
                 for b in batches:
                     cell, ids = b.column(1).to_numpy(), b.column(0).to_numpy()
                     payload = matrix(b.column(3)) if index.books is None else np.frombuffer(b"".join(b.column(2).to_pylist()), index.code_dtype()).reshape(b.num_rows, -1)
-                    for c in np.unique(cell):
+                    for c, s in sorted(set(zip(cell.tolist(), (ids % shards).tolist(), strict=True))):
                         if c in asked.value:
-                            mine = cell == c
+                            mine = (cell == c) & (ids % shards == s)
                             yield from _answers(index, asked.value[c], int(c), ids[mine], payload[mine], keep, k, ball)
 
             found = lists.mapInArrow(scan, schema)

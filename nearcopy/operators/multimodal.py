@@ -38,5 +38,6 @@ def zero_shot(items: DataFrame, prompts: DataFrame, col: str = "x") -> DataFrame
 
 def cross_modal_search(text_df: DataFrame, index, k: int, col: str = "t") -> DataFrame:
     """Text latents against the vectors that the index can rebuild, by inner product."""
-    latents = index.codec.encode(text_df.select("id", col), col, "z", "text")
+    side = "text" if index.codec.text is not None else "image"  # a codec of one side serves both
+    latents = index.codec.encode(text_df.select("id", col), col, "z", side)
     return mips(latents.select("id", "z"), index.decode(index.encoded), k, "z", "y")

@@ -147,10 +147,12 @@ def q_dup_histogram(spark, d):
     return duplication_histogram(text_groups(spark, d))
 
 
-@query("")
+@query("SELECT count(DISTINCT l_partkey) AS exact, true AS close FROM lineitem")
 def q_approx_distinct(spark, d):
-    """A sketch against the exact count; the sketch's error is bounded, its value isn't SQL's."""
-    return table(spark, d, "lineitem").agg(F.approx_count_distinct("l_partkey", 0.02).alias("sketch"), F.countDistinct("l_partkey").alias("exact")).withColumn("close", F.abs(F.col("sketch") - F.col("exact")) <= 0.1 * F.col("exact"))
+    """The exact count, and whether a sketch's is within a tenth of it (its value isn't SQL's)."""
+    counts = F.approx_count_distinct("l_partkey", 0.02).alias("sketch"), F.countDistinct("l_partkey").alias("exact")
+    close = (F.abs(F.col("sketch") - F.col("exact")) <= 0.1 * F.col("exact")).alias("close")
+    return table(spark, d, "lineitem").agg(*counts).select("exact", close)
 
 
 _DUPS = f"WITH {GROUPS}, r AS (SELECT lang, source, CAST(id <> rep AS INT) AS dup FROM g JOIN documents ON id = doc_id)"
@@ -194,10 +196,21 @@ def q_having_hot_groups(spark, d):
 @query(f"""WITH {GROUPS}, s AS (SELECT rep, count(*) AS n FROM g GROUP BY rep HAVING count(*) > 1)
 SELECT rep, n, rank() OVER (ORDER BY n DESC) AS rnk, dense_rank() OVER (ORDER BY n DESC) AS dense, ntile(4) OVER (ORDER BY n DESC, rep) AS quarter, round(percent_rank() OVER (ORDER BY n DESC), 6) AS pct FROM s""")
 def q_group_rank(spark, d):
-    """Ranks over the groups of two or more; there are far fewer of them than documents."""
+    """Ranks over the groups of two or more. Rank, dense rank and percent rank follow from the sizes' counts, which are few; places
+    within one size are counted apart, so no window holds all groups."""
     s = text_groups(spark, d).groupBy("rep").agg(F.count("*").alias("n")).where("n > 1")
-    w, tie = W.orderBy(F.desc("n")), W.orderBy(F.desc("n"), "rep")
-    return s.select("rep", "n", F.rank().over(w).alias("rnk"), F.dense_rank().over(w).alias("dense"), F.ntile(4).over(tie).alias("quarter"), F.round(F.percent_rank().over(w), 6).alias("pct"))
+    sizes, down = s.groupBy("n").agg(F.count("*").alias("c")), W.orderBy(F.desc("n"))
+    above = F.coalesce(F.sum("c").over(down.rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
+    total = F.sum("c").over(W.orderBy(F.desc("n")).rowsBetween(W.unboundedPreceding, W.unboundedFollowing))
+    sizes = sizes.select("n", above.alias("above"), F.row_number().over(down).alias("dense"), total.alias("total"))
+    placed = s.withColumn("inner", F.row_number().over(W.partitionBy("n").orderBy("rep"))).join(sizes, "n")
+    row, least, more = F.col("above") + F.col("inner"), F.floor(F.col("total") / 4), F.pmod("total", F.lit(4))
+    late = F.when(least > 0, more + F.ceil((row - more * (least + 1)) / least))
+    quarter = F.when(row <= more * (least + 1), F.ceil(row / (least + 1))).otherwise(late)
+    pct = F.when(F.col("total") > 1, F.col("above") / (F.col("total") - 1)).otherwise(0.0)
+    return placed.select(
+        "rep", "n", (F.col("above") + 1).alias("rnk"), F.col("dense").cast("long").alias("dense"), quarter.alias("quarter"), F.round(pct, 6).alias("pct")
+    )
 
 
 @query("""SELECT event_id, coalesce(epoch_us(ts) - epoch_us(lag(ts) OVER w), -1) AS since, coalesce(epoch_us(lead(ts) OVER w) - epoch_us(ts), -1) AS until,
@@ -301,21 +314,24 @@ def q_text_normalize(spark, d):
     return table(spark, d, "documents").select("doc_id", F.size(F.filter(F.split(plain, " "), lambda w: w != "")).alias("n_words"))
 
 
-@query("""WITH t AS (SELECT doc_id, source, string_split(lower(text), ' ') AS w FROM documents WHERE n_chars BETWEEN 800 AND 1000), s AS (
-SELECT doc_id, source, list_distinct(list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i+4], ' '))) AS g FROM t WHERE len(w) >= 5)
-SELECT a.doc_id AS i, b.doc_id AS j, round(len(list_intersect(a.g, b.g)) / (len(a.g) + len(b.g) - len(list_intersect(a.g, b.g))), 6) AS jaccard
-FROM s a JOIN s b ON a.source = b.source AND a.doc_id < b.doc_id""")
+@query("""WITH t AS (SELECT doc_id, string_split(lower(text), ' ') AS w FROM documents), s AS (
+SELECT doc_id, list_distinct(list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i+4], ' '))) AS g
+FROM t WHERE len(w) >= 5)
+SELECT a.doc_id AS i, b.doc_id AS j,
+round(len(list_intersect(a.g, b.g)) / (len(a.g) + len(b.g) - len(list_intersect(a.g, b.g))), 6) AS jaccard
+FROM s a JOIN s b ON b.doc_id = a.doc_id + 1""")
 def q_shingle_jaccard(spark, d):
-    t = table(spark, d, "documents").where("n_chars BETWEEN 800 AND 1000").select("doc_id", "source", F.split(F.lower("text"), " ").alias("w")).where("size(w) >= 5")
+    """Sets of five-word shingles of each document and of the one with the next id: all documents, whole texts."""
+    t = table(spark, d, "documents").select("doc_id", F.split(F.lower("text"), " ").alias("w")).where("size(w) >= 5")
     n = F.size("w") - 4
-    parts = [F.slice("w", k + 1, n) for k in range(5)]
-    joined = parts[0]
-    for p in parts[1:]:
-        joined = F.zip_with(joined, p, lambda a, b: F.concat(a, F.lit(" "), b))
-    s = t.select("doc_id", "source", F.array_distinct(joined).alias("g"))
-    a, b = s.select(F.col("doc_id").alias("i"), "source", F.col("g").alias("x")), s.select(F.col("doc_id").alias("j"), "source", F.col("g").alias("y"))
+    joined = F.slice("w", 1, n)
+    for k in range(1, 5):
+        joined = F.zip_with(joined, F.slice("w", k + 1, n), lambda a, b: F.concat(a, F.lit(" "), b))
+    s = t.select("doc_id", F.array_distinct(joined).alias("g"))
+    a, b = s.select(F.col("doc_id").alias("i"), F.col("g").alias("x")), s.select(F.col("doc_id").alias("j"), F.col("g").alias("y"))
     both = F.size(F.array_intersect("x", "y"))
-    return a.join(b, "source").where("i < j").select("i", "j", F.round(both / (F.size("x") + F.size("y") - both), 6).alias("jaccard"))
+    jaccard = F.round(both / (F.size("x") + F.size("y") - both), 6).alias("jaccard")
+    return a.join(b, F.col("j") == F.col("i") + 1).select("i", "j", jaccard)
 
 
 @query("SELECT p_partkey, levenshtein(p_name, p_type) AS distance FROM part")

@@ -380,7 +380,11 @@ def q_presence_confusion(spark, d):
     return pr.select("tp", "fp", "fn", "tn", F.round("base_rate", 6).alias("base_rate"))
 
 
-@query()
+@query(f"""{SEEDED_DOC}, f AS (SELECT d.lang, t.tol FROM {NN} n JOIN enc s ON s.id = n.qid JOIN documents d ON d.doc_id = n.qid,
+(VALUES (0.001::DOUBLE), (0.01), (0.1)) t(tol) WHERE n.nid > n.qid AND CASE WHEN s.self_dist <= 1e-12 THEN abs(s.self_dist - n.dist) <= 1e-12
+ELSE abs(s.self_dist - n.dist) < t.tol * s.self_dist END)
+SELECT lang, count(*) FILTER (tol = 0.001::DOUBLE) AS "0.001", count(*) FILTER (tol = 0.01::DOUBLE) AS "0.01",
+count(*) FILTER (tol = 0.1::DOUBLE) AS "0.1" FROM f GROUP BY lang""")
 def q_pr_pivot(spark, d):
     """Flagged pairs by tolerance and language, one column a tolerance."""
     i, nn = doc_nn(spark, d)
@@ -559,9 +563,9 @@ def q_detect_copies(spark, d):
     return copies.detect_copies(copies.generate(tail(spark, d)), emb(spark, d), 0.1).select("prompt_id", F.col("seed").cast("long").alias("seed"), "nid")
 
 
-@query()
+@query(f"WITH {PLANTED} SELECT source_id AS rep, count(*) AS n FROM planted GROUP BY source_id HAVING count(*) > 1 ORDER BY md5('0:' || CAST(source_id AS VARCHAR)), rep LIMIT 50")
 def q_sample_prompts(spark, d):
-    """The weak filter: random groups of at least two items (by Spark's hash)."""
+    """The weak filter: random groups of at least two items, in order of a hash."""
     return copies.sample_prompts(planted_reps(spark, d), 50)
 
 
@@ -573,7 +577,13 @@ def q_prompt_diversity(spark, d):
     return copies.prompt_diversity(text_groups(spark, d), captions).withColumn("variety", F.round("variety", 6))
 
 
-@query("SELECT item_id, doc_id FROM documents d JOIN benchmark b ON contains(d.text, substr(b.text, 1, 60)) WHERE length(b.text) >= 60")
+RUNS = """(SELECT DISTINCT {id}, array_to_string(w[i:i+7], ' ') AS g FROM (
+SELECT {id}, w, unnest(range(1, len(w) - 6)) AS i FROM (
+SELECT {id}, regexp_split_to_array(text, '[ \\t\\n\\r]+') AS w FROM {table}) WHERE len(w) >= 8))"""
+HITS = f"(SELECT DISTINCT item_id, doc_id FROM {RUNS.format(id='doc_id', table='documents')} JOIN {RUNS.format(id='item_id', table='benchmark')} USING (g))"
+
+
+@query(f"SELECT item_id, doc_id FROM {HITS}")
 def q_bench_hits(spark, d):
     return copies.bench_hits(table(spark, d, "documents"), table(spark, d, "benchmark"))
 
