@@ -100,7 +100,7 @@ def test_decontamination(spark):
             w[3:3] = src[a : a + int(rng.integers(5, 25))]
         docs.append((d, " ".join(w)))
     df, it = spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string")
-    for part in (1 << 20, 60):  # one part, and several
+    for part in (1 << 20, 60):  # sent to the documents, and joined with them
         got = {r.doc_id: r for r in decontam.digest(decontam.find_contamination(df, it, part_bytes=part)).collect()}
         for d, t in docs:
             w, hit, names = words(t), set(), set()
