@@ -64,20 +64,26 @@ def unfilter_rows(kinds: np.ndarray, rows: np.ndarray) -> np.ndarray:
             np.cumsum(rows[a:b], axis=0, dtype=np.uint8, out=out[a:b])
             out[a:b] += above
         elif kind in (AVERAGE, PAETH):
-            for r in range(a, b):
-                left = corner = 0
-                up_row, row = (out[r - 1] if r else zero).tolist(), rows[r].tolist()
-                for c, x in enumerate(row):
-                    up = up_row[c]
-                    guess = (left + up) >> 1 if kind == AVERAGE else int(_paeth(left, up, corner))
-                    left, corner = (x + guess) & 255, up
-                    row[c] = left
-                out[r] = row
+            out[a:b] = _unfilter_diagonals(rows[a:b], above, kind)
         else:
             raise ValueError(f"there is no filter {kind}")
     return out
 
 
+def _unfilter_diagonals(rows: np.ndarray, above: np.ndarray, kind: int) -> np.ndarray:
+    """Rows of one kind whose samples depend on the left, upper and corner one: all samples of an anti-diagonal at a time."""
+    height, width = rows.shape
+    done = np.zeros((height + 1, width + 1), np.int16)  # with the row above and an empty column at the left
+    done[0, 1:] = above
+    for s in range(height + width - 1):
+        r = np.arange(max(0, s - width + 1), min(height - 1, s) + 1)
+        c = s - r
+        left, up = done[r + 1, c], done[r, c + 1]
+        guess = (left + up) >> 1 if kind == AVERAGE else _paeth(left, up, done[r, c])
+        done[r + 1, c + 1] = (rows[r, c] + guess) & 255
+    return done[1:, 1:].astype(np.uint8)
+
+
 def encode_png(payload: bytes, width: int = WIDTH, level: int = 1, chunk_bytes: int = 1 << 16) -> bytes:
     """payload: whole rows of `width` samples. The filter with the smallest sum of signed sizes is taken for all rows."""
     pixels = np.frombuffer(payload, np.uint8).reshape(-1, width)
@@ -147,7 +153,8 @@ def add_media(docs: DataFrame, text: str = "text", id_column: str = "doc_id") ->
     """
     check_columns(docs, id_column, text)
     kind = docs.schema[id_column].dataType.simpleString()
-    return docs.select(id_column, docs[text].alias("_text")).transform(arrow_map, _media(id_column, False), f"`{id_column}` {kind}, n_bytes long, media binary, feature binary, payload binary")
+    schema = f"`{id_column}` {kind}, n_bytes long, media binary, feature binary, payload binary"
+    return docs.select(id_column, docs[text].alias("_text")).transform(arrow_map, _media(id_column, False), schema)
 
 
 def _media(id_column, digests):
@@ -162,18 +169,30 @@ def _media(id_column, digests):
                 pixels = decode_png(media)
                 payload, feature = pixels.tobytes(), cosine_hash(pixels)
                 ids.append(i)
-                rows.append((len(raw), len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-64:]), len(media), hashlib.sha256(media).hexdigest(), feature.hex()) if digests else (len(raw), media, feature, payload))
+                if digests:
+                    read = (len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-64:]))
+                    rows.append((len(raw), *read, len(media), hashlib.sha256(media).hexdigest(), feature.hex()))
+                else:
+                    rows.append((len(raw), media, feature, payload))
                 if len(rows) >= 512 or i == b.num_rows - 1:
-                    yield batch(pa.schema([b.schema.field(id_column), *(_DIGEST if digests else _MEDIA)]), b.column(id_column).take(pa.array(ids)), *map(list, zip(*rows, strict=True)))
+                    schema = pa.schema([b.schema.field(id_column), *(_DIGEST if digests else _MEDIA)])
+                    yield batch(schema, b.column(id_column).take(pa.array(ids)), *map(list, zip(*rows, strict=True)))
                     rows, ids = [], []
 
     return run
 
 
 _MEDIA = pa.schema([("n_bytes", pa.int64()), ("media", pa.binary()), ("feature", pa.binary()), ("payload", pa.binary())])
-_DIGEST = pa.schema([("n_bytes", pa.int64()), ("payload_bytes", pa.int64()), ("payload_sha256", pa.string()), ("tail_crc32", pa.int64()), ("media_bytes", pa.int64()), ("media_sha256", pa.string()), ("feature", pa.string())])
+_DIGEST = pa.schema(
+    [
+        *[("n_bytes", pa.int64()), ("payload_bytes", pa.int64()), ("payload_sha256", pa.string())],
+        *[("tail_crc32", pa.int64()), ("media_bytes", pa.int64()), ("media_sha256", pa.string()), ("feature", pa.string())],
+    ]
+)
 
 
 def op4_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir)
-    return docs.select("doc_id", docs["text"].alias("_text")).transform(arrow_map, _media("doc_id", True), "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string")
+    schema = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long"
+    schema += ", media_sha256 string, feature string"
+    return docs.select("doc_id", docs["text"].alias("_text")).transform(arrow_map, _media("doc_id", True), schema)

@@ -59,11 +59,21 @@ def assign(lengths: np.ndarray, sizes: list[int]) -> list[tuple[int, int, int, i
     return out
 
 
-_OUT = pa.schema([("doc_id", pa.int64()), ("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64()), ("doc_tokens", pa.int64()), ("sequence_id", pa.int64()), ("offset", pa.int64())])
-
-
-def pack_documents(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY, end_id: int = END_ID, text: str = "text", id_column: str = "doc_id", with_ids: bool = False) -> DataFrame:
-    """One row a piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset (and ids with with_ids).
+_NAMES = ("doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset")
+_OUT = pa.schema([(n, pa.int64()) for n in _NAMES])
+
+
+def pack_documents(
+    docs: DataFrame,
+    tokenizer_path: str,
+    capacity: int = CAPACITY,
+    end_id: int = END_ID,
+    text: str = "text",
+    id_column: str = "doc_id",
+    with_ids: bool = False,
+) -> DataFrame:
+    """One row a piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset and, with with_ids, ids: the
+    piece's token ids as little-endian unsigned 32-bit integers.
 
     Each task packs what it reads; there is no shuffle. Sequence ids are the task's number times 2**40 plus a
     counter. A null or empty text is one end id. capacity: a power of two.
@@ -72,7 +82,8 @@ def pack_documents(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACIT
     if capacity & (capacity - 1):
         raise ValueError("the capacity must be a power of two")
     rows = docs.select(docs[id_column].cast("long").alias("_id"), docs[text].alias("_text"))
-    return rows.transform(arrow_map, _packer(tokenizer_path, capacity, end_id, with_ids), "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long" + ", ids binary" * with_ids)
+    schema = ", ".join(f"{n} long" for n in _NAMES) + ", ids binary" * with_ids
+    return rows.transform(arrow_map, _packer(tokenizer_path, capacity, end_id, with_ids), schema)
 
 
 def _packer(path, capacity, end_id, with_ids):
@@ -108,7 +119,10 @@ def _packer(path, capacity, end_id, with_ids):
                     keep -= n
                 total = full
             sizes = room_for(total, capacity)
-            rows = [piece(rests[k][0], rests[k][1], rests[k][2] + s, n, len(rests[k][1]), next_id + q, o) for k, s, n, q, o in assign(lengths, sizes)]
+            rows = []
+            for k, s, n, q, o in assign(lengths, sizes):
+                doc, ids, start = rests[k]
+                rows.append(piece(doc, ids, start + s, n, len(ids), next_id + q, o))
             next_id += len(sizes)
             rests, held = later, sum(len(ids) - start for _, ids, start in later)
             return rows
@@ -127,7 +141,7 @@ def _packer(path, capacity, end_id, with_ids):
                         held += len(ids) - whole
                     if held >= GROUP_TOKENS:
                         out += flush(False)
-                    if len(out) >= 20_000:
+                    if len(out) >= (2000 if with_ids else 20_000):
                         yield table(out)
                         out = []
         out += flush(True)

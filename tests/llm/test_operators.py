@@ -446,3 +446,154 @@ def test_pipeline_stages(spark, data):
             assert set(after) == {i for i in before if want[i][1] == i}
         docs = spark.createDataFrame(docs.collect(), docs.schema)
     assert C.STAGES[-1][1](spark, docs, data).agg({"length": "sum"}).first()[0] > 0
+
+
+# ---- queries against brute force, column by column, on the smallest table and on hard rows -----
+
+
+@pytest.fixture(scope="module")
+def hard_dir(spark, data, tmp_path_factory):
+    """Tables as the queries read them: the smallest documents and hard rows under new ids, with columns of clashing names."""
+    path = tmp_path_factory.mktemp("hard")
+    docs = pq.read_table(f"{data}/documents.parquet").to_pandas()
+    rows = [(int(i), t) for i, t in zip(docs.doc_id, docs.text, strict=True)]
+    long = "".join(np.random.default_rng(21).choice(list("abcdefgh \u00e9,.\n1"), size=1_400_000))
+    rows += [(10_000 + i, t) for i, t in HARD] + [(20_000, long), (20_001, long[:700_000] + "!" + long[700_000:]), (20_002, "")]
+    names = ("host", "rule", "verdict", "n_values", "n_bytes", "start", "feature", "_text", "_id", "score")
+    table = spark.createDataFrame(rows, "doc_id long, text string")
+    for n in names:
+        table = table.withColumn(n, passages.F.lit(7))
+    table.repartition(3).write.parquet(f"{path}/documents.parquet")
+    for t in ("benchmark", "labels", "pages"):
+        spark.read.parquet(f"{data}/{t}.parquet").write.parquet(f"{path}/{t}.parquet")
+    return str(path), rows
+
+
+def test_media_query_by_brute_force(spark, hard_dir):
+    path, rows = hard_dir
+    got = {r.doc_id: r for r in media.op4_media_columns(spark, path).collect()}
+    assert len(got) == len(rows)
+    kept = {r.doc_id: bytes(r.media) for r in media.add_media(spark.read.parquet(f"{path}/documents.parquet")).select("doc_id", "media").collect()}
+    cosine = [[np.cos(np.pi * (2 * x + 1) * u / 64) for x in range(32)] for u in range(8)]
+    for i, t in rows:
+        raw = (t or "").encode()
+        padded = raw + bytes(-len(raw) % 64 or (0 if raw else 64))
+        r = got[i]
+        assert (r.n_bytes, r.payload_bytes, r.payload_sha256) == (len(raw), len(padded), hashlib.sha256(padded).hexdigest())
+        assert r.tail_crc32 == zlib.crc32(padded[-64:])
+        assert (r.media_bytes, r.media_sha256) == (len(kept[i]), hashlib.sha256(kept[i]).hexdigest())
+        if len(padded) <= 6400:  # the transform by its definition, for pictures of up to 100 rows
+            x = np.frombuffer(padded, np.uint8).reshape(-1, 64).astype(float)
+            n = len(x)
+            cuts = [k * n // 32 for k in range(33)]
+            x = np.array([x[a : max(b, a + 1)].mean(axis=0) for a, b in itertools.pairwise(cuts)]) if n >= 32 else x[[k * n // 32 for k in range(32)]]
+            x = np.array([x[:, 2 * k : 2 * k + 2].mean(axis=1) for k in range(32)]).T
+            low = [round(sum(cosine[u][a] * cosine[v][b] * x[a, b] for a in range(32) for b in range(32)), 6) for u in range(8) for v in range(8)] if n <= 20 else None
+            if low:
+                middle = float(np.median(low[1:]))
+                bits = [False] + [v > middle for v in low[1:]]
+                near = [k for k, v in enumerate(low) if abs(v - middle) < 1e-4]
+                mine = np.unpackbits(np.frombuffer(bytes.fromhex(r.feature), np.uint8)).astype(bool)
+                assert all(mine[k] == bits[k] for k in range(64) if k not in near)
+
+
+def test_every_png_filter_is_undone():
+    rng = np.random.default_rng(2)
+    pixels = rng.integers(0, 256, (23, 64), dtype=np.uint8)
+    whole = {k: media.filter_rows(pixels, k) for k in range(5)}
+    kinds = np.array([0, 1, 1, 2, 4, 4, 4, 3, 3, 2, 2, 1, 3, 4, 0, 0, 4, 4, 4, 4, 3, 3, 3], np.uint8)
+    assert (media.unfilter_rows(kinds, np.array([whole[k][r] for r, k in enumerate(kinds)])) == pixels).all()
+
+
+def test_token_query_by_brute_force(spark, hard_dir):
+    from tokenizers import Tokenizer
+
+    path, rows = hard_dir
+    got = {r.doc_id: r for r in token_store.op6_token_store(spark, path).collect()}
+    t, at = Tokenizer.from_file(tokens.public_file("word_bpe_49k.json")), 0
+    for i, text in sorted(rows):
+        ids = np.array([*t.encode(text or "", add_special_tokens=False).ids, 2], "<u4")
+        assert (got[i].start, got[i].n_tokens, got[i].ids_crc32) == (at, len(ids), zlib.crc32(ids.tobytes()))
+        at += len(ids)
+    assert len(got) == len(rows)
+
+
+def test_pseudonym_query_by_brute_force(spark, hard_dir):
+    """Row by row the same as the plain function; lengths and signs stay; pseudonyms are one to one."""
+    path, rows = hard_dir
+    got = {r.doc_id: r for r in pii.op2_pii_pseudonyms(spark, path).collect()}
+    pairs: dict[str, dict[str, str]] = {}
+    for i, text in rows:
+        new, counts = pii.pseudonymise(text)
+        assert (got[i].text, got[i].n_values) == (new, sum(counts.values()))
+        if not text:
+            assert got[i].text == text
+            continue
+        if counts.get("address"):  # decimal parts have one to three digits
+            continue
+        assert len(new) == len(text)
+        assert all(a == b or (a.isdigit() and b.isdigit()) or (a.isalpha() and b.isalpha()) or (a + b).isalnum() for a, b in zip(text, new, strict=True))
+        for kind in ("social", "card", "iban"):
+            for m in pii._all[kind].finditer(text):
+                a, b = m.group(), new[m.start() : m.end()]
+                if a != b:
+                    assert pairs.setdefault(kind, {}).setdefault(a, b) == b
+    for seen in pairs.values():
+        assert len(set(seen.values())) == len(seen)
+
+
+def test_url_query_with_clashing_names(spark, data):
+    pages = spark.read.parquet(f"{data}/pages.parquet")
+    for n in ("host", "path", "rule", "verdict", "key"):
+        pages = pages.withColumn(n, passages.F.lit(None).cast("int"))
+    plain = url_filter.judge_urls(spark.read.parquet(f"{data}/pages.parquet"), url_filter.RULES)
+    names = ["page_id", "host", "path", "rule", "verdict"]
+    want = sorted(map(repr, plain.select(*names).collect()))
+    assert sorted(map(repr, url_filter.judge_urls(pages, url_filter.RULES).select(*names).collect())) == want
+
+
+def test_long_texts_in_several_blocks(spark):
+    """Texts beyond BLOCK_BYTES: contamination at their ends, near copies, and passages."""
+    rng = np.random.default_rng(31)
+    words_ = [f"w{x}" for x in rng.integers(0, 10**6, 220_000)]
+    passage = [f"p{x}" for x in range(80)]
+    other = [f"v{x}" for x in rng.integers(0, 10**6, 200_000)]
+    near = list(words_)
+    for k in range(0, len(near), 400):
+        near[k] = "changed"
+    rows = [(1, " ".join(words_)), (2, " ".join(near)), (3, " ".join([*other, *passage])), (4, " ".join([*passage, *other[::-1]])), (5, "small")]
+    assert len(rows[0][1]) > 1 << 20
+    table = spark.createDataFrame(rows, "doc_id long, text string").repartition(2)
+    items = spark.createDataFrame([(7, " ".join(passage[50:65]))], "item_id long, text string")
+    for part in (1 << 20, 10):
+        found = {r.doc_id: r.spans for r in decontam.find_contamination(table, items, part_bytes=part).collect()}
+        hit = {d: (min(s.first for s in v), max(s.end for s in v)) for d, v in found.items() if v}
+        assert hit == {3: (200_050, 200_065), 4: (50, 65)}
+    groups = {r[0]: r[2] for r in ngram_join.jaccard_components(table).select("doc_id", "n_shingles", "component_id").collect()}
+    assert groups == {1: 1, 2: 1, 3: 3, 4: 4, 5: 5}
+    got = {r.doc_id: r.n_repeated for r in passages.repeated_passages(table).collect()}
+    assert got[1] == got[3] == got[5] == 0 and got[4] == 80 and got[2] > 200_000
+
+
+def test_pipeline_stages_on_hard_and_empty_tables(spark, hard, void, data):
+    import corpus_pipeline as C
+
+    for table in (hard, void):
+        docs = table
+        n = docs.count()
+        for _, stage in C.STAGES[:-1]:
+            docs = stage(spark, docs, data)
+            assert docs.columns == table.columns
+            docs = spark.createDataFrame(docs.collect(), table.schema)
+        assert docs.where("text IS NULL").count() == table.where("text IS NULL").count()
+        assert docs.count() == max(0, n - 1)  # a copy under another id goes
+        pieces = C.STAGES[-1][1](spark, docs, data)
+        assert pieces.where("octet_length(ids) <> 4 * length").count() == 0
+
+
+def test_leaks_are_dropped_by_both_ways(spark, hard):
+    items = spark.createDataFrame([(1, HARD[7][1][:80]), (2, None)], "item_id long, text string")
+    for part in (1 << 20, 3):
+        kept = decontam.drop_contaminated(hard, items, part_bytes=part)
+        assert kept.columns == hard.columns
+        assert sorted(r.doc_id for r in kept.collect()) == [0, 1, 2, 3, 4, 5, 6, 9, 10]
