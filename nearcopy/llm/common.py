@@ -6,7 +6,6 @@ import contextlib
 import ctypes
 import gc
 import json
-import uuid
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -15,6 +14,8 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 from pyspark.sql.types import StructType
 
+from nearcopy.components import materialize  # noqa: F401  (the operators take it from here)
+
 #: Bytes of text that one kernel call looks at; the arrays made from it are about 8 to 100 times as large.
 BLOCK_BYTES = 1 << 20
 
@@ -23,24 +24,6 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """A new folder that the driver and all executors see.
-
-    The cluster names its shared folder in ``spark.checkpoint.dir``; only where that is unset
-    (tests on one machine) a folder below /tmp/checkpoints is taken.
-    """
-    base = spark.conf.get("spark.checkpoint.dir", None) or "/tmp/checkpoints"
-    return f"{base.rstrip('/')}/{uuid.uuid4().hex}"
-
-
-def materialize(df: DataFrame) -> DataFrame:
-    """Cut the lineage: write to the shared folder, read back. Survives lost executors."""
-    spark = df.sparkSession
-    path = shared_dir(spark)
-    df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
 def bloom_test(keys: DataFrame, column: str, max_words: int = 1 << 17) -> Callable[[Column], Column]:
     """A test that all keys pass and few others; of at most `max_words` 64-bit words (a fuller filter lets more through). No Python on the executors."""
     words = min(max_words, max(1, 1 << (keys.count() * 12 // 64).bit_length()))

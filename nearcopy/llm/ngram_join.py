@@ -36,7 +36,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from nearcopy.components import connected_components, materialize
+from nearcopy.components import connected_components
 from nearcopy.llm.common import (
     SOLID_BYTES,
     Words,
@@ -46,6 +46,7 @@ from nearcopy.llm.common import (
     bloom_test,
     check_columns,
     documents,
+    materialize,
     mix,
     text_bytes,
 )
