@@ -7,10 +7,27 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 
+def _scratch(spark: SparkSession) -> str:
+    """The application's folder below spark.checkpoint.dir. Only a session on one machine may leave that unset (tests); there it is
+    below /tmp/checkpoints."""
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if not base:
+        master = spark.sparkContext.master
+        if master != "local" and not master.startswith("local["):
+            raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
+        base = "/tmp/checkpoints"
+    return f"{base.rstrip('/')}/nearcopy-{spark.sparkContext.applicationId}"
+
+
 def shared_dir(spark: SparkSession) -> str:
-    """A new folder below spark.checkpoint.dir (below /tmp/checkpoints where that is unset, as in tests)."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or "/tmp/checkpoints"
-    return f"{base.rstrip('/')}/{uuid.uuid4().hex}"
+    """A new folder that the driver and all executors see."""
+    return f"{_scratch(spark)}/{uuid.uuid4().hex}"
+
+
+def drop_scratch(spark: SparkSession) -> None:
+    """Remove all intermediate tables that this application has written. Results that weren't written elsewhere read them, so call it last."""
+    path = spark._jvm.org.apache.hadoop.fs.Path(_scratch(spark))
+    path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def materialize(df: DataFrame) -> DataFrame:
@@ -29,16 +46,19 @@ def connected_components(edges: DataFrame, a: str = "a", b: str = "b", max_round
     larger side only, which adaptive execution splits. Loops, repeated edges and nulls are dropped.
     """
     low, high = F.least(a, b).alias("m"), F.greatest(a, b).alias("v")
-    now = materialize(edges.where(F.col(a).isNotNull() & F.col(b).isNotNull() & (F.col(a) != F.col(b))).select(high, low).distinct())
+    known = edges.where(F.col(a).isNotNull() & F.col(b).isNotNull() & (F.col(a) != F.col(b)))
+    now = materialize(known.select(high, low).distinct())
     before = None
     for _ in range(max_rounds):
-        both = now.select(F.col("v").alias("u"), F.col("m").alias("w")).unionByName(now.select(F.col("m").alias("u"), F.col("v").alias("w")))
+        both = now.select(F.col("v").alias("u"), F.col("m").alias("w"))
+        both = both.unionByName(now.select(F.col("m").alias("u"), F.col("v").alias("w")))
         least = both.groupBy("u").agg(F.least(F.min("w"), F.first("u")).alias("m")).withColumnRenamed("u", "k")
         large = both.where("w > u").join(least, F.col("u") == F.col("k")).select(F.col("w").alias("v"), "m").distinct()
         large = materialize(large)
         least = large.groupBy("v").agg(F.min("m").alias("best")).withColumnRenamed("v", "k")
         small = large.join(least, F.col("v") == F.col("k"))
-        small = small.select(F.col("m").alias("v"), F.col("best").alias("m")).where("v <> m").unionByName(least.select(F.col("k").alias("v"), F.col("best").alias("m")))
+        small = small.select(F.col("m").alias("v"), F.col("best").alias("m")).where("v <> m")
+        small = small.unionByName(least.select(F.col("k").alias("v"), F.col("best").alias("m")))
         now = materialize(small.distinct())
         state = now.agg(F.count("*"), F.sum(F.xxhash64("v", "m").cast("decimal(38,0)"))).first()
         if state == before:

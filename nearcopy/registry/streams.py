@@ -1,4 +1,5 @@
-"""Streams, SQL functions, the index store and the workloads as queries. Their rows depend on training or on arrival, so tests check them instead of SQL."""
+"""Streams, SQL functions, the index store and the workloads as queries. Where rows depend on training, tests check them
+instead of SQL."""
 
 from __future__ import annotations
 
@@ -87,6 +88,51 @@ def stream_rep_state(spark, d):
     return got.groupBy("code").agg(F.min("rep").alias("rep"), F.max("n").alias("n"))
 
 
+def last_state(stream, spark):
+    """The whole result after the last micro-batch."""
+    rows = collected(stream, spark, "complete")
+    return rows.where(F.col("batch") == rows.agg(F.max("batch")).first()[0]).drop("batch")
+
+
+@query("""SELECT time_bucket(INTERVAL 1 HOUR, ts) AS w, event_type, count(*) AS n FROM events GROUP BY 1, 2""")
+def stream_windows(spark, d):
+    """Counts by hour of event time, after all arrivals."""
+    from nearcopy.streaming.dedup import windowed_counts
+
+    return last_state(windowed_counts(stream_of(spark, d)), spark).withColumn("w", F.col("w").cast("timestamp_ntz"))
+
+
+@query("""WITH g AS (SELECT user_id, ts, lag(ts) OVER (PARTITION BY user_id ORDER BY ts) AS before FROM events),
+s AS (SELECT user_id, ts, sum(CASE WHEN before IS NULL OR ts >= before + INTERVAL 2 HOUR THEN 1 ELSE 0 END)
+OVER (PARTITION BY user_id ORDER BY ts) AS k FROM g)
+SELECT user_id, min(ts) AS w, count(*) AS n FROM s GROUP BY user_id, k""")
+def stream_sessions(spark, d):
+    """Sessions of each user, after all arrivals."""
+    from nearcopy.streaming.dedup import session_counts
+
+    return last_state(session_counts(stream_of(spark, d), delay="365 days"), spark).withColumn("w", F.col("w").cast("timestamp_ntz"))
+
+
+@query("""SELECT a.event_id AS click_id, b.event_id, a.ts AS clicked, b.ts AS bought FROM events a JOIN events b ON a.user_id = b.user_id
+WHERE a.event_type = 'click' AND b.event_type = 'purchase' AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR""")
+def stream_purchases(spark, d):
+    """Purchases within an hour of a click by the same user, as both arrive."""
+    from nearcopy.streaming.dedup import purchases_after_clicks
+
+    clicks, purchases = (stream_of(spark, d).where(F.col("event_type") == k) for k in ("click", "purchase"))
+    found = collected(purchases_after_clicks(clicks, purchases, delay="365 days"), spark).drop("batch")
+    return found.withColumns({n: F.col(n).cast("timestamp_ntz") for n in ("clicked", "bought")})
+
+
+@query("""SELECT event_id, event_id % (SELECT count(*) FROM embeddings) AS id, label FROM events
+LEFT JOIN embeddings ON vec_id = event_id % (SELECT count(*) FROM embeddings)""")
+def stream_labels(spark, d):
+    """Arrivals with the label of their vector, from a table that doesn't change."""
+    from nearcopy.streaming.dedup import with_labels
+
+    return collected(with_labels(stream_of(spark, d).select("event_id", "id"), emb(spark, d)), spark).select("event_id", "id", "label")
+
+
 @query(f"{SEEDED} SELECT qid, nid, round(dist, 6) AS dist FROM ({adc(1, TENTH)})")
 def q_sql_adc(spark, d):
     from nearcopy.functions.sqlapi import register

@@ -95,17 +95,32 @@ def rep_state(stream: DataFrame, index: VectorIndex, keep_ms: int | None = None)
     return coded.groupBy("code").applyInPandasWithState(update, "code string, rep long, n long", "rep long, n long", "update", "NoTimeout" if keep_ms is None else "ProcessingTimeTimeout")
 
 
-def windowed_counts(stream: DataFrame, window: str = "1 hour", slide: str | None = None, delay: str = "2 hours") -> DataFrame:
-    """Arrivals by event time; rows behind the watermark are dropped (and counted in the query's progress)."""
-    return stream.withWatermark("ts", delay).groupBy(F.window("ts", window, slide) if slide else F.window("ts", window), "event_type").agg(F.count("*").alias("n")).select(F.col("window.start").alias("w"), "event_type", "n")
+def windowed_counts(
+    stream: DataFrame, window: str = "1 hour", slide: str | None = None, delay: str = "2 hours"
+) -> DataFrame:
+    """(w, event_type, n): arrivals by event time; in append mode rows behind the watermark are dropped (the query's progress counts them)."""
+    frame = F.window("ts", window, slide) if slide else F.window("ts", window)
+    counts = stream.withWatermark("ts", delay).groupBy(frame, "event_type").agg(F.count("*").alias("n"))
+    return counts.select(F.col("window.start").alias("w"), "event_type", "n")
 
 
 def session_counts(stream: DataFrame, gap: str = "2 hours", delay: str = "4 hours") -> DataFrame:
-    return stream.withWatermark("ts", delay).groupBy("user_id", F.session_window("ts", gap).alias("s")).agg(F.count("*").alias("n")).select("user_id", F.col("s.start").alias("w"), "n")
+    """(user_id, w, n): arrivals of each user without a pause of `gap`."""
+    counts = stream.withWatermark("ts", delay).groupBy("user_id", F.session_window("ts", gap).alias("s"))
+    return counts.agg(F.count("*").alias("n")).select("user_id", F.col("s.start").alias("w"), "n")
 
 
-def purchases_after_clicks(clicks: DataFrame, purchases: DataFrame, within: str = "1 hour", delay: str = "2 hours") -> DataFrame:
-    """A stream-stream join with a time bound."""
-    a = clicks.withWatermark("ts", delay).select(F.col("user_id").alias("u"), F.col("ts").alias("clicked"), F.col("event_id").alias("click_id"))
+def purchases_after_clicks(
+    clicks: DataFrame, purchases: DataFrame, within: str = "1 hour", delay: str = "2 hours"
+) -> DataFrame:
+    """(click_id, event_id, clicked, bought): a stream-stream join with a time bound."""
+    a = clicks.withWatermark("ts", delay)
+    a = a.select(F.col("user_id").alias("u"), F.col("ts").alias("clicked"), F.col("event_id").alias("click_id"))
     b = purchases.withWatermark("ts", delay).select("user_id", F.col("ts").alias("bought"), "event_id")
-    return a.join(b, (F.col("u") == F.col("user_id")) & F.expr(f"bought >= clicked AND bought <= clicked + INTERVAL {within}")).select("click_id", "event_id", "clicked", "bought")
+    near = F.expr(f"bought >= clicked AND bought <= clicked + INTERVAL {within}")
+    return a.join(b, (F.col("u") == F.col("user_id")) & near).select("click_id", "event_id", "clicked", "bought")
+
+
+def with_labels(stream: DataFrame, labels: DataFrame) -> DataFrame:
+    """A stream-static join: each arrival with what a table of (id, label) says of its vector; others stay, without a label."""
+    return stream.join(labels.select("id", "label"), "id", "left")

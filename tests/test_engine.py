@@ -232,3 +232,111 @@ def test_registered_stream_has_the_copies_of_all_sources(spark, data):
 
     x = FE.emb_planted(spark.read.parquet(f"{data}/embeddings.parquet"), 256)
     assert QUERIES["stream_dedup"](spark, data).count() == x.count()
+
+
+def test_intermediate_tables_can_be_removed(spark, tmp_path, monkeypatch):
+    from nearcopy import components
+
+    monkeypatch.setattr(components, "_scratch", lambda s: f"{tmp_path}/scratch")
+    gone = components.materialize(spark.range(5))
+    assert gone.count() == 5 and (tmp_path / "scratch").exists()
+    components.drop_scratch(spark)
+    assert not (tmp_path / "scratch").exists()
+
+
+def test_nearest_at_many_centroids_stays_small():
+    """The reference's number of cells: memory is bounded by tiles, not by cells times dimensions."""
+    import tracemalloc
+
+    rng = np.random.default_rng(0)
+    centroids, x = rng.standard_normal((65_536, 128)), rng.standard_normal((300, 128))
+    x[7] = centroids[40_000]
+    tracemalloc.start()
+    at, d = K.nearest(x, centroids)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 200 << 20 and (at[7, 0], d[7, 0]) == (40_000, 0)
+    few, _ = K.nearest(x[:5], centroids, 3)
+    assert (few == np.argsort(((x[:5, None] - centroids[None]) ** 2).sum(axis=2), axis=1, kind="stable")[:, :3]).all()
+
+
+def test_samples_keep_their_partitions(spark):
+    from nearcopy.functions.blocks import hash_share
+
+    rows = spark.range(100_000).repartition(8)
+    some = hash_share(rows, 40_000, "id")
+    assert 38_000 < some.count() < 42_000 and some.rdd.getNumPartitions() == 8
+    assert sorted(some.collect()) == sorted(hash_share(rows.repartition(3), 40_000, "id").collect())
+    assert hash_share(rows, 10**6, "id").count() == 100_000
+
+
+def test_exact_search_by_block_pairs(spark, emb, monkeypatch):
+    """More queries than are broadcast: blocks of both sides meet by a shuffle, with the same result."""
+    q = emb.where("id % 3 = 0")
+    want = rows(S.knn_exact(q, emb, 4), "qid", "nid", "rank")
+    monkeypatch.setattr(S, "BLOCK_QUERIES", 10)
+    monkeypatch.setattr(S, "BLOCK_BYTES", 64 * 8 * 60)
+    assert rows(S.knn_exact(q, emb, 4), "qid", "nid", "rank") == want
+
+
+def test_neighbours_in_chunks_by_block_pairs(spark, emb):
+    want = rows(S.chunk_nearest(emb, "x", 100), "id", "nn_id")
+    assert rows(S.chunk_nearest(emb, "x", 100, block=17), "id", "nn_id") == want
+
+
+def test_engines_and_shards_give_the_same_neighbours(spark, emb):
+    index, q = I.seeded_index(emb).materialize(), emb.where("id % 20 = 0")
+    want = rows(index.search(q, 5, 2), "qid", "nid", "rank")
+    assert rows(index.search(q, 5, 2, engine="expr"), "qid", "nid", "rank") == want
+    assert rows(index.search(q, 5, 2, shards=4), "qid", "nid", "rank") == want
+    flat = I.build_index(emb, "x", 8, None, iters=2).materialize()
+    assert rows(flat.search(q, 5, 8), "qid", "nid", "rank") == rows(S.knn_exact(q, emb, 5, include_self=True), "qid", "nid", "rank")
+
+
+def test_saved_index_with_other_groups_and_appended_rows(spark, emb, tmp_path):
+    from nearcopy.sources.index_source import IndexSource, read_lists
+
+    index = I.build_index(emb.where("id < 300"), "x", 40, 8, iters=1, coarse="graph")
+    path = str(tmp_path)
+    index.save(path, spark, groups=16)
+    assert I.VectorIndex.append_to(path, emb.where("id >= 300")) == 2
+    again = I.VectorIndex.load(path, spark)
+    assert again.coarse is not None and again.encoded.count() == emb.count()
+    spark.dataSource.register(IndexSource)
+    spark.conf.set("spark.sql.python.filterPushdown.enabled", "true")
+    lists = spark.read.format("nearcopy_index").option("path", path).option("pruning", "true").load()
+    for cells in ([37], [3, 20, 36]):
+        want = rows(again.encoded.where(F.col("cell").isin(cells)), "id")
+        assert want and rows(lists.where(F.col("cell").isin(cells)), "id") == want
+        assert rows(read_lists(spark, path, cells), "id") == want
+    assert rows(lists.where("cell IN (3, 20) AND cell = 20"), "id") == rows(again.encoded.where("cell = 20"), "id")
+
+
+def test_planner_chooses_for_deduplication(spark, emb):
+    same = emb.select("id", "x").unionByName(emb.where("id = 5").select(F.explode(F.sequence(F.lit(1000), F.lit(1030))).alias("id"), "x"))
+    plain = D.dedup(same, D.DedupSpec(seeded=True, k=5, mode="connected"))
+    planned = D.dedup(same, D.DedupSpec(seeded=True, k=5, mode="connected", planned=True))
+    assert "collapse" in planned.stats["plan"] and "salt" in plain.stats["plan"]
+    got = dict(planned.reps.select("id", "rep").collect())
+    assert all(got[i] == got[5] for i in range(1000, 1031))
+
+
+def test_knn_block_and_mean_vectors(spark, emb):
+    from nearcopy.functions.sqlapi import mean_vectors, register
+
+    register(spark, I.seeded_index(emb))
+    got = spark.sql("SELECT * FROM knn_block(array(array(0D, 0D)), array(array(1D, 0D), array(0D, 0D), array(0D, 2D)), 2)").collect()
+    assert [(r.q, r.nn, r.dist) for r in got] == [(0, 1, 0.0), (0, 0, 1.0)]
+    assert spark.sql("SELECT * FROM hash_features('one two three')").count() == 2
+    table = spark.createDataFrame([(1, [1.0, 3.0]), (1, [3.0, 5.0]), (2, [0.0, 1.0])], "k int, x array<double>")
+    assert dict(mean_vectors(table, "k").collect()) == {1: [2.0, 4.0], 2: [0.0, 1.0]}
+
+
+def test_mean_pair_distance_needs_no_pairs(spark):
+    from nearcopy.operators.copies import mean_pair_distance
+
+    x = np.random.default_rng(1).standard_normal((6, 5))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    table = spark.createDataFrame([(i, 0, v.tolist()) for i, v in enumerate(x)], "id long, rep long, t array<double>")
+    pairs = [((x[i] - x[j]) ** 2).sum() for i in range(6) for j in range(i)]
+    assert abs(mean_pair_distance(table).first().mean_distance - np.sqrt(np.mean(pairs))) < 1e-9
