@@ -25,13 +25,16 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def bloom_test(keys: DataFrame, column: str, max_words: int = 1 << 17) -> Callable[[Column], Column]:
-    """A test that all keys pass and few others; of at most `max_words` 64-bit words (a fuller filter lets more through). No Python on the executors."""
+    """A test that all keys pass and few others; of at most `max_words` 64-bit words (a fuller filter lets more
+    through). No Python on the executors."""
     words = min(max_words, max(1, 1 << (keys.count() * 12 // 64).bit_length()))
 
     def spots(key: Column) -> list[Column]:
         return [F.pmod(F.xxhash64(key, F.lit(h)), F.lit(words * 64)) for h in range(4)]
 
-    rows = keys.select(F.explode(F.array(*spots(F.col(column)))).alias("bit")).groupBy(F.shiftright("bit", 6).alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(bit & 63 as int))")).alias("value")).collect()
+    rows = keys.select(F.explode(F.array(*spots(F.col(column)))).alias("bit")).groupBy(
+        F.shiftright("bit", 6).alias("word")
+    ).agg(F.bit_or(F.expr("shiftleft(1L, cast(bit & 63 as int))")).alias("value")).collect()
     filled = [0] * words
     for r in rows:
         filled[r["word"]] = r["value"]
@@ -59,7 +62,8 @@ _owner = ""
 
 
 def give_back(map_bytes: int | None = 1 << 20) -> None:
-    """Freed memory to the system; arrays of `map_bytes` and more are mapped, so that they go as soon as they are freed (None: as the system has it)."""
+    """Freed memory to the system; arrays of `map_bytes` and more are mapped, so that they go as soon as they are
+    freed (None: as the system has it)."""
     pa.default_memory_pool().release_unused()
     with contextlib.suppress(OSError, AttributeError):  # only glibc has these
         libc = ctypes.CDLL(None)
@@ -105,7 +109,9 @@ def text_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         column = column.combine_chunks()
     column = pc.fill_null(column, b"" if pa.types.is_binary(column.type) else "")
     wide = pa.types.is_large_string(column.type) or pa.types.is_large_binary(column.type)
-    offsets = np.frombuffer(column.buffers()[1], np.int64 if wide else np.int32)[column.offset : column.offset + len(column) + 1].astype(np.int64)
+    offsets = np.frombuffer(
+        column.buffers()[1], np.int64 if wide else np.int32
+    )[column.offset : column.offset + len(column) + 1].astype(np.int64)
     data = column.buffers()[2]
     if not len(column) or data is None:
         return np.zeros(0, np.uint8), np.zeros(len(column) + 1, np.int64)
@@ -226,4 +232,7 @@ def window_minima(x: np.ndarray, width: int) -> np.ndarray:
 
 
 def batch(schema: pa.Schema, *columns) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([c if isinstance(c, pa.Array) else pa.array(c, f.type) for c, f in zip(columns, schema, strict=True)], schema=schema)
+    return pa.RecordBatch.from_arrays(
+        [c if isinstance(c, pa.Array) else pa.array(c, f.type) for c, f in zip(columns, schema, strict=True)],
+        schema=schema,
+    )

@@ -71,7 +71,8 @@ def unfilter_rows(kinds: np.ndarray, rows: np.ndarray) -> np.ndarray:
 
 
 def _unfilter_diagonals(rows: np.ndarray, above: np.ndarray, kind: int) -> np.ndarray:
-    """Rows of one kind whose samples depend on the left, upper and corner one: all samples of an anti-diagonal at a time."""
+    """Rows of one kind whose samples depend on the left, upper and corner one: all samples of an anti-diagonal at a
+    time."""
     height, width = rows.shape
     done = np.zeros((height + 1, width + 1), np.int16)  # with the row above and an empty column at the left
     done[0, 1:] = above
@@ -85,7 +86,8 @@ def _unfilter_diagonals(rows: np.ndarray, above: np.ndarray, kind: int) -> np.nd
 
 
 def encode_png(payload: bytes, width: int = WIDTH, level: int = 1, chunk_bytes: int = 1 << 16) -> bytes:
-    """payload: whole rows of `width` samples. The filter with the smallest sum of signed sizes is taken for all rows."""
+    """payload: whole rows of `width` samples. The filter with the smallest sum of signed sizes is taken for all
+    rows."""
     pixels = np.frombuffer(payload, np.uint8).reshape(-1, width)
     head = pixels[:256]
     cost = {k: int(np.abs(filter_rows(head, k).view(np.int8).astype(np.int16)).sum()) for k in (NONE, SUB, UP)}
@@ -94,7 +96,9 @@ def encode_png(payload: bytes, width: int = WIDTH, level: int = 1, chunk_bytes:
     rows[:, 0], rows[:, 1:] = kind, filter_rows(pixels, kind)
     packed = zlib.compress(rows.tobytes(), level)
     body = b"".join(_chunk(b"IDAT", packed[i : i + chunk_bytes]) for i in range(0, len(packed), chunk_bytes))
-    return SIGNATURE + _chunk(b"IHDR", struct.pack(">IIBBBBB", width, len(pixels), 8, 0, 0, 0, 0)) + body + _chunk(b"IEND", b"")
+    return SIGNATURE + _chunk(
+        b"IHDR", struct.pack(">IIBBBBB", width, len(pixels), 8, 0, 0, 0, 0)
+    ) + body + _chunk(b"IEND", b"")
 
 
 def decode_png(data: bytes) -> np.ndarray:
@@ -130,7 +134,8 @@ def decode_png(data: bytes) -> np.ndarray:
 
 
 def cosine_hash(pixels: np.ndarray) -> bytes:
-    """64 bits: which of the 8 x 8 lowest frequencies (without the mean) of the 32 x 32 picture lie above their median."""
+    """64 bits: which of the 8 x 8 lowest frequencies (without the mean) of the 32 x 32 picture lie above their
+    median."""
 
     def shrink(x):
         n = len(x)
@@ -182,11 +187,18 @@ def _media(id_column, digests):
     return run
 
 
-_MEDIA = pa.schema([("n_bytes", pa.int64()), ("media", pa.binary()), ("feature", pa.binary()), ("payload", pa.binary())])
+_MEDIA = pa.schema(
+    [("n_bytes", pa.int64()), ("media", pa.binary()), ("feature", pa.binary()), ("payload", pa.binary())]
+)
 _DIGEST = pa.schema(
     [
         *[("n_bytes", pa.int64()), ("payload_bytes", pa.int64()), ("payload_sha256", pa.string())],
-        *[("tail_crc32", pa.int64()), ("media_bytes", pa.int64()), ("media_sha256", pa.string()), ("feature", pa.string())],
+        *[
+            ("tail_crc32", pa.int64()),
+            ("media_bytes", pa.int64()),
+            ("media_sha256", pa.string()),
+            ("feature", pa.string()),
+        ],
     ]
 )
 

@@ -476,7 +476,9 @@ def jaccard_components(
     counted = classes.where(F.col("n") <= 2 * MAX_LIGHT).groupBy("n").count().collect()  # at most 2 * MAX_LIGHT rows
     boundary = choose_boundary({r["n"]: r["count"] for r in counted}, percent)
     chosen = _first_of_classes(named, classes)
-    entries = chosen.transform(arrow_map, _entries(boundary, percent), "key long, check long, kind byte, n int, rep long")
+    entries = chosen.transform(
+        arrow_map, _entries(boundary, percent), "key long, check long, kind byte, n int, rep long"
+    )
     met = entries.repartition("key").sortWithinPartitions("key", "check", "kind", "n", "rep")
     met = met.transform(arrow_map, _meet(percent), "a long, b long, how byte, needed int")
     met = met.groupBy("a", "b", "how").agg(F.count("*").alias("times"), F.min("needed").alias("needed"))

@@ -1,8 +1,11 @@
 """Format-preserving pseudonyms for personal data by a keyed Feistel permutation.
 
-Each kind of value has a finite domain: the digits of a phone number, the letters and digits of a mail name, the days from
-1900 to 2099 and so on. A value that is valid for its kind is permuted within the domain by a Feistel network whose round
-function is keyed BLAKE2; where the domain isn't a whole rectangle, the network is walked until it is back in the domain. So
+Each kind of value has a finite domain: the digits of a phone number, the letters and digits of a mail name, the days
+from
+1900 to 2099 and so on. A value that is valid for its kind is permuted within the domain by a Feistel network whose
+round
+function is keyed BLAKE2; where the domain isn't a whole rectangle, the network is walked until it is back in the
+domain. So
 the result has the same form, is valid again (check digits are made anew), differs between keys, and equal
 values get equal pseudonyms in all documents, however they are written.
 """
@@ -40,7 +43,9 @@ def permute(value: int, low: int, high: int, key: bytes, tweak: bytes) -> int:
     return b * low + a
 
 
-def permute_below(value: int, size: int, key: bytes, tweak: bytes, allowed: Callable[[int], bool] = lambda v: True) -> int:
+def permute_below(
+    value: int, size: int, key: bytes, tweak: bytes, allowed: Callable[[int], bool] = lambda v: True
+) -> int:
     """A keyed permutation of the allowed values below `size`."""
     low = max(1, int(size**0.5))
     high = -(-size // low)
@@ -102,7 +107,9 @@ def _iban(text: str, key: bytes) -> str | None:
     plain = text.replace(" ", "")
     if not 15 <= len(plain) <= 34 or _iban_digits(plain[:2], plain[4:]) != plain[2:4]:
         return None
-    account = permute_symbols(plain[4:], [DIGITS if c in DIGITS else UPPER for c in plain[4:]], key, b"iban" + plain[:2].encode())
+    account = permute_symbols(
+        plain[4:], [DIGITS if c in DIGITS else UPPER for c in plain[4:]], key, b"iban" + plain[:2].encode()
+    )
     return _put_back(text, plain[:2] + _iban_digits(plain[:2], account) + account, lambda c: c != " ")
 
 
@@ -146,7 +153,9 @@ def _mail(text: str, key: bytes) -> str | None:
 
 
 def _secret(text: str, key: bytes) -> str | None:
-    if not (any(c.isdigit() for c in text) and any(c.isalpha() for c in text)) or text != text.lower() and text != text.upper():
+    if not (
+        any(c.isdigit() for c in text) and any(c.isalpha() for c in text)
+    ) or text != text.lower() and text != text.upper():
         return None
     new = permute_symbols(text.lower(), [HEX] * len(text), key, b"secret")
     return new if text == text.lower() else new.upper()
@@ -168,7 +177,9 @@ def _date(text: str, key: bytes) -> str | None:
             continue
         if 0 <= day < _DAYS:
             new = datetime.date.fromordinal(permute_below(day, _DAYS, key, b"date") + _FIRST_DAY)
-            return sign.join(f"{new.year:04d}" if p == "y" else f"{getattr(new, {'m': 'month', 'd': 'day'}[p]):02d}" for p in order)
+            return sign.join(
+                f"{new.year:04d}" if p == "y" else f"{getattr(new, {'m': 'month', 'd': 'day'}[p]):02d}" for p in order
+            )
     return None
 
 
@@ -179,7 +190,10 @@ _KINDS: dict[str, tuple[str, Callable[[str, bytes], str | None]]] = {
     "address": (r"(?<![\w.])\d{1,3}(?:\.\d{1,3}){3}(?!\w|\.\d)", _address),
     "date": (r"(?<![\w.])(?:\d{4}([-/.])\d{2}\1\d{2}|\d{2}([-/.])\d{2}\2\d{4})(?![\w]|[-/.]\d)", _date),
     "social": (r"(?<![\w-])\d{3}-\d{2}-\d{4}(?![\w-])", _social),
-    "phone": (r"(?<!\w)(?:\+\d{1,3}[ .-]?)?\(\d{2,4}\)[ .-]?\d{3,4}[ .-]?\d{3,4}(?!\w)|(?<!\w)\+\d{1,3}[ .-]\d{2,4}[ .-]\d{3,4}(?:[ .-]\d{2,4}){0,2}(?!\w)|(?<![\w-])\d{3}[-.]\d{3}[-.]\d{4}(?![\w-])", _phone),
+    "phone": (
+        r"(?<!\w)(?:\+\d{1,3}[ .-]?)?\(\d{2,4}\)[ .-]?\d{3,4}[ .-]?\d{3,4}(?!\w)|(?<!\w)\+\d{1,3}[ .-]\d{2,4}[ .-]\d{3,4}(?:[ .-]\d{2,4}){0,2}(?!\w)|(?<![\w-])\d{3}[-.]\d{3}[-.]\d{4}(?![\w-])",
+        _phone,
+    ),
     "card": (r"(?<![\w])\d(?:[ -]?\d){12,18}(?!\w)", _card),
 }
 _all = {k: re.compile(p) for k, (p, _) in _KINDS.items()}
@@ -187,7 +201,8 @@ _digit = re.compile(r"[0-9]")
 
 
 def pseudonymise(text: str | None, key: bytes = TRIAL_KEY) -> tuple[str | None, dict[str, int]]:
-    """The text with its valid values replaced, and how many of each kind. Values of an earlier kind aren't looked at again."""
+    """The text with its valid values replaced, and how many of each kind. Values of an earlier kind aren't looked at
+    again."""
     if not text or ("@" not in text and not _digit.search(text)):
         return text, {}
     found: list[tuple[int, int, str, str]] = []
@@ -218,7 +233,8 @@ def _cached(kind: str, value: str, key: bytes) -> str | None:
 def add_pseudonyms(docs: DataFrame, text: str = "text", key: bytes = TRIAL_KEY, count: str = "n_values") -> DataFrame:
     """`docs` with the text's personal data replaced, and a column with the number of replaced values.
 
-    Null stays null and empty stays empty, with 0 values. Numbers and dates that aren't valid stay. Whole texts of any length
+    Null stays null and empty stays empty, with 0 values. Numbers and dates that aren't valid stay. Whole texts of
+    any length
     are read. A column named as `count` is replaced.
     """
     check_columns(docs, text)

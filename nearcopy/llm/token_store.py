@@ -50,12 +50,22 @@ class EliasFano:
             raise ValueError("values fall")
         upper = int(values[-1]) + 1 if upper is None and n else int(upper or 0)
         bits = max(0, (upper // n).bit_length() - 1) if n else 0
-        low = np.packbits(((values[:, None] >> np.arange(bits, dtype=np.uint64)) & np.uint64(1)).astype(np.uint8).ravel(), bitorder="little").tobytes() if bits else b""
+        low = np.packbits(
+            ((values[:, None] >> np.arange(bits, dtype=np.uint64)) & np.uint64(1)).astype(np.uint8).ravel(),
+            bitorder="little",
+        ).tobytes() if bits else b""
         places = (values >> np.uint64(bits)).astype(np.int64) + np.arange(n)
         size = -(-(int(places[-1]) + 1) // 64) * 64 if n else 0
         flags = np.zeros(size, np.uint8)
         flags[places] = 1
-        return EliasFano(n, upper, bits, low, np.packbits(flags, bitorder="little").tobytes(), places[::_SAMPLE].astype("<u4").tobytes())
+        return EliasFano(
+            n,
+            upper,
+            bits,
+            low,
+            np.packbits(flags, bitorder="little").tobytes(),
+            places[::_SAMPLE].astype("<u4").tobytes(),
+        )
 
     def to_bytes(self) -> bytes:
         return _EF.pack(self.n, self.upper, self.bits, *map(len, self._bytes)) + b"".join(self._bytes)
@@ -90,7 +100,9 @@ class EliasFano:
         spots = (which[:, None] * self.bits + np.arange(self.bits)).astype(np.int64)
         raw = np.frombuffer(self.low, np.uint8)
         flags = (raw[spots >> 3] >> (spots & 7).astype(np.uint8)) & 1
-        return (high << np.uint64(self.bits)) | (flags.astype(np.uint64) << np.arange(self.bits, dtype=np.uint64)).sum(axis=1, dtype=np.uint64)
+        return (high << np.uint64(self.bits)) | (
+            flags.astype(np.uint64) << np.arange(self.bits, dtype=np.uint64)
+        ).sum(axis=1, dtype=np.uint64)
 
     def all(self) -> np.ndarray:
         return self.select(np.arange(self.n))
@@ -103,7 +115,9 @@ def write_file(doc_ids: list, ids: list[bytes], width: int) -> bytes:
     base = int(known[0]) if len(known) else 0
     ends = np.cumsum([len(x) // width for x in ids], dtype=np.int64)
     total = int(ends[-1]) if len(ends) else 0
-    body = _HEAD.pack(_MAGIC, width, 0, len(doc_ids), total, base, nulls, 0) + EliasFano.encode(known - base).to_bytes() + EliasFano.encode(ends, total + 1).to_bytes() + b"".join(ids)
+    body = _HEAD.pack(
+        _MAGIC, width, 0, len(doc_ids), total, base, nulls, 0
+    ) + EliasFano.encode(known - base).to_bytes() + EliasFano.encode(ends, total + 1).to_bytes() + b"".join(ids)
     return body + struct.pack("<I", zlib.crc32(body))
 
 
@@ -133,8 +147,11 @@ class TokenFile:
         return self.ids[a[0] : b[0]]
 
 
-def write_token_files(docs: DataFrame, tokenizer_path: str, end_id: int = END_ID, text: str = "text", id_column: str = "doc_id") -> DataFrame:
-    """The files of `docs`, written to the shared folder: (part, block, before, n_docs, n_tokens, file); `before` counts the
+def write_token_files(
+    docs: DataFrame, tokenizer_path: str, end_id: int = END_ID, text: str = "text", id_column: str = "doc_id"
+) -> DataFrame:
+    """The files of `docs`, written to the shared folder: (part, block, before, n_docs, n_tokens, file); `before`
+    counts the
     tokens of the part's earlier blocks. A null text is empty: only the end id. Repeated ids are
     ordered by text; null ids come first."""
     check_columns(docs, id_column, text)
@@ -158,10 +175,20 @@ def _writer(path, end_id):
                     ids.append(raw + end)
                     held += len(raw) // tok.width + 1
                     if held >= FILE_TOKENS:
-                        yield batch(_FILES, [part], [block], [before], [len(doc_ids)], [held], [write_file(doc_ids, ids, tok.width)])
+                        yield batch(
+                            _FILES,
+                            [part],
+                            [block],
+                            [before],
+                            [len(doc_ids)],
+                            [held],
+                            [write_file(doc_ids, ids, tok.width)],
+                        )
                         before, block, doc_ids, ids, held = before + held, block + 1, [], [], 0
         if doc_ids:
-            yield batch(_FILES, [part], [block], [before], [len(doc_ids)], [held], [write_file(doc_ids, ids, tok.width)])
+            yield batch(
+                _FILES, [part], [block], [before], [len(doc_ids)], [held], [write_file(doc_ids, ids, tok.width)]
+            )
 
     return run
 
@@ -177,18 +204,24 @@ def read_token_files(files: DataFrame) -> DataFrame:
         first[r["part"]] = start
         start += r["n"]
     shared = spark.sparkContext.broadcast(first)
-    schema = pa.schema([("doc_id", pa.int64()), ("start", pa.int64()), ("n_tokens", pa.int64()), ("ids_crc32", pa.int64())])
+    schema = pa.schema(
+        [("doc_id", pa.int64()), ("start", pa.int64()), ("n_tokens", pa.int64()), ("ids_crc32", pa.int64())]
+    )
 
     def run(batches):
         for b in batches:
-            for part, before, data in zip(b.column("part").to_pylist(), b.column("before").to_pylist(), b.column("file"), strict=True):
+            for part, before, data in zip(
+                b.column("part").to_pylist(), b.column("before").to_pylist(), b.column("file"), strict=True
+            ):
                 f = TokenFile(data.as_py())
                 starts, ends = f.bounds(np.arange(f.n_docs))
                 wide = f.ids.astype("<u4")
                 crc = [zlib.crc32(wide[x:y]) for x, y in zip(starts, ends, strict=True)]
                 yield batch(schema, f.doc_ids(), starts + shared.value[part] + before, ends - starts, crc)
 
-    return files.select("part", "before", "file").transform(arrow_map, run, "doc_id long, start long, n_tokens long, ids_crc32 long", None)
+    return files.select("part", "before", "file").transform(
+        arrow_map, run, "doc_id long, start long, n_tokens long, ids_crc32 long", None
+    )
 
 
 def op6_token_store(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -16,7 +16,8 @@ JOINED = 2000
 _cached: dict[str, CachedTokenizer] = {}
 #: White space after a blank: there a cut could change the split into words.
 _unsafe = re.compile(r" \s")
-#: A comma or full stop that isn't behind a letter or digit, and a new line beside white space: in such texts these stay with what is around them.
+#: A comma or full stop that isn't behind a letter or digit, and a new line beside white space: in such texts these
+#: stay with what is around them.
 _odd_stop, _odd_line = re.compile(r"[,.](?<=[\W_].)|^[,.]", re.S), re.compile(r"\n\s|\n(?<=\s\n)")
 
 
@@ -29,7 +30,8 @@ def public_file(name: str) -> str:
 class CachedTokenizer:
     """Ids as little-endian bytes. A text is cut before each blank between two solid characters; for both kinds
     of pre-tokenizer in use (a word with the blank before it; white space dropped) no token spans such a cut, so
-    the parts' ids in a row are the text's. Cuts before commas and full stops behind letters and at single new lines are such cuts too. Texts where a
+    the parts' ids in a row are the text's. Cuts before commas and full stops behind letters and at single new lines
+    are such cuts too. Texts where a
     blank stands before other white space go through whole."""
 
     def __init__(self, path: str, cache_words: int = CACHE_WORDS):
@@ -45,7 +47,9 @@ class CachedTokenizer:
         vocab = self.tokenizer.get_vocab()
         self.closed = any(t.endswith("</w>") for t in vocab)  # the last id of a word shows, else the first
         self.edge = np.zeros(max(vocab.values()) + 1, bool)
-        self.edge[[i for t, i in vocab.items() if (t.endswith("</w>") if self.closed else t.startswith("\u0120"))]] = True
+        self.edge[
+            [i for t, i in vocab.items() if (t.endswith("</w>") if self.closed else t.startswith("\u0120"))]
+        ] = True
 
     @staticmethod
     def of(path: str, cache_words: int = CACHE_WORDS) -> CachedTokenizer:
@@ -58,7 +62,8 @@ class CachedTokenizer:
         return [np.array(e.ids, self.kind).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
     def _encode_words(self, words: set[str]) -> dict[str, bytes]:
-        """Words of letters behind a blank go together and are told apart by the ids that begin or end a word; where their
+        """Words of letters behind a blank go together and are told apart by the ids that begin or end a word; where
+        their
         number isn't the words', and for all other words, each goes by itself."""
         joined, single, out = [], [], {}
         for w in words:
@@ -68,7 +73,13 @@ class CachedTokenizer:
                 (joined if self.closed and w.isalpha() else single).append(w)
         groups = [joined[i : i + JOINED] for i in range(0, len(joined), JOINED)]
         for a in range(0, len(groups), 16):
-            for group, e in zip(groups[a : a + 16], self.tokenizer.encode_batch_fast([(" " * self.closed).join(g) for g in groups[a : a + 16]], add_special_tokens=False), strict=True):
+            for group, e in zip(
+                groups[a : a + 16],
+                self.tokenizer.encode_batch_fast(
+                    [(" " * self.closed).join(g) for g in groups[a : a + 16]], add_special_tokens=False
+                ),
+                strict=True,
+            ):
                 ids = np.array(e.ids, self.kind)
                 edges = np.flatnonzero(self.edge[ids])
                 if len(edges) != len(group):
@@ -99,7 +110,9 @@ class CachedTokenizer:
                 elif _odd_line.search(t) or _odd_stop.search(t):
                     cut = t.replace(" ", "\0 ").split("\0")
                 else:
-                    cut = t.replace(" ", "\0 ").replace(",", "\0,").replace(".", "\0.").replace("\n", "\0\n\0").split("\0")
+                    cut = t.replace(
+                        " ", "\0 "
+                    ).replace(",", "\0,").replace(".", "\0.").replace("\n", "\0\n\0").split("\0")
                 parts.append(cut)
                 missing.update(cut)
         known = self.known
@@ -119,7 +132,8 @@ class CachedTokenizer:
 
 
 def text_groups(column, limit: int = 4 << 20):
-    """(first row, texts) of runs of rows of an Arrow string column, of about `limit` bytes each, so that few are Python strings at a time."""
+    """(first row, texts) of runs of rows of an Arrow string column, of about `limit` bytes each, so that few are
+    Python strings at a time."""
     import pyarrow.compute as pc
 
     sizes = pc.fill_null(pc.binary_length(column), 0).to_numpy(zero_copy_only=False).astype(np.int64)

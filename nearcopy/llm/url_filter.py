@@ -38,9 +38,13 @@ def candidate_keys(host: Column, path: Column, lengths: list[int]) -> Column:
     labels = F.split(host, "\\.", -1)
     suffixes = F.when(
         host != "",
-        F.transform(F.sequence(F.lit(1), F.size(labels)), lambda i: F.array_join(F.slice(labels, i, F.size(labels)), ".")),
+        F.transform(
+            F.sequence(F.lit(1), F.size(labels)), lambda i: F.array_join(F.slice(labels, i, F.size(labels)), ".")
+        ),
     ).otherwise(F.array().cast("array<string>"))
-    prefixes = F.filter(F.array(*[F.when(F.length(path) >= n, F.substring(path, 1, n)) for n in lengths]), lambda p: p.isNotNull())
+    prefixes = F.filter(
+        F.array(*[F.when(F.length(path) >= n, F.substring(path, 1, n)) for n in lengths]), lambda p: p.isNotNull()
+    )
     pairs = F.flatten(F.transform(suffixes, lambda s: F.transform(prefixes, lambda p: F.struct((-F.length(s) - F.length(p)).alias("a"), (-F.length(s)).alias("b"), F.concat(s, p).alias("key")))))
     return F.transform(F.array_sort(pairs), lambda x: x["key"])
 
@@ -73,8 +77,12 @@ class BloomCascade:
             words = max(1, -(-n * bits // 64))
             if words > MAX_WORDS:
                 raise ValueError(f"a level would take {words} words; split the list by a hash of its keys and fit one cascade for each part")
-            spots = inside.select(F.explode(F.array(*_positions(F.col(column), len(levels), words, hashes))).alias("bit"))
-            rows = spots.groupBy(F.shiftright("bit", 6).alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(bit & 63 as int))")).alias("value")).collect()
+            spots = inside.select(
+                F.explode(F.array(*_positions(F.col(column), len(levels), words, hashes))).alias("bit")
+            )
+            rows = spots.groupBy(F.shiftright("bit", 6).alias("word")).agg(
+                F.bit_or(F.expr("shiftleft(1L, cast(bit & 63 as int))")).alias("value")
+            ).collect()
             filled = [0] * words
             for r in rows:
                 filled[r["word"]] = r["value"]
@@ -104,7 +112,9 @@ class BloomCascade:
         return out
 
 
-def judge_urls(pages: DataFrame, rules: list[tuple[str, str, str]], url: str = "url", default: str = "allow") -> DataFrame:
+def judge_urls(
+    pages: DataFrame, rules: list[tuple[str, str, str]], url: str = "url", default: str = "allow"
+) -> DataFrame:
     """Add host, path, rule and verdict to each row of `pages`.
 
     rules: (verdict, host, path). A rule fits its host and all subdomains if the path starts
@@ -136,11 +146,25 @@ def judge_urls(pages: DataFrame, rules: list[tuple[str, str, str]], url: str = "
             out = F.when(test(key), F.lit(v)).otherwise(out)
         return out
 
-    found = F.get(F.filter(F.transform(candidates, lambda k: F.struct(k.alias("rule"), verdict_of(k).alias("verdict"))), lambda x: x["verdict"].isNotNull()), F.lit(0))
-    return split.withColumn("_hit", found).withColumns({"rule": F.col("_hit.rule"), "verdict": F.coalesce(F.col("_hit.verdict"), F.lit(default))}).drop("_hit")
-
-
-RULES = [("allow", "com", "/"), ("block", "example.com", "/en/"), ("allow", "www.example.com", "/en/"), ("block", "net", "/es/"), ("block", "net", "/fr/")]
+    found = F.get(
+        F.filter(
+            F.transform(candidates, lambda k: F.struct(k.alias("rule"), verdict_of(k).alias("verdict"))),
+            lambda x: x["verdict"].isNotNull(),
+        ),
+        F.lit(0),
+    )
+    return split.withColumn("_hit", found).withColumns(
+        {"rule": F.col("_hit.rule"), "verdict": F.coalesce(F.col("_hit.verdict"), F.lit(default))}
+    ).drop("_hit")
+
+
+RULES = [
+    ("allow", "com", "/"),
+    ("block", "example.com", "/en/"),
+    ("allow", "www.example.com", "/en/"),
+    ("block", "net", "/es/"),
+    ("block", "net", "/fr/"),
+]
 
 
 def op1_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -12,14 +12,28 @@ import regex
 from nearcopy.llm import decontam, media, ngram_join, packing, parsing, passages, pii, token_store, tokens, toxicity, url_filter
 
 LOW = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
-HARD = [(0, None), (1, ""), (2, " \n\t "), (3, "a"), (4, "A  b"), (5, "x" * 3000), (6, "é ü\nß " * 80), (7, "same words here again and again " * 30), (8, "same words here again and again " * 30), (9, "tail. Then,\nnext  two\n\nlines , and.5,6"), (10, "nul\0 inside \0")]
+HARD = [
+    (0, None),
+    (1, ""),
+    (2, " \n\t "),
+    (3, "a"),
+    (4, "A  b"),
+    (5, "x" * 3000),
+    (6, "é ü\nß " * 80),
+    (7, "same words here again and again " * 30),
+    (8, "same words here again and again " * 30),
+    (9, "tail. Then,\nnext  two\n\nlines , and.5,6"),
+    (10, "nul\0 inside \0"),
+]
 EXTRA = "doc_id long, text string, n_words long, spans string, score double, _id string, key string"
 
 
 @pytest.fixture(scope="module")
 def hard(spark):
     """Nulls, empty and long texts, repeats, and further columns with names that operators use."""
-    return spark.createDataFrame([(i, t, 7, "s", 0.5, "x", "k") for i, t in HARD] + [(7, HARD[7][1], None, None, None, None, None)], EXTRA)
+    return spark.createDataFrame(
+        [(i, t, 7, "s", 0.5, "x", "k") for i, t in HARD] + [(7, HARD[7][1], None, None, None, None, None)], EXTRA
+    )
 
 
 @pytest.fixture(scope="module")
@@ -28,7 +42,10 @@ def void(spark):
 
 
 def test_every_operator_takes_hard_and_empty_tables(spark, hard, void):
-    items = spark.createDataFrame([(1, "same words here again and again same words here again"), (2, None), (3, ""), (4, "a")], "item_id long, text string")
+    items = spark.createDataFrame(
+        [(1, "same words here again and again same words here again"), (2, None), (3, ""), (4, "a")],
+        "item_id long, text string",
+    )
     labels = spark.createDataFrame([(3, 1), (4, 0), (None, 1), (5, None)], "doc_id long, toxic int")
     for t, n in ((hard, 12), (void, 0)):
         assert url_filter.judge_urls(t.withColumnRenamed("text", "url"), url_filter.RULES).count() == n
@@ -36,7 +53,9 @@ def test_every_operator_takes_hard_and_empty_tables(spark, hard, void):
         assert decontam.find_contamination(t, items).count() == n
         assert media.add_media(t).count() == n
         assert ngram_join.jaccard_components(t).count() == n
-        assert token_store.read_token_files(token_store.write_token_files(t, tokens.public_file("word_bpe_49k.json"))).count() == n
+        assert token_store.read_token_files(
+            token_store.write_token_files(t, tokens.public_file("word_bpe_49k.json"))
+        ).count() == n
         assert toxicity.add_scores(t, toxicity.fit_toxicity(t, labels)).count() == n
         assert passages.repeated_passages(t).count() == n
         assert parsing.remove_repeats(t).count() == n
@@ -49,10 +68,24 @@ def test_missing_columns_are_named(hard):
 
 
 def test_url_rules(spark):
-    urls = [None, "nothing", "HTTP://WWW.Example.com/en/x?q#f", "http://example.com/en/", "http://a.example.com/en/", "http://example.com", "http://x.net/es/1", "http://notnet/es/1", "a://b.net://c/fr/", "http://com/?x", "http://.com/a"]
+    urls = [
+        None,
+        "nothing",
+        "HTTP://WWW.Example.com/en/x?q#f",
+        "http://example.com/en/",
+        "http://a.example.com/en/",
+        "http://example.com",
+        "http://x.net/es/1",
+        "http://notnet/es/1",
+        "a://b.net://c/fr/",
+        "http://com/?x",
+        "http://.com/a",
+    ]
     got = {r.url: r for r in url_filter.judge_urls(spark.createDataFrame([(u,) for u in urls], "url string"), url_filter.RULES).collect()}
     assert (got[None].host, got[None].path, got[None].rule, got[None].verdict) == ("", "", None, "allow")
-    assert (got[urls[2]].host, got[urls[2]].rule, got[urls[2]].verdict) == ("www.example.com", "www.example.com/en/", "allow")
+    assert (got[urls[2]].host, got[urls[2]].rule, got[urls[2]].verdict) == (
+        "www.example.com", "www.example.com/en/", "allow"
+    )
     assert got[urls[3]].verdict == got[urls[4]].verdict == "block" and got[urls[5]].rule is None
     assert got[urls[6]].rule == "net/es/" and got[urls[7]].rule is None and got[urls[9]].rule == "com/"
 
@@ -71,7 +104,9 @@ def test_pseudonyms_keep_the_form():
     text = "mail a.b@x.example.com, card 4845168114407329 and 4845-1681-1440-7329, 9807915762804490, 248.167.124.71, 2021-03-04, DE89 3704 0044 0532 0130 00, 300.1.1.1, 31/02/2020"
     new, n = pii.pseudonymise(text)
     assert n == {"mail": 1, "card": 2, "address": 1, "date": 1, "iban": 1}
-    assert len(new.split()) == len(text.split()) and "9807915762804490" in new and "300.1.1.1" in new and "31/02/2020" in new
+    assert len(
+        new.split()
+    ) == len(text.split()) and "9807915762804490" in new and "300.1.1.1" in new and "31/02/2020" in new
     cards = regex.findall(r"\d{4}-?\d{4}-?\d{4}-?\d{4}", new)
     assert cards[0] == cards[1].replace("-", "") and pii.luhn_digit(cards[0][:-1]) == cards[0][-1]
     assert pii.pseudonymise(text, b"other")[0] != new
@@ -99,7 +134,9 @@ def test_decontamination(spark):
             a = int(rng.integers(0, len(src)))
             w[3:3] = src[a : a + int(rng.integers(5, 25))]
         docs.append((d, " ".join(w)))
-    df, it = spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string")
+    df, it = spark.createDataFrame(
+        docs, "doc_id long, text string"
+    ), spark.createDataFrame(items, "item_id long, text string")
     for part in (1 << 20, 60):  # sent to the documents, and joined with them
         got = {r.doc_id: r for r in decontam.digest(decontam.find_contamination(df, it, part_bytes=part)).collect()}
         for d, t in docs:
@@ -112,8 +149,12 @@ def test_decontamination(spark):
                         hit |= set(range(p, p + n))
                         names.add(str(i))
             r = got[d]
-            assert (r.n_words, r.n_hit, r.n_items, r.items_sha256) == (len(w), len(hit), len(names), hashlib.sha256(",".join(sorted(names)).encode()).hexdigest())
-        assert {r.doc_id for r in decontam.drop_contaminated(df, it, part_bytes=part).collect()} == {d for d in got if not got[d].contaminated}
+            assert (r.n_words, r.n_hit, r.n_items, r.items_sha256) == (
+                len(w), len(hit), len(names), hashlib.sha256(",".join(sorted(names)).encode()).hexdigest()
+            )
+        assert {r.doc_id for r in decontam.drop_contaminated(df, it, part_bytes=part).collect()} == {
+            d for d in got if not got[d].contaminated
+        }
 
 
 def test_png():
@@ -150,7 +191,10 @@ def brute_components(rows, k, percent):
     return {i: (len(sets[i]), find(i)) for i in sets}
 
 
-@pytest.mark.parametrize("k, percent, shingles, sets", [(4, 85, 1 << 22, 512), (4, 85, 150, 512), (4, 85, 1 << 22, 3), (5, 80, 1 << 22, 512), (5, 80, 1 << 22, 5)])
+@pytest.mark.parametrize(
+    "k, percent, shingles, sets",
+    [(4, 85, 1 << 22, 512), (4, 85, 150, 512), (4, 85, 1 << 22, 3), (5, 80, 1 << 22, 512), (5, 80, 1 << 22, 5)],
+)
 def test_jaccard_join(spark, k, percent, shingles, sets):
     """Whole groups, and groups split by their shingles or sets."""
     rng = np.random.default_rng(3)
@@ -189,8 +233,19 @@ def test_elias_fano():
 @pytest.mark.parametrize("name, end", [("word_bpe_49k.json", 2), ("byte_bpe_50k.json", 0)])
 def test_cached_ids_are_the_tokenizer_s(name, end):
     t = tokens.CachedTokenizer(tokens.public_file(name))
-    texts = [x or "" for _, x in HARD] + ["it's a b, c. d!? 3.14,15 \n x", " lead", "trail ", "a .b ,c", "İstanbul Ǆ ﬁ e\u0301 x", "<|endoftext|> a", "a\u00a0b c\td", "a\r\n b"]
-    assert [t.ids(x).tolist() for x in t.encode(texts)] == [e.ids for e in t.tokenizer.encode_batch(texts, add_special_tokens=False)]
+    texts = [x or "" for _, x in HARD] + [
+        "it's a b, c. d!? 3.14,15 \n x",
+        " lead",
+        "trail ",
+        "a .b ,c",
+        "İstanbul Ǆ ﬁ e\u0301 x",
+        "<|endoftext|> a",
+        "a\u00a0b c\td",
+        "a\r\n b",
+    ]
+    assert [t.ids(x).tolist() for x in t.encode(texts)] == [
+        e.ids for e in t.tokenizer.encode_batch(texts, add_special_tokens=False)
+    ]
 
 
 def test_packing_covers_every_token(spark, hard):
@@ -202,7 +257,9 @@ def test_packing_covers_every_token(spark, hard):
         ids = np.array(t.tokenizer.encode(x or "", add_special_tokens=False).ids + [0], "<u4")
         at = 0
         for p in sorted((p for p in pieces if p.doc_id == i), key=lambda p: p.start):
-            assert p.start == at and p.ids_crc32 == zlib.crc32(ids[at : at + p.length].tobytes()) and p.doc_tokens == len(ids)
+            assert p.start == at and p.ids_crc32 == zlib.crc32(
+                ids[at : at + p.length].tobytes()
+            ) and p.doc_tokens == len(ids)
             at += p.length
         assert at == len(ids)
     for _, g in itertools.groupby(sorted(pieces, key=lambda p: (p.sequence_id, p.offset)), key=lambda p: p.sequence_id):
@@ -350,7 +407,9 @@ def test_pairs_of_nodes_do_not_depend_on_batches():
     whole = passages.batch(passages._NODE, *[c[order] for c in cols], nothing, nothing)
 
     def pairs(parts):
-        return sorted(r for b in passages._pair_up(parts) for r in zip(*(c.to_pylist() for c in b.columns), strict=True))
+        return sorted(
+            r for b in passages._pair_up(parts) for r in zip(*(c.to_pylist() for c in b.columns), strict=True)
+        )
 
     assert pairs([whole]) == pairs([whole.slice(i, 7) for i in range(0, n, 7)])
 
@@ -373,7 +432,9 @@ def test_compact_windows():
 
 def test_repeat_removal(spark):
     rng = np.random.default_rng(1)
-    rows = [(i, "".join(rng.choice(list("ab"), p=[0.9, 0.1], size=rng.integers(0, 500)))) for i in range(30)] + [(100 + i, "x" * int(rng.integers(90, 300))) for i in range(5)] + [(200, ""), (201, "é" * 200), (202, None)]
+    rows = [(i, "".join(rng.choice(list("ab"), p=[0.9, 0.1], size=rng.integers(0, 500)))) for i in range(30)] + [
+        (100 + i, "x" * int(rng.integers(90, 300))) for i in range(5)
+    ] + [(200, ""), (201, "é" * 200), (202, None)]
     base = "".join(rng.choice(list("abcdefgh "), size=1500))
     for k in range(25):
         a = int(rng.integers(0, 1300))
@@ -412,7 +473,12 @@ def test_repeat_removal_of_long_texts(spark):
     """Texts beyond one block, which repeat parts of themselves and of others, and bytes without any trigger."""
     rng = np.random.default_rng(6)
     long = "".join(rng.choice(list("abcdefgh ijkl"), size=1_300_000))
-    rows = [(1, long + long[500:900] + "q" * 3000), (2, "w" * 150 + long[1_000_000:1_200_000] + "q" * 500), (3, "short"), (4, long[:99])]
+    rows = [
+        (1, long + long[500:900] + "q" * 3000),
+        (2, "w" * 150 + long[1_000_000:1_200_000] + "q" * 500),
+        (3, "short"),
+        (4, long[:99]),
+    ]
     same_removal(spark, rows)
 
 
@@ -458,7 +524,9 @@ def hard_dir(spark, data, tmp_path_factory):
     docs = pq.read_table(f"{data}/documents.parquet").to_pandas()
     rows = [(int(i), t) for i, t in zip(docs.doc_id, docs.text, strict=True)]
     long = "".join(np.random.default_rng(21).choice(list("abcdefgh \u00e9,.\n1"), size=1_400_000))
-    rows += [(10_000 + i, t) for i, t in HARD] + [(20_000, long), (20_001, long[:700_000] + "!" + long[700_000:]), (20_002, "")]
+    rows += [(10_000 + i, t) for i, t in HARD] + [
+        (20_000, long), (20_001, long[:700_000] + "!" + long[700_000:]), (20_002, "")
+    ]
     names = ("host", "rule", "verdict", "n_values", "n_bytes", "start", "feature", "_text", "_id", "score")
     table = spark.createDataFrame(rows, "doc_id long, text string")
     for n in names:
@@ -479,14 +547,18 @@ def test_media_query_by_brute_force(spark, hard_dir):
         raw = (t or "").encode()
         padded = raw + bytes(-len(raw) % 64 or (0 if raw else 64))
         r = got[i]
-        assert (r.n_bytes, r.payload_bytes, r.payload_sha256) == (len(raw), len(padded), hashlib.sha256(padded).hexdigest())
+        assert (r.n_bytes, r.payload_bytes, r.payload_sha256) == (
+            len(raw), len(padded), hashlib.sha256(padded).hexdigest()
+        )
         assert r.tail_crc32 == zlib.crc32(padded[-64:])
         assert (r.media_bytes, r.media_sha256) == (len(kept[i]), hashlib.sha256(kept[i]).hexdigest())
         if len(padded) <= 6400:  # the transform by its definition, for pictures of up to 100 rows
             x = np.frombuffer(padded, np.uint8).reshape(-1, 64).astype(float)
             n = len(x)
             cuts = [k * n // 32 for k in range(33)]
-            x = np.array([x[a : max(b, a + 1)].mean(axis=0) for a, b in itertools.pairwise(cuts)]) if n >= 32 else x[[k * n // 32 for k in range(32)]]
+            x = np.array(
+                [x[a : max(b, a + 1)].mean(axis=0) for a, b in itertools.pairwise(cuts)]
+            ) if n >= 32 else x[[k * n // 32 for k in range(32)]]
             x = np.array([x[:, 2 * k : 2 * k + 2].mean(axis=1) for k in range(32)]).T
             low = [round(sum(cosine[u][a] * cosine[v][b] * x[a, b] for a in range(32) for b in range(32)), 6) for u in range(8) for v in range(8)] if n <= 20 else None
             if low:
@@ -561,7 +633,13 @@ def test_long_texts_in_several_blocks(spark):
     near = list(words_)
     for k in range(0, len(near), 400):
         near[k] = "changed"
-    rows = [(1, " ".join(words_)), (2, " ".join(near)), (3, " ".join([*other, *passage])), (4, " ".join([*passage, *other[::-1]])), (5, "small")]
+    rows = [
+        (1, " ".join(words_)),
+        (2, " ".join(near)),
+        (3, " ".join([*other, *passage])),
+        (4, " ".join([*passage, *other[::-1]])),
+        (5, "small"),
+    ]
     assert len(rows[0][1]) > 1 << 20
     table = spark.createDataFrame(rows, "doc_id long, text string").repartition(2)
     items = spark.createDataFrame([(7, " ".join(passage[50:65]))], "item_id long, text string")
