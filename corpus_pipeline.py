@@ -32,7 +32,9 @@ def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def hide_persons(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All rows with pseudonyms for personal data; n_chars is counted anew, null texts keep theirs."""
     hidden = pii.add_pseudonyms(docs, count="_values").drop("_values")
-    return hidden.withColumn("n_chars", F.coalesce(F.length("text").cast("long"), F.col("n_chars"))).select(*docs.columns) if "n_chars" in docs.columns else hidden
+    return hidden.withColumn(
+        "n_chars", F.coalesce(F.length("text").cast("long"), F.col("n_chars"))
+    ).select(*docs.columns) if "n_chars" in docs.columns else hidden
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

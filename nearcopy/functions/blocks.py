@@ -17,7 +17,9 @@ def matrix(column: pa.Array, dtype=np.float64) -> np.ndarray:
 
 def vectors(x: np.ndarray, kind: pa.DataType = pa.float64()) -> pa.Array:
     n, d = x.shape
-    return pa.ListArray.from_arrays(pa.array(np.arange(n + 1, dtype=np.int32) * d), pa.array(np.ascontiguousarray(x).ravel(), kind))
+    return pa.ListArray.from_arrays(
+        pa.array(np.arange(n + 1, dtype=np.int32) * d), pa.array(np.ascontiguousarray(x).ravel(), kind)
+    )
 
 
 #: Distances that one kernel call works out at a time.
@@ -25,7 +27,8 @@ TILE = 1 << 21
 
 
 def squared_distances(x: np.ndarray, y: np.ndarray) -> np.ndarray:
-    """Exact for equal rows up to rounding: differences, not the expanded square, in blocks of rows and dimensions that fit TILE."""
+    """Exact for equal rows up to rounding: differences, not the expanded square, in blocks of rows and dimensions
+    that fit TILE."""
     out = np.empty((len(x), len(y)))
     step = max(1, TILE // max(1, y.size))
     for i in range(0, len(x), step):
@@ -39,7 +42,8 @@ def fast_squared_distances(x: np.ndarray, y: np.ndarray) -> np.ndarray:
 
 
 def smallest_distances(x: np.ndarray, y: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
-    """For each row of x the n nearest rows of y (ties: the lower number) and their squared distances, exact for equal rows.
+    """For each row of x the n nearest rows of y (ties: the lower number) and their squared distances, exact for
+    equal rows.
 
     One matrix product tells which can be among them, and of these differences are taken; memory is some TILE numbers
     whatever len(y) is."""
@@ -72,13 +76,21 @@ _SUMS = pa.schema([("key", pa.int64()), ("n", pa.int64()), ("values", pa.list_(p
 
 
 def sum_rows(df: DataFrame, partial, keys_at_most: int) -> dict[int, tuple[int, np.ndarray]]:
-    """Sums of vectors by key, in two steps: `partial` gives (keys, counts, matrix) for all batches of a task, then rows of one key
+    """Sums of vectors by key, in two steps: `partial` gives (keys, counts, matrix) for all batches of a task, then
+    rows of one key
     meet in one task. keys_at_most: a bound of the number of keys, all of which reach the driver."""
 
     def first(batches):
         keys, n, values = partial(batches)
         for i in range(0, len(keys), 1024):
-            yield pa.RecordBatch.from_arrays([pa.array(keys[i : i + 1024], pa.int64()), pa.array(n[i : i + 1024], pa.int64()), vectors(values[i : i + 1024])], schema=_SUMS)
+            yield pa.RecordBatch.from_arrays(
+                [
+                    pa.array(keys[i : i + 1024], pa.int64()),
+                    pa.array(n[i : i + 1024], pa.int64()),
+                    vectors(values[i : i + 1024]),
+                ],
+                schema=_SUMS,
+            )
 
     def second(batches):
         sums: dict[int, list] = {}
@@ -90,7 +102,14 @@ def sum_rows(df: DataFrame, partial, keys_at_most: int) -> dict[int, tuple[int,
                 else:
                     sums[k] = [n, v.copy()]
         if sums:
-            yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.int64()), pa.array([s[0] for s in sums.values()], pa.int64()), vectors(np.array([s[1] for s in sums.values()]))], schema=_SUMS)
+            yield pa.RecordBatch.from_arrays(
+                [
+                    pa.array(list(sums), pa.int64()),
+                    pa.array([s[0] for s in sums.values()], pa.int64()),
+                    vectors(np.array([s[1] for s in sums.values()])),
+                ],
+                schema=_SUMS,
+            )
 
     kind = "key long, n long, values array<double>"
     rows = df.mapInArrow(first, kind).repartition("key").mapInArrow(second, kind).limit(keys_at_most).collect()
@@ -98,12 +117,14 @@ def sum_rows(df: DataFrame, partial, keys_at_most: int) -> dict[int, tuple[int,
 
 
 def hash_sample(df: DataFrame, n: int, *by: str) -> DataFrame:
-    """n rows with the smallest hash of the given columns; the same on any partitioning. The rows meet in one task: for small n."""
+    """n rows with the smallest hash of the given columns; the same on any partitioning. The rows meet in one task:
+    for small n."""
     return df.orderBy(F.xxhash64(*by), *by).limit(n)
 
 
 def hash_share(df: DataFrame, n: int, *by: str, rows_per_task: int = 4096) -> DataFrame:
-    """About n rows, those whose hash is below a bound that a count gives (all rows if there are no more than n). Nothing is shuffled:
+    """About n rows, those whose hash is below a bound that a count gives (all rows if there are no more than n).
+    Nothing is shuffled:
     rows stay where they are, but tasks that would hold few of them are joined."""
     total = df.count()
     if n < total:
@@ -119,5 +140,6 @@ def spread(df: DataFrame) -> DataFrame:
 
 
 def few_rows(df: DataFrame, most: int) -> DataFrame:
-    """`df` marked for broadcast if it has at most `most` rows (one bounded count), else as it is: the join is then shuffled."""
+    """`df` marked for broadcast if it has at most `most` rows (one bounded count), else as it is: the join is then
+    shuffled."""
     return F.broadcast(df) if df.limit(most + 1).count() <= most else df

@@ -26,7 +26,8 @@ def grams(tokens: list[str], unigrams: bool = False) -> list[str]:
 
 
 def hashed_rows(texts: list[list[str]], dim: int, salt: str) -> np.ndarray:
-    """One normalised row a list of parts. The md5 of each part gives its bucket (first 32 bits) and its sign (the next 4)."""
+    """One normalised row a list of parts. The md5 of each part gives its bucket (first 32 bits) and its sign (the
+    next 4)."""
     head = hashlib.md5(salt.encode())
     digests = []
     for parts in texts:
@@ -53,7 +54,8 @@ def hashed_ngrams(
     unigrams: bool = False,
     first_words: int | None = None,
 ) -> DataFrame:
-    """(id, out): signed hashed word-pair counts, L2-normalised. One pass; only a table of very few files is spread over the cores
+    """(id, out): signed hashed word-pair counts, L2-normalised. One pass; only a table of very few files is spread
+    over the cores
     before. A text without words has zeros."""
 
     def run(batches):
@@ -61,7 +63,9 @@ def hashed_ngrams(
             for lo in range(0, b.num_rows, 256):
                 part = b.slice(lo, 256)
                 texts = [grams(words(t)[:first_words], unigrams) for t in part.column(1).to_pylist()]
-                yield pa.RecordBatch.from_arrays([part.column(0), vectors(hashed_rows(texts, dim, salt))], names=["id", out])
+                yield pa.RecordBatch.from_arrays(
+                    [part.column(0), vectors(hashed_rows(texts, dim, salt))], names=["id", out]
+                )
 
     return spread(df.select(F.col(id_column).cast("long"), text)).mapInArrow(run, f"id long, {out} array<double>")
 
@@ -85,7 +89,10 @@ def emb(embeddings: DataFrame) -> DataFrame:
 
 def small_noise(id_column, salt: str, size: float, dim: int = 64):
     """A vector of `dim` values within +-size, from an md5 of salt, id and place."""
-    return F.transform(F.sequence(F.lit(0), F.lit(dim - 1)), lambda i: (F.conv(F.substring(F.md5(F.concat(F.lit(salt), id_column.cast("string"), F.lit(":"), i.cast("string"))), 1, 4), 16, 10).cast("double") / 65535.0 - 0.5) * (2 * size))
+    return F.transform(
+        F.sequence(F.lit(0), F.lit(dim - 1)),
+        lambda i: (F.conv(F.substring(F.md5(F.concat(F.lit(salt), id_column.cast("string"), F.lit(":"), i.cast("string"))), 1, 4), 16, 10).cast("double") / 65535.0 - 0.5) * (2 * size),
+    )
 
 
 def emb_pair(embeddings: DataFrame) -> DataFrame:
@@ -95,10 +102,15 @@ def emb_pair(embeddings: DataFrame) -> DataFrame:
 
 
 def emb_planted(embeddings: DataFrame, most: int = 256, jitter: float = 0.002) -> DataFrame:
-    """(id, x, source_id): each vector with floor(most / (1 + id)) copies under new ids; odd ones are disturbed a little."""
+    """(id, x, source_id): each vector with floor(most / (1 + id)) copies under new ids; odd ones are disturbed a
+    little."""
     e = emb(embeddings).select("id", "x")
-    copies = e.where(F.col("id") < most).withColumn("r", F.explode(F.sequence(F.lit(1), F.floor(F.lit(most) / (1 + F.col("id"))).cast("int"))))
+    copies = e.where(F.col("id") < most).withColumn(
+        "r", F.explode(F.sequence(F.lit(1), F.floor(F.lit(most) / (1 + F.col("id"))).cast("int")))
+    )
     copies = copies.select("id", "x", "r", (F.lit(1_000_000) * F.col("r") + F.col("id")).alias("new_id"))
-    x = F.when(F.col("r") % 2 == 0, F.col("x")).otherwise(L.add(F.col("x"), small_noise(F.col("new_id"), "plant:", jitter)))
+    x = F.when(F.col("r") % 2 == 0, F.col("x")).otherwise(
+        L.add(F.col("x"), small_noise(F.col("new_id"), "plant:", jitter))
+    )
     planted = copies.select("new_id", x.alias("y"), "id").toDF("id", "x", "source_id")
     return e.select("id", "x", F.col("id").alias("source_id")).unionByName(planted)

@@ -13,7 +13,9 @@ def unit_rows(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return x / size, size
 
 
-def contrastive(u: np.ndarray, v: np.ndarray, temperature: float = 0.07, mask: np.ndarray | None = None) -> tuple[float, np.ndarray, np.ndarray]:
+def contrastive(
+    u: np.ndarray, v: np.ndarray, temperature: float = 0.07, mask: np.ndarray | None = None
+) -> tuple[float, np.ndarray, np.ndarray]:
     """Symmetric cross-entropy of matching row i of u with row i of v among the batch, and its gradients.
 
     mask: pairs (i, j) that don't count as negatives."""
@@ -39,13 +41,16 @@ def contrastive(u: np.ndarray, v: np.ndarray, temperature: float = 0.07, mask: n
 
 
 def by_batches(df: DataFrame, columns: list[str], batch: int, f) -> DataFrame:
-    """(batch_id, n, loss): f on the matrices of each run of `batch` ids (batch_id = floor(id / batch)); a batch is one task's rows."""
+    """(batch_id, n, loss): f on the matrices of each run of `batch` ids (batch_id = floor(id / batch)); a batch is
+    one task's rows."""
 
     def run(rows: pd.DataFrame) -> pd.DataFrame:
         rows = rows.sort_values("id")
         return pd.DataFrame({"batch_id": [int(rows["batch_id"].iloc[0])], "n": [len(rows)], "loss": [f(*[np.array(rows[c].tolist(), float) for c in columns])]})
 
-    return df.withColumn("batch_id", F.floor(F.col("id") / batch)).groupBy("batch_id").applyInPandas(run, "batch_id long, n long, loss double")
+    return df.withColumn("batch_id", F.floor(F.col("id") / batch)).groupBy("batch_id").applyInPandas(
+        run, "batch_id long, n long, loss double"
+    )
 
 
 def mean_loss(per_batch: DataFrame) -> DataFrame:
@@ -56,11 +61,22 @@ def mse_loss(df: DataFrame, codec, col: str = "x", batch: int = 256) -> DataFram
     return mean_loss(by_batches(df, [col], batch, lambda x: float(((x - codec.decode_block(codec.encode_block(x))) ** 2).sum(axis=1).mean())))
 
 
-def contrastive_loss(df: DataFrame, codec, batch: int = 256, temperature: float = 0.07, image: str = "x", text: str = "t") -> DataFrame:
+def contrastive_loss(
+    df: DataFrame, codec, batch: int = 256, temperature: float = 0.07, image: str = "x", text: str = "t"
+) -> DataFrame:
     return mean_loss(by_batches(df, [image, text], batch, lambda x, t: contrastive(codec.encode_block(t, "text"), codec.encode_block(x), temperature)[0]))
 
 
-def npcc_loss(df: DataFrame, codec, batch: int = 256, temperature: float = 0.07, lam: float = 1.0, image: str = "x", text: str = "t", near: str = "x_nn") -> DataFrame:
+def npcc_loss(
+    df: DataFrame,
+    codec,
+    batch: int = 256,
+    temperature: float = 0.07,
+    lam: float = 1.0,
+    image: str = "x",
+    text: str = "t",
+    near: str = "x_nn",
+) -> DataFrame:
     """With a neighbour column: the paired loss plus lam times that between an image and its nearest one."""
 
     def both(x, t, y):

@@ -29,7 +29,8 @@ def mean_vectors(df: DataFrame, key: str, col: str = "x") -> DataFrame:
 
 
 def register(spark: SparkSession, index: VectorIndex) -> None:
-    """l2_distance, is_near_copy; with the index: encode_vec, decode_code, adc, self_distance; vec_mean, recall_overlap; table functions probe,
+    """l2_distance, is_near_copy; with the index: encode_vec, decode_code, adc, self_distance; vec_mean,
+    recall_overlap; table functions probe,
     hash_features and knn_block. vec_mean holds a group in one task: for large groups see mean_vectors."""
     for head, body in _EXPRESSIONS.items():
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {head} RETURN {body}")
@@ -39,7 +40,9 @@ def register(spark: SparkSession, index: VectorIndex) -> None:
     def encode_vec(v: pd.Series) -> pd.DataFrame:
         z = plain.codec.encode_block(np.array(v.tolist(), float))
         cell, codes, y = plain.encode_block(z)
-        return pd.DataFrame({"cell": cell, "codes": [c.tobytes() for c in codes], "self_dist": np.sqrt(((z - y) ** 2).sum(axis=1))})
+        return pd.DataFrame(
+            {"cell": cell, "codes": [c.tobytes() for c in codes], "self_dist": np.sqrt(((z - y) ** 2).sum(axis=1))}
+        )
 
     @pandas_udf("array<double>")
     def decode_code(cell: pd.Series, codes: pd.Series) -> pd.Series:
@@ -93,7 +96,14 @@ def register(spark: SparkSession, index: VectorIndex) -> None:
                     for n, v in zip(at[q].tolist(), d[q].tolist(), strict=True):
                         yield q, n, v**0.5
 
-    for name, f in {"encode_vec": encode_vec, "decode_code": decode_code, "adc": adc, "self_distance": self_distance, "vec_mean": vec_mean, "recall_overlap": recall_overlap}.items():
+    for name, f in {
+        "encode_vec": encode_vec,
+        "decode_code": decode_code,
+        "adc": adc,
+        "self_distance": self_distance,
+        "vec_mean": vec_mean,
+        "recall_overlap": recall_overlap,
+    }.items():
         spark.udf.register(name, f)
     spark.udtf.register("probe", Probe)
     spark.udtf.register("hash_features", HashFeatures)

@@ -1,6 +1,7 @@
 """Learned linear codecs: PCA, reconstruction, contrastive, neighbour-preserving contrastive (NPCC), OPQ and mixtures.
 
-Encoders are linear with a constant. Training runs in rounds: each task takes Adam steps over its rows from the broadcast weights, and the weights are averaged
+Encoders are linear with a constant. Training runs in rounds: each task takes Adam steps over its rows from the
+broadcast weights, and the weights are averaged
 by rows trained on. All parameters are in `manifest`.
 """
 
@@ -31,7 +32,9 @@ class Codec:
     manifest: dict = field(default_factory=dict)
 
     def encode_block(self, x: np.ndarray, side: str = "image") -> np.ndarray:
-        w, b = (self.text, self.text_bias) if side == "text" and self.text is not None else (self.image, self.image_bias)
+        w, b = (
+            self.text, self.text_bias
+        ) if side == "text" and self.text is not None else (self.image, self.image_bias)
         if w is None:
             return x
         if len(w) == 2 * x.shape[1]:  # a fused encoder: the other half is empty
@@ -53,19 +56,33 @@ class Codec:
         def run(batches):
             for b in batches:
                 x = matrix(b.column(place))
-                yield pa.RecordBatch.from_arrays([*b.columns, vectors(f(shared.value, x) if len(x) else x)], names=names)
+                yield pa.RecordBatch.from_arrays(
+                    [*b.columns, vectors(f(shared.value, x) if len(x) else x)], names=names
+                )
 
         return df.mapInArrow(run, StructType([*df.schema.fields]).add(out, ArrayType(DoubleType())))
 
-    def encode(self, df: DataFrame, col: str = "x", out: str = "z", side: str = "image", engine: str = "arrow") -> DataFrame:
+    def encode(
+        self, df: DataFrame, col: str = "x", out: str = "z", side: str = "image", engine: str = "arrow"
+    ) -> DataFrame:
         """engine: arrow (NumPy blocks) or expr (a Catalyst expression; for small encoders)."""
         if engine == "expr":
-            w, b = (self.text, self.text_bias) if side == "text" and self.text is not None else (self.image, self.image_bias)
+            w, b = (
+                self.text, self.text_bias
+            ) if side == "text" and self.text is not None else (self.image, self.image_bias)
             x = F.col(col).cast("array<double>")
             if w is None:
                 return df.withColumn(out, x)
             rows = F.array(*[F.struct(F.array(*[F.lit(float(v)) for v in w[:, j]]).alias("w"), F.lit(float(b[j])).alias("b")) for j in range(w.shape[1])])
-            return df.withColumn(out, F.transform(rows, lambda r: F.aggregate(F.zip_with(x, r["w"], lambda p, q: p * q), F.lit(0.0), lambda s, v: s + v) + r["b"]))
+            return df.withColumn(
+                out,
+                F.transform(
+                    rows,
+                    lambda r: F.aggregate(
+                        F.zip_with(x, r["w"], lambda p, q: p * q), F.lit(0.0), lambda s, v: s + v
+                    ) + r["b"],
+                ),
+            )
         return self._apply(df, col, out, lambda c, x: c.encode_block(x, side))
 
     def decode(self, df: DataFrame, col: str = "z", out: str = "x_hat") -> DataFrame:
@@ -115,7 +132,20 @@ def fit_pca_codec(df: DataFrame, col: str = "x", latent_dim: int = 128) -> Codec
     basis = basis[:, ::-1][:, :latent_dim]
     sign = np.sign(basis[np.abs(basis).argmax(axis=0), np.arange(latent_dim)])
     basis = basis * np.where(sign == 0, 1, sign)
-    return Codec("pca", basis, -mean @ basis, None, None, basis.T, mean, {"latent_dim": latent_dim, "rows": n, "variance": float(values[::-1][:latent_dim].sum() / max(values.sum(), 1e-300))})
+    return Codec(
+        "pca",
+        basis,
+        -mean @ basis,
+        None,
+        None,
+        basis.T,
+        mean,
+        {
+            "latent_dim": latent_dim,
+            "rows": n,
+            "variance": float(values[::-1][:latent_dim].sum() / max(values.sum(), 1e-300)),
+        },
+    )
 
 
 class _Adam:
@@ -130,8 +160,19 @@ class _Adam:
             weights[k] -= self.lr * (self.m[k] / (1 - 0.9**self.t)) / (np.sqrt(self.v[k] / (1 - 0.999**self.t)) + 1e-8)
 
 
-def train(df: DataFrame, columns: list[str], weights: dict[str, np.ndarray], gradients, rounds: int, epochs: int, batch: int, lr: float, seed: int) -> dict[str, np.ndarray]:
-    """Rounds of local steps and averaging. gradients(weights, *matrices) -> dict. Rows of a task are seen in order of a seeded shuffle."""
+def train(
+    df: DataFrame,
+    columns: list[str],
+    weights: dict[str, np.ndarray],
+    gradients,
+    rounds: int,
+    epochs: int,
+    batch: int,
+    lr: float,
+    seed: int,
+) -> dict[str, np.ndarray]:
+    """Rounds of local steps and averaging. gradients(weights, *matrices) -> dict. Rows of a task are seen in order
+    of a seeded shuffle."""
     shapes = {k: v.shape for k, v in weights.items()}
     names = list(weights)
     for r in range(rounds):
@@ -212,26 +253,71 @@ def _linear_grads(x, g, w, b):
     return {w: x.T @ g, b: g.sum(0)}
 
 
-def fit_contrastive_codec(pairs: DataFrame, latent_dim: int = 128, temperature: float = 0.07, image: str = "x", text: str = "t", space: str = "latent", **options) -> Codec:
+def fit_contrastive_codec(
+    pairs: DataFrame,
+    latent_dim: int = 128,
+    temperature: float = 0.07,
+    image: str = "x",
+    text: str = "t",
+    space: str = "latent",
+    **options,
+) -> Codec:
     """space: latent (loss between the encoded sides) or reconstructed (between the decoded ones)."""
     return _fit_pairs(pairs, latent_dim, temperature, image, text, None, 0.0, False, space, 0.0, **options)
 
 
-def fit_npcc_codec(pairs: DataFrame, latent_dim: int = 128, chunk_size: int = 10_000_000, stride: int | None = None, lam: float = 1.0, temperature: float = 0.07, image: str = "x", text: str = "t", mask_same_vector: bool = False, **options) -> Codec:
-    """Contrastive loss of the pair plus lam times that of an image and its nearest one in the chunk. lam = 0 is fit_contrastive_codec."""
+def fit_npcc_codec(
+    pairs: DataFrame,
+    latent_dim: int = 128,
+    chunk_size: int = 10_000_000,
+    stride: int | None = None,
+    lam: float = 1.0,
+    temperature: float = 0.07,
+    image: str = "x",
+    text: str = "t",
+    mask_same_vector: bool = False,
+    **options,
+) -> Codec:
+    """Contrastive loss of the pair plus lam times that of an image and its nearest one in the chunk. lam = 0 is
+    fit_contrastive_codec."""
     if lam == 0:
-        return _fit_pairs(pairs, latent_dim, temperature, image, text, None, 0.0, mask_same_vector, "latent", 0.0, **options)
+        return _fit_pairs(
+            pairs, latent_dim, temperature, image, text, None, 0.0, mask_same_vector, "latent", 0.0, **options
+        )
     from nearcopy.operators.search import chunk_nearest
 
     near = chunk_nearest(pairs.select("id", image), image, chunk_size, stride).select("id", "nn_id")
     partner = pairs.select(F.col("id").alias("nn_id"), F.col(image).alias("x_nn"))
     rows = pairs.join(near, "id").join(partner, "nn_id")
-    return _fit_pairs(rows, latent_dim, temperature, image, text, "x_nn", lam, mask_same_vector, "latent", 0.0, **options)
-
-
-def fit_hybrid_codec(pairs: DataFrame, latent_dim: int = 128, w_recon: float = 1.0, w_contrast: float = 1.0, temperature: float = 0.07, image: str = "x", text: str = "t", **options) -> Codec:
+    return _fit_pairs(
+        rows, latent_dim, temperature, image, text, "x_nn", lam, mask_same_vector, "latent", 0.0, **options
+    )
+
+
+def fit_hybrid_codec(
+    pairs: DataFrame,
+    latent_dim: int = 128,
+    w_recon: float = 1.0,
+    w_contrast: float = 1.0,
+    temperature: float = 0.07,
+    image: str = "x",
+    text: str = "t",
+    **options,
+) -> Codec:
     """A mixture of contrastive and reconstruction losses."""
-    return _fit_pairs(pairs, latent_dim, temperature, image, text, None, 0.0, False, "latent", w_recon / max(w_contrast, 1e-12), **options)
+    return _fit_pairs(
+        pairs,
+        latent_dim,
+        temperature,
+        image,
+        text,
+        None,
+        0.0,
+        False,
+        "latent",
+        w_recon / max(w_contrast, 1e-12),
+        **options,
+    )
 
 
 def _fit_pairs(pairs, latent_dim, temperature, image, text, near, lam, mask_same, space, recon, **options):
@@ -242,7 +328,9 @@ def _fit_pairs(pairs, latent_dim, temperature, image, text, near, lam, mask_same
 
     def gradients(w, x, t, y=None):
         zx, zt = x @ w["wx"] + w["bx"], t @ w["wt"] + w["bt"]
-        same = (x[:, None, :1] == x[None, :, :1])[..., 0] & (x @ x.T >= (x * x).sum(1)[:, None] - 1e-12) if mask_same else None
+        same = (x[:, None, :1] == x[None, :, :1])[..., 0] & (
+            x @ x.T >= (x * x).sum(1)[:, None] - 1e-12
+        ) if mask_same else None
         if space == "reconstructed":
             _, gt, gx = contrastive(zt @ w["dt"] + w["ct"], zx @ w["dx"] + w["cx"], temperature, same)
             out = {"dx": zx.T @ gx, "cx": gx.sum(0), "dt": zt.T @ gt, "ct": gt.sum(0)}
@@ -264,10 +352,30 @@ def _fit_pairs(pairs, latent_dim, temperature, image, text, near, lam, mask_same
             out |= _linear_grads(x, gx, "wx", "bx")
         return out | _linear_grads(t, gt, "wt", "bt")
 
-    names = ["wx", "bx", "wt", "bt"] + (["dx", "cx"] if decoder else []) + (["dt", "ct"] if space == "reconstructed" else [])
-    w = _run(pairs, [image, text, *([near] if near else [])], _starting(dim, latent_dim, o["seed"], *names), gradients, o)
+    names = ["wx", "bx", "wt", "bt"] + (["dx", "cx"] if decoder else []) + (
+        ["dt", "ct"] if space == "reconstructed" else []
+    )
+    w = _run(
+        pairs, [image, text, *([near] if near else [])], _starting(dim, latent_dim, o["seed"], *names), gradients, o
+    )
     kind = "npcc" if near else "hybrid" if recon else "contrastive" if space == "latent" else "contrastive-reconstructed"
-    return Codec(kind, w["wx"], w["bx"], w["wt"], w["bt"], w.get("dx"), w.get("cx"), {"latent_dim": latent_dim, "temperature": temperature, "lam": lam, "mask_same_vector": mask_same, "recon": recon, **o})
+    return Codec(
+        kind,
+        w["wx"],
+        w["bx"],
+        w["wt"],
+        w["bt"],
+        w.get("dx"),
+        w.get("cx"),
+        {
+            "latent_dim": latent_dim,
+            "temperature": temperature,
+            "lam": lam,
+            "mask_same_vector": mask_same,
+            "recon": recon,
+            **o,
+        },
+    )
 
 
 def fit_fused_codec(pairs: DataFrame, latent_dim: int = 128, image: str = "x", text: str = "t", **options) -> Codec:
@@ -275,15 +383,30 @@ def fit_fused_codec(pairs: DataFrame, latent_dim: int = 128, image: str = "x", t
     o = _options(options)
     dim = width(pairs, image)
     latent_dim = min(latent_dim, dim)
-    both = pairs.select("id", F.concat(F.col(image).cast("array<double>"), F.col(text).cast("array<double>")).alias("xt"))
+    both = pairs.select(
+        "id", F.concat(F.col(image).cast("array<double>"), F.col(text).cast("array<double>")).alias("xt")
+    )
     w = _run(both, ["xt"], _starting(2 * dim, latent_dim, o["seed"], "wx", "bx", "dx", "cx"), _mse_gradients, o)
-    return Codec("fused", w["wx"], w["bx"], w["wx"], w["bx"], w["dx"][:, :dim], w["cx"][:dim], {"latent_dim": latent_dim, **o})
-
-
-def fit_opq(df: DataFrame, col: str = "x", out_dim: int = 112, m: int = 16, rounds: int = 5, bits: int = 8, sample: int = 20_000, seed: int = 0) -> Codec:
-    """An orthogonal projection that suits a product quantizer of m blocks: codebooks and the rotation in turn, on a sample of bounded size.
-
-    The start spreads the variance of the principal directions evenly over the blocks. manifest["errors"] has the error of each round."""
+    return Codec(
+        "fused", w["wx"], w["bx"], w["wx"], w["bx"], w["dx"][:, :dim], w["cx"][:dim], {"latent_dim": latent_dim, **o}
+    )
+
+
+def fit_opq(
+    df: DataFrame,
+    col: str = "x",
+    out_dim: int = 112,
+    m: int = 16,
+    rounds: int = 5,
+    bits: int = 8,
+    sample: int = 20_000,
+    seed: int = 0,
+) -> Codec:
+    """An orthogonal projection that suits a product quantizer of m blocks: codebooks and the rotation in turn, on a
+    sample of bounded size.
+
+    The start spreads the variance of the principal directions evenly over the blocks. manifest["errors"] has the
+    error of each round."""
     dim = width(df, col)
     if out_dim % m:
         raise ValueError("m must divide out_dim")

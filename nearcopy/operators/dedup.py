@@ -12,37 +12,51 @@ from nearcopy.functions import linalg as L
 
 def flag_absolute(nn: DataFrame, t: float) -> DataFrame:
     """(i, j): later neighbours j of i under a fixed distance; the test that the adaptive one replaces."""
-    return nn.where((F.col("nid") > F.col("qid")) & (F.col("dist") < t)).select(F.col("qid").alias("i"), F.col("nid").alias("j"))
+    return nn.where((F.col("nid") > F.col("qid")) & (F.col("dist") < t)).select(
+        F.col("qid").alias("i"), F.col("nid").alias("j")
+    )
 
 
 def flag_adaptive(nn: DataFrame, self_dist: DataFrame, tol: float = 0.01) -> DataFrame:
     """(i, j): later neighbours whose distance differs from i's self-distance by less than tol of it."""
     joined = nn.where("nid > qid").join(self_dist.select(F.col("id").alias("qid"), "self_dist"), "qid")
-    return joined.where(L.is_near_copy(F.col("self_dist"), F.col("dist"), tol)).select(F.col("qid").alias("i"), F.col("nid").alias("j"))
+    return joined.where(L.is_near_copy(F.col("self_dist"), F.col("dist"), tol)).select(
+        F.col("qid").alias("i"), F.col("nid").alias("j")
+    )
 
 
 def sweep_tolerance(nn: DataFrame, self_dist: DataFrame, tols: list[float]) -> DataFrame:
     """(tol, i, j) of each tolerance; the table of tolerances is a few rows."""
     joined = nn.where("nid > qid").join(self_dist.select(F.col("id").alias("qid"), "self_dist"), "qid")
     many = joined.withColumn("tol", F.explode(F.array(*[F.lit(float(t)) for t in tols])))
-    return many.where(L.is_near_copy(F.col("self_dist"), F.col("dist"), F.col("tol"))).select("tol", F.col("qid").alias("i"), F.col("nid").alias("j"))
+    return many.where(L.is_near_copy(F.col("self_dist"), F.col("dist"), F.col("tol"))).select(
+        "tol", F.col("qid").alias("i"), F.col("nid").alias("j")
+    )
 
 
 def flag_raw(pairs: DataFrame, raw: DataFrame, raw_threshold: float, col: str = "x") -> DataFrame:
     """`pairs` (i, j) with raw_dist and is_dup: whether the raw vectors are nearer than the threshold."""
-    a, b = raw.select(F.col("id").alias("i"), F.col(col).alias("_a")), raw.select(F.col("id").alias("j"), F.col(col).alias("_b"))
-    return pairs.join(a, "i").join(b, "j").withColumn("raw_dist", L.l2(F.col("_a"), F.col("_b"))).withColumn("is_dup", F.col("raw_dist") < raw_threshold).drop("_a", "_b")
+    a, b = raw.select(F.col("id").alias("i"), F.col(col).alias("_a")), raw.select(
+        F.col("id").alias("j"), F.col(col).alias("_b")
+    )
+    return pairs.join(a, "i").join(b, "j").withColumn("raw_dist", L.l2(F.col("_a"), F.col("_b"))).withColumn(
+        "is_dup", F.col("raw_dist") < raw_threshold
+    ).drop("_a", "_b")
 
 
 def parents(edges: DataFrame, mode: str = "ordered") -> DataFrame:
-    """(j, parent). The sequential loop over ids overwrites j's representative last from its largest flagging predecessor (ordered); star takes the smallest."""
+    """(j, parent). The sequential loop over ids overwrites j's representative last from its largest flagging
+    predecessor (ordered); star takes the smallest."""
     pick = {"ordered": F.max, "star": F.min}[mode]
     return edges.where("i < j").groupBy("j").agg(pick("i").alias("parent"))
 
 
 def pointer_jump(parent: DataFrame, ids: DataFrame, max_rounds: int = 64) -> DataFrame:
-    """(id, rep): the root of each id's chain of parents. A round doubles the reach; the driver reads one count a round."""
-    rep = ids.select("id").distinct().join(parent, F.col("id") == F.col("j"), "left").select("id", F.coalesce("parent", "id").alias("rep"))
+    """(id, rep): the root of each id's chain of parents. A round doubles the reach; the driver reads one count a
+    round."""
+    rep = ids.select("id").distinct().join(parent, F.col("id") == F.col("j"), "left").select(
+        "id", F.coalesce("parent", "id").alias("rep")
+    )
     rep = materialize(rep)
     for _ in range(max_rounds):
         up = rep.where("id <> rep").select(F.col("id").alias("k"), F.col("rep").alias("to"))
@@ -54,10 +68,13 @@ def pointer_jump(parent: DataFrame, ids: DataFrame, max_rounds: int = 64) -> Dat
 
 
 def resolve_representatives(edges: DataFrame, ids: DataFrame, mode: str = "ordered") -> DataFrame:
-    """(id, rep). ordered: as the loop in id order gives; star: by the smallest predecessor; connected: smallest id of the connected component."""
+    """(id, rep). ordered: as the loop in id order gives; star: by the smallest predecessor; connected: smallest id
+    of the connected component."""
     if mode == "connected":
         comps = connected_components(edges, "i", "j")
-        return ids.select("id").distinct().join(comps, F.col("id") == F.col("node"), "left").select("id", F.coalesce("component", "id").alias("rep"))
+        return ids.select("id").distinct().join(comps, F.col("id") == F.col("node"), "left").select(
+            "id", F.coalesce("component", "id").alias("rep")
+        )
     return pointer_jump(parents(edges, mode), ids)
 
 
@@ -80,18 +97,23 @@ def representative_sets(reps: DataFrame) -> DataFrame:
 def has_duplicate(edges: DataFrame, ids: DataFrame) -> DataFrame:
     """(id, has_dup): whether an item is in any flagged pair, on either side."""
     touched = edges.select(F.col("i").alias("k")).unionByName(edges.select(F.col("j").alias("k"))).distinct()
-    return ids.select("id").join(touched, F.col("id") == F.col("k"), "left").select("id", F.col("k").isNotNull().alias("has_dup"))
+    return ids.select("id").join(touched, F.col("id") == F.col("k"), "left").select(
+        "id", F.col("k").isNotNull().alias("has_dup")
+    )
 
 
 def collapse_codes(encoded: DataFrame) -> DataFrame:
-    """(cell, codes, id, n): one row for each distinct code, with its smallest id; searched instead of all its members."""
+    """(cell, codes, id, n): one row for each distinct code, with its smallest id; searched instead of all its
+    members."""
     return encoded.groupBy("cell", "codes").agg(F.min("id").alias("id"), F.count("*").alias("n"))
 
 
 def collapsed_edges(encoded: DataFrame) -> DataFrame:
     """(i, j): of rows with equal cell and codes, from the smallest id to each other."""
     first = collapse_codes(encoded).where("n > 1").select("cell", "codes", F.col("id").alias("i"))
-    return encoded.select("cell", "codes", F.col("id").alias("j")).join(first, ["cell", "codes"]).where("j > i").select("i", "j")
+    return encoded.select(
+        "cell", "codes", F.col("id").alias("j")
+    ).join(first, ["cell", "codes"]).where("j > i").select("i", "j")
 
 
 @dataclass
@@ -128,8 +150,10 @@ class DedupResult:
 
 
 def dedup(df: DataFrame, spec: DedupSpec, col: str = "x") -> DedupResult:
-    """Index, self-search, relative test, representatives. k counts the query itself. tie: id, or forward (of equally near codes ids after the query
-    come first). collapse: rows with equal codes are tied together beforehand and searched once (not literal when k cuts a list). ball: all neighbours within the upper bound."""
+    """Index, self-search, relative test, representatives. k counts the query itself. tie: id, or forward (of equally
+    near codes ids after the query
+    come first). collapse: rows with equal codes are tied together beforehand and searched once (not literal when k
+    cuts a list). ball: all neighbours within the upper bound."""
     from nearcopy.operators.index import build_index, seeded_index
     from nearcopy.plans.planner import plan_dedup, plan_search
 
@@ -158,7 +182,11 @@ def dedup(df: DataFrame, spec: DedupSpec, col: str = "x") -> DedupResult:
         nn = index.search_ball(queries, spec.tol, spec.nprobe, "z", True, salt)
     elif spec.tie == "forward":
         near = index.search_ball(queries, spec.tol, spec.nprobe, "z", True, salt)
-        w = Window.partitionBy("qid").orderBy(F.round("dist", 12), F.when(F.col("nid") == F.col("qid"), 0).when(F.col("nid") > F.col("qid"), 1).otherwise(2), "nid")
+        w = Window.partitionBy("qid").orderBy(
+            F.round("dist", 12),
+            F.when(F.col("nid") == F.col("qid"), 0).when(F.col("nid") > F.col("qid"), 1).otherwise(2),
+            "nid",
+        )
         nn = near.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= spec.k)
     else:
         nn = index.search(queries, spec.k, spec.nprobe, col="z", shards=spec.shards, latent=True, salt=salt)
@@ -168,7 +196,13 @@ def dedup(df: DataFrame, spec: DedupSpec, col: str = "x") -> DedupResult:
     edges = materialize(edges)
     index.encoded = full
     reps = resolve_representatives(edges, df.select("id"), spec.mode)
-    return DedupResult(reps, edges, duplication_histogram(reps), index, {"name": spec.name, "bytes_per_vector": index.bytes_per_vector(), "plan": steps.explain()})
+    return DedupResult(
+        reps,
+        edges,
+        duplication_histogram(reps),
+        index,
+        {"name": spec.name, "bytes_per_vector": index.bytes_per_vector(), "plan": steps.explain()},
+    )
 
 
 # ---- histogram and prompts ------------------------------------------------------------------
@@ -180,7 +214,9 @@ def group_sizes(reps: DataFrame) -> DataFrame:
 
 def duplication_histogram(reps: DataFrame) -> DataFrame:
     """(group_size, n_groups, n_items)."""
-    return group_sizes(reps).groupBy(F.col("n").alias("group_size")).agg(F.count("*").alias("n_groups"), F.sum("n").alias("n_items"))
+    return group_sizes(reps).groupBy(F.col("n").alias("group_size")).agg(
+        F.count("*").alias("n_groups"), F.sum("n").alias("n_items")
+    )
 
 
 def top_duplicated(reps: DataFrame, n: int = 100) -> DataFrame:

@@ -52,7 +52,8 @@ def quantize(x: np.ndarray, books: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 def lookup_distances(residuals: np.ndarray, books: np.ndarray, codes: np.ndarray) -> np.ndarray:
-    """Squared distances of each query residual to all codes: sums of table entries, one block of columns after another."""
+    """Squared distances of each query residual to all codes: sums of table entries, one block of columns after
+    another."""
     m, _, size = books.shape
     out = np.zeros((len(residuals), len(codes)))
     for b in range(m):
@@ -98,7 +99,8 @@ class VectorIndex:
 
     # -- tables
     def encode(self, df: DataFrame, col: str = "x", id_column: str = "id") -> DataFrame:
-        """(id, cell, codes, self_dist, z): one narrow pass. Without codebooks codes are empty and z is what is searched."""
+        """(id, cell, codes, self_dist, z): one narrow pass. Without codebooks codes are empty and z is what is
+        searched."""
         shared = df.sparkSession.sparkContext.broadcast(self._plain())
 
         def run(batches):
@@ -108,9 +110,20 @@ class VectorIndex:
                     continue
                 z = index.codec.encode_block(matrix(b.column(1)))
                 cell, codes, approx = index.encode_block(z)
-                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(cell), pa.array([c.tobytes() for c in codes], pa.binary()), pa.array(np.sqrt(((z - approx) ** 2).sum(1))), vectors(z)], names=["id", "cell", "codes", "self_dist", "z"])
-
-        return df.select(F.col(id_column).cast("long").alias("id"), col).mapInArrow(run, "id long, cell int, codes binary, self_dist double, z array<double>")
+                yield pa.RecordBatch.from_arrays(
+                    [
+                        b.column(0),
+                        pa.array(cell),
+                        pa.array([c.tobytes() for c in codes], pa.binary()),
+                        pa.array(np.sqrt(((z - approx) ** 2).sum(1))),
+                        vectors(z),
+                    ],
+                    names=["id", "cell", "codes", "self_dist", "z"],
+                )
+
+        return df.select(F.col(id_column).cast("long").alias("id"), col).mapInArrow(
+            run, "id long, cell int, codes binary, self_dist double, z array<double>"
+        )
 
     def _plain(self) -> VectorIndex:
         return VectorIndex(self.cells, self.books, self.codec, self.by_residual, self.manifest, None, self.coarse)
@@ -130,10 +143,15 @@ class VectorIndex:
                 if index.books is None:
                     y = matrix(b.column(3))
                 else:
-                    y = index.decode_block(b.column(1).to_numpy(), np.frombuffer(b"".join(b.column(2).to_pylist()), index.code_dtype()).reshape(b.num_rows, -1))
+                    y = index.decode_block(
+                        b.column(1).to_numpy(),
+                        np.frombuffer(b"".join(b.column(2).to_pylist()), index.code_dtype()).reshape(b.num_rows, -1),
+                    )
                 yield pa.RecordBatch.from_arrays([b.column(0), vectors(y)], names=["id", "y"])
 
-        return encoded.select("id", "cell", "codes", "z").mapInArrow(run, "id long, y array<double>").withColumnRenamed("y", out)
+        return encoded.select(
+            "id", "cell", "codes", "z"
+        ).mapInArrow(run, "id long, y array<double>").withColumnRenamed("y", out)
 
     def add(self, df: DataFrame, col: str = "x", id_column: str = "id") -> VectorIndex:
         """Fill the lists from `df` (frozen codebooks)."""
@@ -149,13 +167,28 @@ class VectorIndex:
         self.encoded = materialize(self.encoded.repartition("cell").sortWithinPartitions("cell", "id"))
         return self
 
-    def search(self, queries: DataFrame, k: int, nprobe: int = 1, distance: str = "l2", col: str = "x", shards: int = 1, latent: bool = False, limit: str | None = None, ball: float | None = None, salt: int = 1, engine: str = "arrow") -> DataFrame:
+    def search(
+        self,
+        queries: DataFrame,
+        k: int,
+        nprobe: int = 1,
+        distance: str = "l2",
+        col: str = "x",
+        shards: int = 1,
+        latent: bool = False,
+        limit: str | None = None,
+        ball: float | None = None,
+        salt: int = 1,
+        engine: str = "arrow",
+    ) -> DataFrame:
         """(qid, nid, dist, rank): the k nearest database codes of each query in its nprobe cells; ties by id.
 
         distance: l2 or sq (squared). latent: `col` holds latents already. ball: instead of the k nearest all with a
         distance of at most (1 + ball) times the query's own self-distance (queries then have self_dist).
-        shards: rows are split by id; each shard gives its own k nearest, in one scan for all, and these are merged; the result is the same. Few queries are sent to the lists, which never
-        move; many meet the lists by a join on (cell, salt), each cell's rows spread over `salt` tasks. engine expr: lists are decoded
+        shards: rows are split by id; each shard gives its own k nearest, in one scan for all, and these are merged;
+        the result is the same. Few queries are sent to the lists, which never
+        move; many meet the lists by a join on (cell, salt), each cell's rows spread over `salt` tasks. engine expr:
+        lists are decoded
         and joined on the cell, and distances are expressions (k nearest only).
         """
         from nearcopy.operators.search import merge_topk
@@ -169,7 +202,10 @@ class VectorIndex:
             lists = self.encoded.select("id", "cell").join(self.decode(self.encoded, "y"), "id")
             met = probes.join(lists, "cell")
             dist = L.l2(F.col("z"), F.col("y"))
-            return merge_topk(met.select("qid", F.col("id").alias("nid"), (dist * dist if distance == "sq" else dist).alias("dist")), k)
+            return merge_topk(
+                met.select("qid", F.col("id").alias("nid"), (dist * dist if distance == "sq" else dist).alias("dist")),
+                k,
+            )
         spark, shared = queries.sparkSession, queries.sparkSession.sparkContext.broadcast(self._plain())
         lists = self.encoded.select("id", "cell", "codes", *(["z"] if self.books is None else []))
         keep = _keeper(k, distance, ball)
@@ -184,7 +220,9 @@ class VectorIndex:
                 index = shared.value
                 for b in batches:
                     cell, ids = b.column(1).to_numpy(), b.column(0).to_numpy()
-                    payload = matrix(b.column(3)) if index.books is None else np.frombuffer(b"".join(b.column(2).to_pylist()), index.code_dtype()).reshape(b.num_rows, -1)
+                    payload = matrix(b.column(3)) if index.books is None else np.frombuffer(
+                        b"".join(b.column(2).to_pylist()), index.code_dtype()
+                    ).reshape(b.num_rows, -1)
                     for c, s in sorted(set(zip(cell.tolist(), (ids % shards).tolist(), strict=True))):
                         if c in asked.value:
                             mine = (cell == c) & (ids % shards == s)
@@ -199,9 +237,18 @@ class VectorIndex:
                 index = shared.value
                 if not q.num_rows or not db.num_rows:
                     return pa.table({"qid": pa.array([], pa.int64()), "nid": pa.array([], pa.int64()), "dist": pa.array([], pa.float64())})
-                payload = matrix(db.column("z")) if index.books is None else np.frombuffer(b"".join(db.column("codes").to_pylist()), index.code_dtype()).reshape(db.num_rows, -1)
-                asked = (q.column("qid").to_numpy(), matrix(q.column("z")), q.column("self_dist").to_numpy() if ball is not None else None)
-                return pa.Table.from_batches(list(_answers(index, asked, key[0].as_py(), db.column("id").to_numpy(), payload, keep, k, ball)), schema=_FOUND)
+                payload = matrix(db.column("z")) if index.books is None else np.frombuffer(
+                    b"".join(db.column("codes").to_pylist()), index.code_dtype()
+                ).reshape(db.num_rows, -1)
+                asked = (
+                    q.column("qid").to_numpy(),
+                    matrix(q.column("z")),
+                    q.column("self_dist").to_numpy() if ball is not None else None,
+                )
+                return pa.Table.from_batches(
+                    list(_answers(index, asked, key[0].as_py(), db.column("id").to_numpy(), payload, keep, k, ball)),
+                    schema=_FOUND,
+                )
 
             found = left.groupBy("cell", "salt").cogroup(right.groupBy("cell", "salt")).applyInArrow(meet, schema)
         if ball is not None:
@@ -213,7 +260,9 @@ class VectorIndex:
     ) -> DataFrame:
         return self.search(queries, 0, nprobe, "l2", col, 1, latent, None, tol, salt)
 
-    def probe(self, queries: DataFrame, nprobe: int, col: str = "x", latent: bool = False, keep_self: bool = False) -> DataFrame:
+    def probe(
+        self, queries: DataFrame, nprobe: int, col: str = "x", latent: bool = False, keep_self: bool = False
+    ) -> DataFrame:
         """(qid, cell, z): each query once for each of its nprobe nearest cells."""
         shared = queries.sparkSession.sparkContext.broadcast(self._plain())
         names = ["qid", "cell", "z", *(["self_dist"] if keep_self else [])]
@@ -225,12 +274,24 @@ class VectorIndex:
                     continue
                 z = matrix(b.column(1))
                 z = z if latent else index.codec.encode_block(z)
-                cells = index._coarse(z, min(nprobe, len(index.cells))) if index.cells is not None else np.zeros((len(z), 1), np.int64)
+                cells = index._coarse(
+                    z, min(nprobe, len(index.cells))
+                ) if index.cells is not None else np.zeros((len(z), 1), np.int64)
                 again = np.repeat(np.arange(len(z)), cells.shape[1])
                 more = [b.column(2).take(pa.array(again))] if keep_self else []
-                yield pa.RecordBatch.from_arrays([b.column(0).take(pa.array(again)), pa.array(cells.ravel().astype(np.int32)), vectors(z[again]), *more], names=names)
-
-        return queries.select(F.col("id").alias("qid"), col, *(["self_dist"] if keep_self else [])).mapInArrow(run, "qid long, cell int, z array<double>" + ", self_dist double" * keep_self)
+                yield pa.RecordBatch.from_arrays(
+                    [
+                        b.column(0).take(pa.array(again)),
+                        pa.array(cells.ravel().astype(np.int32)),
+                        vectors(z[again]),
+                        *more,
+                    ],
+                    names=names,
+                )
+
+        return queries.select(F.col("id").alias("qid"), col, *(["self_dist"] if keep_self else [])).mapInArrow(
+            run, "qid long, cell int, z array<double>" + ", self_dist double" * keep_self
+        )
 
     def bytes_per_vector(self) -> int:
         return 0 if self.books is None else self.books.shape[0] * self.code_dtype()().itemsize
@@ -253,7 +314,9 @@ class VectorIndex:
         table.coalesce(1).write.mode("overwrite").parquet(f"{path}/tensors")
         if self.encoded is not None:
             _write_lists(self.encoded, path, groups, "overwrite")
-        about = {"by_residual": self.by_residual, "kind": self.codec.kind, "codec": self.codec.manifest, "groups": groups}
+        about = {
+            "by_residual": self.by_residual, "kind": self.codec.kind, "codec": self.codec.manifest, "groups": groups
+        }
         links = getattr(self.coarse, "links", None)
         _write_manifest(about | {"index": self.manifest, "links": links, "version": 1}, path, spark)
 
@@ -273,10 +336,14 @@ class VectorIndex:
         about, tensors = _read_manifest(path, spark), {}
         for name, shape, data in spark.read.parquet(f"{path}/tensors").collect():  # one row a tensor
             tensors[name] = np.frombuffer(bytes(data), "<f8").reshape(list(shape)).copy()
-        sides = {k: tensors.get(f"codec.{k}") for k in ("image", "image_bias", "text", "text_bias", "back", "back_bias")}
+        sides = {
+            k: tensors.get(f"codec.{k}") for k in ("image", "image_bias", "text", "text_bias", "back", "back_bias")
+        }
         codec = Codec(about["kind"], **sides, manifest=about["codec"])
         lists = spark.read.parquet(f"{path}/lists").drop("cell_group")
-        index = VectorIndex(tensors.get("cells"), tensors.get("books"), codec, about["by_residual"], about["index"], lists)
+        index = VectorIndex(
+            tensors.get("cells"), tensors.get("books"), codec, about["by_residual"], about["index"], lists
+        )
         if about.get("links") and index.cells is not None:
             from nearcopy.operators.smallworld import SmallWorldCoarse
 
@@ -302,7 +369,8 @@ _FOUND = pa.schema([("qid", pa.int64()), ("nid", pa.int64()), ("dist", pa.float6
 
 
 def _keeper(k, distance, ball):
-    """Chooses (query, row) pairs from a block of squared distances: the k nearest of each query, ties by id, or all in its ball."""
+    """Chooses (query, row) pairs from a block of squared distances: the k nearest of each query, ties by id, or all
+    in its ball."""
 
     def keep(d2: np.ndarray, ids: np.ndarray, self_dist) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         d = np.sqrt(d2)
@@ -323,7 +391,8 @@ def _keeper(k, distance, ball):
 
 
 def _exact_squares(z: np.ndarray, payload: np.ndarray, k: int, bound) -> np.ndarray:
-    """Squared distances by one product; those that can be kept are worked out again by differences (others may be off by rounding)."""
+    """Squared distances by one product; those that can be kept are worked out again by differences (others may be
+    off by rounding)."""
     d2 = fast_squared_distances(z, payload)
     slack = 1e-6 * (1 + (z * z).sum(1))
     if bound is not None:
@@ -340,7 +409,9 @@ def _exact_squares(z: np.ndarray, payload: np.ndarray, k: int, bound) -> np.ndar
     return d2
 
 
-def _answers(index: VectorIndex, asked, cell: int, ids: np.ndarray, payload: np.ndarray, keep, k: int, ball: float | None):
+def _answers(
+    index: VectorIndex, asked, cell: int, ids: np.ndarray, payload: np.ndarray, keep, k: int, ball: float | None
+):
     """Blocks of queries against all rows of a list; TILE distances are held at a time."""
     qids, z, self_dist = asked
     base = index.cells[cell] if index.cells is not None and index.by_residual else 0.0
@@ -357,16 +428,35 @@ def _answers(index: VectorIndex, asked, cell: int, ids: np.ndarray, payload: np.
                 d2 = lookup_distances(block - base, index.books, part)
             q, r, d = keep(d2, names, own)
             if len(q):
-                yield pa.RecordBatch.from_arrays([pa.array(qids[i + q]), pa.array(names[r]), pa.array(d)], schema=_FOUND)
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array(qids[i + q]), pa.array(names[r]), pa.array(d)], schema=_FOUND
+                )
 
 
 def _latents(df: DataFrame, col: str, codec: Codec) -> DataFrame:
     return codec.encode(df.select("id", col), col, "z").select("id", "z")
 
 
-def build_index(df: DataFrame, col: str = "x", k_cells: int = 65536, m: int | None = 4, bits: int = 8, codec: Codec | None = None, iters: int = 10, init: str = "first", by_residual: bool = True, train_sample: int | None = None, seed: int = 0, add: bool = True, coarse: str = "exact", links: int = 32) -> VectorIndex:
-    """Inverted file with product codes. k_cells = 0: no inverted file; m = None: exact vectors in the lists. Codebooks are trained on the driver
-    on a sample by hash of at most max(train_sample or TRAIN_ROWS, 2**bits) rows (init first: they start at its smallest ids), cells on the whole
+def build_index(
+    df: DataFrame,
+    col: str = "x",
+    k_cells: int = 65536,
+    m: int | None = 4,
+    bits: int = 8,
+    codec: Codec | None = None,
+    iters: int = 10,
+    init: str = "first",
+    by_residual: bool = True,
+    train_sample: int | None = None,
+    seed: int = 0,
+    add: bool = True,
+    coarse: str = "exact",
+    links: int = 32,
+) -> VectorIndex:
+    """Inverted file with product codes. k_cells = 0: no inverted file; m = None: exact vectors in the lists.
+    Codebooks are trained on the driver
+    on a sample by hash of at most max(train_sample or TRAIN_ROWS, 2**bits) rows (init first: they start at its
+    smallest ids), cells on the whole
     table or about `train_sample` rows of it."""
     codec = codec or IdentityCodec()
     z = _latents(df, col, codec)
@@ -380,7 +470,13 @@ def build_index(df: DataFrame, col: str = "x", k_cells: int = 65536, m: int | No
         if cells is not None and by_residual:
             x = x - cells[nearest(x, cells)[0][:, 0]]
         books = fit_codebooks(x, m, min(1 << bits, len(x)), iters)
-    index = VectorIndex(cells, books, codec, by_residual, {"k_cells": k_cells, "m": m, "bits": bits, "seed": seed, "init": init, "iters": iters})
+    index = VectorIndex(
+        cells,
+        books,
+        codec,
+        by_residual,
+        {"k_cells": k_cells, "m": m, "bits": bits, "seed": seed, "init": init, "iters": iters},
+    )
     if coarse == "graph" and cells is not None:
         from nearcopy.operators.smallworld import SmallWorldCoarse
 
@@ -388,10 +484,21 @@ def build_index(df: DataFrame, col: str = "x", k_cells: int = 65536, m: int | No
     return index.add(df, col) if add else index
 
 
-def seeded_index(df: DataFrame, col: str = "x", k_cells: int = 8, m: int = 8, codes: int = 16, by_residual: bool = True, rounds: int = 0) -> VectorIndex:
-    """The index whose centroids and codewords are the first rows by id (after `rounds` rounds for the cells): what SQL can do as well."""
+def seeded_index(
+    df: DataFrame,
+    col: str = "x",
+    k_cells: int = 8,
+    m: int = 8,
+    codes: int = 16,
+    by_residual: bool = True,
+    rounds: int = 0,
+) -> VectorIndex:
+    """The index whose centroids and codewords are the first rows by id (after `rounds` rounds for the cells): what
+    SQL can do as well."""
     cells = kmeans(df.select("id", col), col, k_cells, rounds, "first")[0] if k_cells else None
     x = first_rows(df, col, codes)
     if cells is not None and by_residual:
         x = x - cells[nearest(x, cells)[0][:, 0]]
-    return VectorIndex(cells, fit_codebooks(x, m, codes, 0), IdentityCodec(), by_residual, {"seeded": True}).add(df, col)
+    return VectorIndex(
+        cells, fit_codebooks(x, m, codes, 0), IdentityCodec(), by_residual, {"seeded": True}
+    ).add(df, col)

@@ -36,11 +36,14 @@ def first_rows(df: DataFrame, col: str, n: int, by: str = "id") -> np.ndarray:
 
 
 def start(df: DataFrame, col: str, k: int, init: str, seed: int, by: str) -> np.ndarray:
-    """first: rows with the smallest ids; random: those with the smallest hashes of id and seed; parallel: k-means++ over a sample of 50 k."""
+    """first: rows with the smallest ids; random: those with the smallest hashes of id and seed; parallel: k-means++
+    over a sample of 50 k."""
     if init == "first":
         return first_rows(df, col, k, by)
     if init == "random":
-        return np.array([r[0] for r in df.orderBy(F.xxhash64(by, F.lit(seed)), by).select(col).limit(k).collect()], float)
+        return np.array(
+            [r[0] for r in df.orderBy(F.xxhash64(by, F.lit(seed)), by).select(col).limit(k).collect()], float
+        )
     if init != "parallel":
         raise ValueError(f"there is no init {init!r}")
     x = np.array([r[0] for r in hash_sample(df.select(by, col), 50 * k, by).select(col).collect()], float)
@@ -53,8 +56,18 @@ def start(df: DataFrame, col: str, k: int, init: str, seed: int, by: str) -> np.
     return x[out]
 
 
-def kmeans(df: DataFrame, col: str, k: int, iters: int = 10, init: str = "first", sample: int | None = None, seed: int = 0, by: str = "id") -> tuple[np.ndarray, list[float]]:
-    """Centroids, and the sum of squared distances before each round. Empty cells keep their centroid. Fewer rows than k: fewer centroids.
+def kmeans(
+    df: DataFrame,
+    col: str,
+    k: int,
+    iters: int = 10,
+    init: str = "first",
+    sample: int | None = None,
+    seed: int = 0,
+    by: str = "id",
+) -> tuple[np.ndarray, list[float]]:
+    """Centroids, and the sum of squared distances before each round. Empty cells keep their centroid. Fewer rows
+    than k: fewer centroids.
 
     sample: rows (by hash of the id) that training looks at; k * d numbers are broadcast."""
     rows = df.select(by, col)
@@ -88,9 +101,13 @@ def kmeans(df: DataFrame, col: str, k: int, iters: int = 10, init: str = "first"
     return centroids, costs
 
 
-def assign_cells(df: DataFrame, col: str, centroids: np.ndarray, n: int = 1, cell: str = "cell", distance: str = "cell_dist") -> DataFrame:
+def assign_cells(
+    df: DataFrame, col: str, centroids: np.ndarray, n: int = 1, cell: str = "cell", distance: str = "cell_dist"
+) -> DataFrame:
     """Each row with its n nearest cells, one row each, and the L2 distance to them."""
-    shared, place, names = df.sparkSession.sparkContext.broadcast(centroids), df.columns.index(col), [*df.columns, cell, distance]
+    shared, place, names = df.sparkSession.sparkContext.broadcast(
+        centroids
+    ), df.columns.index(col), [*df.columns, cell, distance]
     n = min(n, len(centroids))
 
     def run(batches):
@@ -100,7 +117,14 @@ def assign_cells(df: DataFrame, col: str, centroids: np.ndarray, n: int = 1, cel
                 continue
             at, d = nearest(x, shared.value, n)
             again = pa.array(np.repeat(np.arange(len(x)), n))
-            yield pa.RecordBatch.from_arrays([*[c.take(again) for c in b.columns], pa.array(at.ravel().astype(np.int32)), pa.array(np.sqrt(d).ravel())], names=names)
+            yield pa.RecordBatch.from_arrays(
+                [
+                    *[c.take(again) for c in b.columns],
+                    pa.array(at.ravel().astype(np.int32)),
+                    pa.array(np.sqrt(d).ravel()),
+                ],
+                names=names,
+            )
 
     from pyspark.sql.types import DoubleType, IntegerType, StructType
 

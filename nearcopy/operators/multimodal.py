@@ -19,7 +19,8 @@ def class_prompts(captions: DataFrame, label: str, col: str = "t") -> DataFrame:
 
 
 def zero_shot(items: DataFrame, prompts: DataFrame, col: str = "x") -> DataFrame:
-    """(id, category, score): the category with the largest inner product (ties: the smaller name). Prompts are the stated query
+    """(id, category, score): the category with the largest inner product (ties: the smaller name). Prompts are the
+    stated query
     set; they go to all items in blocks of MOST_PROMPTS."""
     if prompts.limit(MOST_PROMPTS + 1).count() > MOST_PROMPTS:
         parts = -(-prompts.count() // MOST_PROMPTS) * 2
@@ -29,10 +30,16 @@ def zero_shot(items: DataFrame, prompts: DataFrame, col: str = "x") -> DataFrame
         for more in best[1:]:
             every = every.unionByName(more)
         least = F.min(F.struct(-F.round("score", 10), F.col("category"), F.col("score"))).alias("m")
-        return every.groupBy("id").agg(least).select("id", F.col("m.category").alias("category"), F.col("m.score").alias("score"))
-    scored = items.select("id", F.col(col).alias("_x")).join(F.broadcast(prompts.select("category", F.col("t").alias("_t"))))
+        return every.groupBy("id").agg(least).select(
+            "id", F.col("m.category").alias("category"), F.col("m.score").alias("score")
+        )
+    scored = items.select("id", F.col(col).alias("_x")).join(
+        F.broadcast(prompts.select("category", F.col("t").alias("_t")))
+    )
     ranked = scored.select("id", "category", L.dot(F.col("_x"), F.col("_t")).alias("score"))
-    first = ranked.groupBy("id").agg(F.min(F.struct(-F.round("score", 10), F.col("category"), F.col("score"))).alias("m"))
+    first = ranked.groupBy("id").agg(
+        F.min(F.struct(-F.round("score", 10), F.col("category"), F.col("score"))).alias("m")
+    )
     return first.select("id", F.col("m.category").alias("category"), F.col("m.score").alias("score"))
 
 

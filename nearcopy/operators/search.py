@@ -22,11 +22,21 @@ def merge_topk(found: DataFrame, k: int) -> DataFrame:
     return found.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
 
 
-def knn_exact(queries: DataFrame, db: DataFrame, k: int, metric: str = "l2", include_self: bool = False, col: str = "x", db_col: str | None = None) -> DataFrame:
+def knn_exact(
+    queries: DataFrame,
+    db: DataFrame,
+    k: int,
+    metric: str = "l2",
+    include_self: bool = False,
+    col: str = "x",
+    db_col: str | None = None,
+) -> DataFrame:
     """(qid, nid, dist, rank). metric: l2, or dot (then dist is the negative inner product).
 
-    Up to BLOCK_QUERIES queries are broadcast and the database never moves. More are cut into blocks by a hash of the id, as is the
-    database, and each pair of blocks is one task's work: nothing reaches the driver. Either way a task sends k rows a query and block."""
+    Up to BLOCK_QUERIES queries are broadcast and the database never moves. More are cut into blocks by a hash of the
+    id, as is the
+    database, and each pair of blocks is one task's work: nothing reaches the driver. Either way a task sends k rows
+    a query and block."""
     spark, db_col = queries.sparkSession, db_col or col
     asked, answers = queries.select("id", col), db.select("id", db_col)
     head = asked.limit(BLOCK_QUERIES + 1).toArrow()
@@ -82,7 +92,9 @@ def knn_joined(queries: DataFrame, db: DataFrame, k: int, col: str = "x") -> Dat
     """The same by expressions alone: a nested-loop join for small tables, to compare with."""
     from nearcopy.functions import linalg as L
 
-    pairs = queries.select(F.col("id").alias("qid"), F.col(col).alias("q")).join(db.select(F.col("id").alias("nid"), F.col(col).alias("y")), F.col("qid") != F.col("nid"))
+    pairs = queries.select(F.col("id").alias("qid"), F.col(col).alias("q")).join(
+        db.select(F.col("id").alias("nid"), F.col(col).alias("y")), F.col("qid") != F.col("nid")
+    )
     return merge_topk(pairs.select("qid", "nid", L.l2(F.col("q"), F.col("y")).alias("dist")), k)
 
 
@@ -93,7 +105,8 @@ def mips(queries: DataFrame, db: DataFrame, k: int, col: str = "x", db_col: str
 
 
 def with_chunks(df: DataFrame, chunk_size: int, stride: int | None = None) -> DataFrame:
-    """chunk_id = floor(id / chunk_size); with a stride below the size a row is in every chunk [c * stride, c * stride + size) that holds it."""
+    """chunk_id = floor(id / chunk_size); with a stride below the size a row is in every chunk [c * stride, c *
+    stride + size) that holds it."""
     if stride is None:
         return df.withColumn("chunk_id", F.floor(F.col("id") / chunk_size))
     last = F.floor(F.col("id") / stride)
@@ -101,10 +114,13 @@ def with_chunks(df: DataFrame, chunk_size: int, stride: int | None = None) -> Da
     return df.withColumn("chunk_id", F.explode(F.sequence(F.least(first, last), last)))
 
 
-def chunk_nearest(df: DataFrame, col: str = "x", chunk_size: int = 10_000_000, stride: int | None = None, block: int | None = None) -> DataFrame:
+def chunk_nearest(
+    df: DataFrame, col: str = "x", chunk_size: int = 10_000_000, stride: int | None = None, block: int | None = None
+) -> DataFrame:
     """(id, nn_id, dist): the nearest other row within the chunk, over all its chunks; ties by id.
 
-    A chunk is cut into blocks of `block` rows by id (as many as fit BLOCK_BYTES unless given). Each unordered pair of blocks is
+    A chunk is cut into blocks of `block` rows by id (as many as fit BLOCK_BYTES unless given). Each unordered pair
+    of blocks is
     one task's work, which serves the rows of both, so a task holds two blocks however large the chunk is, and a row
     moves once for each block of its chunk. A row that is alone in its chunks has no partner."""
     rows, period = with_chunks(df.select("id", col), chunk_size, stride), stride or chunk_size
@@ -115,7 +131,9 @@ def chunk_nearest(df: DataFrame, col: str = "x", chunk_size: int = 10_000_000, s
     parts = (rows.agg(F.max("b")).first()[0] or 0) + 1
     other = F.explode(F.sequence(F.lit(0), F.lit(parts - 1)))
     both = rows.withColumn("other", other).select(
-        "chunk_id", F.least("b", "other").alias("low"), F.greatest("b", "other").alias("high"), "b", "id", F.col(col).alias("x")
+        "chunk_id", F.least(
+            "b", "other"
+        ).alias("low"), F.greatest("b", "other").alias("high"), "b", "id", F.col(col).alias("x")
     )
 
     def meet(t: pa.Table) -> pa.Table:
@@ -128,7 +146,9 @@ def chunk_nearest(df: DataFrame, col: str = "x", chunk_size: int = 10_000_000, s
         return pa.concat_tables(out)
 
     found = both.groupBy("chunk_id", "low", "high").applyInArrow(meet, _NEAR)
-    best = F.min(F.struct(F.round("dist", 12).alias("d"), F.col("nn_id").alias("n"), F.col("dist").alias("e"))).alias("m")
+    best = F.min(
+        F.struct(F.round("dist", 12).alias("d"), F.col("nn_id").alias("n"), F.col("dist").alias("e"))
+    ).alias("m")
     return found.groupBy("id").agg(best).select("id", F.col("m.n").alias("nn_id"), F.col("m.e").alias("dist"))
 
 

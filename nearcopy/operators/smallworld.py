@@ -10,7 +10,8 @@ from nearcopy.functions.blocks import fast_squared_distances
 
 
 class SmallWorldCoarse:
-    """links: neighbours a node keeps; ef: candidates that a search holds. Nodes are added in order; each is linked both ways with
+    """links: neighbours a node keeps; ef: candidates that a search holds. Nodes are added in order; each is linked
+    both ways with
     the nearest ones found so far, and a node with too many links keeps its nearest and the few first (long) ones."""
 
     def __init__(self, centroids: np.ndarray, links: int = 32, ef: int = 64):

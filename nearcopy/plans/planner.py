@@ -1,4 +1,5 @@
-"""Rules that choose the shape of a search or a de-duplication before Catalyst sees it, each of which can be turned off."""
+"""Rules that choose the shape of a search or a de-duplication before Catalyst sees it, each of which can be turned
+off."""
 
 from __future__ import annotations
 
@@ -26,8 +27,11 @@ def cell_sizes(index: VectorIndex) -> DataFrame:
     return index.encoded.groupBy("cell").count()
 
 
-def plan_search(index: VectorIndex, queries: int, nprobe: int, k: int, rows_per_task: int = 1_000_000, off: tuple[str, ...] = ()) -> Plan:
-    """Rules: probe (no more cells than there are), salt (a hot cell's rows over several tasks), push (the upper bound below the k nearest)."""
+def plan_search(
+    index: VectorIndex, queries: int, nprobe: int, k: int, rows_per_task: int = 1_000_000, off: tuple[str, ...] = ()
+) -> Plan:
+    """Rules: probe (no more cells than there are), salt (a hot cell's rows over several tasks), push (the upper
+    bound below the k nearest)."""
     p = Plan(nprobe=nprobe)
     cells = len(index.cells) if index.cells is not None else 1
     if "probe" not in off and nprobe > cells:
@@ -42,7 +46,8 @@ def plan_search(index: VectorIndex, queries: int, nprobe: int, k: int, rows_per_
 
 
 def plan_dedup(index: VectorIndex, k: int, tol: float, off: tuple[str, ...] = ()) -> Plan:
-    """Rules: collapse (rows of equal code are searched once, when some group exceeds k), ball (all within the bound instead of k, when groups exceed k)."""
+    """Rules: collapse (rows of equal code are searched once, when some group exceeds k), ball (all within the bound
+    instead of k, when groups exceed k)."""
     p = Plan()
     most = index.encoded.groupBy("cell", "codes").count().agg(F.max("count")).first()[0] or 0
     if "collapse" not in off and most > k:
@@ -60,7 +65,9 @@ def cell_radii(index: VectorIndex) -> np.ndarray:
     from nearcopy.functions import linalg as L
 
     y = index.decode(index.encoded).join(index.encoded.select("id", "cell"), "id")
-    centroids = index.encoded.sparkSession.createDataFrame([(i, c.tolist()) for i, c in enumerate(index.cells)], "cell int, c array<double>")
+    centroids = index.encoded.sparkSession.createDataFrame(
+        [(i, c.tolist()) for i, c in enumerate(index.cells)], "cell int, c array<double>"
+    )
     out = np.zeros(len(index.cells))
     for r in y.join(F.broadcast(centroids), "cell").groupBy("cell").agg(F.max(L.l2(F.col("y"), F.col("c"))).alias("r")).collect():  # one row a cell
         out[r["cell"]] = r["r"]
@@ -68,10 +75,13 @@ def cell_radii(index: VectorIndex) -> np.ndarray:
 
 
 def prune_probes(probes: DataFrame, index: VectorIndex, tol: float, radii: np.ndarray) -> DataFrame:
-    """Drop (query, cell) whose ball can't reach any code of the cell: |x - c| - radius > (1 + tol) * self-distance. Exact for the ball search."""
+    """Drop (query, cell) whose ball can't reach any code of the cell: |x - c| - radius > (1 + tol) * self-distance.
+    Exact for the ball search."""
     from nearcopy.functions import linalg as L
 
     rows = [(i, c.tolist(), float(r)) for i, (c, r) in enumerate(zip(index.cells, radii, strict=True))]
     cells = probes.sparkSession.createDataFrame(rows, "cell int, c array<double>, radius double")
-    kept = probes.join(F.broadcast(cells), "cell").where(L.l2(F.col("z"), F.col("c")) - F.col("radius") <= (1 + tol) * F.col("self_dist") + 1e-9)
+    kept = probes.join(F.broadcast(cells), "cell").where(
+        L.l2(F.col("z"), F.col("c")) - F.col("radius") <= (1 + tol) * F.col("self_dist") + 1e-9
+    )
     return kept.drop("c", "radius")

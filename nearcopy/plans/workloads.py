@@ -88,7 +88,8 @@ def w_retrieval_front(spark: SparkSession, d: str, ms=(2, 4, 8), probes=(1, 2, 4
     """(codec, m, nprobe, engine, n, ratio, code_ratio, recall, seconds, on_front): image retrieval; one id in ten asks.
 
     Engines are blocks of an Arrow kernel and, for the first number of probes, plain expressions; they give the same
-    neighbours. code_ratio leaves out ids, tables and encoder, which outweigh the codes of a small collection; the front is by it."""
+    neighbours. code_ratio leaves out ids, tables and encoder, which outweigh the codes of a small collection; the
+    front is by it."""
     x, pairs = _vectors(spark, d)
     return _front(spark, x, pairs, ms, probes, latent, ("arrow", "expr"))
 
@@ -144,7 +145,9 @@ def _with_spread(spark, found, measure, chance=None):
     for (name, m), values in found.items():
         scores = [v for _, v in values]
         rows.append((name, m, values[0][0], sum(scores) / len(scores), max(scores) - min(scores), chance))
-    out = spark.createDataFrame(rows, f"codec string, m int, ratio double, {measure} double, spread double, chance double")
+    out = spark.createDataFrame(
+        rows, f"codec string, m int, ratio double, {measure} double, spread double, chance double"
+    )
     return out if chance is not None else out.drop("chance")
 
 
@@ -192,7 +195,9 @@ def w_latent_ablation(
     truth, rows = materialize(S.knn_exact(queries, x, 10)), []
     for dim in dims:
         for name, codec in codec_family(x, None, dim, ("pca", "mse")).items():
-            arms = [("same", min(code_bytes, dim))] + [("more", min(more_bytes, dim))] * (code_bytes < dim <= more_bytes)
+            arms = [("same", min(code_bytes, dim))] + [("more", min(more_bytes, dim))] * (
+                code_bytes < dim <= more_bytes
+            )
             for arm, m in arms:
                 index = I.build_index(x, "x", CELLS, m, 8, codec, 3).materialize()
                 rows.append((name, arm, dim, m, index.bytes_per_vector(), float(_recall(index, queries, truth, 10, 4))))
@@ -202,8 +207,12 @@ def w_latent_ablation(
 def _specs(x, pairs, pairs_b, latent=LATENT):
     def spec(kind, source, m, shards):
         if kind == "mse":
-            return D.DedupSpec(kind, lambda v: codecs.fit_mse_codec(v, "x", latent, **QUICK), CELLS, m, 8, shards=shards, iters=3)
-        return D.DedupSpec(kind, lambda v: codecs.fit_npcc_codec(source, latent, **QUICK), CELLS, m, 8, shards=shards, iters=3)
+            return D.DedupSpec(
+                kind, lambda v: codecs.fit_mse_codec(v, "x", latent, **QUICK), CELLS, m, 8, shards=shards, iters=3
+            )
+        return D.DedupSpec(
+            kind, lambda v: codecs.fit_npcc_codec(source, latent, **QUICK), CELLS, m, 8, shards=shards, iters=3
+        )
 
     return [
         ("a-mse-m16-4-shards", x, spec("mse", pairs, 16, 4)),
@@ -239,7 +248,9 @@ def w_dedup_table(spark: SparkSession, d: str, sample: int = 10_000) -> DataFram
             F.avg("later"), F.sum(F.col("later") * (F.col("id") != F.col("rep")).cast("int")), F.sum("later")
         ).first()
         size = got.index.size_bytes(counts["n"])
-        row = (name, counts["n"], counts["duplicates"], float(counts["share"]), float(precision or 0), hit / max(total, 1))
+        row = (
+            name, counts["n"], counts["duplicates"], float(counts["share"]), float(precision or 0), hit / max(total, 1)
+        )
         rows.append((*row, float(base), took, size, _ratio(counts["n"], 256, got.index)))
     return spark.createDataFrame(
         rows,
@@ -270,7 +281,9 @@ def w_pr_curve(
             keep = F.pmod("id", F.lit(2)) == rest
             r = M.presence_pr(flags.where(keep), truth.where(keep)).first()
             rows.append((half, float(t), float(r["precision"] or 0), float(r["recall"] or 0), float(r["base_rate"])))
-    best = max((r for r in rows if r[0] == "choose"), key=lambda r: (2 * r[2] * r[3] / max(r[2] + r[3], 1e-9), -r[1]))[1]
+    best = max(
+        (r for r in rows if r[0] == "choose"), key=lambda r: (2 * r[2] * r[3] / max(r[2] + r[3], 1e-9), -r[1])
+    )[1]
     schema = "half string, tol double, precision double, recall double, base_rate double, chosen boolean"
     return spark.createDataFrame([(*r, r[1] == best) for r in rows], schema)
 
@@ -283,7 +296,9 @@ def w_threshold_compare(spark: SparkSession, d: str, m: int = 8) -> DataFrame:
     nn = materialize(index.search(index.encoded.select("id", "z"), 10, 1, col="z", latent=True))
     true = materialize(D.flag_raw(S.knn_exact(x, x, 10).where("nid > qid").select(F.col("qid").alias("i"), F.col("nid").alias("j")), x, 0.5).where("is_dup").select("i", "j"))
     total, rows = true.count(), []
-    cases = [("absolute", t, D.flag_absolute(nn, t)) for t in (0.3, 0.5, 0.7)] + [("adaptive", t, D.flag_adaptive(nn, index.encoded, t)) for t in (0.01, 0.05, 0.1)]
+    cases = [("absolute", t, D.flag_absolute(nn, t)) for t in (0.3, 0.5, 0.7)] + [
+        ("adaptive", t, D.flag_adaptive(nn, index.encoded, t)) for t in (0.01, 0.05, 0.1)
+    ]
     for name, t, edges in cases:
         n, hit = edges.count(), edges.join(true, ["i", "j"], "left_semi").count()
         rows.append((name, float(t), n, hit / max(n, 1), hit / max(total, 1)))
@@ -296,7 +311,9 @@ def w_dup_histogram(spark: SparkSession, d: str) -> DataFrame:
     x = materialize(FE.emb_planted(_table(spark, d, "embeddings")))
     index = I.build_index(x, "x", 16, 16, 8, None, 2).materialize()
     ball = index.search_ball(index.encoded.select("id", "z", "self_dist"), 0.05, 1, "z", True)
-    edges = D.flag_raw(ball.where("nid > qid").select(F.col("qid").alias("i"), F.col("nid").alias("j")), x, 0.1).where("is_dup").select("i", "j")
+    edges = D.flag_raw(
+        ball.where("nid > qid").select(F.col("qid").alias("i"), F.col("nid").alias("j")), x, 0.1
+    ).where("is_dup").select("i", "j")
     h = D.duplication_histogram(D.resolve_representatives(edges, x.select("id")))
     w = W.orderBy(F.desc("group_size")).rowsBetween(W.unboundedPreceding, 0)
     return h.withColumn("share", F.round(F.sum("n_items").over(w) / F.lit(x.count()), 6))
@@ -337,7 +354,9 @@ def w_copied_passages(spark: SparkSession, d: str) -> DataFrame:
     docs = _docs(spark, d)
     hits = copies.bench_hits(docs, _table(spark, d, "benchmark")).select("doc_id").distinct()
     marked = docs.join(hits.withColumn("hit", F.lit(1)), "doc_id", "left")
-    groups = marked.groupBy(F.md5(F.coalesce("text", F.lit(""))).alias("g")).agg(F.count("*").alias("n"), F.max("hit").alias("hit"))
+    groups = marked.groupBy(F.md5(F.coalesce("text", F.lit(""))).alias("g")).agg(
+        F.count("*").alias("n"), F.max("hit").alias("hit")
+    )
     classes = groups.groupBy(F.pow(F.lit(2), F.floor(F.log2("n"))).cast("long").alias("size_class"))
     return classes.agg(F.count("*").alias("groups"), F.count("hit").alias("groups_with_hit")).withColumn(
         "share", F.col("groups_with_hit") / F.col("groups")
@@ -345,7 +364,8 @@ def w_copied_passages(spark: SparkSession, d: str) -> DataFrame:
 
 
 def w_caption_variety(spark: SparkSession, d: str) -> DataFrame:
-    """(copied, groups, mean_n, mean_captions, mean_distance): whether groups that the stand-in generator copies differ from
+    """(copied, groups, mean_n, mean_captions, mean_distance): whether groups that the stand-in generator copies
+    differ from
     others in the number of distinct captions and in the captions' mean pair distance. A member's caption is that of a
     document that a hash of its id names, so no relation is to be expected here; a collection with captions of its
     own can show one."""

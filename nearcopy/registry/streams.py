@@ -44,15 +44,25 @@ def stream_of(spark, d, files: int = 4):
 
 def run(stream, spark, each, mode="append"):
     """Run a stream over what is there; each(batch, id) for every micro-batch."""
-    q = stream.writeStream.outputMode(mode).option("checkpointLocation", shared_dir(spark)).trigger(availableNow=True).foreachBatch(each).start()
+    q = stream.writeStream.outputMode(
+        mode
+    ).option("checkpointLocation", shared_dir(spark)).trigger(availableNow=True).foreachBatch(each).start()
     q.awaitTermination()
 
 
 def collected(stream, spark, mode="append"):
     """All micro-batches' rows with the batch's number, as a table in the shared folder."""
     path = shared_dir(spark)
-    run(stream, spark, lambda b, k: b.withColumn("batch", F.lit(k)).write.mode("overwrite").parquet(f"{path}/k={k}"), mode)
-    return spark.read.schema(StructType([*stream.schema.fields, StructField("batch", IntegerType())])).option("recursiveFileLookup", True).parquet(path)
+    run(
+        stream,
+        spark,
+        lambda b,
+        k: b.withColumn("batch", F.lit(k)).write.mode("overwrite").parquet(f"{path}/k={k}"),
+        mode,
+    )
+    return spark.read.schema(
+        StructType([*stream.schema.fields, StructField("batch", IntegerType())])
+    ).option("recursiveFileLookup", True).parquet(path)
 
 
 @query()
@@ -110,7 +120,9 @@ def stream_sessions(spark, d):
     """Sessions of each user, after all arrivals."""
     from nearcopy.streaming.dedup import session_counts
 
-    return last_state(session_counts(stream_of(spark, d), delay="365 days"), spark).withColumn("w", F.col("w").cast("timestamp_ntz"))
+    return last_state(
+        session_counts(stream_of(spark, d), delay="365 days"), spark
+    ).withColumn("w", F.col("w").cast("timestamp_ntz"))
 
 
 @query("""SELECT a.event_id AS click_id, b.event_id, a.ts AS clicked, b.ts AS bought FROM events a JOIN events b ON a.user_id = b.user_id
@@ -130,7 +142,9 @@ def stream_labels(spark, d):
     """Arrivals with the label of their vector, from a table that doesn't change."""
     from nearcopy.streaming.dedup import with_labels
 
-    return collected(with_labels(stream_of(spark, d).select("event_id", "id"), emb(spark, d)), spark).select("event_id", "id", "label")
+    return collected(
+        with_labels(stream_of(spark, d).select("event_id", "id"), emb(spark, d)), spark
+    ).select("event_id", "id", "label")
 
 
 @query(f"{SEEDED} SELECT qid, nid, round(dist, 6) AS dist FROM ({adc(1, TENTH)})")
@@ -152,7 +166,9 @@ def q_udtf_probe(spark, d):
 
     register(spark, seeded_index(spark, d))
     tenth(spark, d).createOrReplaceTempView("nearcopy_asked")
-    return spark.sql("SELECT id, CAST(p.cell AS BIGINT) AS cell, round(p.dist, 6) AS dist FROM nearcopy_asked, LATERAL probe(x, 2) p")
+    return spark.sql(
+        "SELECT id, CAST(p.cell AS BIGINT) AS cell, round(p.dist, 6) AS dist FROM nearcopy_asked, LATERAL probe(x, 2) p"
+    )
 
 
 @query("SELECT label, round(avg(CAST(embedding[1] AS DOUBLE)), 6) AS first, round(avg(CAST(embedding[64] AS DOUBLE)), 6) AS last FROM embeddings GROUP BY label")

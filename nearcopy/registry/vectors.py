@@ -60,7 +60,9 @@ def seeded(dim: int = 64, k: int = 8, m: int = 8, codes: int = 16, residual: boo
 asg AS (SELECT v.id, any_value(v.rk) AS rk, any_value(v.x) AS x, min(struct_pack(d := list_distance(v.x, c), n := cell)).n AS cell FROM vec v, cen GROUP BY v.id),
 base AS (SELECT a.id, a.rk, a.x, a.cell, {'cen.c' if residual else f'list_transform(range(0, {dim}), lambda i: 0.0::DOUBLE)'} AS c FROM asg a JOIN cen USING (cell))"""
     else:
-        cells = f"base AS (SELECT id, rk, x, 0 AS cell, list_transform(range(0, {dim}), lambda i: 0.0::DOUBLE) AS c FROM vec)"
+        cells = f"base AS (SELECT id, rk, x, 0 AS cell, list_transform(range(0, {
+            dim
+        }), lambda i: 0.0::DOUBLE) AS c FROM vec)"
     return f"""vec AS (SELECT id, x, row_number() OVER (ORDER BY id) - 1 AS rk FROM src),
 {cells},
 res AS (SELECT *, list_transform(range(1, {dim + 1}), lambda i: x[i] - c[i]) AS e FROM base),
@@ -83,7 +85,10 @@ JOIN enc e ON e.cell = p.cell WHERE p.pr <= {probes}"""
 
 
 TENTH = "q.id % 10 = 0"
-EXACT = ranked("SELECT q.id AS qid, v.id AS nid, list_distance(q.x, v.x) AS dist FROM src q JOIN src v ON q.id <> v.id WHERE q.id % 10 = 0", 10)
+EXACT = ranked(
+    "SELECT q.id AS qid, v.id AS nid, list_distance(q.x, v.x) AS dist FROM src q JOIN src v ON q.id <> v.id WHERE q.id % 10 = 0",
+    10,
+)
 WITHOUT_SELF = ranked(f"SELECT * FROM ({adc(2, TENTH)}) WHERE qid <> nid", 10)
 SEEDED = f"WITH {EMB}, {seeded()}"
 
@@ -107,17 +112,25 @@ def found_without_self(spark, d, nprobe=2, k=10, **options):
 
 @query(f"WITH {DOC} SELECT id, i - 1 AS i, round(x[i], 6) AS v FROM src, range(1, 257) t(i) WHERE x[i] <> 0")
 def q_hashed_features(spark, d):
-    return FE.doc_vec(docs(spark, d)).select("id", F.posexplode("x").alias("i", "v")).where("v <> 0").select("id", F.col("i").cast("long").alias("i"), F.round("v", 6).alias("v"))
+    return FE.doc_vec(docs(spark, d)).select("id", F.posexplode("x").alias("i", "v")).where("v <> 0").select(
+        "id", F.col("i").cast("long").alias("i"), F.round("v", 6).alias("v")
+    )
 
 
 @query(f"WITH {text_vectors(salt='b:', unigrams=True)} SELECT id, round(list_sum(list_transform(range(1, 257), lambda i: x[i] * i)), 4) AS s FROM src")
 def q_hashed_features_b(spark, d):
-    return FE.doc_vec_b(docs(spark, d)).select("id", F.round(F.aggregate(F.transform("x", lambda v, i: v * (i + 1)), F.lit(0.0), lambda a, v: a + v), 4).alias("s"))
+    return FE.doc_vec_b(docs(spark, d)).select(
+        "id",
+        F.round(F.aggregate(F.transform("x", lambda v, i: v * (i + 1)), F.lit(0.0), lambda a, v: a + v), 4).alias("s"),
+    )
 
 
 @query(f"WITH {text_vectors(first=12)} SELECT id, round(list_sum(list_transform(range(1, 257), lambda i: x[i] * i)), 4) AS s FROM src")
 def q_captions(spark, d):
-    return FE.doc_cap(docs(spark, d)).select("id", F.round(F.aggregate(F.transform("t", lambda v, i: v * (i + 1)), F.lit(0.0), lambda a, v: a + v), 4).alias("s"))
+    return FE.doc_cap(docs(spark, d)).select(
+        "id",
+        F.round(F.aggregate(F.transform("t", lambda v, i: v * (i + 1)), F.lit(0.0), lambda a, v: a + v), 4).alias("s"),
+    )
 
 
 _NOISE = "list_transform(range(0, 64), lambda i: (('0x' || substr(md5('{salt}' || CAST({id} AS VARCHAR) || ':' || CAST(i AS VARCHAR)), 1, 4))::INT / 65535.0::DOUBLE - 0.5) * {twice})"
@@ -127,7 +140,9 @@ planted AS (SELECT id, x, id AS source_id FROM src UNION ALL SELECT nid, CASE WH
 
 @query(f"WITH {PLANTED} SELECT id, source_id, round(x[1], 6) AS a, round(x[64], 6) AS z FROM planted")
 def q_planted_copies(spark, d):
-    return FE.emb_planted(table(spark, d, "embeddings")).select("id", "source_id", F.round(F.col("x")[0], 6).alias("a"), F.round(F.col("x")[63], 6).alias("z"))
+    return FE.emb_planted(table(spark, d, "embeddings")).select(
+        "id", "source_id", F.round(F.col("x")[0], 6).alias("a"), F.round(F.col("x")[63], 6).alias("z")
+    )
 
 
 # ---- exact search ------------------------------------------------------------------------
@@ -173,7 +188,9 @@ def q_kmeans_round(spark, d):
 @query(f"{SEEDED} SELECT id, cell, round(list_distance(x, c), 6) AS cell_dist FROM asg JOIN cen USING (cell)")
 def q_assign_cells(spark, d):
     e = emb(spark, d).select("id", "x")
-    return K.assign_cells(e, "x", K.first_rows(e, "x", 8)).select("id", F.col("cell").cast("long").alias("cell"), F.round("cell_dist", 6).alias("cell_dist"))
+    return K.assign_cells(e, "x", K.first_rows(e, "x", 8)).select(
+        "id", F.col("cell").cast("long").alias("cell"), F.round("cell_dist", 6).alias("cell_dist")
+    )
 
 
 @query(f"{SEEDED} SELECT id, cell FROM asg")
@@ -181,42 +198,68 @@ def q_argmin(spark, d):
     """Nearest of a constant array of centroids by expressions alone."""
     e = emb(spark, d).select("id", "x")
     cells = F.array(*[F.array(*[F.lit(float(v)) for v in row]) for row in K.first_rows(e, "x", 8)])
-    dist = F.transform(cells, lambda c: F.aggregate(F.zip_with("x", c, lambda a, b: (a - b) * (a - b)), F.lit(0.0), lambda s, v: s + v))
+    dist = F.transform(
+        cells, lambda c: F.aggregate(F.zip_with("x", c, lambda a, b: (a - b) * (a - b)), F.lit(0.0), lambda s, v: s + v)
+    )
     return e.withColumn("dist", dist).select("id", (F.array_position("dist", F.array_min("dist")) - 1).alias("cell"))
 
 
-@query(f"{SEEDED} SELECT q.id AS qid, e.id AS nid FROM (SELECT * FROM enc q WHERE {TENTH}) q JOIN enc e ON e.cell = q.cell")
+@query(
+    f"{SEEDED} SELECT q.id AS qid, e.id AS nid FROM (SELECT * FROM enc q WHERE {TENTH}) q JOIN enc e ON e.cell = q.cell"
+)
 def q_cell_join(spark, d):
     e = seeded_index(spark, d).encoded.select("id", "cell")
-    return e.where("id % 10 = 0").select(F.col("id").alias("qid"), "cell").join(e.hint("shuffle_hash").select(F.col("id").alias("nid"), "cell"), "cell").select("qid", "nid")
+    return e.where("id % 10 = 0").select(F.col("id").alias("qid"), "cell").join(
+        e.hint("shuffle_hash").select(F.col("id").alias("nid"), "cell"), "cell"
+    ).select("qid", "nid")
 
 
 # ---- codes -----------------------------------------------------------------------------------
 
 
 def _code_text(m=8):
-    return F.array_join(F.transform(F.sequence(F.lit(0), F.lit(m - 1)), lambda i: F.conv(F.substring(F.hex("codes"), i * 2 + 1, F.lit(2)), 16, 10)), ".")
+    return F.array_join(
+        F.transform(
+            F.sequence(F.lit(0), F.lit(m - 1)),
+            lambda i: F.conv(F.substring(F.hex("codes"), i * 2 + 1, F.lit(2)), 16, 10),
+        ),
+        ".",
+    )
 
 
 @query(f"{SEEDED} SELECT id, cell, codes, round(self_dist, 6) AS self_dist FROM enc")
 def q_pack_codes(spark, d):
-    return seeded_index(spark, d).encoded.select("id", F.col("cell").cast("long").alias("cell"), _code_text().alias("codes"), F.round("self_dist", 6).alias("self_dist"))
+    return seeded_index(spark, d).encoded.select(
+        "id",
+        F.col("cell").cast("long").alias("cell"),
+        _code_text().alias("codes"),
+        F.round("self_dist", 6).alias("self_dist"),
+    )
 
 
 @query(f"WITH {EMB}, {seeded(residual=False)} SELECT id, codes, round(self_dist, 6) AS self_dist FROM enc")
 def q_codes_without_residual(spark, d):
-    return seeded_index(spark, d, by_residual=False).encoded.select("id", _code_text().alias("codes"), F.round("self_dist", 6).alias("self_dist"))
+    return seeded_index(spark, d, by_residual=False).encoded.select(
+        "id", _code_text().alias("codes"), F.round("self_dist", 6).alias("self_dist")
+    )
 
 
 @query(f"{SEEDED} SELECT id, round(y[1], 6) AS first, round(y[64], 6) AS last, round(list_sum(y), 5) AS total FROM enc")
 def q_reconstruct(spark, d):
     i = seeded_index(spark, d)
-    return i.decode(i.encoded).select("id", F.round(F.col("y")[0], 6).alias("first"), F.round(F.col("y")[63], 6).alias("last"), F.round(L.total(F.col("y")), 5).alias("total"))
+    return i.decode(i.encoded).select(
+        "id",
+        F.round(F.col("y")[0], 6).alias("first"),
+        F.round(F.col("y")[63], 6).alias("last"),
+        F.round(L.total(F.col("y")), 5).alias("total"),
+    )
 
 
 @query(f"{SEEDED} SELECT cell, count(DISTINCT codes) AS codes, count(*) AS n FROM enc GROUP BY cell")
 def q_distinct_codes(spark, d):
-    return seeded_index(spark, d).encoded.groupBy(F.col("cell").cast("long").alias("cell")).agg(F.countDistinct("codes").alias("codes"), F.count("*").alias("n"))
+    return seeded_index(spark, d).encoded.groupBy(F.col("cell").cast("long").alias("cell")).agg(
+        F.countDistinct("codes").alias("codes"), F.count("*").alias("n")
+    )
 
 
 @query(f"{SEEDED} SELECT min(id) AS id, count(*) AS n FROM enc GROUP BY cell, codes")
@@ -227,7 +270,9 @@ def q_collapse_codes(spark, d):
 @query(f"{SEEDED} SELECT cell, count(*) AS n, round(avg(self_dist), 6) AS mean, round(stddev(self_dist), 6) AS sd, round(median(self_dist), 6) AS median FROM enc GROUP BY cell")
 def q_self_distance_by_cell(spark, d):
     p = M.self_distance_profile(seeded_index(spark, d).encoded)
-    return p.select(F.col("cell").cast("long").alias("cell"), "n", *[F.round(c, 6).alias(c) for c in ("mean", "sd", "median")])
+    return p.select(
+        F.col("cell").cast("long").alias("cell"), "n", *[F.round(c, 6).alias(c) for c in ("mean", "sd", "median")]
+    )
 
 
 @query(f"{SEEDED} SELECT count(*) AS n, round(avg(self_dist * self_dist), 6) AS mse FROM enc")
@@ -262,17 +307,23 @@ def q_ivf_flat_search(spark, d):
 
 @query(f"{SEEDED} SELECT round(avg(coalesce(h, 0) / 10.0), 6) AS recall FROM (SELECT DISTINCT qid FROM {EXACT}) LEFT JOIN (SELECT qid, count(*) AS h FROM {EXACT} e SEMI JOIN {WITHOUT_SELF} a ON e.qid = a.qid AND e.nid = a.nid GROUP BY qid) USING (qid)")
 def q_recall_ivfpq(spark, d):
-    return M.recall_at_k(S.knn_exact(tenth(spark, d), emb(spark, d), 10), found_without_self(spark, d), 10).withColumn("recall", F.round("recall", 6))
+    return M.recall_at_k(
+        S.knn_exact(tenth(spark, d), emb(spark, d), 10), found_without_self(spark, d), 10
+    ).withColumn("recall", F.round("recall", 6))
 
 
 @query(f"{SEEDED} SELECT qid, nid FROM {EXACT} INTERSECT SELECT qid, nid FROM {WITHOUT_SELF}")
 def q_knn_intersect(spark, d):
-    return S.knn_exact(tenth(spark, d), emb(spark, d), 10).select("qid", "nid").intersect(found_without_self(spark, d).select("qid", "nid"))
+    return S.knn_exact(tenth(spark, d), emb(spark, d), 10).select("qid", "nid").intersect(
+        found_without_self(spark, d).select("qid", "nid")
+    )
 
 
 @query(f"{SEEDED} SELECT qid, nid FROM {EXACT} EXCEPT ALL SELECT qid, nid FROM {WITHOUT_SELF}")
 def q_knn_missed(spark, d):
-    return S.knn_exact(tenth(spark, d), emb(spark, d), 10).select("qid", "nid").exceptAll(found_without_self(spark, d).select("qid", "nid"))
+    return S.knn_exact(tenth(spark, d), emb(spark, d), 10).select("qid", "nid").exceptAll(
+        found_without_self(spark, d).select("qid", "nid")
+    )
 
 
 @query(f"{SEEDED} SELECT qid, nid, rank FROM {ranked(adc(2, TENTH), 10)}")
@@ -290,7 +341,9 @@ def q_search_ball(spark, d):
 # ---- duplicates ----------------------------------------------------------------------------
 
 SEEDED_DOC = f"WITH RECURSIVE {DOC}, {seeded(256)}"
-NN = ranked("SELECT p.id AS qid, e.id AS nid, list_distance(p.x, e.y) AS dist FROM enc p JOIN enc e ON e.cell = p.cell", 10)
+NN = ranked(
+    "SELECT p.id AS qid, e.id AS nid, list_distance(p.x, e.y) AS dist FROM enc p JOIN enc e ON e.cell = p.cell", 10
+)
 ADAPTIVE = f"(SELECT n.qid AS i, n.nid AS j FROM {NN} n JOIN enc s ON s.id = n.qid WHERE n.nid > n.qid AND CASE WHEN s.self_dist <= 1e-12 THEN abs(s.self_dist - n.dist) <= 1e-12 ELSE abs(s.self_dist - n.dist) < 0.01 * s.self_dist END)"
 
 
@@ -330,7 +383,9 @@ REPS = _ROOT.format(pick="max", edges=ADAPTIVE)
 
 
 def doc_reps(spark, d, mode="ordered"):
-    return dedup.resolve_representatives(doc_edges(spark, d), docs(spark, d).select(F.col("doc_id").cast("long").alias("id")), mode)
+    return dedup.resolve_representatives(
+        doc_edges(spark, d), docs(spark, d).select(F.col("doc_id").cast("long").alias("id")), mode
+    )
 
 
 @query(f"{SEEDED_DOC}{REPS} SELECT id, rep FROM reps")
@@ -361,7 +416,9 @@ def q_dup_histogram_seeded(spark, d):
 @query(f"{SEEDED_DOC}{REPS} SELECT count(*) AS n, round(avg(CAST(list_distance(a.x, b.x) < 0.5 AS INT)), 6) AS precision FROM reps JOIN src a ON a.id = reps.id JOIN src b ON b.id = reps.rep WHERE reps.id <> reps.rep")
 def q_sampled_precision(spark, d):
     """The sample is larger than what is flagged here, so all of it counts."""
-    return M.sampled_precision(doc_reps(spark, d), FE.doc_vec(docs(spark, d)), 0.5, 100_000).withColumn("precision", F.round("precision", 6))
+    return M.sampled_precision(
+        doc_reps(spark, d), FE.doc_vec(docs(spark, d)), 0.5, 100_000
+    ).withColumn("precision", F.round("precision", 6))
 
 
 TRUTH = "truth AS (SELECT a.id, bool_or(list_distance(a.x, b.x) < 0.5) AS t FROM src a JOIN src b ON a.id <> b.id GROUP BY a.id)"
@@ -388,7 +445,9 @@ count(*) FILTER (tol = 0.1::DOUBLE) AS "0.1" FROM f GROUP BY lang""")
 def q_pr_pivot(spark, d):
     """Flagged pairs by tolerance and language, one column a tolerance."""
     i, nn = doc_nn(spark, d)
-    flagged = dedup.sweep_tolerance(nn, i.encoded, [0.001, 0.01, 0.1]).join(docs(spark, d).select(F.col("doc_id").alias("i"), "lang"), "i")
+    flagged = dedup.sweep_tolerance(nn, i.encoded, [0.001, 0.01, 0.1]).join(
+        docs(spark, d).select(F.col("doc_id").alias("i"), "lang"), "i"
+    )
     return flagged.groupBy("lang").pivot("tol", [0.001, 0.01, 0.1]).count().na.fill(0)
 
 
@@ -415,7 +474,9 @@ def prompts(spark, d):
 
 @query(f"WITH {CAP}, {PROMPTS} SELECT category, round(t[1], 6) AS first, round(t[256], 6) AS last FROM prompts")
 def q_broadcast_prompts(spark, d):
-    return prompts(spark, d).select("category", F.round(F.col("t")[0], 6).alias("first"), F.round(F.col("t")[255], 6).alias("last"))
+    return prompts(spark, d).select(
+        "category", F.round(F.col("t")[0], 6).alias("first"), F.round(F.col("t")[255], 6).alias("last")
+    )
 
 
 @query(f"{ZERO} SELECT id, category FROM z WHERE k = 1")
@@ -438,7 +499,9 @@ def q_paired_hit(spark, d):
 
 # ---- losses -----------------------------------------------------------------------------
 
-_PAIR = f"""{EMB}, pr AS (SELECT id, x, id // 64 AS b, list_transform(list_zip(x, {_NOISE.format(salt='pair:', id='id', twice='0.1::DOUBLE')}), lambda p: p[1] + p[2]) AS u FROM src),
+_PAIR = f"""{EMB}, pr AS (SELECT id, x, id // 64 AS b, list_transform(list_zip(x, {
+    _NOISE.format(salt='pair:', id='id', twice='0.1::DOUBLE')
+}), lambda p: p[1] + p[2]) AS u FROM src),
 tp AS (SELECT id, b, x, list_transform(u, lambda v: v / sqrt(list_inner_product(u, u))) AS t FROM pr)"""
 _CE = "SELECT {b}.b, ({b}.id) AS i, {o}.id AS j, list_cosine_similarity({b}.{u}, {o}.{v}) / 0.07 AS s FROM tp {b} JOIN tp {o} ON {b}.b = {o}.b"
 
@@ -452,7 +515,9 @@ def _contrastive_sql(u, v, other="tp"):
 @query(f"WITH {_PAIR} SELECT round(sum(loss * n) / sum(n), 5) AS loss FROM {_contrastive_sql('t', 'x')}")
 def q_math_loss(spark, d):
     """The paired loss of the identity codec."""
-    return losses.contrastive_loss(FE.emb_pair(table(spark, d, "embeddings")), codecs.IdentityCodec(), 64).withColumn("loss", F.round("loss", 5))
+    return losses.contrastive_loss(
+        FE.emb_pair(table(spark, d, "embeddings")), codecs.IdentityCodec(), 64
+    ).withColumn("loss", F.round("loss", 5))
 
 
 @query(f"""WITH {_PAIR}, nn AS (SELECT id, nid FROM (SELECT q.id, v.id AS nid, row_number() OVER (PARTITION BY q.id ORDER BY list_distance(q.x, v.x), v.id) AS k FROM src q JOIN src v ON q.id // 128 = v.id // 128 AND q.id <> v.id) WHERE k = 1),
@@ -462,7 +527,9 @@ def q_npcc_loss(spark, d):
     pairs = FE.emb_pair(table(spark, d, "embeddings"))
     near = S.chunk_nearest(pairs.select("id", "x"), "x", 128)
     y = pairs.select(F.col("id").alias("nn_id"), F.col("x").alias("x_nn"))
-    return losses.npcc_loss(pairs.join(near.select("id", "nn_id"), "id").join(y, "nn_id"), codecs.IdentityCodec(), 64).withColumn("loss", F.round("loss", 5))
+    return losses.npcc_loss(
+        pairs.join(near.select("id", "nn_id"), "id").join(y, "nn_id"), codecs.IdentityCodec(), 64
+    ).withColumn("loss", F.round("loss", 5))
 
 
 @query(f"WITH {EMB} SELECT round(avg(list_inner_product(x[33:64], x[33:64])), 6) AS loss FROM src")
@@ -479,7 +546,9 @@ def q_encode_expression(spark, d):
     w = np.zeros((64, 2))
     w[0, 0], w[1, 1], w[2, 1] = 2, 1, -1
     c = codecs.Codec("fixed", w, np.array([1.0, -1.0]))
-    return c.encode(emb(spark, d), engine="expr").select("id", F.round(F.col("z")[0], 6).alias("a"), F.round(F.col("z")[1], 6).alias("b"))
+    return c.encode(emb(spark, d), engine="expr").select(
+        "id", F.round(F.col("z")[0], 6).alias("a"), F.round(F.col("z")[1], 6).alias("b")
+    )
 
 
 # ---- plans, fronts, ratios --------------------------------------------------------------------
@@ -495,12 +564,21 @@ def q_auto_plan(spark, d):
     return auto.plan_table(spark, _CASES).select("n", "dim", "memory_bytes", "out_dim", "cells", "m")
 
 
-_CONFIGS = [("a", 16.0, 0.5, 1.0), ("b", 32.0, 0.4, 0.5), ("c", 16.0, 0.4, 2.0), ("d", 64.0, 0.1, 0.4), ("e", 64.0, 0.1, 0.4), ("f", 8.0, 0.45, 3.0)]
+_CONFIGS = [
+    ("a", 16.0, 0.5, 1.0),
+    ("b", 32.0, 0.4, 0.5),
+    ("c", 16.0, 0.4, 2.0),
+    ("d", 64.0, 0.1, 0.4),
+    ("e", 64.0, 0.1, 0.4),
+    ("f", 8.0, 0.45, 3.0),
+]
 
 
 @query(f"WITH c(name, ratio, quality, speed) AS (VALUES {', '.join(str(c) for c in _CONFIGS)}) SELECT name FROM c a WHERE NOT EXISTS (SELECT 1 FROM c b WHERE b.ratio >= a.ratio AND b.quality >= a.quality AND (b.ratio > a.ratio OR b.quality > a.quality))")
 def q_pareto(spark, d):
-    return M.pareto_front(spark.createDataFrame(_CONFIGS, "name string, ratio double, quality double, speed double"), ["ratio", "quality"]).select("name")
+    return M.pareto_front(
+        spark.createDataFrame(_CONFIGS, "name string, ratio double, quality double, speed double"), ["ratio", "quality"]
+    ).select("name")
 
 
 @query("SELECT m, round(n * 64 * 4 / (n * (m + 12) + 4 * (8 * 64 + 256 * 64)), 6) AS ratio FROM (SELECT count(*) AS n FROM embeddings), (VALUES (2), (4), (8), (16)) t(m)")
@@ -517,7 +595,9 @@ def q_compression_ratio(spark, d):
 # ---- copies -----------------------------------------------------------------------------
 
 _TAIL = f"{PLANTED}, top AS (SELECT source_id AS rep, count(*) AS n FROM planted GROUP BY 1 ORDER BY n DESC, rep LIMIT 100), pr AS (SELECT rep AS prompt_id, x, n FROM top JOIN src ON id = rep)"
-_GEN = f"""gen AS (SELECT prompt_id, seed, CASE prompt_id % 3 WHEN 0 THEN x WHEN 1 THEN list_transform(list_zip(x, {_NOISE.format(salt='near:', id="(CAST(prompt_id AS VARCHAR) || '/' || CAST(seed AS VARCHAR))", twice='0.2::DOUBLE')}), lambda p: p[1] + p[2])
+_GEN = f"""gen AS (SELECT prompt_id, seed, CASE prompt_id % 3 WHEN 0 THEN x WHEN 1 THEN list_transform(list_zip(x, {
+    _NOISE.format(salt='near:', id="(CAST(prompt_id AS VARCHAR) || '/' || CAST(seed AS VARCHAR))", twice='0.2::DOUBLE')
+}), lambda p: p[1] + p[2])
 ELSE {_NOISE.format(salt='far:', id="(CAST(prompt_id AS VARCHAR) || '/' || CAST(seed AS VARCHAR))", twice='0.6::DOUBLE')} END AS z, x FROM pr, range(0, 9) t(seed))"""
 _GRADE = "CASE WHEN list_distance(z, x) < 0.1 THEN 'verbatim' WHEN list_distance(z, x) < 0.8 THEN 'between' ELSE 'none' END"
 
@@ -538,19 +618,25 @@ def q_tail_prompts(spark, d):
 @query(f"WITH {_TAIL}, {_GEN} SELECT prompt_id, seed, round(list_distance(z, x), 6) AS dist FROM gen")
 def q_generate(spark, d):
     p = tail(spark, d)
-    return copies.source_distance(copies.generate(p), p).select("prompt_id", F.col("seed").cast("long").alias("seed"), F.round("dist", 6).alias("dist"))
+    return copies.source_distance(copies.generate(p), p).select(
+        "prompt_id", F.col("seed").cast("long").alias("seed"), F.round("dist", 6).alias("dist")
+    )
 
 
 @query(f"WITH {_TAIL}, {_GEN} SELECT prompt_id, seed, {_GRADE} AS grade FROM gen")
 def q_case_grade(spark, d):
     p = tail(spark, d)
-    return copies.grade_copies(copies.source_distance(copies.generate(p), p)).select("prompt_id", F.col("seed").cast("long").alias("seed"), "grade")
+    return copies.grade_copies(copies.source_distance(copies.generate(p), p)).select(
+        "prompt_id", F.col("seed").cast("long").alias("seed"), "grade"
+    )
 
 
 @query(f"WITH {_TAIL}, {_GEN}, g AS (SELECT prompt_id, {_GRADE} AS grade FROM gen) SELECT count(*) AS samples, count(*) FILTER (grade = 'verbatim') AS copies, round(count(*) FILTER (grade = 'verbatim') / count(*), 6) AS per_sample, count(DISTINCT prompt_id) FILTER (grade = 'verbatim') AS prompts FROM g")
 def q_copy_yield(spark, d):
     p = tail(spark, d)
-    return M.copy_yield(copies.grade_copies(copies.source_distance(copies.generate(p), p))).withColumn("per_sample", F.round("per_sample", 6))
+    return M.copy_yield(
+        copies.grade_copies(copies.source_distance(copies.generate(p), p))
+    ).withColumn("per_sample", F.round("per_sample", 6))
 
 
 @query(f"WITH {_TAIL}, {_GEN} SELECT a.prompt_id, round(max(list_distance(a.z, b.z)), 6) AS spread, max(list_distance(a.z, b.z)) <= 0.05 AS ignores_seed FROM gen a JOIN gen b ON a.prompt_id = b.prompt_id AND a.seed < b.seed GROUP BY 1")
@@ -560,7 +646,9 @@ def q_seed_invariance(spark, d):
 
 @query(f"WITH {_TAIL}, {_GEN} SELECT prompt_id, seed, nid FROM (SELECT prompt_id, seed, v.id AS nid, list_distance(z, v.x) AS dist, row_number() OVER (PARTITION BY prompt_id, seed ORDER BY round(list_distance(z, v.x), 12), v.id) AS k FROM gen, src v) WHERE k = 1 AND dist < 0.1")
 def q_detect_copies(spark, d):
-    return copies.detect_copies(copies.generate(tail(spark, d)), emb(spark, d), 0.1).select("prompt_id", F.col("seed").cast("long").alias("seed"), "nid")
+    return copies.detect_copies(copies.generate(tail(spark, d)), emb(spark, d), 0.1).select(
+        "prompt_id", F.col("seed").cast("long").alias("seed"), "nid"
+    )
 
 
 @query(f"WITH {PLANTED} SELECT source_id AS rep, count(*) AS n FROM planted GROUP BY source_id HAVING count(*) > 1 ORDER BY md5('0:' || CAST(source_id AS VARCHAR)), rep LIMIT 50")
@@ -580,7 +668,9 @@ def q_prompt_diversity(spark, d):
 RUNS = """(SELECT DISTINCT {id}, array_to_string(w[i:i+7], ' ') AS g FROM (
 SELECT {id}, w, unnest(range(1, len(w) - 6)) AS i FROM (
 SELECT {id}, regexp_split_to_array(text, '[ \\t\\n\\r]+') AS w FROM {table}) WHERE len(w) >= 8))"""
-HITS = f"(SELECT DISTINCT item_id, doc_id FROM {RUNS.format(id='doc_id', table='documents')} JOIN {RUNS.format(id='item_id', table='benchmark')} USING (g))"
+HITS = f"(SELECT DISTINCT item_id, doc_id FROM {RUNS.format(id='doc_id', table='documents')} JOIN {
+    RUNS.format(id='item_id', table='benchmark')
+} USING (g))"
 
 
 @query(f"SELECT item_id, doc_id FROM {HITS}")

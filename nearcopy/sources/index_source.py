@@ -14,9 +14,11 @@ class _Cells(InputPartition):
 
 
 class IndexSource(DataSource):
-    """format("nearcopy_index"), option path: a saved index in a file system that pyarrow opens. One partition a group of cells.
+    """format("nearcopy_index"), option path: a saved index in a file system that pyarrow opens. One partition a
+    group of cells.
 
-    option pruning true: filters on the cell choose the groups; the session must then have spark.sql.python.filterPushdown.enabled."""
+    option pruning true: filters on the cell choose the groups; the session must then have
+    spark.sql.python.filterPushdown.enabled."""
 
     @classmethod
     def name(cls) -> str:
@@ -79,4 +81,6 @@ def read_lists(spark: SparkSession, path: str, cells: list[int] | None = None) -
     if cells is None:
         return lists.drop("cell_group")
     groups = saved_groups(spark.read.parquet(f"{path}/manifest").first()[0])
-    return lists.where(F.col("cell_group").isin(sorted({c % groups for c in cells})) & F.col("cell").isin(cells)).drop("cell_group")
+    return lists.where(
+        F.col("cell_group").isin(sorted({c % groups for c in cells})) & F.col("cell").isin(cells)
+    ).drop("cell_group")

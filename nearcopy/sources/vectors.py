@@ -18,15 +18,27 @@ def validate_vectors(df: DataFrame, col: str, dim: int) -> tuple[DataFrame, Data
 
 
 def read_vectors(spark: SparkSession, path: str, id_column: str = "vec_id", col: str = "embedding") -> DataFrame:
-    return spark.read.parquet(path).select(F.col(id_column).cast("long").alias("id"), F.col(col).cast("array<double>").alias("x"))
+    return spark.read.parquet(path).select(
+        F.col(id_column).cast("long").alias("id"), F.col(col).cast("array<double>").alias("x")
+    )
 
 
 def write_captions(df: DataFrame, path: str, kind: str = "json") -> None:
     """kind: json, csv, text (one string column) or parquet."""
     writer = df.write.mode("overwrite")
-    {"json": writer.json, "text": writer.text, "parquet": writer.parquet, "csv": lambda p: writer.option("header", True).option("escape", '"').option("multiLine", True).csv(p)}[kind](path)
+    {
+        "json": writer.json,
+        "text": writer.text,
+        "parquet": writer.parquet,
+        "csv": lambda p: writer.option("header", True).option("escape", '"').option("multiLine", True).csv(p),
+    }[kind](path)
 
 
 def read_captions(spark: SparkSession, path: str, schema: str, kind: str = "json") -> DataFrame:
     reader = spark.read.schema(schema)
-    return {"json": reader.json, "text": reader.text, "parquet": reader.parquet, "csv": lambda p: reader.option("header", True).option("escape", '"').option("multiLine", True).csv(p)}[kind](path)
+    return {
+        "json": reader.json,
+        "text": reader.text,
+        "parquet": reader.parquet,
+        "csv": lambda p: reader.option("header", True).option("escape", '"').option("multiLine", True).csv(p),
+    }[kind](path)

@@ -13,11 +13,16 @@ from nearcopy.operators.index import VectorIndex
 
 
 class IncrementalDedup:
-    """foreachBatch target. An arriving row is the database side and all earlier rows (and those of its batch with smaller ids) ask, as in
-    the ordered loop; its parent is the largest id that flags it, within the ball of the query's tolerance. Earlier latents are kept in
-    the shared folder. Equal to the batch result in ball mode, in any order of arrival. A batch that is run again is replaced, not added."""
-
-    def __init__(self, index: VectorIndex, tol: float = 0.01, path: str | None = None, spark: SparkSession | None = None):
+    """foreachBatch target. An arriving row is the database side and all earlier rows (and those of its batch with
+    smaller ids) ask, as in
+    the ordered loop; its parent is the largest id that flags it, within the ball of the query's tolerance. Earlier
+    latents are kept in
+    the shared folder. Equal to the batch result in ball mode, in any order of arrival. A batch that is run again is
+    replaced, not added."""
+
+    def __init__(
+        self, index: VectorIndex, tol: float = 0.01, path: str | None = None, spark: SparkSession | None = None
+    ):
         self.index, self.tol = index, tol
         self.path = path or shared_dir(spark)
 
@@ -38,21 +43,34 @@ class IncrementalDedup:
         new.write.mode("overwrite").parquet(f"{self.path}/latents/batch={batch_id}")
         new = spark.read.schema(new.schema).parquet(f"{self.path}/latents/batch={batch_id}")
         columns = ["id", "cell", "z", "self_dist"]
-        pairs = self._pairs(new.select(*columns) if before is None else new.select(*columns).unionByName(before.select(*columns)), new)
+        pairs = self._pairs(
+            new.select(*columns) if before is None else new.select(*columns).unionByName(before.select(*columns)), new
+        )
         if before is not None:  # a smaller id that comes later asks those that are there
             pairs = pairs.unionByName(self._pairs(new.select(*columns), before))
-        pairs.groupBy("j").agg(F.max("id").alias("parent")).write.mode("overwrite").parquet(f"{self.path}/parents/batch={batch_id}")
+        pairs.groupBy(
+            "j"
+        ).agg(F.max("id").alias("parent")).write.mode("overwrite").parquet(f"{self.path}/parents/batch={batch_id}")
 
     def _pairs(self, asking: DataFrame, db: DataFrame) -> DataFrame:
-        rebuilt = self.index.decode(db).toDF("j", "y").join(db.select(F.col("id").alias("j"), F.col("cell").alias("at")), "j")
-        near = asking.join(rebuilt, (F.col("cell") == F.col("at")) & (F.col("id") < F.col("j"))).withColumn("d", L.l2(F.col("z"), F.col("y")))
+        rebuilt = self.index.decode(db).toDF("j", "y").join(
+            db.select(F.col("id").alias("j"), F.col("cell").alias("at")), "j"
+        )
+        near = asking.join(
+            rebuilt, (F.col("cell") == F.col("at")) & (F.col("id") < F.col("j"))
+        ).withColumn("d", L.l2(F.col("z"), F.col("y")))
         return near.where(L.is_near_copy(F.col("self_dist"), F.col("d"), self.tol)).select("id", "j")
 
     def representatives(self, spark: SparkSession) -> DataFrame:
         from nearcopy.operators.dedup import pointer_jump
 
         ids = spark.read.parquet(f"{self.path}/latents").select("id")
-        return pointer_jump(spark.read.schema("j long, parent long").parquet(f"{self.path}/parents").groupBy("j").agg(F.max("parent").alias("parent")), ids)
+        return pointer_jump(
+            spark.read.schema(
+                "j long, parent long"
+            ).parquet(f"{self.path}/parents").groupBy("j").agg(F.max("parent").alias("parent")),
+            ids,
+        )
 
 
 def code_dedup(stream: DataFrame, index: VectorIndex, delay: str = "1 hour") -> DataFrame:
@@ -72,11 +90,14 @@ def _coded(stream: DataFrame, index: VectorIndex) -> DataFrame:
         cell, codes, _ = plain.encode_block(z)
         return pd.DataFrame({"cell": cell, "codes": [c.tobytes() for c in codes]})
 
-    return stream.withColumn("_c", code("x")).select("ts", "id", F.col("_c.cell").alias("cell"), F.col("_c.codes").alias("codes"))
+    return stream.withColumn("_c", code("x")).select(
+        "ts", "id", F.col("_c.cell").alias("cell"), F.col("_c.codes").alias("codes")
+    )
 
 
 def rep_state(stream: DataFrame, index: VectorIndex, keep_ms: int | None = None) -> DataFrame:
-    """(code, rep, n): for each code the smallest id and the arrivals so far; with keep_ms a code that stays away for so long (processing time) is
+    """(code, rep, n): for each code the smallest id and the arrivals so far; with keep_ms a code that stays away for
+    so long (processing time) is
     forgotten; such a query runs batches without data, so it isn't for availableNow."""
 
     def update(key, batches: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
@@ -91,14 +112,23 @@ def rep_state(stream: DataFrame, index: VectorIndex, keep_ms: int | None = None)
             state.setTimeoutDuration(keep_ms)
         yield pd.DataFrame({"code": [key[0]], "rep": [rep], "n": [n]})
 
-    coded = _coded(stream, index).select("id", F.concat(F.col("cell").cast("string"), F.lit(":"), F.hex("codes")).alias("code"))
-    return coded.groupBy("code").applyInPandasWithState(update, "code string, rep long, n long", "rep long, n long", "update", "NoTimeout" if keep_ms is None else "ProcessingTimeTimeout")
+    coded = _coded(stream, index).select(
+        "id", F.concat(F.col("cell").cast("string"), F.lit(":"), F.hex("codes")).alias("code")
+    )
+    return coded.groupBy("code").applyInPandasWithState(
+        update,
+        "code string, rep long, n long",
+        "rep long, n long",
+        "update",
+        "NoTimeout" if keep_ms is None else "ProcessingTimeTimeout",
+    )
 
 
 def windowed_counts(
     stream: DataFrame, window: str = "1 hour", slide: str | None = None, delay: str = "2 hours"
 ) -> DataFrame:
-    """(w, event_type, n): arrivals by event time; in append mode rows behind the watermark are dropped (the query's progress counts them)."""
+    """(w, event_type, n): arrivals by event time; in append mode rows behind the watermark are dropped (the query's
+    progress counts them)."""
     frame = F.window("ts", window, slide) if slide else F.window("ts", window)
     counts = stream.withWatermark("ts", delay).groupBy(frame, "event_type").agg(F.count("*").alias("n"))
     return counts.select(F.col("window.start").alias("w"), "event_type", "n")
@@ -122,5 +152,6 @@ def purchases_after_clicks(
 
 
 def with_labels(stream: DataFrame, labels: DataFrame) -> DataFrame:
-    """A stream-static join: each arrival with what a table of (id, label) says of its vector; others stay, without a label."""
+    """A stream-static join: each arrival with what a table of (id, label) says of its vector; others stay, without a
+    label."""
     return stream.join(labels.select("id", "label"), "id", "left")

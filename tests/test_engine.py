@@ -116,7 +116,9 @@ def test_representatives_equal_the_sequential_loop(spark):
         ids = spark.range(n)
         got = dict(D.resolve_representatives(e, ids).collect())
         assert [got[i] for i in range(n)] == loop(n, edges)
-        star, linked = dict(D.resolve_representatives(e, ids, "star").collect()), dict(D.resolve_representatives(e, ids, "connected").collect())
+        star, linked = dict(D.resolve_representatives(e, ids, "star").collect()), dict(
+            D.resolve_representatives(e, ids, "connected").collect()
+        )
         dups = lambda r: sum(k != v for k, v in r.items())
         assert dups(got) == dups(star) <= dups(linked)
 
@@ -144,7 +146,9 @@ def test_kept_and_dropped_split_the_table(doc):
 def test_planted_copies_are_found_and_the_control_is_clean(spark, data, emb):
     assert S.knn_exact(emb, emb, 1).where("dist < 0.75").count() == 0
     x = FE.emb_planted(spark.read.parquet(f"{data}/embeddings.parquet"), 16)
-    assert D.flag_raw(S.knn_exact(x, x, 1).select(F.col("qid").alias("i"), F.col("nid").alias("j")), x, 0.1).where("is_dup").count() > 0
+    assert D.flag_raw(
+        S.knn_exact(x, x, 1).select(F.col("qid").alias("i"), F.col("nid").alias("j")), x, 0.1
+    ).where("is_dup").count() > 0
 
 
 def test_ball_pruning_and_plans(doc):
@@ -195,7 +199,9 @@ def test_store_round_trip(spark, emb, tmp_path):
 def test_invalid_vectors_go_to_quarantine(spark):
     from nearcopy.sources.vectors import validate_vectors
 
-    df = spark.createDataFrame([(1, [1.0, 2.0]), (2, [1.0]), (3, None), (4, [float("nan"), 0.0]), (5, [None, 1.0])], "id long, x array<double>")
+    df = spark.createDataFrame(
+        [(1, [1.0, 2.0]), (2, [1.0]), (3, None), (4, [float("nan"), 0.0]), (5, [None, 1.0])], "id long, x array<double>"
+    )
     good, bad = validate_vectors(df, "x", 2)
     assert rows(good, "id") == [(1,)] and rows(bad, "id") == [(2,), (3,), (4,), (5,)]
 
@@ -206,7 +212,9 @@ def test_captions_in_all_formats(spark, tmp_path):
     df = spark.createDataFrame([(1, 'a "b"\nc'), (2, "ü,;")], "id long, caption string")
     for kind in ("json", "csv", "parquet"):
         write_captions(df, f"{tmp_path}/{kind}", kind)
-        assert rows(read_captions(spark, f"{tmp_path}/{kind}", "id long, caption string", kind), "id", "caption") == rows(df, "id", "caption")
+        assert rows(
+            read_captions(spark, f"{tmp_path}/{kind}", "id long, caption string", kind), "id", "caption"
+        ) == rows(df, "id", "caption")
 
 
 def test_stream_equals_batch_in_ball_mode(spark, data):
@@ -222,8 +230,12 @@ def test_stream_equals_batch_in_ball_mode(spark, data):
 def test_arrivals_of_a_vector_are_not_capped(spark, tmp_path):
     from nearcopy.registry.streams import arrivals
 
-    spark.createDataFrame([(i, [float(i)] * 64, 0) for i in range(3)], "vec_id long, embedding array<float>, label int").write.parquet(f"{tmp_path}/embeddings.parquet")
-    spark.range(10).selectExpr("id AS event_id", "timestamp'2020-01-01' AS ts", "id AS user_id", "'view' AS event_type").write.parquet(f"{tmp_path}/events.parquet")
+    spark.createDataFrame(
+        [(i, [float(i)] * 64, 0) for i in range(3)], "vec_id long, embedding array<float>, label int"
+    ).write.parquet(f"{tmp_path}/embeddings.parquet")
+    spark.range(10).selectExpr(
+        "id AS event_id", "timestamp'2020-01-01' AS ts", "id AS user_id", "'view' AS event_type"
+    ).write.parquet(f"{tmp_path}/events.parquet")
     assert rows(arrivals(spark, str(tmp_path)).groupBy("id").count(), "id", "count") == [(0, 4), (1, 3), (2, 3)]
 
 
@@ -290,7 +302,9 @@ def test_engines_and_shards_give_the_same_neighbours(spark, emb):
     assert rows(index.search(q, 5, 2, engine="expr"), "qid", "nid", "rank") == want
     assert rows(index.search(q, 5, 2, shards=4), "qid", "nid", "rank") == want
     flat = I.build_index(emb, "x", 8, None, iters=2).materialize()
-    assert rows(flat.search(q, 5, 8), "qid", "nid", "rank") == rows(S.knn_exact(q, emb, 5, include_self=True), "qid", "nid", "rank")
+    assert rows(flat.search(q, 5, 8), "qid", "nid", "rank") == rows(
+        S.knn_exact(q, emb, 5, include_self=True), "qid", "nid", "rank"
+    )
 
 
 def test_saved_index_with_other_groups_and_appended_rows(spark, emb, tmp_path):
@@ -313,7 +327,9 @@ def test_saved_index_with_other_groups_and_appended_rows(spark, emb, tmp_path):
 
 
 def test_planner_chooses_for_deduplication(spark, emb):
-    same = emb.select("id", "x").unionByName(emb.where("id = 5").select(F.explode(F.sequence(F.lit(1000), F.lit(1030))).alias("id"), "x"))
+    same = emb.select("id", "x").unionByName(
+        emb.where("id = 5").select(F.explode(F.sequence(F.lit(1000), F.lit(1030))).alias("id"), "x")
+    )
     plain = D.dedup(same, D.DedupSpec(seeded=True, k=5, mode="connected"))
     planned = D.dedup(same, D.DedupSpec(seeded=True, k=5, mode="connected", planned=True))
     assert "collapse" in planned.stats["plan"] and "salt" in plain.stats["plan"]
@@ -325,7 +341,9 @@ def test_knn_block_and_mean_vectors(spark, emb):
     from nearcopy.functions.sqlapi import mean_vectors, register
 
     register(spark, I.seeded_index(emb))
-    got = spark.sql("SELECT * FROM knn_block(array(array(0D, 0D)), array(array(1D, 0D), array(0D, 0D), array(0D, 2D)), 2)").collect()
+    got = spark.sql(
+        "SELECT * FROM knn_block(array(array(0D, 0D)), array(array(1D, 0D), array(0D, 0D), array(0D, 2D)), 2)"
+    ).collect()
     assert [(r.q, r.nn, r.dist) for r in got] == [(0, 1, 0.0), (0, 0, 1.0)]
     assert spark.sql("SELECT * FROM hash_features('one two three')").count() == 2
     table = spark.createDataFrame([(1, [1.0, 3.0]), (1, [3.0, 5.0]), (2, [0.0, 1.0])], "k int, x array<double>")
@@ -340,3 +358,23 @@ def test_mean_pair_distance_needs_no_pairs(spark):
     table = spark.createDataFrame([(i, 0, v.tolist()) for i, v in enumerate(x)], "id long, rep long, t array<double>")
     pairs = [((x[i] - x[j]) ** 2).sum() for i in range(6) for j in range(i)]
     assert abs(mean_pair_distance(table).first().mean_distance - np.sqrt(np.mean(pairs))) < 1e-9
+
+
+def test_orderings_of_the_reference(spark):
+    """On the given tables: the combined loss keeps texts and vectors together better than reconstruction, both better than the
+    auto-configured baseline; compressing each side by itself loses the alignment; a latent of many dimensions beats a low one
+    with more memory for the quantizer; contrastive alone is worse in retrieval."""
+    from nearcopy.plans import workloads as W
+
+    d = "/root/testdata/sf0.01"
+    hits = {r.codec: r.hit for r in W.w_text_to_image(spark, d, ms=(4,), seeds=(0,)).collect()}
+    assert hits["npcc"] > hits["mse"] > hits["auto"]
+    sides = {r.codec: r.hit for r in W.w_alignment(spark, d).collect()}
+    assert min(sides["npcc"], sides["contrastive"]) > 0.9 and sides["independent"] < 0.1
+    arms = {(r.arm, r.latent): r.recall for r in W.w_latent_ablation(spark, d, dims=(16, 128)).where("codec = 'pca'").collect()}
+    assert arms["same", 128] > arms["more", 16]
+    x, pairs = W._vectors(spark, d)
+    front = W._front(spark, x, pairs, (8,), (4,), 128, ("arrow", "expr")).collect()
+    recall = {(r.codec, r.engine): r.recall for r in front}
+    assert recall["contrastive", "arrow"] < min(recall["mse", "arrow"], recall["npcc", "arrow"])
+    assert all(abs(recall[c, "arrow"] - recall[c, "expr"]) < 1e-9 for c, _ in recall)
