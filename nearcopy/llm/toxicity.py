@@ -27,6 +27,7 @@ are one constant.
 
 from __future__ import annotations
 
+import pickle
 import re
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -36,7 +37,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, functions as F
 from pyspark.sql.types import DoubleType, StructType
 
-from nearcopy.llm.common import arrow_map, check_columns, claim, documents
+from nearcopy.llm.common import arrow_map, batch, check_columns, claim, documents
 from nearcopy.llm.tokens import text_groups
 
 DECAY, REACH, WINDOW = 0.7, 8, 24
@@ -359,16 +360,17 @@ def training_rows(
     text: str = "text",
     id_column: str = "doc_id",
     folds: int = 5,
-) -> tuple[list[str], list[int], float]:
-    """Texts and labels of the fit, and the share of label 1: rows whose crc32 of the id's text is no multiple of
-    `folds`. At most 2 * per_class rows of MAX_TRAIN_CHARS characters reach the driver."""
+) -> tuple[DataFrame | None, float]:
+    """(_id, _text, _y) of the fit, in one partition, and the share of label 1: rows whose crc32 of the id's text is no
+    multiple of `folds`; at most 2 * per_class of them, of MAX_TRAIN_CHARS characters. None where there are no
+    labels."""
     learnt = F.crc32(F.col(id_column).cast("string")) % folds != 0
     known = labels.where(F.col(label).isin(0, 1) & F.col(id_column).isNotNull() & learnt)
     known = known.select(F.col(id_column).alias("_id"), F.col(label).alias("_y"))
     counts = {r[0]: r[1] for r in known.groupBy("_y").count().collect()}
     total = sum(counts.values())
     if not total:
-        return [], [], 0.0
+        return None, 0.0
     spark, chosen = docs.sparkSession, []
     for y in (0, 1):
         some = known.where(F.col("_y") == y).orderBy(F.xxhash64("_id"), "_id").limit(per_class)
@@ -377,13 +379,26 @@ def training_rows(
     plain = docs.select(docs[id_column].cast("long").alias("_doc"), docs[text].alias("_text"))
     plain = plain.where(F.length("_text") <= MAX_TRAIN_CHARS)
     rows = plain.join(ids, F.col("_doc") == F.col("_id")).select("_id", "_text", "_y")
-    rows = rows.orderBy("_id", "_text").limit(2 * per_class).collect()
-    return [r[1] for r in rows], [r[2] for r in rows], counts.get(1, 0) / total
+    return rows.orderBy("_id", "_text", "_y").limit(2 * per_class), counts.get(1, 0) / total
 
 
 def fit_toxicity(docs: DataFrame, labels: DataFrame, **options) -> ToxicityModel:
-    texts, y, share = training_rows(docs, labels, **options)
-    return fit_model(texts, y, max(share, LEAST_PRIOR)) if texts else ToxicityModel.constant(share)
+    """The fit is one task on an executor, which a lost executor only repeats; the driver sees the machine, not the
+    texts."""
+    rows, share = training_rows(docs, labels, **options)
+    if rows is None:
+        return ToxicityModel.constant(share)
+
+    def fit(batches):
+        claim("toxicity")
+        texts, y = [], []
+        for b in batches:
+            texts += b.column(1).to_pylist()
+            y += b.column(2).to_pylist()
+        yield batch(pa.schema([("model", pa.binary())]), [pickle.dumps(fit_model(texts, y, max(share, LEAST_PRIOR)))])
+
+    found = rows.transform(arrow_map, fit, "model binary").collect()  # a row of about 1 MB; none from empty tables
+    return pickle.loads(found[0][0]) if found else ToxicityModel.constant(share)
 
 
 def score_texts(model: ToxicityModel, texts: list[str | None], known: dict[str, float] | None = None) -> np.ndarray:
