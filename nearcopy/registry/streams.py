@@ -83,19 +83,26 @@ def stream_dedup(spark, d, sources=32):
 QUERIES["stream_dedup"] = lambda spark, d: stream_dedup(spark, d, 256)
 
 
-@query()
+#: Arrivals of each vector.
+ARRIVED = "(SELECT event_id % (SELECT count(*) FROM embeddings) AS id, count(*) AS c FROM events GROUP BY 1)"
+
+
+@query(f"{SEEDED} SELECT cell, count(DISTINCT codes) AS n FROM enc JOIN {ARRIVED} USING (id) GROUP BY cell")
 def stream_code_dedup(spark, d):
+    """First arrivals of codes, counted by cell (which of several arrivals of a batch is first is open)."""
     from nearcopy.streaming.dedup import code_dedup
 
-    return collected(code_dedup(stream_of(spark, d), seeded_index(spark, d), "365 days"), spark).select("id", "cell")
+    first = collected(code_dedup(stream_of(spark, d), seeded_index(spark, d), "365 days"), spark)
+    return first.groupBy(F.col("cell").cast("long").alias("cell")).agg(F.count("*").alias("n"))
 
 
-@query()
+@query(f"{SEEDED} SELECT min(id) AS rep, CAST(sum(c) AS BIGINT) AS n FROM enc JOIN {ARRIVED} USING (id) GROUP BY cell, codes")
 def stream_rep_state(spark, d):
+    """Of each code the smallest id that has arrived, and the number of arrivals."""
     from nearcopy.streaming.dedup import rep_state
 
     got = collected(rep_state(stream_of(spark, d), seeded_index(spark, d)), spark, "update")
-    return got.groupBy("code").agg(F.min("rep").alias("rep"), F.max("n").alias("n"))
+    return got.groupBy("code").agg(F.min("rep").alias("rep"), F.max("n").alias("n")).select("rep", "n")
 
 
 def last_state(stream, spark):

@@ -1,4 +1,4 @@
-"""Vector tables: validation and quarantine, and text formats for captions."""
+"""Vector tables: validation and quarantine, bucketed tables, and text formats for captions."""
 
 from __future__ import annotations
 
@@ -23,6 +23,14 @@ def read_vectors(spark: SparkSession, path: str, id_column: str = "vec_id", col:
     )
 
 
+def write_bucketed(df: DataFrame, table: str, key: str, buckets: int = 1024) -> DataFrame:
+    """`df` as a table of the catalog in `buckets` buckets by `key`, sorted within each: joins and aggregates of such
+    tables by the key
+    need no shuffle. Rows are dealt to the buckets before, so that there is one file a bucket."""
+    df.repartition(buckets, key).write.mode("overwrite").bucketBy(buckets, key).sortBy(key).saveAsTable(table)
+    return df.sparkSession.table(table)
+
+
 def write_captions(df: DataFrame, path: str, kind: str = "json") -> None:
     """kind: json, csv, text (one string column) or parquet."""
     writer = df.write.mode("overwrite")

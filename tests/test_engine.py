@@ -378,3 +378,25 @@ def test_orderings_of_the_reference(spark):
     recall = {(r.codec, r.engine): r.recall for r in front}
     assert recall["contrastive", "arrow"] < min(recall["mse", "arrow"], recall["npcc", "arrow"])
     assert all(abs(recall[c, "arrow"] - recall[c, "expr"]) < 1e-9 for c, _ in recall)
+
+
+def test_bucketed_tables_join_without_a_shuffle(spark, emb, tmp_path, monkeypatch):
+    from nearcopy.sources.vectors import write_bucketed
+
+    try:
+        a = write_bucketed(emb.select("id", "x"), "nearcopy_a", "id", 8)
+        b = write_bucketed(emb.selectExpr("id", "id % 3 AS label"), "nearcopy_b", "id", 8)
+        joined = a.hint("merge").join(b, "id")
+        plan = joined._jdf.queryExecution().executedPlan().toString()
+        assert "Exchange" not in plan and "SortMergeJoin" in plan
+        assert joined.count() == emb.count()
+    finally:
+        spark.sql("DROP TABLE IF EXISTS nearcopy_a")
+        spark.sql("DROP TABLE IF EXISTS nearcopy_b")
+
+
+def test_captions_as_text(spark, tmp_path):
+    from nearcopy.sources.vectors import read_captions, write_captions
+
+    write_captions(spark.createDataFrame([("one",), ("\u00fc two",)], "value string"), f"{tmp_path}/t", "text")
+    assert rows(read_captions(spark, f"{tmp_path}/t", "value string", "text"), "value") == [("one",), ("\u00fc two",)]
