@@ -15,13 +15,15 @@ from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 from pyspark.sql.types import StructType
 
 from nearcopy.components import materialize  # noqa: F401  (the operators take it from here)
+from nearcopy.functions.blocks import spread
 
 #: Bytes of text that one kernel call looks at; the arrays made from it are about 8 to 100 times as large.
 BLOCK_BYTES = 1 << 20
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/documents.parquet")
+    """The table; one of fewer files than there are cores is dealt to all of them."""
+    return spread(spark.read.parquet(f"{sf_dir}/documents.parquet"))
 
 
 def bloom_test(keys: DataFrame, column: str, max_words: int = 1 << 17) -> Callable[[Column], Column]:

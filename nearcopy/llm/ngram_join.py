@@ -500,9 +500,12 @@ def jaccard_components(
 
     links = stars.where("light").select("a", "b").unionByName(verified(placed, _to_parts))
     large = placed.where("parts > 1")
-    if large.limit(1).count():
+    if not large.limit(1).count():
+        comps = connected_components(links)
+    else:
         links = materialize(links)
-        label = connected_components(links).select(F.col("node").alias("k"), F.col("component").alias("label"))
+        comps = materialize(connected_components(links))
+        label = comps.select(F.col("node").alias("k"), F.col("component").alias("label"))
         large = large.join(label, F.col("node") == F.col("k"), "left").drop("k")
         large = materialize(large.withColumn("label", F.coalesce("label", "node")))
         most = large.groupBy("group", "label").count().groupBy("group")
@@ -510,8 +513,9 @@ def jaccard_components(
         apart = (F.col("label") != F.col("most")).alias("apart")
         large = large.join(most, "group").select("node", "group", "parts", "label", apart)
         rest = large.where("apart").groupBy("group").agg(F.ceil(F.count("*") / group_sets).cast("int").alias("asked"))
-        links = links.unionByName(verified(large.join(rest, "group"), _to_blocks(percent), True))
-    comps = connected_components(links)
+        if rest.limit(1).count():
+            more = verified(large.join(rest, "group"), _to_blocks(percent), True)
+            comps = connected_components(links.unionByName(more))
     member = profile.join(classes, ["n", "h1", "h2"], "left").select("doc_id", "n", "rep")
     component = F.coalesce("component", "rep", "doc_id").alias("component_id")
     member = member.join(comps, F.col("rep") == F.col("node"), "left")
