@@ -1,6 +1,7 @@
 """What showed at larger tables only: ties, exact results of the faster ways, and queries that read tables."""
 
 import math
+import re
 
 import numpy as np
 from pyspark.sql import functions as F
@@ -28,3 +29,32 @@ def test_nearest_of_rows_that_rounding_tells_apart():
     assert smallest_distances(x, y, 1)[0][:, 0].tolist() == want
     far = x[:, None] - y[None]
     assert np.sqrt(summed_squares(far.reshape(-1, d))).tolist() == [dist(v, w) for v in x for w in y]
+
+
+def read_columns(df):
+    """The columns that Spark scans of files for a result."""
+    plan = df._jdf.queryExecution().optimizedPlan().toString()
+    return set(re.findall(r"(\w+)#\d+", " ".join(re.findall(r"Relation \[[^\]]*\] parquet", plan))))
+
+
+def test_plans_fronts_and_ratios_read_vectors(spark, data):
+    from nearcopy.registry import vectors as V
+
+    for query in (V.q_auto_plan, V.q_compression_ratio):
+        assert "embedding" in read_columns(query(spark, data))
+
+
+def test_front_changes_with_the_vectors(spark, tmp_path):
+    """Vectors with values in the last places only: codecs that keep the first ones aren't on the front."""
+    from nearcopy.registry import vectors as V
+
+    rows = [(i, [0.0] * 56 + [float(i + 1)] * 8) for i in range(20)]
+    table = spark.createDataFrame(rows, "vec_id long, embedding array<float>").withColumn("label", F.lit("a"))
+    table.write.parquet(f"{tmp_path}/embeddings.parquet")
+    assert {r.name for r in V.q_pareto(spark, str(tmp_path)).collect()} == {"last-8", "first-4"}
+
+
+def test_nearest_by_a_window_makes_no_pairs(spark, data):
+    from nearcopy.registry import vectors as V
+
+    assert "NestedLoop" not in V.q_topk_window(spark, data)._jdf.queryExecution().executedPlan().toString()
