@@ -4,11 +4,13 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from nearcopy.components import shared_dir
-from nearcopy.functions import linalg as L
+from nearcopy.functions.blocks import TILE, fast_squared_distances, matrix
 from nearcopy.operators.index import VectorIndex
 
 
@@ -42,24 +44,28 @@ class IncrementalDedup:
             new = new.join(before.select("id"), "id", "left_anti")
         new.write.mode("overwrite").parquet(f"{self.path}/latents/batch={batch_id}")
         new = spark.read.schema(new.schema).parquet(f"{self.path}/latents/batch={batch_id}")
-        columns = ["id", "cell", "z", "self_dist"]
-        pairs = self._pairs(
-            new.select(*columns) if before is None else new.select(*columns).unionByName(before.select(*columns)), new
-        )
+        found = self._parents(new if before is None else new.unionByName(before.select(*new.columns)), new)
         if before is not None:  # a smaller id that comes later asks those that are there
-            pairs = pairs.unionByName(self._pairs(new.select(*columns), before))
-        pairs.groupBy(
-            "j"
-        ).agg(F.max("id").alias("parent")).write.mode("overwrite").parquet(f"{self.path}/parents/batch={batch_id}")
-
-    def _pairs(self, asking: DataFrame, db: DataFrame) -> DataFrame:
-        rebuilt = self.index.decode(db).toDF("j", "y").join(
-            db.select(F.col("id").alias("j"), F.col("cell").alias("at")), "j"
-        )
-        near = asking.join(
-            rebuilt, (F.col("cell") == F.col("at")) & (F.col("id") < F.col("j"))
-        ).withColumn("d", L.l2(F.col("z"), F.col("y")))
-        return near.where(L.is_near_copy(F.col("self_dist"), F.col("d"), self.tol)).select("id", "j")
+            found = found.unionByName(self._parents(new, before))
+        found = found.groupBy("j").agg(F.max("parent").alias("parent"))
+        found.write.mode("overwrite").parquet(f"{self.path}/parents/batch={batch_id}")
+
+    def _parents(self, asking: DataFrame, db: DataFrame) -> DataFrame:
+        """(j, parent): of each row of db the largest smaller id that flags it. Rows with equal codes are rebuilt alike, so each
+        code of a cell meets the asking rows once; a cell's codes are dealt to several tasks."""
+        spark = db.sparkSession
+        shared, tol = spark.sparkContext.broadcast(self.index._plain()), self.tol
+        salt = spark.sparkContext.defaultParallelism
+        left = asking.select("id", "cell", "z", "self_dist")
+        left = left.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salt - 1))))
+        right = db.select("id", "cell", "codes", "z", F.pmod(F.xxhash64("codes"), F.lit(salt)).cast("int").alias("salt"))
+
+        def meet(q: pa.Table, y: pa.Table) -> pa.Table:
+            out = last_flagging(shared.value, q, y, tol) if q.num_rows and y.num_rows else ([], [])
+            return pa.table({"j": pa.array(out[0], pa.int64()), "parent": pa.array(out[1], pa.int64())})
+
+        met = left.groupBy("cell", "salt").cogroup(right.groupBy("cell", "salt"))
+        return met.applyInArrow(meet, "j long, parent long")
 
     def representatives(self, spark: SparkSession) -> DataFrame:
         from nearcopy.operators.dedup import pointer_jump
@@ -73,6 +79,52 @@ class IncrementalDedup:
         )
 
 
+def last_flagging(index: VectorIndex, q: pa.Table, y: pa.Table, tol: float) -> tuple[np.ndarray, np.ndarray]:
+    """Of a cell's asking rows q and rows y: each row of y that smaller ids flag, and the largest of them. TILE distances
+    are held at a time; those near the test's bounds are worked out again by differences."""
+    ids, own = q.column("id").to_numpy(), q.column("self_dist").to_numpy()
+    order = np.argsort(ids, kind="stable")
+    ids, own, z = ids[order], own[order], matrix(q.column("z"))[order]
+    codes, first, which = np.unique(
+        np.array(y.column("codes").to_pylist(), object) if index.books is not None else np.arange(y.num_rows),
+        return_index=True,
+        return_inverse=True,
+    )
+    cell = y.column("cell").to_numpy()[first]
+    if index.books is None:
+        rebuilt = matrix(y.column("z"))
+    else:
+        rebuilt = index.decode_block(cell, np.frombuffer(b"".join(codes), index.code_dtype()).reshape(len(codes), -1))
+    members = np.argsort(which, kind="stable")
+    bounds = np.searchsorted(which[members], np.arange(len(codes) + 1))
+    names, js, parents = y.column("id").to_numpy(), [], []
+    exact = own <= 1e-12
+    low, high = own - np.where(exact, 1e-12, own * tol), own + np.where(exact, 1e-12, own * tol)
+    slack = 1e-7 * (1 + (z * z).sum(1))
+    low2, high2 = np.where(low > 0, low * low, -1.0) - slack, high * high + slack
+    step = max(1, TILE // max(1, len(ids)))
+    for lo in range(0, len(codes), step):
+        part = rebuilt[lo : lo + step]
+        d2 = fast_squared_distances(part, z)
+        c, r = np.nonzero((d2 >= low2) & (d2 <= high2))
+        flags = np.zeros(len(c), bool)
+        for i in range(0, len(c), max(1, TILE // z.shape[1])):
+            at = slice(i, i + max(1, TILE // z.shape[1]))
+            d = np.sqrt(((part[c[at]] - z[r[at]]) ** 2).sum(axis=1))
+            gap, mine = np.abs(own[r[at]] - d), own[r[at]]
+            flags[at] = np.where(mine <= 1e-12, gap <= 1e-12, gap < mine * tol)
+        c, r = c[flags], r[flags]
+        ends = np.searchsorted(c, np.arange(len(part) + 1))
+        for k in range(len(part)):
+            asked = ids[r[ends[k] : ends[k + 1]]]  # ascending
+            own_names = names[members[bounds[lo + k] : bounds[lo + k + 1]]]
+            place = np.searchsorted(asked, own_names)
+            some = place > 0
+            js.append(own_names[some])
+            parents.append(asked[place[some] - 1])
+    return np.concatenate(js), np.concatenate(parents)
+
+
 def code_dedup(stream: DataFrame, index: VectorIndex, delay: str = "1 hour") -> DataFrame:
     """The first arrival of each code within the watermark."""
     coded = _coded(stream, index)
@@ -80,7 +132,6 @@ def code_dedup(stream: DataFrame, index: VectorIndex, delay: str = "1 hour") ->
 
 
 def _coded(stream: DataFrame, index: VectorIndex) -> DataFrame:
-    import numpy as np
 
     plain = index._plain()
 

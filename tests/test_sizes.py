@@ -58,3 +58,28 @@ def test_nearest_by_a_window_makes_no_pairs(spark, data):
     from nearcopy.registry import vectors as V
 
     assert "NestedLoop" not in V.q_topk_window(spark, data)._jdf.queryExecution().executedPlan().toString()
+
+
+def test_arriving_copies_meet_each_code_once():
+    """Of many rows with equal codes each has the largest smaller id that flags it, as the join of all pairs has."""
+    import pyarrow as pa
+
+    from nearcopy.operators.index import VectorIndex
+    from nearcopy.streaming.dedup import last_flagging
+
+    rng = np.random.default_rng(2)
+    x = np.repeat(rng.standard_normal((150, 8)), 4, axis=0) + np.where(np.arange(600) % 3, 0, 1e-3)[:, None]
+    x[:2] = 0
+    index = VectorIndex(np.zeros((1, 8)), rng.standard_normal((2, 16, 4)))
+    index.books[:, 0] = 0
+    cell, codes, near = index.encode_block(x)
+    own, ids = np.sqrt(((x - near) ** 2).sum(1)), rng.permutation(5000)[: len(x)]
+    table = {"id": ids, "cell": cell, "codes": [c.tobytes() for c in codes], "z": list(x), "self_dist": own}
+    table, want = pa.table(table), {}
+    for j in range(len(x)):
+        gap = np.abs(own - np.sqrt(((x - near[j]) ** 2).sum(1)))
+        flag = np.where(own <= 1e-12, gap <= 1e-12, gap < own * 0.01) & (ids < ids[j])
+        if flag.any():
+            want[int(ids[j])] = int(ids[flag].max())
+    got = last_flagging(index, table, table, 0.01)
+    assert dict(zip(got[0].tolist(), got[1].tolist(), strict=True)) == want and len(want) > 300
