@@ -4,9 +4,12 @@ import math
 import re
 
 import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
+from nearcopy.functions import features as FE
 from nearcopy.functions.blocks import smallest_distances, summed_squares
+from nearcopy.operators import index as I, search as S
 
 
 def test_nearest_of_rows_that_rounding_tells_apart():
@@ -83,3 +86,35 @@ def test_arriving_copies_meet_each_code_once():
             want[int(ids[j])] = int(ids[flag].max())
     got = last_flagging(index, table, table, 0.01)
     assert dict(zip(got[0].tolist(), got[1].tolist(), strict=True)) == want and len(want) > 300
+
+
+@pytest.fixture
+def many_tasks(spark):
+    """Shuffles of as many tasks as they name, as large tables have them."""
+    names = {"spark.sql.adaptive.coalescePartitions.enabled": "false", "spark.sql.shuffle.partitions": "13"}
+    before = {n: spark.conf.get(n) for n in names}
+    for n, v in names.items():
+        spark.conf.set(n, v)
+    yield
+    for n, v in before.items():
+        spark.conf.set(n, v)
+
+
+def test_blocks_meet_in_many_tasks(spark, data, monkeypatch, many_tasks):
+    x = FE.emb(spark.read.parquet(f"{data}/embeddings.parquet")).select("id", "x")
+    asked = x.where("id % 3 = 0")
+    want = sorted(map(tuple, S.knn_exact(asked, x, 5).select("qid", "nid", "rank").collect()))
+    monkeypatch.setattr(S, "BLOCK_QUERIES", 10)
+    monkeypatch.setattr(S, "BLOCK_BYTES", 64 * 8 * 40)
+    got = S.knn_exact(asked, x, 5).select("qid", "nid", "rank")
+    assert want and sorted(map(tuple, got.collect())) == want
+
+
+def test_cells_meet_in_many_tasks(spark, data, monkeypatch, many_tasks):
+    x = FE.emb(spark.read.parquet(f"{data}/embeddings.parquet")).select("id", "x")
+    index = I.seeded_index(x)
+    want = sorted(map(tuple, index.search(x, 5, 2).select("qid", "nid", "rank").collect()))
+    monkeypatch.setattr(I, "BROADCAST_BYTES", 1)
+    for salt in (1, 3):
+        got = index.search(x, 5, 2, salt=salt).select("qid", "nid", "rank")
+        assert want and sorted(map(tuple, got.collect())) == want
