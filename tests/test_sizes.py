@@ -118,3 +118,52 @@ def test_cells_meet_in_many_tasks(spark, data, monkeypatch, many_tasks):
     for salt in (1, 3):
         got = index.search(x, 5, 2, salt=salt).select("qid", "nid", "rank")
         assert want and sorted(map(tuple, got.collect())) == want
+
+
+def made_rows(seed, n, d=12, few=3):
+    """Ids out of order, exact copies, zeros, rows that rounding alone tells apart, and a few that are far longer."""
+    rng = np.random.default_rng(seed)
+    x = rng.integers(-few, few + 1, (n, d)).astype(float)
+    x[n // 2 :] = x[rng.integers(0, n // 4, n - n // 2)] * rng.choice([1.0, 1.0, 3.0], n - n // 2)[:, None]
+    x /= np.maximum(np.sqrt((x * x).sum(1, keepdims=True)), 1e-9)
+    x[:3], x[5:7] = 0.0, x[5:7] * 1e4
+    return rng.permutation(10 * n)[:n].astype(np.int64), x
+
+
+def by_distance(q, names, y, leave_out):
+    d = np.sqrt(((q - y) ** 2).sum(1))
+    order = [i for i in np.lexsort((names, np.round(d, 12))) if names[i] != leave_out]
+    return names[order], d[order]
+
+
+@pytest.mark.parametrize("include_self", [False, True])
+def test_many_equal_rows_are_settled_by_id(include_self):
+    ids, x = made_rows(1, 700)
+    found = S._Nearest(ids[:90], x[:90], 4, "l2", include_self)
+    for lo in range(0, 700, 130):
+        found.meet(ids[lo : lo + 130], x[lo : lo + 130])
+    got = {}
+    for b in found.rows():
+        for q, n, d in zip(*(c.to_pylist() for c in b.columns), strict=True):
+            got.setdefault(q, []).append(n)
+    want = {int(i): by_distance(v, ids, x, None if include_self else i)[0][:4].tolist() for i, v in zip(ids[:90], x[:90])}
+    assert got == want
+
+
+def test_partners_of_blocks_equal_brute_force():
+    ids, x = made_rows(2, 400)
+    want = np.arange(400) % 3 > 0
+    got = S._nearest_others(ids, x, want).to_pydict()
+    assert dict(zip(got["id"], got["nn_id"])) == {int(i): by_distance(v, ids, x, i)[0][0] for i, v in zip(ids[want], x[want])}
+    a, b = np.arange(400) < 150, np.arange(400) >= 150
+    got = S._nearest_others(ids[a], x[a], want[a], ids[b], x[b], want[b]).to_pydict()
+    best = {int(i): by_distance(v, ids[o], x[o], i) for o, s in ((b, a), (a, b)) for i, v in zip(ids[s & want], x[s & want])}
+    assert dict(zip(got["id"], got["nn_id"])) == {i: n[0] for i, (n, _) in best.items()}
+    np.testing.assert_allclose(got["dist"], [best[i][1][0] for i in got["id"]], atol=1e-12)
+
+
+def test_captions_take_the_head_of_a_text_apart():
+    texts = [None, "", "a", "ΑΣ" * 40 + " ΒΣ ΓΣ'α δ", "Σ " * 90, "word-" * 5000, "x" * 900 + " İ ß_é " * 9, "one two " * 3 + "-" * 500 + "y z" * 9]
+    for text in texts:
+        for n in (1, 2, 5, 12, None):
+            assert FE.leading_words(text, n) == FE.words(text)[:n]
