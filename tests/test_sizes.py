@@ -167,3 +167,30 @@ def test_captions_take_the_head_of_a_text_apart():
     for text in texts:
         for n in (1, 2, 5, 12, None):
             assert FE.leading_words(text, n) == FE.words(text)[:n]
+
+
+@pytest.mark.parametrize("ball", [None, 0.5])
+def test_codes_are_searched_by_one_product(ball, monkeypatch):
+    """The same pairs and distances as sums over all table entries give, without working those out for all pairs."""
+    rng = np.random.default_rng(4)
+    index = I.VectorIndex(rng.standard_normal((2, 12)), rng.standard_normal((3, 8, 4)))
+    codes, ids = rng.integers(0, 8, (900, 3)).astype(np.uint8), rng.permutation(5000)[:900]
+    z, own = rng.standard_normal((50, 12)), rng.random(50) * 3 + 2
+    qids, d = np.arange(50) + 7000, np.sqrt(I.lookup_distances(z - index.cells[1], index.books, codes))
+    if ball is None:
+        order = [np.lexsort((ids, np.round(row, 12)))[:5] for row in d]
+    else:
+        order = [np.flatnonzero(row <= 1.5 * s + 1e-12) for row, s in zip(d, own)]
+    want = sorted((int(q), int(ids[i]), row[i]) for q, row, o in zip(qids, d, order) for i in o)
+    monkeypatch.delattr(I, "lookup_distances")
+    asked = (qids, z, None if ball is None else own)
+    got = I._answers(index, asked, 1, ids, codes, I._keeper(5, "l2", ball), 5, ball)
+    assert sorted(r for b in got for r in zip(*(c.to_pylist() for c in b.columns))) == want and len(want) > 100
+
+
+def test_indexes_that_share_cells_equal_single_ones(spark, data):
+    x = FE.emb(spark.read.parquet(f"{data}/embeddings.parquet")).select("id", "x")
+    for m, index in I.build_indexes(x, "x", 4, (2, 8), 4, None, 2).items():
+        one = I.build_index(x, "x", 4, m, 4, None, 2)
+        assert (one.cells == index.cells).all() and (one.books == index.books).all()
+        assert one.encoded.drop("z").exceptAll(index.encoded.drop("z")).count() == 0
