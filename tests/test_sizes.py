@@ -194,3 +194,33 @@ def test_indexes_that_share_cells_equal_single_ones(spark, data):
         one = I.build_index(x, "x", 4, m, 4, None, 2)
         assert (one.cells == index.cells).all() and (one.books == index.books).all()
         assert one.encoded.drop("z").exceptAll(index.encoded.drop("z")).count() == 0
+
+
+def test_disturbed_copies_are_those_of_the_expressions(spark, data):
+    from nearcopy.functions import linalg as L
+
+    x = FE.emb(spark.read.parquet(f"{data}/embeddings.parquet")).where("id < 40")
+    x = x.unionByName(spark.createDataFrame([(41, [0.0] * 64, 0)], "id long, x array<double>, label int").select(*[F.col(c).cast(x.schema[c].dataType) for c in x.columns]))
+    many = x.withColumn("r", F.explode(F.sequence(F.lit(0), F.lit(2))))
+    many = many.withColumn("id", F.col("id") + F.col("r") * 10_000_000)
+    moved = L.normalise(L.add(F.col("x"), FE.small_noise(F.col("id"), "grow:", 0.02)))
+    want = many.withColumn("x", F.when(F.col("r") == 0, F.col("x")).otherwise(moved))
+    got = {r.id: r for r in FE.with_disturbed(x, 3, "grow:", 0.02).collect()}
+    want = {r.id: r for r in want.collect()}
+    assert got.keys() == want.keys() and len(got) == 3 * 41
+    assert all(got[i].label == w.label for i, w in want.items())
+    assert max(np.abs(np.subtract(got[i].x, w.x)).max() for i, w in want.items()) < 1e-15
+
+
+def test_cells_of_all_codecs_by_the_same_passes(spark, data):
+    from nearcopy.operators import codecs, kmeans as K
+
+    x = FE.emb(spark.read.parquet(f"{data}/embeddings.parquet")).select("id", "x")
+    tried = [codecs.IdentityCodec(), codecs.fit_pca_codec(x, "x", 16)]
+    found = K.kmeans_of_all(x, "x", 8, 3, [c.encode_block for c in tried])
+    rows = I.codebook_rows(x)
+    for codec, cells in zip(tried, found, strict=True):
+        want = I.build_index(x, "x", 8, 4, 4, codec, 3)
+        got = I.build_indexes(x, "x", 8, (4,), 4, codec, 3, rows, cells)[4]
+        assert np.allclose(got.cells, want.cells) and np.allclose(got.books, want.books)
+        assert got.encoded.select("id", "cell").exceptAll(want.encoded.select("id", "cell")).count() == 0
