@@ -224,3 +224,25 @@ def test_cells_of_all_codecs_by_the_same_passes(spark, data):
         got = I.build_indexes(x, "x", 8, (4,), 4, codec, 3, rows, cells)[4]
         assert np.allclose(got.cells, want.cells) and np.allclose(got.books, want.books)
         assert got.encoded.select("id", "cell").exceptAll(want.encoded.select("id", "cell")).count() == 0
+
+
+def test_codecs_are_trained_on_all_rows(spark, monkeypatch):
+    from nearcopy.operators import codecs
+
+    seen = []
+    monkeypatch.setattr(codecs, "train", lambda df, *a: seen.append(df.count()))
+    x = spark.range(250_000).select("id", F.array(F.lit(1.0)).alias("x"))
+    codecs._run(x, ["x"], {}, None, codecs._options({}))
+    codecs._run(x, ["x"], {}, None, codecs._options({"sample": 1000}))
+    assert seen[0] == 250_000 and 800 < seen[1] < 1200
+
+
+def test_large_tasks_are_trained_on_in_parts(monkeypatch):
+    import pyarrow as pa
+
+    from nearcopy.operators import codecs
+
+    monkeypatch.setattr(codecs, "HELD_ROWS", 50)
+    batches = [pa.record_batch([pa.array([[float(i)] * 2 for i in range(n, n + 20)], pa.list_(pa.float64()))], names=["x"]) for n in range(0, 140, 20)]
+    parts = [p[0] for p in codecs._held(batches, 1)]
+    assert [len(p) for p in parts] == [60, 60, 20] and np.concatenate(parts)[:, 0].tolist() == list(range(140))
