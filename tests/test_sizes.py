@@ -246,3 +246,13 @@ def test_large_tasks_are_trained_on_in_parts(monkeypatch):
     batches = [pa.record_batch([pa.array([[float(i)] * 2 for i in range(n, n + 20)], pa.list_(pa.float64()))], names=["x"]) for n in range(0, 140, 20)]
     parts = [p[0] for p in codecs._held(batches, 1)]
     assert [len(p) for p in parts] == [60, 60, 20] and np.concatenate(parts)[:, 0].tolist() == list(range(140))
+
+
+def test_all_rows_are_asked_for_neighbours(spark, monkeypatch):
+    from nearcopy import components
+    from nearcopy.operators import codecs
+
+    monkeypatch.setattr(S, "chunk_nearest", lambda df, *a, asked=None: df.selectExpr("id", "id AS nn_id") if asked is None else asked.selectExpr("id", "id AS nn_id"))
+    monkeypatch.setattr(components, "materialize", lambda df: df)
+    pairs = spark.range(250_000).select("id", F.array(F.lit(1.0)).alias("x"), F.array(F.lit(1.0)).alias("t"))
+    assert codecs.neighbour_rows(pairs).count() == 250_000
